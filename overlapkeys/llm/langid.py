@@ -143,40 +143,41 @@ def train(docs: DataFrame, vocabulary: str, per_language: int = TRAIN_DOCS) -> U
     return Unigrams.fit({g: c for g, c in counts.items() if c}, load_pieces(vocabulary))
 
 
-def predict(docs: DataFrame, model: Unigrams) -> DataFrame:
-    """``docs`` with lang_pred and score; ``und`` and 0 if the text is null or has no letter, or nothing was learnt.
+def language_of(model: Unigrams):
+    """A column function: text -> struct of lang_pred and score.
 
-    score is the posterior of the chosen language, tempered by the square root of the number of words.
-    Equal texts get equal rows; ties go to the language that comes first by name.
+    ``und`` and 0 if the text is null or has no letter, or nothing was learnt. score is the posterior of
+    the chosen language, tempered by the square root of the number of words. Ties go to the language
+    that comes first by name. It reads the text alone, so other columns may have any names.
     """
     langs = model.langs
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    @F.pandas_udf("struct<lang_pred: string, score: double>")
+    def of(columns: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         number: dict[str, int] = {}
         scores = np.zeros((0, len(langs)))
-        for f in frames:
-            split = [WORD.findall(t.lower()) if t is not None and t == t else [] for t in f["text"].tolist()]
-            if len(number) > KEPT_WORDS:
-                number, scores = {}, np.zeros((0, len(langs)))
-            for at in range(0, len(split), 500):  # words of a part of the batch at a time, for memory
-                fresh = list(set().union(*split[at : at + 500]).difference(number))
+        for column in columns:
+            best, sure, texts = [], [], column.tolist()
+            for at in range(0, len(texts), 500):  # a part of the batch at a time, for memory
+                split = [WORD.findall(t.lower()) if isinstance(t, str) else [] for t in texts[at : at + 500]]
+                if len(number) > KEPT_WORDS:
+                    number, scores = {}, np.zeros((0, len(langs)))
+                fresh = list(set().union(*split).difference(number))
                 if fresh and langs:
                     number.update(zip(fresh, range(len(number), len(number) + len(fresh))))
                     scores = np.concatenate([scores, model.score_words(fresh)])
-            best, sure = [], []
-            for words in split:
-                if not words or not langs:
-                    best.append("und")
-                    sure.append(0.0)
-                    continue
-                total = scores[np.fromiter(map(number.__getitem__, words), np.int64, len(words))].sum(0)
-                k = int(total.argmax())
-                best.append(langs[k])
-                sure.append(float(1 / np.exp((total - total[k]) / np.sqrt(len(words))).sum()))
-            yield f.drop(columns="text").assign(lang_pred=best, score=sure)
-
-    slim = docs.select(F.col("doc_id").cast("long"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), "text")
-    return slim.mapInPandas(run, "doc_id long, th long, lang_pred string, score double")
+                for words in split:
+                    if not words or not langs:
+                        best.append("und")
+                        sure.append(0.0)
+                        continue
+                    total = scores[np.fromiter(map(number.__getitem__, words), np.int64, len(words))].sum(0)
+                    k = int(total.argmax())
+                    best.append(langs[k])
+                    sure.append(float(1 / np.exp((total - total[k]) / np.sqrt(len(words))).sum()))
+            yield pd.DataFrame({"lang_pred": best, "score": sure})
+
+    return of
 
 
 def op8_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -185,4 +186,5 @@ def op8_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
     model = train(docs, public_tokenizers.path("piece_bpe_32k.model"))
     held = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 == 1
-    return predict(docs, model).select("doc_id", F.coalesce(held, F.lit(False)).alias("held_out"), "lang_pred", "score")
+    found = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(held, F.lit(False)).alias("held_out"), language_of(model)("text").alias("r"))
+    return found.select("doc_id", "held_out", "r.lang_pred", "r.score")

@@ -285,30 +285,28 @@ def redact(text: str, spans: list[tuple[str, int, int]]) -> str:
     return "".join([*out, text[at:]])
 
 
-def personal_data(docs: DataFrame) -> DataFrame:
-    """doc_id, counts of base spans, their digest, all spans, and the text without them; a row for each row.
+def personal_data(field: Field):
+    """A column function: text -> struct of base span counts, their digest, all spans, and the text without them.
 
-    A null text counts as empty: no spans; ``redacted`` is null there. Texts are independent: no shuffle.
+    A null text counts as empty: no spans; ``redacted`` is null there. It reads the text alone.
     """
-    field = trained_field()
-
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for f in frames:
-            texts = f["text"].fillna("").tolist()
-            rows = []
-            for at in range(0, len(texts), 1000):
-                for t, (base, added) in zip(texts[at : at + 1000], find_spans(texts[at : at + 1000], field)):
-                    count = [sum(s[0] == k for s in base) for k in KINDS]
-                    rows.append((*count, hashlib.sha256(joined(base).encode()).hexdigest(), joined(base + added), redact(t, base + added)))
-            made = pd.DataFrame(rows, columns=["n_email", "n_ip", "n_card", "n_phone", "base_sha256", "spans", "redacted"])
-            made["redacted"] = made["redacted"].where(f["text"].notna().to_numpy(), None)
-            made.insert(0, "doc_id", f["doc_id"].to_numpy())
-            made.insert(1, "th", f["th"].to_numpy())
-            yield made
-
-    slim = docs.select(F.col("doc_id").cast("long"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), "text")
-    return slim.mapInPandas(run, "doc_id long, th long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, redacted string")
+
+    @F.pandas_udf("struct<n_email: bigint, n_ip: bigint, n_card: bigint, n_phone: bigint, base_sha256: string, spans: string, redacted: string>")
+    def of(column: pd.Series) -> pd.DataFrame:
+        raw = column.tolist()
+        texts = [t if isinstance(t, str) else "" for t in raw]
+        rows = []
+        for at in range(0, len(texts), 1000):
+            for t, (base, added) in zip(texts[at : at + 1000], find_spans(texts[at : at + 1000], field)):
+                count = [sum(s[0] == k for s in base) for k in KINDS]
+                rows.append((*count, hashlib.sha256(joined(base).encode()).hexdigest(), joined(base + added), redact(t, base + added)))
+        made = pd.DataFrame(rows, columns=["n_email", "n_ip", "n_card", "n_phone", "base_sha256", "spans", "redacted"])
+        made["redacted"] = made["redacted"].where([isinstance(t, str) for t in raw], None)
+        return made
+
+    return of
 
 
 def op9_pii_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return personal_data(documents(spark, sf_dir)).drop("th", "redacted")
+    found = documents(spark, sf_dir).select(F.col("doc_id").cast("long").alias("doc_id"), personal_data(trained_field())("text").alias("r"))
+    return found.select("doc_id", "r.n_email", "r.n_ip", "r.n_card", "r.n_phone", "r.base_sha256", "r.spans")
