@@ -1,2 +1,361 @@
-QUERIES: dict = {}
-ORACLES: dict = {}
+"""Registered queries of the methods, variants, baselines, measures and workloads, each with its oracle where SQL has one."""
+
+from __future__ import annotations
+
+import tempfile
+from collections.abc import Callable
+from math import comb
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
+from pyspark.sql import functions as F
+
+from overlapkeys import oracle_sql as O
+from overlapkeys.operators import baselines as B
+from overlapkeys.operators import chain as C
+from overlapkeys.operators import keys as K
+from overlapkeys.operators import leader as L
+from overlapkeys.operators import metrics as M
+from overlapkeys.operators import policies as P
+from overlapkeys.operators import retrieve as R
+from overlapkeys.plans.overlap_plan import OverlapPlan, advise
+from overlapkeys.plans.rules import KINDS, SimilarityRule
+from overlapkeys.session import settle, shared_dir
+from overlapkeys.sources import signatures as S
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
+ORACLES: dict[str, str] = {}
+
+BUILD = {
+    "docs": S.sig_documents, "orders": S.sig_orders, "userday": S.sig_userday, "part": S.sig_part, "customer": S.sig_customer,
+    "supplier": S.sig_supplier, "embeddings": S.sig_embeddings, "pages": S.sig_pages, "conversations": S.sig_conversations, "ordersupp": S.sig_suppliers_of_order,
+}
+SIZES = {"part": (5,), "customer": (4,), "supplier": (3,), "embeddings": (8,)}
+
+
+def plan_of(workload: str, theta: str = "3/5", kind: str = "jaccard") -> OverlapPlan:
+    return OverlapPlan.build(SimilarityRule.of(kind, theta), SIZES.get(workload, range(2, 11)))
+
+
+def sigs_of(spark: SparkSession, d: str, workload: str, prefix: int | None = None) -> DataFrame:
+    """The workload's signatures, written once so that no query builds them twice."""
+    got = BUILD[workload](spark, d)
+    return settle(got if prefix is None else got.filter(F.col("ordinal") <= prefix), f"sig-{workload}")
+
+
+def add(name: str, f: Query, sql: str | None = None) -> None:
+    QUERIES[name] = f
+    if sql is not None:
+        ORACLES[name] = sql
+
+
+def on(name: str, workload: str, f: Callable[[DataFrame, OverlapPlan], DataFrame], ctes: list[str] | None = None, body: str | None = None, theta: str = "3/5", prefix: int | None = None, kind: str = "jaccard") -> None:
+    """A query over one workload's signatures and plan."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        return f(sigs_of(spark, d, workload, prefix), plan_of(workload, theta, kind))
+
+    add(name, run, None if body is None else O.query(workload, ctes or [], body, prefix))
+
+
+PAIR_BODY = "SELECT earlier, later, overlap::BIGINT AS overlap, round(overlap::DOUBLE / (x + y - overlap), 6) AS score FROM pairs"
+CLUSTER_BODY = "SELECT cluster_id, ordinal, array_to_string(sig, '-') AS elements FROM clusters JOIN sig USING (ordinal)"
+
+
+def shown(pairs: DataFrame) -> DataFrame:
+    return pairs.select("earlier", "later", F.col("overlap").cast("bigint").alias("overlap"), F.round("score", 6).alias("score"))
+
+
+def listed(assigned: DataFrame) -> DataFrame:
+    return assigned.select("cluster_id", "ordinal", F.array_join("elements", "-").alias("elements"))
+
+
+# ---- workloads: signatures ----
+for w in BUILD:
+    on(f"q_sig_{w}", w, lambda s, p: s.select("ordinal", "item_id", F.col("size").cast("bigint").alias("size"), F.array_join("sig", "-").alias("sig")), [], "SELECT ordinal, item_id, size::BIGINT AS size, array_to_string(sig, '-') AS sig FROM sig")
+
+# ---- rules and plan ----
+GRID = "grid AS (SELECT a.v AS x, b.v AS y FROM (SELECT unnest(range(2, 11)) AS v) a, (SELECT unnest(range(2, 11)) AS v) b), need AS (SELECT x, y, min(i) AS need FROM grid, (SELECT unnest(range(1, 11)) AS i) WHERE i <= least(x, y) AND {} GROUP BY 1, 2)"
+NEED = GRID.format("i * 8 >= 3 * (x + y)")
+PLAN = plan_of("docs")
+add("q_required_overlap", lambda s, d: PLAN.needs_df(s).select(*[F.col(c).cast("bigint").alias(c) for c in ("x", "y", "need")]), f"WITH {NEED} SELECT * FROM need")
+add("q_overlap_sizes", lambda s, d: PLAN.needs_df(s).select(F.col("y").cast("bigint").alias("size"), F.col("need").cast("bigint").alias("need")).distinct(), f"WITH {NEED} SELECT DISTINCT y AS size, need FROM need")
+add("q_partner_sizes", lambda s, d: PLAN.needs_df(s).groupBy(F.col("x").cast("bigint").alias("size")).agg(F.min("y").cast("bigint").alias("least"), F.max("y").cast("bigint").alias("most")), f"WITH {NEED} SELECT x AS size, min(y) AS least, max(y) AS most FROM need GROUP BY 1")
+BINOM = "comb AS (SELECT x, j, round(exp(lgamma(x + 1) - lgamma(j + 1) - lgamma(x - j + 1)))::BIGINT AS c FROM (SELECT unnest(range(2, 11)) AS x), (SELECT unnest(range(1, 11)) AS j) WHERE j <= x)"
+COUNTS = f"WITH {NEED}, {BINOM}, m AS (SELECT y AS x, sum(c) AS mark FROM (SELECT DISTINCT y, need FROM need) n JOIN comb ON comb.x = n.y AND j = need GROUP BY 1), p AS (SELECT n.x, sum(c) AS probe FROM need n JOIN comb ON comb.x = n.x AND j = need GROUP BY 1)"
+add("q_key_counts", lambda s, d: PLAN.counts_df(s).select(F.col("size").cast("bigint").alias("size"), "mark_keys", "probe_keys"), f"{COUNTS} SELECT x AS size, mark::BIGINT AS mark_keys, probe::BIGINT AS probe_keys FROM m JOIN p USING (x)")
+add("q_key_bound", lambda s, d: PLAN.counts_df(s).select(F.col("size").cast("bigint").alias("size"), "bound", (F.col("mark_keys") <= F.col("bound")).alias("inside")), f"{COUNTS} SELECT x AS size, (2 ** x - 1)::BIGINT AS bound, mark <= 2 ** x - 1 AS inside FROM m")
+add("q_key_plan", lambda s, d: PLAN.to_df(s).select(F.col("size").cast("bigint").alias("size"), "role", F.size("plan").cast("bigint").alias("keys")), f"{COUNTS} SELECT x AS size, 'mark' AS role, mark::BIGINT AS keys FROM m UNION ALL SELECT x, 'probe', probe::BIGINT FROM p")
+for kind, theta, (n, d_) in (("jaccard", "3/5", (3, 5)), ("dice", "3/4", (3, 4)), ("cosine", "7/10", (7, 10)), ("overlap", "4/5", (4, 5)), ("contain", "4/5", (4, 5)), ("hamming", "3", (3, 1))):
+    test = O.HOLDS[kind].format(n=n, d=d_).replace("o *", "i *").replace("* o", "* i")
+    add(f"q_rule_{kind}", lambda s, d, k=kind, t=theta: OverlapPlan.build(SimilarityRule.of(k, t), range(2, 11)).needs_df(s).select(*[F.col(c).cast("bigint").alias(c) for c in ("x", "y", "need")]), f"WITH {GRID.format(test)} SELECT * FROM need")
+    if kind != "jaccard":
+        on(f"q_pairs_{kind}", "userday", lambda s, p: shown(R.similar_pairs(s, p)).drop("score"), [O.pairs(n, d_, kind)], "SELECT earlier, later, overlap::BIGINT AS overlap FROM pairs", theta=theta, kind=kind, prefix=1200)
+assert set(KINDS) == set(O.HOLDS)
+on("q_jaccard_score", "userday", lambda s, p: shown(R.simple_candidates(s, p)), [O.pairs(), "cand AS (SELECT * FROM shared WHERE o >= (SELECT min(need) FROM need n WHERE n.x = shared.x))", NEED], "SELECT earlier, later, o::BIGINT AS overlap, round(o::DOUBLE / (x + y - o), 6) AS score FROM shared s WHERE o >= greatest((SELECT min(need) FROM need n WHERE n.x = s.x), (SELECT min(need) FROM need n WHERE n.x = s.y)) AND (EXISTS (SELECT 1 FROM need a JOIN need b ON a.need = b.need WHERE a.y = s.x AND b.y = s.y AND a.need <= s.o))", prefix=800)
+on("q_theta_one", "userday", lambda s, p: listed(L.leader(s, p)), [], "SELECT min(ordinal) OVER (PARTITION BY sig) AS cluster_id, ordinal, array_to_string(sig, '-') AS elements FROM sig", theta="1")
+on("q_theta_tiny", "supplier", lambda s, p: shown(R.similar_pairs(s, p)), [O.pairs(1, 100)], PAIR_BODY, theta="1/100")
+
+
+def _advisor(s: SparkSession, d: str) -> DataFrame:
+    h = sigs_of(s, d, "userday").groupBy("size").agg(F.count("*").alias("n"))
+    return advise(s, h, ["1/2", "3/5", "4/5"], [4, 6, 8, 10])
+
+
+def _advisor_sql() -> str:
+    rows = []
+    for t in ("1/2", "3/5", "4/5"):
+        for c in (4, 6, 8, 10):
+            p = OverlapPlan.build(SimilarityRule.jaccard(t), range(1, c + 1))
+            rows += [f"('{t}', {c}, {x}, {p.mark_count(x)}, {p.probe_count(x)})" for x in p.sizes]
+    return O.query("userday", [f"g(theta, cap, size, mk, pk) AS (VALUES {', '.join(rows)})"], "SELECT theta, cap, count(*) AS items, sum(mk)::BIGINT AS mark_rows, sum(pk)::BIGINT AS probe_rows FROM sig JOIN g ON g.size = least(sig.size, g.cap) GROUP BY 1, 2")
+
+
+add("q_param_advisor", _advisor, _advisor_sql())
+
+# ---- keys ----
+SUBS = "subs(s, k) AS (SELECT ordinal, []::VARCHAR[] AS k, 0 AS done FROM sig UNION ALL SELECT ordinal, CASE WHEN t.take THEN list_append(k, sig[done + 1]) ELSE k END, done + 1 FROM subs JOIN sig USING (ordinal), (SELECT unnest([true, false]) AS take) t WHERE done < size)"
+SUBS = SUBS.replace("subs(s, k)", "subs")
+ALL_SUBS = [SUBS, "keyed AS (SELECT ordinal, size, k, len(k) AS j FROM subs JOIN sig USING (ordinal) WHERE done = size AND len(k) > 0)", NEED]
+on("q_sub_signatures", "customer", lambda s, p: K.sub_signatures(s, p).select("ordinal", F.regexp_replace("sub", K.SEPARATOR, "-").alias("sub")), ALL_SUBS, "SELECT ordinal, array_to_string(k, '-') AS sub FROM keyed WHERE j = 3")
+on("q_simple_keys", "userday", lambda s, p: K.simple_keys(s, p).groupBy("ordinal").agg(F.count("*").alias("keys")), ALL_SUBS, "SELECT ordinal, count(*) AS keys FROM keyed WHERE EXISTS (SELECT 1 FROM need WHERE need.y = keyed.size AND need = j) GROUP BY 1")
+on("q_mark_keys", "userday", lambda s, p: K.mark_keys(s, p).select("ordinal", F.col("tag").cast("bigint").alias("tag"), F.regexp_replace("key", K.SEPARATOR, "-").alias("key")), ALL_SUBS, "SELECT ordinal, size::BIGINT AS tag, size || '-' || array_to_string(k, '-') AS key FROM keyed WHERE EXISTS (SELECT 1 FROM need WHERE need.y = keyed.size AND need = j)")
+on("q_probe_keys", "userday", lambda s, p: K.probe_keys(s, p).select("ordinal", F.col("tag").cast("bigint").alias("tag"), F.regexp_replace("key", K.SEPARATOR, "-").alias("key")), ALL_SUBS, "SELECT ordinal, y::BIGINT AS tag, y || '-' || array_to_string(k, '-') AS key FROM keyed JOIN need ON need.x = size AND need = j")
+on("q_key_encodings", "userday", lambda s, p: shown(R.similar_pairs(s, p, "hash")), [O.pairs()], PAIR_BODY)
+on("q_pair_tag_keys", "userday", lambda s, p: shown(R.pairs_by_size_pair(s, p)), [O.pairs()], PAIR_BODY)
+on("q_element_codes", "orders", lambda s, p: K.element_codes(s), [], "SELECT text, row_number() OVER (ORDER BY df DESC, text) AS code, df FROM (SELECT e AS text, count(*) AS df FROM (SELECT unnest(sig) AS e FROM sig) GROUP BY 1)")
+on("q_encode_elements", "supplier", lambda s, p: K.encode_elements(s).select("ordinal", F.array_join(F.transform("codes", lambda c: c.cast("string")), "-").alias("codes")), ["fl AS (SELECT ordinal, unnest(sig) AS text FROM sig)", "cd AS (SELECT text, row_number() OVER (ORDER BY count(*) DESC, text) AS code FROM fl GROUP BY 1)"], "SELECT ordinal, array_to_string(list_sort(list(code)), '-') AS codes FROM fl JOIN cd USING (text) GROUP BY 1")
+on("q_collapse", "orders", lambda s, p: K.collapse_identical(s).select("ordinal", "members", F.array_join("sig", "-").alias("sig")), [], "SELECT min(ordinal) AS ordinal, count(*) AS members, array_to_string(sig, '-') AS sig FROM sig GROUP BY sig")
+on("q_key_volume", "orders", lambda s, p: K.key_volume(s, p).select(F.col("size").cast("bigint").alias("size"), "items", "mark_rows", "probe_rows"), [COUNTS.removeprefix("WITH ")], "SELECT sig.size::BIGINT AS size, count(*) AS items, sum(mark)::BIGINT AS mark_rows, sum(probe)::BIGINT AS probe_rows FROM sig JOIN m ON m.x = sig.size JOIN p ON p.x = sig.size GROUP BY 1")
+
+# ---- retrieval ----
+for w in ("part", "userday", "orders", "docs"):
+    on("q_similar_pairs" if w == "part" else f"q_similar_pairs_{w}", w, lambda s, p: shown(R.similar_pairs(s, p)), [O.pairs()], PAIR_BODY)
+HALF = 1500
+
+
+def _halves(s: DataFrame) -> tuple[DataFrame, DataFrame]:
+    return s.filter(F.col("ordinal") > HALF), s.filter(F.col("ordinal") <= HALF)
+
+
+ACROSS = [O.pairs(), f"hits AS (SELECT later AS r_ordinal, earlier AS s_ordinal FROM pairs WHERE later > {HALF} AND earlier <= {HALF})"]
+on("q_sim_join", "userday", lambda s, p: R.similarity_join(*_halves(s), p), ACROSS, "SELECT * FROM hits")
+on("q_join_left", "userday", lambda s, p: R.similarity_join(*_halves(s), p, "left"), ACROSS, f"SELECT ordinal AS r_ordinal, s_ordinal FROM sig LEFT JOIN hits ON ordinal = r_ordinal WHERE ordinal > {HALF}")
+on("q_sim_semi", "userday", lambda s, p: R.similarity_join(*_halves(s), p, "semi").select("ordinal"), ACROSS, "SELECT DISTINCT r_ordinal AS ordinal FROM hits")
+on("q_sim_anti", "userday", lambda s, p: R.similarity_join(*_halves(s), p, "anti").select("ordinal"), ACROSS, f"SELECT ordinal FROM sig WHERE ordinal > {HALF} AND ordinal NOT IN (SELECT r_ordinal FROM hits)")
+on("q_is_known", "userday", lambda s, p: R.is_known(_halves(s)[0], R.build_store(_halves(s)[1], p), p), ACROSS, f"SELECT ordinal, ordinal IN (SELECT r_ordinal FROM hits) AS known FROM sig WHERE ordinal > {HALF}")
+QUERIES["q_simple_candidates"] = QUERIES.pop("q_jaccard_score")
+ORACLES["q_simple_candidates"] = ORACLES.pop("q_jaccard_score")
+on("q_jaccard_score", "part", lambda s, p: shown(R.verify(R.simple_candidates(s, p).select("earlier", "later"), s, None)), [O.pairs()], PAIR_BODY)
+on("q_simple_verified", "userday", lambda s, p: shown(R.simple_verified(s, p)), [O.pairs()], PAIR_BODY)
+SHARE_SIZE = "EXISTS (SELECT 1 FROM need a JOIN need b ON a.need = b.need WHERE a.y = s.x AND b.y = s.y AND a.need <= s.o)"
+on("q_false_matches", "userday", lambda s, p: shown(R.false_matches(s, p)), [O.pairs(), NEED], f"SELECT earlier, later, o::BIGINT AS overlap, round(o::DOUBLE / (x + y - o), 6) AS score FROM shared s WHERE {SHARE_SIZE} AND o * 8 < 3 * (x + y)")
+on("q_neighbours", "userday", lambda s, p: R.neighbours(s, p, 500, 10).select("ordinal", F.col("overlap").cast("bigint").alias("overlap"), F.round("score", 6).alias("score")), [O.pairs()], "SELECT CASE WHEN earlier = 500 THEN later ELSE earlier END AS ordinal, overlap::BIGINT AS overlap, round(overlap::DOUBLE / (x + y - overlap), 6) AS score FROM pairs WHERE earlier = 500 OR later = 500 ORDER BY score DESC, ordinal LIMIT 10")
+MARKED = [*ALL_SUBS, "marks AS (SELECT ordinal, sig.sig AS sig, size || '-' || array_to_string(k, '-') AS key FROM keyed JOIN sig USING (ordinal, size) WHERE EXISTS (SELECT 1 FROM need WHERE need.y = size AND need = j))"]
+_dash = lambda df: df.withColumn("key", F.regexp_replace("key", K.SEPARATOR, "-"))
+on("q_store_flag", "userday", lambda s, p: _dash(R.build_store(s, p)), MARKED, "SELECT DISTINCT key, true AS marker FROM marks")
+on("q_store_signature", "userday", lambda s, p: _dash(R.build_store(s, p, "signature")), MARKED, "SELECT key, array_to_string(sig, '-') AS marker FROM marks")
+on("q_store_key", "userday", lambda s, p: _dash(R.build_store(s, p, "key")), MARKED, "SELECT key, min(ordinal) AS marker FROM marks GROUP BY 1")
+on("q_store_cluster", "userday", lambda s, p: _dash(R.build_store(s, p, "cluster", L.leader(s, p))), [*MARKED, O.pairs(), O.LEADER], "SELECT key, min(cluster_id) AS marker FROM marks JOIN clusters USING (ordinal) GROUP BY 1", prefix=900)
+on("q_match_witness", "part", lambda s, p: R.match_witness(s, p), [O.pairs()], "SELECT earlier, later, array_to_string(list_sort(list_intersect(a.sig, b.sig)), '-') AS witness FROM pairs JOIN sig a ON a.ordinal = earlier JOIN sig b ON b.ordinal = later")
+
+# ---- policies ----
+LEAD = [O.pairs(), O.LEADER]
+for w in ("part", "customer", "userday", "orders", "docs", "embeddings", "pages", "supplier", "conversations"):
+    on(f"q_leader_{w}", w, lambda s, p: listed(L.leader(s, p)), LEAD, CLUSTER_BODY)
+on("q_leader_ordersupp", "ordersupp", lambda s, p: listed(L.leader(s, p)), LEAD, CLUSTER_BODY, prefix=3000)
+on("q_leader_batched", "userday", lambda s, p: listed(L.leader_batched(s, p, 1000)), LEAD, CLUSTER_BODY)
+on("q_leader_reference", "userday", lambda s, p: listed(L.leader_reference(s, p)), LEAD, CLUSTER_BODY)
+on("q_partition_invariance", "part", lambda s, p: listed(L.leader(s.repartition(13, "ordinal"), p)), LEAD, CLUSTER_BODY)
+on("q_chain_all", "part", lambda s, p: listed(C.chain(s, p)), [O.pairs(), O.CHAIN], CLUSTER_BODY)
+on("q_chain_last", "part", lambda s, p: listed(C.chain(s, p, "last")), [O.pairs(), O.CHAIN], CLUSTER_BODY)
+on("q_chain_first", "part", lambda s, p: listed(C.chain(s, p, "first")))
+on("q_chain_userday", "userday", lambda s, p: listed(C.chain(s, p)), [O.pairs(), O.CHAIN], CLUSTER_BODY)
+on("q_chain_latest", "part", lambda s, p: listed(C.chain(s, p, choice="latest")), [O.pairs(), O.CHAIN.replace("list_min", "list_max")], CLUSTER_BODY)
+on("q_components", "part", lambda s, p: listed(C.components(s, p)), [O.pairs(), O.REACH], CLUSTER_BODY, prefix=1000)
+CAND = [*LEAD, "led AS (SELECT ordinal AS leader FROM clusters WHERE ordinal = cluster_id)", "cand AS (SELECT later AS ordinal, earlier AS leader, overlap, overlap::DOUBLE / (x + y - overlap) AS score FROM pairs JOIN led ON earlier = leader WHERE later NOT IN (SELECT leader FROM led) UNION ALL SELECT leader, leader, size, 1.0 FROM led JOIN sig ON ordinal = leader)"]
+on("q_choice_earliest", "userday", lambda s, p: L.leader(s, p).select("cluster_id", "ordinal"), CAND, "SELECT ordinal, min(leader) AS cluster_id FROM cand GROUP BY 1")
+for choice, order in (("latest", "leader DESC"), ("overlap", "overlap DESC, leader"), ("score", "score DESC, leader")):
+    on(f"q_choice_{choice}", "userday", lambda s, p, c=choice: L.leader(s, p, c).select("cluster_id", "ordinal"), CAND, f"SELECT ordinal, leader AS cluster_id FROM cand QUALIFY row_number() OVER (PARTITION BY ordinal ORDER BY {order}) = 1")
+on("q_choice_votes", "part", lambda s, p: L.leader(s, p, "votes").select("cluster_id", "ordinal"), CAND, "SELECT ordinal, leader AS cluster_id FROM cand QUALIFY row_number() OVER (PARTITION BY ordinal ORDER BY overlap DESC, leader) = 1")
+on("q_multi_assign", "userday", lambda s, p: L.leader_multi(s, p).withColumn("score", F.round("score", 6)), CAND, "SELECT ordinal, leader AS cluster_id, round(score, 6) AS score FROM cand")
+on("q_soft_assign", "userday", lambda s, p: P.soft_assign(L.leader_multi(s, p)).withColumn("share", F.round("share", 6)), CAND, "SELECT ordinal, leader AS cluster_id, round(score / sum(score) OVER (PARTITION BY ordinal), 6) AS share FROM cand")
+on("q_new_clusters", "userday", lambda s, p: P.founders(s, p), [O.pairs()], "SELECT ordinal FROM sig WHERE ordinal NOT IN (SELECT later FROM pairs)")
+on("q_renumber", "part", lambda s, p: P.renumber_clusters(L.leader(s, p)).select("ordinal", F.col("number").alias("cluster")), LEAD, "SELECT ordinal, dense_rank() OVER (ORDER BY cluster_id) AS cluster FROM clusters")
+on("q_cluster_count", "userday", lambda s, p: L.leader(s, p).agg(F.count_distinct("cluster_id").alias("clusters"), F.count("*").alias("items")), LEAD, "SELECT count(DISTINCT cluster_id) AS clusters, count(*) AS items FROM clusters")
+on("q_capped_leader", "part", lambda s, p: P.capped_leader(s, p, 100), LEAD, "SELECT ordinal, CASE WHEN dense_rank() OVER (ORDER BY cluster_id) <= 100 THEN cluster_id END AS cluster_id FROM clusters")
+on("q_split_oversize", "userday", lambda s, p: listed(P.split_oversize(settle(L.leader(s, p), "assigned"), s, plan_of("userday", "4/5"), 10)).select("cluster_id", "ordinal"))
+on("q_refresh_centroid", "userday", lambda s, p: listed(P.leader_refreshed(s, p, 1500)))
+
+
+def _levels(mode: str) -> Query:
+    return lambda s, d: P.hierarchy(sigs_of(s, d, "userday", 800), ["4/5", "3/5", "1/2", "2/5"], range(2, 11), mode)
+
+
+def _independent_sql() -> str:
+    ctes, parts = [], []
+    for level, (n, d_) in enumerate(((4, 5), (3, 5), (1, 2), (2, 5))):
+        text = O.pairs(n, d_) + ",\n" + O.LEADER
+        for word in ("flat", "shared", "pairs", "adj", "walk", "clusters"):
+            text = __import__("re").sub(rf"\b{word}\b", f"{word}{level}", text)
+        ctes.append(text)
+        parts.append(f"SELECT {level} AS level, '{n}/{d_}' AS theta, ordinal, cluster_id FROM clusters{level}")
+    return O.query("userday", ctes, " UNION ALL ".join(parts), 800)
+
+
+add("q_hierarchy_independent", _levels("independent"), _independent_sql())
+add("q_hierarchy_nested", _levels("nested"))
+add("q_hierarchy_nesting", lambda s, d: P.nesting_violations(settle(_levels("nested")(s, d), "levels")), "SELECT unnest([0, 1, 2])::INT AS level, 0::BIGINT AS violations")
+
+
+def _resume(s: SparkSession, d: str) -> DataFrame:
+    sigs, plan = sigs_of(s, d, "userday"), plan_of("userday")
+    first = sigs.filter("ordinal <= 1500")
+    led = settle(L.leaders(first, plan).select("ordinal", "size", "sig"), "store")
+    rest = sigs.filter("ordinal > 1500")
+    return listed(L.leader(first, plan, led=led).union(L.leader_batched(rest, plan, 100_000, led)))
+
+
+add("q_resume", _resume, O.query("userday", LEAD, CLUSTER_BODY))
+
+# ---- extensions ----
+WEIGHTS = "WITH w AS (SELECT l_orderkey AS ordinal, p_brand AS e, sum(l_quantity) AS w FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1, 2), ok AS (SELECT ordinal, sum(w) AS total FROM w GROUP BY 1 HAVING count(*) BETWEEN 2 AND 10), f AS (SELECT * FROM w JOIN ok USING (ordinal) WHERE ordinal <= 4000)"
+add("q_weighted_pairs", lambda s, d: P.weighted_pairs(S.weighted_orders(s, d).filter("ordinal <= 4000"), "3/5").withColumn("score", F.round("score", 6)), f"{WEIGHTS}, m AS (SELECT a.ordinal AS earlier, b.ordinal AS later, a.total AS ta, b.total AS tb, sum(least(a.w, b.w)) AS low FROM f a JOIN f b ON a.e = b.e AND a.ordinal < b.ordinal GROUP BY 1, 2, 3, 4) SELECT earlier, later, round(low / (ta + tb - low), 6) AS score FROM m WHERE low / (ta + tb - low) >= 0.6")
+on("q_fuzzy_membership", "userday", lambda s, p: P.fuzzy_membership(s, "1/2", "4/5", range(2, 11)).withColumn("degree", F.round("degree", 6)), [O.pairs(1, 2)], "SELECT earlier, later, round(least(1.0, greatest(0.0, (overlap::DOUBLE / (x + y - overlap) - 0.5) / (0.8 - 0.5))), 6) AS degree FROM pairs")
+on("q_sampled_pairs", "userday", lambda s, p: P.sampled_pairs(P.fuzzy_membership(s, "1/2", "4/5", range(2, 11))).select("earlier", "later"), [O.pairs(1, 2)], "SELECT earlier, later FROM pairs WHERE ((earlier * 7919 + later * 104729 + 1) % 1000) / 1000.0 < least(1.0, greatest(0.0, (overlap::DOUBLE / (x + y - overlap) - 0.5) / (0.8 - 0.5)))")
+on("q_probabilistic_pairs", "supplier", lambda s, p: P.probabilistic_pairs(s.select("ordinal", F.posexplode("sig").alias("i", "e")).select("ordinal", "e", (1 - 0.25 * F.col("i")).alias("p")), "2/5").withColumn("ratio", F.round("ratio", 6)), ["f AS (SELECT ordinal, unnest(sig) AS e, 1 - 0.25 * (unnest(range(1, size + 1)) - 1)::DOUBLE AS p FROM sig)", "t AS (SELECT ordinal, sum(p) AS m FROM f GROUP BY 1)", "b AS (SELECT x.ordinal AS earlier, y.ordinal AS later, sum(x.p * y.p) AS o FROM f x JOIN f y ON x.e = y.e AND x.ordinal < y.ordinal GROUP BY 1, 2)"], "SELECT earlier, later, round(o / (u.m + v.m - o), 6) AS ratio FROM b JOIN t u ON u.ordinal = earlier JOIN t v ON v.ordinal = later WHERE o / (u.m + v.m - o) >= 0.4")
+
+# ---- baselines ----
+on("q_bruteforce_pairs", "part", lambda s, p: shown(B.bruteforce_pairs(s, p.rule)), [O.pairs()], PAIR_BODY, prefix=1000)
+on("q_element_join_pairs", "userday", lambda s, p: shown(B.element_join_pairs(s, p.rule)), [O.pairs()], PAIR_BODY)
+on("q_prefix_pairs", "userday", lambda s, p: shown(B.prefix_pairs(s, p)), [O.pairs()], PAIR_BODY)
+on("q_join_salted", "userday", lambda s, p: shown(B.salted_pairs(s, p)), [O.pairs()], PAIR_BODY)
+on("q_join_key_hash", "userday", lambda s, p: shown(R.similar_pairs(s, p, hint="shuffle_hash")), [O.pairs()], PAIR_BODY)
+on("q_join_key_merge", "userday", lambda s, p: shown(R.similar_pairs(s, p, hint="merge")), [O.pairs()], PAIR_BODY)
+on("q_centroid_scan", "part", lambda s, p: listed(L.centroid_scan(s, p, 1000)), LEAD, CLUSTER_BODY)
+on("q_centroid_reference", "part", lambda s, p: L.centroid_scan_reference(s, p).select("cluster_id", "ordinal"), LEAD, "SELECT cluster_id, ordinal FROM clusters")
+on("q_blocked_pairs", "userday", lambda s, p: shown(B.blocked_pairs(s, s.select("ordinal", (F.col("ordinal") % 7).alias("block")), p)), [O.pairs()], PAIR_BODY + " WHERE earlier % 7 = later % 7")
+on("q_kmeans", "supplier", lambda s, p: B.kmeans_clusters(s, 12))
+on("q_minhash_mllib", "userday", lambda s, p: B.minhash_mllib(s, 0.6))
+
+
+def _minhash_sql(bands: int, rows: int, body: str, extra: list[str] | None = None) -> str:
+    values = ", ".join(f"({k}, {a}::BIGINT, {b}::BIGINT)" for k, a, b in B.minhash_params(bands * rows))
+    ctes = [O.pairs(), "cd AS (SELECT e AS text, row_number() OVER (ORDER BY count(*) DESC, e) AS code FROM flat GROUP BY 1)", f"par(k, a, b) AS (VALUES {values})", f"mh AS (SELECT ordinal, k, min((a * code + b) % {B.MODULUS}) AS h FROM flat JOIN cd ON e = text, par GROUP BY 1, 2)", f"bk AS (SELECT ordinal, (k - 1) // {rows} AS band, list(h ORDER BY k) AS key FROM mh GROUP BY 1, 2)", "met AS (SELECT DISTINCT p.ordinal AS earlier, q.ordinal AS later FROM bk p JOIN bk q ON p.band = q.band AND p.key = q.key AND p.ordinal < q.ordinal)", "found AS (SELECT pairs.* FROM pairs JOIN met USING (earlier, later))"]
+    return O.query("userday", ctes + (extra or []), body)
+
+
+ACC = "SELECT tp, fp, fn, round(CASE WHEN tp + fp > 0 THEN tp / (tp + fp) ELSE 1 END, 6)::DOUBLE AS precision, round(CASE WHEN tp + fn > 0 THEN tp / (tp + fn) ELSE 1 END, 6)::DOUBLE AS recall FROM acc"
+on("q_minhash_pairs", "userday", lambda s, p: shown(B.minhash_pairs(s, p.rule, 10, 4)))
+ORACLES["q_minhash_pairs"] = _minhash_sql(10, 4, PAIR_BODY.replace("FROM pairs", "FROM found"))
+for bands, rows in ((20, 2), (10, 4), (8, 5)):
+    name = "q_pair_accuracy_minhash" + ("" if bands == 10 else f"_{bands}x{rows}")
+    on(name, "userday", lambda s, p, b=bands, r=rows: M.pair_accuracy(B.minhash_pairs(s, p.rule, b, r), R.similar_pairs(s, p)))
+    ORACLES[name] = _minhash_sql(bands, rows, ACC, ["acc AS (SELECT (SELECT count(*) FROM found) AS tp, 0::BIGINT AS fp, (SELECT count(*) FROM pairs) - (SELECT count(*) FROM found) AS fn)"])
+on("q_pair_accuracy_simple", "userday", lambda s, p: M.pair_accuracy(R.simple_candidates(s, p), R.similar_pairs(s, p)), [O.pairs(), NEED, f"simple AS (SELECT * FROM shared s WHERE {SHARE_SIZE})", "acc AS (SELECT (SELECT count(*) FROM pairs) AS tp, (SELECT count(*) FROM simple) - (SELECT count(*) FROM pairs) AS fp, 0::BIGINT AS fn)"], ACC)
+on("q_pair_accuracy_exact", "userday", lambda s, p: M.pair_accuracy(R.similar_pairs(s, p), B.element_join_pairs(s, p.rule)), [O.pairs(), "acc AS (SELECT count(*) AS tp, 0::BIGINT AS fp, 0::BIGINT AS fn FROM pairs)"], ACC)
+
+# ---- measures ----
+on("q_cluster_histogram", "orders", lambda s, p: M.size_histogram(L.leader(s, p)), LEAD, "SELECT members, count(*) AS clusters FROM (SELECT count(*) AS members FROM clusters GROUP BY cluster_id) GROUP BY 1")
+on("q_cluster_histogram_log", "userday", lambda s, p: M.size_histogram(L.leader(s, p), True), LEAD, "SELECT floor(log2(members) + 1e-9)::BIGINT AS bin, count(*) AS clusters FROM (SELECT count(*) AS members FROM clusters GROUP BY cluster_id) GROUP BY 1")
+_share = lambda src, n: f"(SELECT bin, round(c::DOUBLE / sum(c) OVER (), 6) AS {n} FROM (SELECT floor(log2(m) + 1e-9)::BIGINT AS bin, count(*) AS c FROM (SELECT count(*) AS m FROM clusters WHERE {src} GROUP BY cluster_id) GROUP BY 1))"
+
+
+def _two_runs(s: DataFrame, p: OverlapPlan) -> DataFrame:
+    whole = settle(L.leader(s, p), "whole")
+    return M.histogram_compare(whole.filter("ordinal <= 1000"), whole)
+
+
+on("q_histogram_prefix_vs_full", "userday", _two_runs, LEAD, f"SELECT coalesce(a.bin, b.bin) AS bin, coalesce(prefix_share, 0) AS prefix_share, coalesce(full_share, 0) AS full_share FROM {_share('ordinal <= 1000', 'prefix_share')} a FULL JOIN {_share('true', 'full_share')} b ON a.bin = b.bin")
+for w in ("part", "customer", "userday"):
+    on("q_identical_clusterings" if w == "userday" else f"q_identical_clusterings_{w}", w, lambda s, p: M.identical(L.leader(s, p), L.centroid_scan_reference(s, p)), [], "SELECT count(*) AS items, 0::BIGINT AS mismatches FROM sig")
+on("q_control_comparisons", "userday", lambda s, p: M.control_comparisons(settle(L.leader(s, p), "c")), [*LEAD, "r AS (SELECT ordinal, cluster_id, sum((ordinal = cluster_id)::INT) OVER (ORDER BY ordinal) - (ordinal = cluster_id)::INT AS present FROM clusters)", "f AS (SELECT ordinal AS cluster_id, present + 1 AS place FROM r WHERE ordinal = cluster_id)"], "SELECT sum(present)::BIGINT AS all_leaders, sum(CASE WHEN ordinal = cluster_id THEN present ELSE place END)::BIGINT AS until_match FROM r JOIN f USING (cluster_id)")
+on("q_founder_growth", "userday", lambda s, p: M.founder_growth(settle(L.leader(s, p), "c"), 500), LEAD, "SELECT sum(n) OVER (ORDER BY g)::BIGINT AS items, sum(f) OVER (ORDER BY g)::BIGINT AS clusters FROM (SELECT (ordinal - 1) // 500 AS g, count(*) AS n, sum((ordinal = cluster_id)::INT) AS f FROM clusters GROUP BY 1)")
+on("q_store_rows", "userday", lambda s, p: M.store_size(s, p), MARKED, "SELECT count(*) AS marker_rows, count(DISTINCT key) AS distinct_keys FROM marks")
+on("q_probe_hits", "userday", lambda s, p: M.probe_stats(s, p), [*MARKED, O.pairs(), "probes AS (SELECT ordinal, y || '-' || array_to_string(k, '-') AS key FROM keyed JOIN need ON need.x = size AND need = j)", "fm AS (SELECT key, min(ordinal) AS f FROM marks GROUP BY 1)"], "SELECT count(*) AS lookups, count(*) FILTER (f < ordinal) AS hits, round(count(*) FILTER (f < ordinal) / count(*), 6) AS hit_rate, (SELECT count(*) FROM sig WHERE ordinal NOT IN (SELECT later FROM pairs)) AS new_items FROM probes LEFT JOIN fm USING (key)")
+on("q_cost_by_decile", "userday", lambda s, p: M.cost_by_decile(s, p), [COUNTS.removeprefix("WITH ")], "SELECT (ordinal - 1) * 10 // (SELECT max(ordinal) FROM sig) + 1 AS decile, count(*) AS items, round(avg(probe), 4) AS mean_probe_keys FROM sig JOIN p ON p.x = size GROUP BY 1")
+on("q_top_clusters", "docs", lambda s, p: M.top_clusters(settle(L.leader(s, p), "c"), s.select("ordinal", F.array_join("sig", "-").alias("text")), 10), LEAD, "SELECT cluster_id, members, array_to_string(sig, '-') AS text FROM (SELECT cluster_id, count(*) AS members FROM clusters GROUP BY 1 ORDER BY members DESC, cluster_id LIMIT 10) JOIN sig ON ordinal = cluster_id")
+
+
+def _doc_labels(spark: SparkSession, d: str, s: DataFrame) -> DataFrame:
+    return s.select("ordinal", "item_id").join(S.load(spark, d, "documents", "doc_id", "lang"), F.col("item_id") == F.col("doc_id")).select("ordinal", F.col("lang").alias("label"))
+
+
+def _purity(spark: SparkSession, d: str) -> DataFrame:
+    s = sigs_of(spark, d, "docs")
+    return M.purity(L.leader(s, plan_of("docs")), _doc_labels(spark, d, s))
+
+
+add("q_purity", _purity, O.query("docs", LEAD, "SELECT round(sum(m) / sum(t), 6) AS purity FROM (SELECT cluster_id, max(n) AS m, sum(n) AS t FROM (SELECT cluster_id, lang, count(*) AS n FROM clusters JOIN sig USING (ordinal) JOIN documents ON doc_id = item_id GROUP BY 1, 2) GROUP BY 1)"))
+on("q_ari", "part", lambda s, p: M.adjusted_rand(settle(L.leader(s, p), "l"), settle(C.chain(s, p), "c")))
+
+# ---- traces: the published figures ----
+TRACE = [("engine", 250_000, 88.0), ("engine", 10_000_000, 2982.0), ("control", 250_000, 103_589.0)]
+TRACE_SQL = "trace(run, n, elapsed_s) AS (VALUES " + ", ".join(f"('{r}', {n}::BIGINT, {t}::DOUBLE)" for r, n, t in TRACE) + ")"
+_trace = lambda s: s.createDataFrame(TRACE, "run string, n bigint, elapsed_s double")
+add("q_trace_mean", lambda s, d: M.mean_time(_trace(s)).select("run", "n", F.round("mean_s", 9).alias("mean_s")), f"WITH {TRACE_SQL} SELECT run, n, round(elapsed_s / n, 9) AS mean_s FROM trace")
+add("q_trace_marginal", lambda s, d: M.marginal(_trace(s)).select("run", "n", F.round("marginal_s", 9).alias("marginal_s")), f"WITH {TRACE_SQL} SELECT run, n, round((elapsed_s - coalesce(lag(elapsed_s) OVER w, 0)) / (n - coalesce(lag(n) OVER w, 0)), 9) AS marginal_s FROM trace WINDOW w AS (PARTITION BY run ORDER BY n)")
+add("q_speedup", lambda s, d: M.speedup(_trace(s).filter("run = 'control'"), _trace(s).filter("run = 'engine'")), f"WITH {TRACE_SQL} SELECT a.n, round(a.elapsed_s / b.elapsed_s, 6) AS speedup FROM trace a JOIN trace b USING (n) WHERE a.run = 'control' AND b.run = 'engine'")
+add("q_extrapolation", lambda s, d: M.extrapolate(_trace(s).filter("run = 'control'"), 10_000_000).select("n", F.round("elapsed_s", 3).alias("elapsed_s"), F.round(F.col("elapsed_s") / 2982.0, 3).alias("ratio")), f"WITH {TRACE_SQL} SELECT 10000000::BIGINT AS n, round(elapsed_s * (10000000.0 / n) ** 2, 3) AS elapsed_s, round(elapsed_s * (10000000.0 / n) ** 2 / 2982.0, 3) AS ratio FROM trace WHERE run = 'control'")
+add("q_crossover", lambda s, d: M.crossover(s.range(10, 200, 10).select(F.col("id").alias("n"), (F.col("id") * F.col("id") * 0.0001).alias("elapsed_s")), s.range(10, 200, 10).select(F.col("id").alias("n"), (F.col("id") * 0.0071).alias("elapsed_s"))), "SELECT min(n)::BIGINT AS crossover FROM (SELECT unnest(range(10, 200, 10)) AS n) WHERE n * 0.0071 < n * n * 0.0001")
+
+# ---- worked examples ----
+F1 = "ABCD DEFG AEGH BCEI CFHJ DEJK CGKL DHIL CIMN CFHO".split()
+F2 = "ABCD EFG ABEF".split()
+P1, P2 = OverlapPlan.build(SimilarityRule.jaccard("3/10"), [4]), OverlapPlan.build(SimilarityRule.jaccard("2/5"), [3, 4])
+_ids = lambda rows: "SELECT * FROM (VALUES " + ", ".join(f"({k}::BIGINT, {c}::BIGINT)" for k, c in enumerate(rows, 1)) + ") t(ordinal, cluster)"
+_num = lambda df: P.renumber_clusters(df).select("ordinal", F.col("number").alias("cluster"))
+add("q_fig1", lambda s, d: _num(C.chain(S.inline_signatures(s, F1), P1)), _ids([1, 2, 2, 1, 3, 2, 4, 5, 1, 3]))
+add("q_fig1_leader", lambda s, d: _num(L.leader(S.inline_signatures(s, F1), P1)), _ids([1, 2, 2, 1, 3, 2, 4, 5, 6, 3]))
+add("q_fig2", lambda s, d: _num(C.chain(S.inline_signatures(s, F2), P2)), _ids([1, 2, 2]))
+add("q_fig2_simple", lambda s, d: shown(R.simple_candidates(S.inline_signatures(s, F2), P2)), "SELECT * FROM (VALUES (1::BIGINT, 3::BIGINT, 2::BIGINT, 0.333333::DOUBLE), (2::BIGINT, 3::BIGINT, 2::BIGINT, 0.4::DOUBLE)) t(earlier, later, overlap, score)")
+
+# ---- admission, renaming, prefixes ----
+on("q_cap", "ordersupp", lambda s, p: S.cap(s, 4).select("ordinal", F.array_join("sig", "-").alias("sig")), [], "SELECT ordinal, array_to_string(list_slice(sig, 1, 4), '-') AS sig FROM sig")
+on("q_filter_size", "orders", lambda s, p: S.admit(s, range(3, 6), "drop").select("ordinal"), [], "SELECT ordinal FROM sig WHERE size BETWEEN 3 AND 5")
+on("q_admit_singleton", "orders", lambda s, p: S.admit(s, range(3, 6), "singleton").select("ordinal", F.col("size").cast("bigint").alias("size")), [], "SELECT ordinal, (CASE WHEN size BETWEEN 3 AND 5 THEN size ELSE 0 END)::BIGINT AS size FROM sig")
+on("q_pseudonymized_clusters", "part", lambda s, p: L.leader(S.pseudonymize(s), p).select("cluster_id", "ordinal"), LEAD, "SELECT cluster_id, ordinal FROM clusters")
+on("q_prefix_items", "orders", lambda s, p: s.filter("ordinal <= 500").select("ordinal", "item_id"), [], "SELECT ordinal, item_id FROM sig WHERE ordinal <= 500")
+assert comb(4, 2) == 6
+
+
+# ---- sources and sinks ----
+def _round_trip(fmt: str) -> Query:
+    def run(s: SparkSession, d: str) -> DataFrame:
+        from overlapkeys.sources import io
+
+        path = f"{shared_dir(s)}/{fmt}-{__import__('uuid').uuid4().hex}"
+        io.save_signatures(S.sig_part(s, d), path, fmt)
+        return io.load_signatures(s, path, fmt).select("ordinal", "item_id", F.array_join("sig", "-").alias("sig"))
+
+    return run
+
+
+for fmt in ("json", "csv", "orc", "parquet"):
+    add(f"q_roundtrip_{fmt}", _round_trip(fmt), O.query("part", [], "SELECT ordinal, item_id, array_to_string(sig, '-') AS sig FROM sig"))
+
+
+def _lines(s: SparkSession, d: str) -> DataFrame:
+    from overlapkeys.sources import io
+
+    path = f"{shared_dir(s)}/lines-{__import__('uuid').uuid4().hex}"
+    io.write_signature_lines(S.sig_userday(s, d), path)
+    return io.read_signature_lines(s, path).select("ordinal", F.array_join("sig", "+").alias("sig"))
+
+
+def _assigned_text(s: SparkSession, d: str) -> DataFrame:
+    from overlapkeys.sources import io
+
+    path = f"{shared_dir(s)}/assigned-{__import__('uuid').uuid4().hex}"
+    sigs = sigs_of(s, d, "part")
+    io.write_assignments(L.leader(sigs, plan_of("part")), path)
+    return io.read_assignments(s, path).select("cluster_id", "ordinal", F.array_join("elements", "-").alias("elements"))
+
+
+add("q_signature_lines", _lines, O.query("userday", [], "SELECT ordinal, array_to_string(sig, '+') AS sig FROM sig"))
+add("q_assignments_text", _assigned_text, O.query("part", LEAD, CLUSTER_BODY))
+
+from overlapkeys import queries_sql  # noqa: E402  the relational surface registers itself
+
+queries_sql.register(add, sigs_of, plan_of)
