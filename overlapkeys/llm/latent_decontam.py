@@ -9,6 +9,7 @@ longest common subsequence with the item, and its rarest terms (its answer), dec
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from itertools import repeat
 
@@ -70,6 +71,25 @@ class Block:
             k = np.unique(self.numbers(w)) if w else np.zeros(0, np.int64)
             self.answers.append(set(k[np.argsort(-idf[k], kind="stable")][:ANSWER_TERMS].tolist()))
 
+        # which items each term answers for, as runs of one list
+        told = sorted((t, k) for k, a in enumerate(self.answers) for t in a)
+        self.told_item = np.array([k for _, k in told], np.int64)
+        self.told_count = np.bincount(np.array([t for t, _ in told], np.int64), minlength=len(idf))
+        self.told_start = np.cumsum(self.told_count) - self.told_count
+        self.enough = np.array([max(1, math.ceil(ANSWER * len(a) - 1e-9)) for a in self.answers])
+
+    def answered(self, ids: np.ndarray) -> np.ndarray:
+        """Items of whose answers the document has enough terms; no other item can be decided for it."""
+        terms = np.unique(ids[ids >= 0])
+        terms = terms[self.told_count[terms] > 0]
+        size = self.told_count[terms]
+        if not len(terms):
+            return terms
+        ends = np.cumsum(size)
+        items = self.told_item[np.repeat(self.told_start[terms] - ends + size, size) + np.arange(int(ends[-1]))]
+        items, n = np.unique(items, return_counts=True)
+        return items[n >= self.enough[items]]
+
     def rows(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(passage, term, weight) of the passages with enough weighted terms."""
         where, term, count, n = _passages(np.where((ids >= 0) & (self.idf[ids] > 0), ids, -1))
@@ -189,34 +209,29 @@ def search(docs: DataFrame, block: Block) -> DataFrame:
         for f in frames:
             ids, ths, texts = f["doc_id"].tolist(), f["th"].tolist(), f["text"].tolist()
             out = []
-            for at in range(0, len(texts), 400):
-                doc_words, vectors, doc_of, place = [], [], [], []
-                for text in texts[at : at + 400]:
-                    words = words_of(text)
-                    where, latent = block.project(*block.rows(block.numbers(words)))
-                    doc_of.append(np.full(len(where), len(doc_words)))
-                    place.append(where)
-                    vectors.append(latent)
-                    doc_words.append(words)
-                doc_of, place, vectors = np.concatenate(doc_of), np.concatenate(place), np.concatenate(vectors)
-                best: dict[tuple[int, int], tuple[float, float, float]] = {}
-                for lo in range(0, len(vectors), 4000):
-                    cosine = vectors[lo : lo + 4000] @ block.latent.T
-                    for row, item in zip(*np.nonzero(cosine >= COSINE)):
-                        d = int(doc_of[lo + row])
-                        words, wanted = doc_words[d], block.words[item]
-                        reach = len(wanted) // 2 + 2
-                        start = int(place[lo + row]) * STRIDE
-                        near = words[max(0, start - reach) : start + WINDOW + reach]
-                        lcs = lcs_length(wanted, near) / len(wanted)
-                        if lcs < LCS:
-                            continue
-                        answer = block.answers[item]
-                        there = len(answer.intersection(block.numbers(near).tolist())) / max(1, len(answer))
-                        if there >= ANSWER:
-                            key = (d, int(item))
-                            best[key] = max(best.get(key, (0.0, 0.0, 0.0)), (lcs, float(cosine[row, item]), there))
-                out += [(ids[at + d], ths[at + d], block.ids[i], c, lcs, a) for (d, i), (lcs, c, a) in best.items()]
+            for d, text in enumerate(texts):
+                words = words_of(text)
+                numbers = block.numbers(words)
+                items = block.answered(numbers)
+                if not len(items):
+                    continue
+                where, latent = block.project(*block.rows(numbers))
+                cosine = latent @ block.latent[items].T
+                best: dict[int, tuple[float, float, float]] = {}
+                for row, col in zip(*np.nonzero(cosine >= COSINE)):
+                    item = int(items[col])
+                    wanted = block.words[item]
+                    reach = len(wanted) // 2 + 2
+                    start = int(where[row]) * STRIDE
+                    near = slice(max(0, start - reach), start + WINDOW + reach)
+                    answer = block.answers[item]
+                    there = len(answer.intersection(numbers[near].tolist())) / max(1, len(answer))
+                    if there < ANSWER:
+                        continue
+                    lcs = lcs_length(wanted, words[near]) / len(wanted)
+                    if lcs >= LCS:
+                        best[item] = max(best.get(item, (0.0, 0.0, 0.0)), (lcs, float(cosine[row, col]), there))
+                out += [(ids[d], ths[d], block.ids[i], c, lcs, a) for i, (lcs, c, a) in best.items()]
             yield pd.DataFrame(out, columns=["doc_id", "th", "item_id", "cosine", "lcs_share", "answer_share"])
 
     slim = docs.select(F.col("doc_id").cast("long"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), "text")
