@@ -12,7 +12,7 @@ from __future__ import annotations
 import os
 import zlib
 from collections.abc import Iterator
-from itertools import chain
+from itertools import chain, repeat
 
 import numpy as np
 import pandas as pd
@@ -29,7 +29,7 @@ COUNTS = (60, 30, 20, 15, 12, 10, 8, 7, 6, 5, 4, 3, 2, 1)
 WIDTHS = (1, 2, 3, 4, 5, 6, 7, 8, 10, 12, 15, 20, 30, 60)
 ESCAPE_BITS = 20  # wider ids are escaped, so that one of them doesn't waste its neighbours' bits
 ESCAPE = (1 << ESCAPE_BITS) - 1
-KEPT_WORDS = 600_000
+KEPT_WORDS = 1_200_000  # bound of a worker's memory of words
 BLOCK_IDS = 1 << 19
 
 
@@ -100,6 +100,9 @@ class WordIds:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
+        self.spaced = np.zeros(self.tokenizer.get_vocab_size(), np.int64)
+        for piece, k in self.tokenizer.get_vocab().items():
+            self.spaced[k] = piece.startswith("Ġ")
         self._forget()
 
     def _forget(self) -> None:
@@ -118,11 +121,11 @@ class WordIds:
         apart = [w for w in words if w[0] == " " and w[1:].isalpha()]
         rest = [w for w in words if not (w[0] == " " and w[1:].isalpha())]
         flat, lengths = [self.flat], [self.length]
-        for at in range(0, len(apart), 2000):
-            run = apart[at : at + 2000]
-            got = self.tokenizer.encode("".join(run), add_special_tokens=False)
-            flat.append(np.array(got.ids, np.uint64))
-            lengths.append(np.bincount(got.word_ids, minlength=len(run)))
+        joined = ["".join(apart[at : at + 2000]) for at in range(0, len(apart), 2000)]
+        for got in self.tokenizer.encode_batch_fast(joined, add_special_tokens=False):
+            own = np.array(got.ids, np.uint64)
+            flat.append(own)
+            lengths.append(np.bincount(np.cumsum(self.spaced[own]) - 1))  # a word's first token alone begins with the space
         ids = [e.ids for e in self.tokenizer.encode_batch_fast(rest, add_special_tokens=False)]
         flat.append(np.array(list(chain.from_iterable(ids)), np.uint64))
         lengths.append(np.array([len(i) for i in ids], np.int64))
@@ -132,20 +135,32 @@ class WordIds:
 
     def encode_all(self, texts: list[str], end_id: int) -> tuple[np.ndarray, list[int]]:
         """The ids of all texts in a row, each with ``end_id`` after it, and how many each has."""
-        split = [pretokens(t) if is_plain(t) else None for t in texts]
+        words: list[str] = []
+        sizes, odd = [], {}
+        for k, t in enumerate(texts):
+            if is_plain(t):
+                own = pretokens(t)
+                words += own
+                sizes.append(len(own))
+            else:
+                odd[k] = np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, np.uint64)
+                sizes.append(0)
         if len(self.number) > KEPT_WORDS:
             self._forget()
-        self._learn(set().union(*[s for s in split if s]).difference(self.number))
+        k = np.fromiter(map(self.number.get, words, repeat(-1)), np.int64, len(words))
+        missed = np.flatnonzero(k < 0)
+        if len(missed):
+            new = [words[i] for i in missed.tolist()]
+            self._learn(set(new))
+            k[missed] = np.fromiter(map(self.number.__getitem__, new), np.int64, len(new))
+        length = self.length[k]
+        ends = np.cumsum(length)
+        total = int(ends[-1]) if len(ends) else 0
+        flat = self.flat[np.repeat(self.start[k] - ends + length, length) + np.arange(total)]
+        before = np.r_[0, ends][np.r_[0, np.cumsum(sizes)]].tolist()
         end, out, counts = np.array([end_id], np.uint64), [], []
-        for text, words in zip(texts, split):
-            if words is None:
-                own = np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, np.uint64)
-            else:
-                k = np.fromiter(map(self.number.__getitem__, words), np.int64, len(words))
-                size = self.length[k]
-                ends = np.cumsum(size)
-                total = int(ends[-1]) if len(ends) else 0
-                own = self.flat[np.repeat(self.start[k] - ends + size, size) + np.arange(total)]
+        for i in range(len(texts)):
+            own = odd[i] if i in odd else flat[before[i] : before[i + 1]]
             counts.append(len(own) + 1)
             out += [own, end]
         return (np.concatenate(out) if out else np.zeros(0, np.uint64)), counts

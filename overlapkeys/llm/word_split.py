@@ -10,7 +10,7 @@ import regex
 
 # Inside this alphabet Python's own classes agree with the Unicode properties of the published pattern.
 _OUTSIDE = re.compile("[^\t-\r\x20-\x7eÀ-ÖØ-öø-ɏ]")
-_QUICK = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+")
+_QUICK = re.compile(r" ?[A-Za-zÀ-ÖØ-öø-ɏ]+|'(?:[stmd]|re|ve|ll)| ?[0-9]+| ?[!-/:-@\[-`{-~]+|[\t-\r ]+(?![^\t-\r ])|[\t-\r ]+")
 
 
 @lru_cache(1)
