@@ -28,7 +28,6 @@ def similar_by_sql(sigs: DataFrame) -> DataFrame:
     return spark.sql("SELECT a.ordinal AS earlier, b.ordinal AS later, round(sig_jaccard(a.sig, b.sig), 6) AS score FROM {s} a JOIN {s} b ON a.ordinal < b.ordinal AND sig_similar(sig_canonical(a.sig), sig_canonical(b.sig), 3, 5)", s=sigs)
 
 
-@udtf(returnType="tag int, key string")
 class SubSignatureKeys:
     def eval(self, sig: list, theta: str, sizes: list, role: str):
         plan = OverlapPlan.build(SimilarityRule.jaccard(theta), sizes)
@@ -38,12 +37,11 @@ class SubSignatureKeys:
 
 def keys_by_udtf(sigs: DataFrame, plan: OverlapPlan) -> DataFrame:
     spark = sigs.sparkSession
-    spark.udtf.register("sub_signature_keys", SubSignatureKeys)
+    spark.udtf.register("sub_signature_keys", udtf(SubSignatureKeys, returnType="tag int, key string"))
     sizes = ", ".join(map(str, plan.sizes))
     return spark.sql(f"SELECT s.ordinal, k.tag, k.key FROM {{s}} s, LATERAL sub_signature_keys(s.sig, '{plan.rule.num}/{plan.rule.den}', array({sizes}), 'mark') k", s=sigs)
 
 
-@pandas_udf("string")
 def _frequent(elements: pd.Series) -> str:
     n = elements.explode().value_counts()
     return "-".join(sorted(sorted(n.index, key=lambda e: (-n[e], e))[:5]))
@@ -51,7 +49,7 @@ def _frequent(elements: pd.Series) -> str:
 
 def cluster_signatures(assigned: DataFrame) -> DataFrame:
     """(cluster_id, sig): the five most frequent elements, by a grouped aggregate in Python."""
-    return assigned.groupBy("cluster_id").agg(_frequent("elements").alias("sig"))
+    return assigned.groupBy("cluster_id").agg(pandas_udf(_frequent, "string")("elements").alias("sig"))
 
 
 def keys_by_arrow(sigs: DataFrame, plan: OverlapPlan, role: str = "probe") -> DataFrame:

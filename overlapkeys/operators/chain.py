@@ -17,7 +17,10 @@ from overlapkeys.session import settle
 from .components import component_labels
 from .keys import role_keys
 
-EARLIER = W.partitionBy("key").orderBy("ordinal").rangeBetween(W.unboundedPreceding, -1)
+
+
+def _earlier():
+    return W.partitionBy("key").orderBy("ordinal").rangeBetween(W.unboundedPreceding, -1)
 
 
 def key_roles(sigs: DataFrame, plan: OverlapPlan) -> DataFrame:
@@ -30,7 +33,7 @@ def key_roles(sigs: DataFrame, plan: OverlapPlan) -> DataFrame:
 def parent_edges(sigs: DataFrame, plan: OverlapPlan, marker: str) -> DataFrame:
     """(ordinal, parent): the writer whose label each read key holds when the item arrives; at most one a key."""
     pick = F.first if marker == "first" else F.last
-    read = key_roles(sigs, plan).withColumn("parent", pick(F.when(F.col("m"), F.col("ordinal")), ignorenulls=True).over(EARLIER))
+    read = key_roles(sigs, plan).withColumn("parent", pick(F.when(F.col("m"), F.col("ordinal")), ignorenulls=True).over(_earlier()))
     return read.filter("p and parent is not null").select("ordinal", "parent").distinct()
 
 
@@ -58,7 +61,7 @@ def chain(sigs: DataFrame, plan: OverlapPlan, marker: str = "all", choice: str =
         roles = settle(key_roles(sigs, plan), "roles")
 
         def step(labels: DataFrame) -> DataFrame:
-            read = roles.join(labels, "ordinal").withColumn("read", F.min(F.when(F.col("m"), F.col("label"))).over(EARLIER))
+            read = roles.join(labels, "ordinal").withColumn("read", F.min(F.when(F.col("m"), F.col("label"))).over(_earlier()))
             return read.groupBy("ordinal").agg(F.least(F.min("label"), F.min(F.when(F.col("p"), F.col("read")))).alias("label"))
 
     else:
