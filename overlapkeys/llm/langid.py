@@ -87,6 +87,8 @@ class Unigrams:
         logp = np.full((none + 1, len(langs)), -np.log(none))
         logp[none] = -np.inf
         model = cls(langs, pieces, logp)
+        if not langs:
+            return model
         vocabulary = sorted(set().union(*counts.values()))
         weight = np.array([[counts[g][w] for g in langs] for w in vocabulary], float).reshape(-1, len(langs))
         of_length: dict[int, list[tuple[int, str]]] = {}

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import documents, shared_dir
+from .common import documents, settle, shared_dir
 from .word_split import is_plain, pretokens
 
 # Fixed values of the format: ids in a word, bits of each; selector = place in the list.
@@ -33,6 +33,9 @@ KEPT_WORDS = 1_200_000  # bound of a worker's memory of words
 BLOCK_IDS = 1 << 19
 
 
+_BITS = np.maximum(np.frexp(np.arange(ESCAPE + 1, dtype=np.float64))[1], 1).astype(np.int8)  # of each id up to the escape
+
+
 def pack(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Words and escaped ids of one document's ids (unsigned 64-bit)."""
     ids = np.asarray(ids, np.uint64)
@@ -42,21 +45,22 @@ def pack(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     n = len(v)
     if not n:
         return np.zeros(0, np.uint64), escaped
-    bits = np.maximum(np.frexp(v.astype(np.float64))[1], 1)
-    # the first selector, from the fullest on, whose count of ids from here on all fit its width
-    pick = np.full(n, len(COUNTS) - 1, np.int8)
-    bits, least = bits.astype(np.int8), int(bits.min())
+    bits = _BITS[np.minimum(v, ESCAPE).astype(np.int64)]
+    least = int(bits.min())
+    # a selector fits where all of its count of ids have its width or less; a fuller one fits nowhere else,
+    # so the number of selectors that fit gives the fullest
+    pick = np.full(n, len(COUNTS), np.int8)
     for s in range(len(COUNTS) - 1, -1, -1):
         c, w = COUNTS[s], WIDTHS[s]
         if w < least or c > n:
-            continue
+            break
         fits, span = bits <= w, 1
         while span < c:  # all of the next c ids, by doubling
             more = min(span, c - span)
             fits, span = fits[: len(fits) - more] & fits[more:], span + more
         if not fits.any():
-            break  # a fuller selector fits nowhere either
-        pick[: n + 1 - c][fits] = s
+            break
+        pick[: n + 1 - c] -= fits
     step = np.array(COUNTS)[pick].tolist()
     at, heads = 0, []
     while at < n:
@@ -118,8 +122,9 @@ class WordIds:
 
     def _learn(self, words: set[str]) -> None:
         """Words that begin with a space and go on with letters stay apart when joined: one call for many of them."""
-        apart = [w for w in words if w[0] == " " and w[1:].isalpha()]
-        rest = [w for w in words if not (w[0] == " " and w[1:].isalpha())]
+        apart, rest = [], []
+        for w in words:
+            (apart if w[0] == " " and w[1:].isalpha() else rest).append(w)
         flat, lengths = [self.flat], [self.length]
         joined = ["".join(apart[at : at + 2000]) for at in range(0, len(apart), 2000)]
         for got in self.tokenizer.encode_batch_fast(joined, add_special_tokens=False):
@@ -232,7 +237,8 @@ def read_token_file(spark: SparkSession, path: str) -> DataFrame:
     shards = shards.select("shard", (F.sum("n").over(W.orderBy("shard")) - F.col("n")).alias("before"))
     inside = F.sum("n").over(W.partitionBy("shard").orderBy("block")) - F.col("n")
     starts = sizes.withColumn("inside", inside).join(shards, "shard")
-    return blocks.join(starts.select("shard", "block", (F.col("before") + F.col("inside")).alias("start")), ["shard", "block"])
+    starts = settle(starts.select("shard", "block", (F.col("before") + F.col("inside")).alias("start")), "starts")
+    return blocks.join(starts, ["shard", "block"])  # written first: while its size is small, blocks aren't shuffled
 
 
 def decode_documents(blocks: DataFrame, with_ids: bool = False) -> DataFrame:
