@@ -13,6 +13,7 @@ import hashlib
 import heapq
 from collections.abc import Iterable, Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -20,7 +21,7 @@ from pyspark.sql import functions as F
 from .common import documents
 from .word_split import pretokens
 
-KEPT_WORDS = 600_000  # bound of a worker's memory of words; beyond it the memory starts anew
+KEPT_WORDS = 1_000_000  # bound of a worker's memory of words; beyond it the memory starts anew
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -34,7 +35,9 @@ class MergeReplay:
         self.single = [ranks[bytes([i])] for i in range(256)]
         self.rank_of = ranks
         self.whole = ranks.get
+        self.byte = np.array(self.single, np.int32)
         self.pairs: dict[tuple[int, int], int | None] = {}
+        self.first = np.array([[self._merged(a, b) or -1 for b in self.single] for a in self.single], np.int32)
 
     def _merged(self, a: int, b: int) -> int | None:
         """The token that a and b make; its id is the merge's rank."""
@@ -46,26 +49,34 @@ class MergeReplay:
 
     def encode_words(self, words: list[bytes]) -> list[list[int]]:
         """Token ids of each word; words are independent of each other."""
-        single, merged = self.single, self._merged
+        pairs, merged = self.pairs, self._merged
         out: list = [None] * len(words)
-        token: list[int] = []
-        starts = []
+        left_over, starts, n = [], [], 0
         for k, w in enumerate(words):
             known = self.whole(w)
             if known is not None:  # a word of the vocabulary is one token
                 out[k] = [known]
                 continue
-            starts.append((k, len(token), len(w)))
-            token.extend([single[c] for c in w])
-            token.append(-1)  # wall between words
-        n = len(token)
+            starts.append((k, n, len(w)))
+            left_over.append(w)
+            n += len(w) + 1
+        if not starts:
+            return out
+        raw = np.frombuffer(b" ".join([*left_over, b""]), np.uint8)
+        walls = np.cumsum([len(w) + 1 for w in left_over]) - 1
+        # the index of the first pairs: by byte, then sorted by the merge and the position
+        made_of = self.first[raw[:-1], raw[1:]]
+        made_of[walls[:-1]] = made_of[walls - 1] = -1
+        at_all = np.flatnonzero(made_of >= 0)
+        at_all = at_all[np.argsort(made_of[at_all], kind="stable")]
+        cuts = np.flatnonzero(np.diff(made_of[at_all])) + 1
+        index: dict[int, list[int]] = {}
+        if len(at_all):
+            index = {int(made_of[run[0]]): run.tolist() for run in np.split(at_all, cuts)}
+        tokens = self.byte[raw]
+        tokens[walls] = -1  # between words
+        token: list[int] = tokens.tolist()
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
-        index: dict[int, list[tuple[int, int, int]]] = {}
-        left = -1
-        for at, right in enumerate(token):
-            if left >= 0 and right >= 0 and (made := merged(left, right)) is not None:
-                index.setdefault(made, []).append((at - 1, left, right))
-            left = right
         queue = list(index)
         heapq.heapify(queue)
         while queue:
@@ -73,34 +84,47 @@ class MergeReplay:
             places = index.pop(made, None)
             if places is None:
                 continue
-            places.sort()  # left to right, as overlapping places of one pair need
-            for k, (at, left, right) in enumerate(places):
+            places.sort()  # left to right, as overlapping places need
+            for k, at in enumerate(places):
                 if queue and queue[0] < made:  # a new pair outranks this merge: it goes first
                     index[made] = places[k:] + index.get(made, [])
                     heapq.heappush(queue, made)
                     break
-                if token[at] != left:
-                    continue
-                nxt = after[at]
-                if token[nxt] != right:
+                left, nxt = token[at], after[at]
+                if left < 0:
                     continue
+                right = token[nxt]
+                if right < 0 or pairs.get((left, right)) != made:
+                    continue  # a neighbour was merged away meanwhile
                 token[at] = made
                 token[nxt] = -2
                 nxt = after[at] = after[nxt]
                 before[nxt if nxt < n else -1] = at
-                if (t := token[nxt]) >= 0 and (new := merged(made, t)) is not None:
-                    if new in index:
-                        index[new].append((at, made, t))
-                    else:
-                        index[new] = [(at, made, t)]
-                        heapq.heappush(queue, new)
+                # only the two pairs that touch the merged place are indexed anew
+                t = token[nxt]
+                if t >= 0:
+                    try:
+                        new = pairs[made, t]
+                    except KeyError:
+                        new = merged(made, t)
+                    if new is not None:
+                        if new in index:
+                            index[new].append(at)
+                        else:
+                            index[new] = [at]
+                            heapq.heappush(queue, new)
                 prev = before[at]
-                if prev >= 0 and (t := token[prev]) >= 0 and (new := merged(t, made)) is not None:
-                    if new in index:
-                        index[new].append((prev, t, made))
-                    else:
-                        index[new] = [(prev, t, made)]
-                        heapq.heappush(queue, new)
+                if prev >= 0 and (t := token[prev]) >= 0:
+                    try:
+                        new = pairs[t, made]
+                    except KeyError:
+                        new = merged(t, made)
+                    if new is not None:
+                        if new in index:
+                            index[new].append(prev)
+                        else:
+                            index[new] = [prev]
+                            heapq.heappush(queue, new)
         for k, start, length in starts:
             out[k] = [t for t in token[start : start + length] if t >= 0]
         return out
