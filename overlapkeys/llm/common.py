@@ -22,14 +22,14 @@ def with_next(df: DataFrame, order: str, value: str, to: str, span: int = 512) -
     """Each row with ``value`` of the row that has the next lower ``order``; the last row gets the first's.
 
     No global sort: rows are dealt by blocks of ``span`` neighbouring ids, ``lead`` runs inside a
-    block and only one boundary value per block meets the following block. A null ``order`` comes last.
+    block and only one boundary value per block meets the following block. A null ``order`` comes last;
+    ``value`` has no nulls.
     """
     block = F.coalesce(F.floor(F.col(order) / span), F.lit(-(1 << 62)))
     falling = [F.col(order).desc_nulls_last(), F.col(value).asc_nulls_first()]
     dealt = df.withColumn("__b", block)
-    inner = dealt.withColumn("__n", F.lead(F.struct(value)).over(W.partitionBy("__b").orderBy(*falling)))
-    best = F.struct(F.coalesce(F.col(order), F.lit(-(1 << 63))).alias("o"), F.col(value).alias("v"))
-    keys = dealt.groupBy("__b").agg(F.max(F.struct(best.getField("o").alias("o"))).alias("__m")).drop("__m")
+    inner = dealt.withColumn("__n", F.lead(value).over(W.partitionBy("__b").orderBy(*falling)))
+    keys = dealt.select("__b").distinct()
     pieces = keys.withColumn("__c", F.floor(F.col("__b") / 4096))
     # the block that follows: inside a run of 4,096 blocks by window, across runs by their greatest blocks
     runs = pieces.groupBy("__c").agg(F.max("__b").alias("__top"))
@@ -45,10 +45,10 @@ def with_next(df: DataFrame, order: str, value: str, to: str, span: int = 512) -
     heads = (
         dealt.withColumn("__r", F.row_number().over(W.partitionBy("__b").orderBy(*falling)))
         .filter("__r = 1")
-        .select(F.col("__b").alias("__g"), F.struct(value).alias("__h"))
+        .select(F.col("__b").alias("__g"), F.col(value).alias("__h"))
     )
     return (
         inner.join(follow.join(heads, "__g"), "__b", "left")
-        .withColumn(to, F.coalesce(F.col("__n"), F.col("__h")).getField(value))
+        .withColumn(to, F.coalesce("__n", "__h"))
         .drop("__b", "__n", "__g", "__h")
     )
