@@ -12,6 +12,7 @@ import base64
 import hashlib
 import heapq
 from collections.abc import Iterable, Iterator
+from itertools import islice
 
 import numpy as np
 import pandas as pd
@@ -21,7 +22,8 @@ from pyspark.sql import functions as F
 from .common import documents
 from .word_split import pretokens
 
-KEPT_WORDS = 1_000_000  # bound of a worker's memory of words; beyond it the memory starts anew
+KEPT_WORDS = 450_000  # bound of a worker's memory of words
+FIRST_WORDS = 120_000  # the words learnt first, the most frequent ones, stay beyond it and between tasks
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -148,9 +150,13 @@ class WordMemory:
             cls._of_path[path] = cls(path)
         return cls._of_path[path]
 
+    def trim(self) -> None:
+        if len(self.known) > FIRST_WORDS:
+            self.known = dict(islice(self.known.items(), FIRST_WORDS))
+
     def learn(self, split: list[list[str]]) -> None:
         if len(self.known) > KEPT_WORDS:
-            self.known.clear()
+            self.trim()
         fresh = list(set().union(*split).difference(self.known)) if split else []
         decode = self.replay.decode
         for w, ids in zip(fresh, self.replay.encode_words([w.encode() for w in fresh])):
@@ -198,6 +204,7 @@ def encode_documents(docs: DataFrame, path: str, with_ids: bool = False) -> Data
             made = pd.DataFrame(rows, columns=names)
             made.insert(0, "doc_id", frame["doc_id"].to_numpy())
             yield made
+        memory.trim()  # a worker goes on to other stages
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
     return docs.select(F.col("doc_id").cast("long"), "text").mapInPandas(run, schema)

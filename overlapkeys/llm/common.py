@@ -13,6 +13,11 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def arrow_rows(spark: SparkSession, rows: int) -> None:
+    """Rows of an Arrow batch in plans made from now on: few where whole texts go to Python and back, for memory."""
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", rows)
+
+
 def key_of(text: str = "text") -> F.Column:
     """Second part of a document's key: equal doc_ids with other texts stay apart, null texts are empty."""
     return F.xxhash64(F.coalesce(F.col(text), F.lit("")))

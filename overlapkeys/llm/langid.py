@@ -23,7 +23,7 @@ LONGEST = 10  # letters of a piece
 UNKNOWN = np.log(1e-6)  # of a letter that no piece has, alike for every language
 CHUNK = 24  # longer words are scored in parts of so many letters
 TRAIN_DOCS = 600  # labelled documents for each language, about; a bounded sample fits the classifier
-KEPT_WORDS = 400_000
+KEPT_WORDS = 250_000  # bound of a task's memory of words
 
 
 def load_pieces(path: str) -> dict[str, int]:
