@@ -16,13 +16,14 @@ from itertools import chain, repeat
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import documents, settle, shared_dir
-from .word_split import is_plain, pretokens
+from .word_split import is_plain
 
 # Fixed values of the format: ids in a word, bits of each; selector = place in the list.
 COUNTS = (60, 30, 20, 15, 12, 10, 8, 7, 6, 5, 4, 3, 2, 1)
@@ -93,6 +94,39 @@ def unpack(words: np.ndarray, escaped: np.ndarray) -> np.ndarray:
     return out
 
 
+_LETTER, _DIGIT, _MARK, _SPACE, _END = range(5)
+_CLASS = np.full(256, _LETTER, np.int8)  # of a byte of plain text; beyond ASCII all are letters there
+_CLASS[0x21:0x7F] = _MARK
+_CLASS[ord("0") : ord("9") + 1] = _DIGIT
+_CLASS[ord("A") : ord("Z") + 1] = _CLASS[ord("a") : ord("z") + 1] = _LETTER
+_CLASS[[*range(0x09, 0x0E), 0x20]] = _SPACE
+_CLASS[0] = _END
+
+
+def word_starts(raw: np.ndarray) -> np.ndarray:
+    """Where the pre-tokens of plain UTF-8 texts begin; a zero byte ends each text and is a word itself.
+
+    A word is a run of one class with a blank before it, if there is one; of a longer white run that a word
+    follows, the last character stands apart. Clitics after an apostrophe are words where no blank or mark is
+    before them.
+    """
+    kind = _CLASS[raw]
+    blank = raw == 0x20
+    turn = np.r_[True, kind[1:] != kind[:-1]]
+    begins = turn | (kind == _END)
+    begins[1:] &= ~(blank[:-1] & (kind[1:] < _SPACE))
+    last = (kind[:-1] == _SPACE) & (kind[1:] < _SPACE)
+    begins[:-1] |= last
+    at = np.flatnonzero(begins & (raw == ord("'")))
+    at = at[at + 2 < len(raw)]
+    one, two = raw[at + 1], raw[at + 2]
+    short = np.isin(one, np.frombuffer(b"stmd", np.uint8))
+    long = ((two == ord("e")) & ((one == ord("r")) | (one == ord("v")))) | ((one == ord("l")) & (two == ord("l")))
+    begins[at[short] + 1] = begins[at[long] + 1] = False
+    begins[at[short] + 2] = begins[at[long] + 3] = True
+    return np.flatnonzero(begins)
+
+
 class WordIds:
     """Per worker: a pre-token's ids, from the tokenizers library; whole texts where the split isn't plain."""
 
@@ -100,19 +134,23 @@ class WordIds:
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
+        self.of_words = Tokenizer.from_file(path)  # for words that are split already: parts at blanks only
+        self.of_words.encode_special_tokens = True
+        parts = [pre_tokenizers.Split(" ", "merged_with_next"), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)]
+        self.of_words.pre_tokenizer = pre_tokenizers.Sequence(parts)
         self.spaced = np.zeros(self.tokenizer.get_vocab_size(), np.int64)
         for piece, k in self.tokenizer.get_vocab().items():
             self.spaced[k] = piece.startswith("Ġ")
         self._forget()
 
     def _forget(self) -> None:
-        """word -> its number; the ids of word k are flat[start[k] : start[k] + length[k]]."""
-        self.number: dict[str, int] = {}
-        self.flat, self.start, self.length = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        """word -> its number; the ids of word k are flat[start[k] : start[k] + length[k]]. Word 0 ends a text."""
+        self.number: dict[str, int] = {"\0": 0}
+        self.flat, self.start, self.length = np.zeros(1, np.uint64), np.zeros(1, np.int64), np.ones(1, np.int64)
 
     @classmethod
     def at(cls, path: str) -> WordIds:
@@ -120,14 +158,14 @@ class WordIds:
             cls._of_path[path] = cls(path)
         return cls._of_path[path]
 
-    def _learn(self, words: set[str]) -> None:
+    def _learn(self, words: list[str]) -> None:
         """Words that begin with a space and go on with letters stay apart when joined: one call for many of them."""
         apart, rest = [], []
         for w in words:
             (apart if w[0] == " " and w[1:].isalpha() else rest).append(w)
         flat, lengths = [self.flat], [self.length]
         joined = ["".join(apart[at : at + 2000]) for at in range(0, len(apart), 2000)]
-        for got in self.tokenizer.encode_batch_fast(joined, add_special_tokens=False):
+        for got in self.of_words.encode_batch_fast(joined, add_special_tokens=False):
             own = np.array(got.ids, np.uint64)
             flat.append(own)
             lengths.append(np.bincount(np.cumsum(self.spaced[own]) - 1))  # a word's first token alone begins with the space
@@ -139,36 +177,39 @@ class WordIds:
         self.start = np.cumsum(self.length) - self.length
 
     def encode_all(self, texts: list[str], end_id: int) -> tuple[np.ndarray, list[int]]:
-        """The ids of all texts in a row, each with ``end_id`` after it, and how many each has."""
-        words: list[str] = []
-        sizes, odd = [], {}
-        for k, t in enumerate(texts):
-            if is_plain(t):
-                own = pretokens(t)
-                words += own
-                sizes.append(len(own))
-            else:
-                odd[k] = np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, np.uint64)
-                sizes.append(0)
+        """The ids of all texts in a row, each with ``end_id`` after it, and how many each has.
+
+        Words are split and told apart in bulk; the memory is asked once for each different word.
+        """
+        if not texts:
+            return np.zeros(0, np.uint64), []
+        odd = {k: np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, np.uint64) for k, t in enumerate(texts) if not is_plain(t)}
+        raw = np.frombuffer("\0".join(["" if k in odd else t for k, t in enumerate(texts)] + [""]).encode(), np.uint8)
+        starts = word_starts(raw)
+        bounds = pa.py_buffer(np.append(starts, len(raw)).astype(np.int64))
+        coded = pa.LargeStringArray.from_buffers(len(starts), bounds, pa.py_buffer(raw)).dictionary_encode()
+        words = coded.dictionary.to_pylist()
         if len(self.number) > KEPT_WORDS:
             self._forget()
-        k = np.fromiter(map(self.number.get, words, repeat(-1)), np.int64, len(words))
-        missed = np.flatnonzero(k < 0)
+        known = np.fromiter(map(self.number.get, words, repeat(-1)), np.int64, len(words))
+        missed = np.flatnonzero(known < 0)
         if len(missed):
             new = [words[i] for i in missed.tolist()]
-            self._learn(set(new))
-            k[missed] = np.fromiter(map(self.number.__getitem__, new), np.int64, len(new))
+            self._learn(new)
+            known[missed] = np.fromiter(map(self.number.__getitem__, new), np.int64, len(new))
+        k = known[coded.indices.to_numpy()]
         length = self.length[k]
         ends = np.cumsum(length)
-        total = int(ends[-1]) if len(ends) else 0
-        flat = self.flat[np.repeat(self.start[k] - ends + length, length) + np.arange(total)]
-        before = np.r_[0, ends][np.r_[0, np.cumsum(sizes)]].tolist()
-        end, out, counts = np.array([end_id], np.uint64), [], []
-        for i in range(len(texts)):
-            own = odd[i] if i in odd else flat[before[i] : before[i + 1]]
-            counts.append(len(own) + 1)
-            out += [own, end]
-        return (np.concatenate(out) if out else np.zeros(0, np.uint64)), counts
+        flat = self.flat[np.repeat(self.start[k] - ends + length, length) + np.arange(int(ends[-1]))]
+        close = ends[k == 0]  # of each text
+        flat[close - 1] = end_id
+        counts = np.diff(close, prepend=0)
+        if odd:
+            cuts = [int(close[k]) - 1 for k in odd]
+            pieces = np.split(flat, cuts)
+            flat = np.concatenate([pieces[0], *chain.from_iterable(zip(odd.values(), pieces[1:]))])
+            counts[list(odd)] += [len(x) for x in odd.values()]
+        return flat, counts.tolist()
 
 
 BLOCK = "shard int, block int, doc_ids array<long>, n_tokens array<long>, every array<int>, words binary, escapes binary"
@@ -207,7 +248,7 @@ def write_token_file(docs: DataFrame, path: str, vocabulary: str, end_id: int =
             at = 0
             while at < len(texts):
                 upto, chars = at, 0
-                while upto < len(texts) and chars < 1_500_000:
+                while upto < len(texts) and chars < 3_000_000:
                     chars, upto = chars + len(texts[upto]), upto + 1
                 ids, own = coder.encode_all(texts[at:upto], end_id)
                 doc_ids += ids_of[at:upto]

@@ -265,3 +265,29 @@ def test_pipeline(spark):
     safe = p.redact_personal_data(spark, clean, SF)
     assert safe.columns == docs.columns and not any(pii_crf.base_spans(r.text) for r in safe.limit(200).collect())
     assert p.encode_tokens(spark, safe, SF).count() == clean.count()
+
+
+def test_words_split_in_bulk_are_those_of_the_pattern():
+    from overlapkeys.llm.word_split import is_plain, pretokens
+
+    rnd = random.Random(3)
+    bits = ["a", "'s", "'t", "re", "'", "''", "'ll", "12", ".", ",", "\t", "\n", " ", "  ", "é", "Ā", "ɏ", "m"]
+    texts = ["", "'", " ", "a ", "it's", "'store", "\n's", " 's", "''s"] + ["".join(rnd.choices(bits, k=rnd.randint(1, 20))) for _ in range(5000)]
+    assert all(map(is_plain, texts))
+    raw = np.frombuffer("\0".join([*texts, ""]).encode(), np.uint8)
+    at = [*simple8b.word_starts(raw).tolist(), len(raw)]
+    words = [raw[i:j].tobytes().decode() for i, j in zip(at, at[1:])]
+    assert words == [w for t in texts for w in [*pretokens(t), "\0"]]
+
+
+def test_bulk_encoding_is_the_librarys():
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    library = Tokenizer.from_file(path)
+    library.encode_special_tokens = True
+    texts = ["日本語 odd first", "a plain one's text", "", "×", "x\0y", "<|endoftext|>", "the last  one \n"]
+    ids, counts = simple8b.WordIds.at(path).encode_all(texts, 7)
+    want = [[*library.encode(t, add_special_tokens=False).ids, 7] for t in texts]
+    assert counts == [len(w) for w in want] and ids.tolist() == [i for w in want for i in w]
+    assert simple8b.WordIds.at(path).encode_all([], 7)[1] == []
