@@ -23,7 +23,7 @@ LONGEST = 10  # letters of a piece
 UNKNOWN = np.log(1e-6)  # of a letter that no piece has, alike for every language
 CHUNK = 24  # longer words are scored in parts of so many letters
 TRAIN_DOCS = 600  # labelled documents for each language, about; a bounded sample fits the classifier
-KEPT_WORDS = 250_000  # bound of a task's memory of words
+KEPT_WORDS = 400_000  # bound of a task's memory of words, unless the caller sets its own
 
 
 def load_pieces(path: str) -> dict[str, int]:
@@ -145,7 +145,7 @@ def train(docs: DataFrame, vocabulary: str, per_language: int = TRAIN_DOCS) -> U
     return Unigrams.fit({g: c for g, c in counts.items() if c}, load_pieces(vocabulary))
 
 
-def language_of(model: Unigrams):
+def language_of(model: Unigrams, kept_words: int = KEPT_WORDS):
     """A column function: text -> struct of lang_pred and score.
 
     ``und`` and 0 if the text is null or has no letter, or nothing was learnt. score is the posterior of
@@ -162,7 +162,7 @@ def language_of(model: Unigrams):
             best, sure, texts = [], [], column.tolist()
             for at in range(0, len(texts), 500):  # a part of the batch at a time, for memory
                 split = [WORD.findall(t.lower()) if isinstance(t, str) else [] for t in texts[at : at + 500]]
-                if len(number) > KEPT_WORDS:
+                if len(number) > kept_words:
                     number, scores = {}, np.zeros((0, len(langs)))
                 fresh = list(set().union(*split).difference(number))
                 if fresh and langs:
