@@ -23,6 +23,22 @@ def key_of(text: str = "text") -> F.Column:
     return F.xxhash64(F.coalesce(F.col(text), F.lit("")))
 
 
+HOT_SHARE = 10_000  # a key with more than one row in so many is hot; there are fewer than so many of them
+
+
+def join_by_share(rows: DataFrame, told: DataFrame, keys: list[str], total: int) -> DataFrame:
+    """Inner join of ``rows`` with ``told`` (one row a key; its column ``n`` counts the key's rows of ``rows``).
+
+    Of ``total`` rows fewer than HOT_SHARE keys can have over 1 / HOT_SHARE each. These are broadcast, so
+    their rows stay where they are; only rows of the other keys are shuffled. Read from settled tables.
+    """
+    least = total // HOT_SHARE
+    hot, cold = told.filter(F.col("n") > least).drop("n"), told.filter(F.col("n") <= least).drop("n")
+    near = rows.join(F.broadcast(hot), keys)
+    far = rows.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(cold, keys)
+    return near.unionByName(far)
+
+
 def with_next(df: DataFrame, order: str, value: str, to: str, span: int = 512) -> DataFrame:
     """Each row with ``value`` of the row that has the next lower ``order``; the last row gets the first's.
 

@@ -17,7 +17,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, settle
+from .common import documents, join_by_share, settle
 
 SENTENCE = re.compile(r"[^.!?;:,\n]*(?:[.!?;:,]+(?!\S)|[.!?;:,]+|\n|\Z)\s*")
 SENTENCES, WORDS = 2, 12
@@ -68,8 +68,10 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     numbered = slim.select(F.coalesce("doc_id", F.lit((1 << 63) - 1)).alias("doc_id"), key.alias("th"), F.coalesce("text", F.lit("")).alias("text"))
     runs = settle(numbered.mapInPandas(hashed, "doc_id long, th long, i int, n int, h long"), "runs")
     place = F.struct("doc_id", "th", "i")
-    first = runs.groupBy("h").agg(F.min(place).alias("first"), F.max(place).alias("last")).filter("first <> last")
-    repeats = runs.join(first.select("h", "first"), "h").filter(place != F.col("first")).select("doc_id", "th", "i", "n")
+    first = runs.groupBy("h").agg(F.min(place).alias("first"), F.max(place).alias("last"), F.count("*").alias("n")).filter("first <> last")
+    first = settle(first.select("h", "first", "n"), "firsts")
+    hits = join_by_share(runs.withColumnRenamed("n", "size"), first, ["h"], runs.count())
+    repeats = hits.filter(place != F.col("first")).select("doc_id", "th", "i", F.col("size").alias("n"))
     marks = repeats.groupBy("doc_id", "th").agg(F.collect_set(F.struct("i", "n")).alias("marks"))
 
     def cleaned(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
