@@ -39,6 +39,20 @@ def join_by_share(rows: DataFrame, told: DataFrame, keys: list[str], total: int)
     return near.unionByName(far)
 
 
+def in_told(rows: DataFrame, told: DataFrame, key: str, by: list[str], total: int, salts: int = 64) -> DataFrame:
+    """Rows whose ``key`` is in ``told`` (one row a key, with ``n`` as in join_by_share), each made only once.
+
+    For rows that cost too much to make twice: those of hot keys are dealt to ``salts`` partitions by a
+    hash of ``by``, so a task that is run again deals them alike.
+    """
+    least = total // HOT_SHARE
+    hot = told.filter(F.col("n") > least).select(key, F.lit(True).alias("__hot"))
+    salt = F.when(F.col("__hot"), F.pmod(F.xxhash64(*by), F.lit(salts)).cast("int")).otherwise(F.lit(0))
+    dealt = rows.join(F.broadcast(hot), key, "left").withColumn("__salt", salt).drop("__hot")
+    spread = F.when(F.col("n") > least, F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0)))
+    return dealt.join(told.select(key, F.explode(spread).alias("__salt")), [key, "__salt"], "left_semi").drop("__salt")
+
+
 def with_next(df: DataFrame, order: str, value: str, to: str, span: int = 512) -> DataFrame:
     """Each row with ``value`` of the row that has the next lower ``order``; the last row gets the first's.
 

@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, settle
+from .common import documents, in_told, join_by_share, settle
 
 LENGTH, GRAM = 400, 256
 SIDE = LENGTH - GRAM  # bytes that a string can have on either side of its anchor
@@ -292,18 +292,20 @@ def remove_repeated_bytes(docs: DataFrame) -> DataFrame:
     of an anchor meet in bounded groups, those of a hot anchor by what they share.
     """
     slim = _numbered(docs)
-    repeated = _occurrences(slim, False).groupBy("h").agg(F.count("*").alias("n")).filter("n > 1").select("h")
-    places = settle(_occurrences(slim, True).join(repeated, "h", "left_semi"), "anchors")
+    repeated = settle(_occurrences(slim, False).groupBy("h").agg(F.count("*").alias("n")).filter("n > 1"), "repeated")
+    total = repeated.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    places = settle(in_told(_occurrences(slim, True), repeated, "h", ["doc_id", "th", "at"], total), "anchors")
     kinds = places.groupBy("h", "sh").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "th", "at")).alias("first"))
     kinds = settle(kinds, "segments")
     per_anchor = kinds.groupBy("h").agg(F.count("*").alias("kinds"), F.min("n").alias("fewest")).filter("kinds > 1 and fewest = 1")
-    open_kinds = kinds.join(per_anchor.select("h", "kinds"), "h").select("first.*", "h", "sh", "kinds")
+    per_anchor = settle(per_anchor.select("h", "kinds", F.col("kinds").alias("n")), "open")
+    open_kinds = join_by_share(kinds.select("first.*", "h", "sh"), per_anchor, ["h"], kinds.count())
     partial = _decide(_segments(slim, open_kinds))
-    whole = kinds.filter("n > 1").select("h", "sh", F.lit(-1).alias("least"), F.lit(-1).alias("most"))
+    whole = kinds.filter("n > 1").select("h", "sh", F.lit(-1).alias("least"), F.lit(-1).alias("most"), "n")
     single = kinds.filter("n = 1").select("h", "sh")
-    decisions = whole.union(partial.join(single, ["h", "sh"], "left_semi"))
+    decisions = whole.union(partial.join(single, ["h", "sh"], "left_semi").withColumn("n", F.lit(1).cast("long")))
     decisions = settle(decisions, "decisions")
-    marks = places.join(decisions, ["h", "sh"]).groupBy("doc_id", "th").agg(F.collect_list(F.struct("at", "least", "most")).alias("marks"))
+    marks = join_by_share(places, decisions, ["h", "sh"], total).groupBy("doc_id", "th").agg(F.collect_list(F.struct("at", "least", "most")).alias("marks"))
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
