@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, in_told, join_by_share, settle
+from .common import arrow_rows, documents, in_told, join_by_share, settle
 
 LENGTH, GRAM = 400, 256
 SIDE = LENGTH - GRAM  # bytes that a string can have on either side of its anchor
@@ -334,4 +334,5 @@ def remove_repeated_bytes(docs: DataFrame) -> DataFrame:
 
 
 def op4_suffix_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    arrow_rows(spark, 1_000)
     return remove_repeated_bytes(documents(spark, sf_dir)).drop("kept")
