@@ -17,7 +17,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, join_by_share, settle
+from .common import arrow_rows, documents, join_by_share, settle
 
 SENTENCE = re.compile(r"[^.!?;:,\n]*(?:[.!?;:,]+(?!\S)|[.!?;:,]+|\n|\Z)\s*")
 SENTENCES, WORDS = 2, 12
@@ -95,4 +95,5 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
 
 
 def op1_sentence_spans(spark: SparkSession, sf_dir: str) -> DataFrame:
+    arrow_rows(spark, 1_000)
     return remove_repeats(documents(spark, sf_dir))

@@ -9,7 +9,7 @@ import numpy as np
 import public_tokenizers
 import pytest
 import tiktoken
-from overlapkeys.llm import bpe_replay, html_trees, langid, latent_decontam, pii_crf, sentence_spans, simhash_golay, simple8b, spotsigs, suffix_groups
+from overlapkeys.llm import bpe_replay, common, html_trees, langid, latent_decontam, pii_crf, sentence_spans, simhash_golay, simple8b, spotsigs, suffix_groups
 from pyspark.sql import functions as F
 
 SF = "/root/testdata/sf0.001"
@@ -291,3 +291,19 @@ def test_bulk_encoding_is_the_librarys():
     want = [[*library.encode(t, add_special_tokens=False).ids, 7] for t in texts]
     assert counts == [len(w) for w in want] and ids.tolist() == [i for w in want for i in w]
     assert simple8b.WordIds.at(path).encode_all([], 7)[1] == []
+
+
+@pytest.mark.parametrize("share", [1, 10, 10_000])
+def test_joins_by_share(spark, monkeypatch, share):
+    """Keys above and below the share, keys told but absent, null keys and repeated rows: as a plain join."""
+    monkeypatch.setattr(common, "HOT_SHARE", share)
+    keys = [7] * 60 + [8] * 25 + list(range(100, 115)) + [None]
+    rows = spark.createDataFrame([(k, i // 2) for i, k in enumerate(keys)], "k long, i long")
+    told = spark.createDataFrame([(7, 60, "a"), (8, 25, "b"), (103, 1, "c"), (999, 0, "d")], "k long, n long, v string")
+    want = sorted((k, i // 2) for i, k in enumerate(keys) if k in (7, 8, 103))
+    got = common.join_by_share(rows, told, ["k"], len(keys)).collect()
+    assert sorted((r["k"], r["i"]) for r in got) == want
+    assert {(r["k"], r["v"]) for r in got} == {(7, "a"), (8, "b"), (103, "c")}
+    kept = common.in_told(rows, told.drop("v"), "k", ["i"], len(keys), salts=4).collect()
+    assert sorted((r["k"], r["i"]) for r in kept) == want
+    assert not common.join_by_share(rows.limit(0), told.limit(0), ["k"], 0).collect()
