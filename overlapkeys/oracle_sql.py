@@ -61,8 +61,6 @@ REACH = """both_ways AS (SELECT earlier AS a, later AS b FROM pairs UNION ALL SE
         clusters AS (SELECT a AS ordinal, min(b) AS cluster_id FROM reach GROUP BY 1)"""
 
 
-def query(sig: str | None, ctes: list[str], body: str, prefix: int | None = None) -> str:
+def query(sig: str | None, ctes: list[str], body: str) -> str:
     parts = [] if sig is None else [SIG[sig]]
-    if prefix is not None:
-        parts = [parts[0].replace("sig AS (SELECT row_number()", "sig0 AS (SELECT row_number()", 1), f"sig AS (SELECT * FROM sig0 WHERE ordinal <= {prefix})"]
     return "WITH RECURSIVE " + ",\n".join([*parts, *ctes]) + "\n" + body

@@ -38,10 +38,9 @@ def plan_of(workload: str, theta: str = "3/5", kind: str = "jaccard") -> Overlap
     return OverlapPlan.build(SimilarityRule.of(kind, theta), SIZES.get(workload, range(2, 11)))
 
 
-def sigs_of(spark: SparkSession, d: str, workload: str, prefix: int | None = None) -> DataFrame:
+def sigs_of(spark: SparkSession, d: str, workload: str) -> DataFrame:
     """The workload's signatures, written once so that no query builds them twice."""
-    got = BUILD[workload](spark, d)
-    return settle(got if prefix is None else got.filter(F.col("ordinal") <= prefix), f"sig-{workload}")
+    return settle(BUILD[workload](spark, d), f"sig-{workload}")
 
 
 def add(name: str, f: Query, sql: str | None = None) -> None:
@@ -50,13 +49,13 @@ def add(name: str, f: Query, sql: str | None = None) -> None:
         ORACLES[name] = sql
 
 
-def on(name: str, workload: str, f: Callable[[DataFrame, OverlapPlan], DataFrame], ctes: list[str] | None = None, body: str | None = None, theta: str = "3/5", prefix: int | None = None, kind: str = "jaccard") -> None:
+def on(name: str, workload: str, f: Callable[[DataFrame, OverlapPlan], DataFrame], ctes: list[str] | None = None, body: str | None = None, theta: str = "3/5", kind: str = "jaccard") -> None:
     """A query over one workload's signatures and plan."""
 
     def run(spark: SparkSession, d: str) -> DataFrame:
-        return f(sigs_of(spark, d, workload, prefix), plan_of(workload, theta, kind))
+        return f(sigs_of(spark, d, workload), plan_of(workload, theta, kind))
 
-    add(name, run, None if body is None else O.query(workload, ctes or [], body, prefix))
+    add(name, run, None if body is None else O.query(workload, ctes or [], body))
 
 
 PAIR_BODY = "SELECT earlier, later, overlap::BIGINT AS overlap, round(overlap::DOUBLE / (x + y - overlap), 6) AS score FROM pairs"
@@ -91,9 +90,9 @@ for kind, theta, (n, d_) in (("jaccard", "3/5", (3, 5)), ("dice", "3/4", (3, 4))
     test = O.HOLDS[kind].format(n=n, d=d_).replace("o *", "i *").replace("* o", "* i")
     add(f"q_rule_{kind}", lambda s, d, k=kind, t=theta: OverlapPlan.build(SimilarityRule.of(k, t), range(2, 11)).needs_df(s).select(*[F.col(c).cast("bigint").alias(c) for c in ("x", "y", "need")]), f"WITH {GRID.format(test)} SELECT * FROM need")
     if kind != "jaccard":
-        on(f"q_pairs_{kind}", "userday", lambda s, p: shown(R.similar_pairs(s, p)).drop("score"), [O.pairs(n, d_, kind)], "SELECT earlier, later, overlap::BIGINT AS overlap FROM pairs", theta=theta, kind=kind, prefix=1200)
+        on(f"q_pairs_{kind}", "userday", lambda s, p: shown(R.similar_pairs(s, p)).drop("score"), [O.pairs(n, d_, kind)], "SELECT earlier, later, overlap::BIGINT AS overlap FROM pairs", theta=theta, kind=kind)
 assert set(KINDS) == set(O.HOLDS)
-on("q_jaccard_score", "userday", lambda s, p: shown(R.simple_candidates(s, p)), [O.pairs(), "cand AS (SELECT * FROM shared WHERE o >= (SELECT min(need) FROM need n WHERE n.x = shared.x))", NEED], "SELECT earlier, later, o::BIGINT AS overlap, round(o::DOUBLE / (x + y - o), 6) AS score FROM shared s WHERE o >= greatest((SELECT min(need) FROM need n WHERE n.x = s.x), (SELECT min(need) FROM need n WHERE n.x = s.y)) AND (EXISTS (SELECT 1 FROM need a JOIN need b ON a.need = b.need WHERE a.y = s.x AND b.y = s.y AND a.need <= s.o))", prefix=800)
+on("q_jaccard_score", "userday", lambda s, p: shown(R.simple_candidates(s, p)), [O.pairs(), "cand AS (SELECT * FROM shared WHERE o >= (SELECT min(need) FROM need n WHERE n.x = shared.x))", NEED], "SELECT earlier, later, o::BIGINT AS overlap, round(o::DOUBLE / (x + y - o), 6) AS score FROM shared s WHERE o >= greatest((SELECT min(need) FROM need n WHERE n.x = s.x), (SELECT min(need) FROM need n WHERE n.x = s.y)) AND (EXISTS (SELECT 1 FROM need a JOIN need b ON a.need = b.need WHERE a.y = s.x AND b.y = s.y AND a.need <= s.o))")
 on("q_theta_one", "userday", lambda s, p: listed(L.leader(s, p)), [], "SELECT min(ordinal) OVER (PARTITION BY sig) AS cluster_id, ordinal, array_to_string(sig, '-') AS elements FROM sig", theta="1")
 on("q_theta_tiny", "supplier", lambda s, p: shown(R.similar_pairs(s, p)), [O.pairs(1, 100)], PAIR_BODY, theta="1/100")
 
@@ -157,14 +156,14 @@ _dash = lambda df: df.withColumn("key", F.regexp_replace("key", K.SEPARATOR, "-"
 on("q_store_flag", "userday", lambda s, p: _dash(R.build_store(s, p)), MARKED, "SELECT DISTINCT key, true AS marker FROM marks")
 on("q_store_signature", "userday", lambda s, p: _dash(R.build_store(s, p, "signature")), MARKED, "SELECT key, array_to_string(sig, '-') AS marker FROM marks")
 on("q_store_key", "userday", lambda s, p: _dash(R.build_store(s, p, "key")), MARKED, "SELECT key, min(ordinal) AS marker FROM marks GROUP BY 1")
-on("q_store_cluster", "userday", lambda s, p: _dash(R.build_store(s, p, "cluster", L.leader(s, p))), [*MARKED, O.pairs(), O.LEADER], "SELECT key, min(cluster_id) AS marker FROM marks JOIN clusters USING (ordinal) GROUP BY 1", prefix=900)
+on("q_store_cluster", "userday", lambda s, p: _dash(R.build_store(s, p, "cluster", L.leader(s, p))), [*MARKED, O.pairs(), O.LEADER], "SELECT key, min(cluster_id) AS marker FROM marks JOIN clusters USING (ordinal) GROUP BY 1")
 on("q_match_witness", "part", lambda s, p: R.match_witness(s, p), [O.pairs()], "SELECT earlier, later, array_to_string(list_sort(list_intersect(a.sig, b.sig)), '-') AS witness FROM pairs JOIN sig a ON a.ordinal = earlier JOIN sig b ON b.ordinal = later")
 
 # ---- policies ----
 LEAD = [O.pairs(), O.LEADER]
 for w in ("part", "customer", "userday", "orders", "docs", "embeddings", "pages", "supplier", "conversations"):
     on(f"q_leader_{w}", w, lambda s, p: listed(L.leader(s, p)), LEAD, CLUSTER_BODY)
-on("q_leader_ordersupp", "ordersupp", lambda s, p: listed(L.leader(s, p)), LEAD, CLUSTER_BODY, prefix=3000)
+on("q_leader_ordersupp", "ordersupp", lambda s, p: listed(L.leader(s, p)), LEAD, CLUSTER_BODY)
 on("q_leader_batched", "userday", lambda s, p: listed(L.leader_batched(s, p, 1000)), LEAD, CLUSTER_BODY)
 on("q_leader_reference", "userday", lambda s, p: listed(L.leader_reference(s, p)), LEAD, CLUSTER_BODY)
 on("q_partition_invariance", "part", lambda s, p: listed(L.leader(s.repartition(13, "ordinal"), p)), LEAD, CLUSTER_BODY)
@@ -173,7 +172,7 @@ on("q_chain_last", "part", lambda s, p: listed(C.chain(s, p, "last")), [O.pairs(
 on("q_chain_first", "part", lambda s, p: listed(C.chain(s, p, "first")))
 on("q_chain_userday", "userday", lambda s, p: listed(C.chain(s, p)), [O.pairs(), O.CHAIN], CLUSTER_BODY)
 on("q_chain_latest", "part", lambda s, p: listed(C.chain(s, p, choice="latest")), [O.pairs(), O.CHAIN.replace("list_min", "list_max")], CLUSTER_BODY)
-on("q_components", "part", lambda s, p: listed(C.components(s, p)), [O.pairs(), O.REACH], CLUSTER_BODY, prefix=1000)
+on("q_components", "part", lambda s, p: listed(C.components(s, p)), [O.pairs(), O.REACH], CLUSTER_BODY)
 CAND = [*LEAD, "led AS (SELECT ordinal AS leader FROM clusters WHERE ordinal = cluster_id)", "cand AS (SELECT later AS ordinal, earlier AS leader, overlap, overlap::DOUBLE / (x + y - overlap) AS score FROM pairs JOIN led ON earlier = leader WHERE later NOT IN (SELECT leader FROM led) UNION ALL SELECT leader, leader, size, 1.0 FROM led JOIN sig ON ordinal = leader)"]
 on("q_choice_earliest", "userday", lambda s, p: L.leader(s, p).select("cluster_id", "ordinal"), CAND, "SELECT ordinal, min(leader) AS cluster_id FROM cand GROUP BY 1")
 for choice, order in (("latest", "leader DESC"), ("overlap", "overlap DESC, leader"), ("score", "score DESC, leader")):
@@ -190,7 +189,7 @@ on("q_refresh_centroid", "userday", lambda s, p: listed(P.leader_refreshed(s, p,
 
 
 def _levels(mode: str) -> Query:
-    return lambda s, d: P.hierarchy(sigs_of(s, d, "userday", 800), ["4/5", "3/5", "1/2", "2/5"], range(2, 11), mode)
+    return lambda s, d: P.hierarchy(sigs_of(s, d, "userday"), ["4/5", "3/5", "1/2", "2/5"], range(2, 11), mode)
 
 
 def _independent_sql() -> str:
@@ -201,7 +200,7 @@ def _independent_sql() -> str:
             text = __import__("re").sub(rf"\b{word}\b", f"{word}{level}", text)
         ctes.append(text)
         parts.append(f"SELECT {level} AS level, '{n}/{d_}' AS theta, ordinal, cluster_id FROM clusters{level}")
-    return O.query("userday", ctes, " UNION ALL ".join(parts), 800)
+    return O.query("userday", ctes, " UNION ALL ".join(parts))
 
 
 add("q_hierarchy_independent", _levels("independent"), _independent_sql())
@@ -220,14 +219,14 @@ def _resume(s: SparkSession, d: str) -> DataFrame:
 add("q_resume", _resume, O.query("userday", LEAD, CLUSTER_BODY))
 
 # ---- extensions ----
-WEIGHTS = "WITH w AS (SELECT l_orderkey AS ordinal, p_brand AS e, sum(l_quantity) AS w FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1, 2), ok AS (SELECT ordinal, sum(w) AS total FROM w GROUP BY 1 HAVING count(*) BETWEEN 2 AND 10), f AS (SELECT * FROM w JOIN ok USING (ordinal) WHERE ordinal <= 4000)"
-add("q_weighted_pairs", lambda s, d: P.weighted_pairs(S.weighted_orders(s, d).filter("ordinal <= 4000"), "3/5").withColumn("score", F.round("score", 6)), f"{WEIGHTS}, m AS (SELECT a.ordinal AS earlier, b.ordinal AS later, a.total AS ta, b.total AS tb, sum(least(a.w, b.w)) AS low FROM f a JOIN f b ON a.e = b.e AND a.ordinal < b.ordinal GROUP BY 1, 2, 3, 4) SELECT earlier, later, round(low / (ta + tb - low), 6) AS score FROM m WHERE low / (ta + tb - low) >= 0.6")
+WEIGHTS = "WITH w AS (SELECT l_orderkey AS ordinal, p_brand AS e, sum(l_quantity) AS w FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1, 2), ok AS (SELECT ordinal, sum(w) AS total FROM w GROUP BY 1 HAVING count(*) BETWEEN 2 AND 10), f AS (SELECT * FROM w JOIN ok USING (ordinal))"
+add("q_weighted_pairs", lambda s, d: P.weighted_pairs(S.weighted_orders(s, d), "3/5").withColumn("score", F.round("score", 6)), f"{WEIGHTS}, m AS (SELECT a.ordinal AS earlier, b.ordinal AS later, a.total AS ta, b.total AS tb, sum(least(a.w, b.w)) AS low FROM f a JOIN f b ON a.e = b.e AND a.ordinal < b.ordinal GROUP BY 1, 2, 3, 4) SELECT earlier, later, round(low / (ta + tb - low), 6) AS score FROM m WHERE low / (ta + tb - low) >= 0.6")
 on("q_fuzzy_membership", "userday", lambda s, p: P.fuzzy_membership(s, "1/2", "4/5", range(2, 11)).withColumn("degree", F.round("degree", 6)), [O.pairs(1, 2)], "SELECT earlier, later, round(least(1.0, greatest(0.0, (overlap::DOUBLE / (x + y - overlap) - 0.5) / (0.8 - 0.5))), 6) AS degree FROM pairs")
 on("q_sampled_pairs", "userday", lambda s, p: P.sampled_pairs(P.fuzzy_membership(s, "1/2", "4/5", range(2, 11))).select("earlier", "later"), [O.pairs(1, 2)], "SELECT earlier, later FROM pairs WHERE ((earlier * 7919 + later * 104729 + 1) % 1000) / 1000.0 < least(1.0, greatest(0.0, (overlap::DOUBLE / (x + y - overlap) - 0.5) / (0.8 - 0.5)))")
 on("q_probabilistic_pairs", "supplier", lambda s, p: P.probabilistic_pairs(s.select("ordinal", F.posexplode("sig").alias("i", "e")).select("ordinal", "e", (1 - 0.25 * F.col("i")).alias("p")), "2/5").withColumn("ratio", F.round("ratio", 6)), ["f AS (SELECT ordinal, unnest(sig) AS e, 1 - 0.25 * (unnest(range(1, size + 1)) - 1)::DOUBLE AS p FROM sig)", "t AS (SELECT ordinal, sum(p) AS m FROM f GROUP BY 1)", "b AS (SELECT x.ordinal AS earlier, y.ordinal AS later, sum(x.p * y.p) AS o FROM f x JOIN f y ON x.e = y.e AND x.ordinal < y.ordinal GROUP BY 1, 2)"], "SELECT earlier, later, round(o / (u.m + v.m - o), 6) AS ratio FROM b JOIN t u ON u.ordinal = earlier JOIN t v ON v.ordinal = later WHERE o / (u.m + v.m - o) >= 0.4")
 
 # ---- baselines ----
-on("q_bruteforce_pairs", "part", lambda s, p: shown(B.bruteforce_pairs(s, p.rule)), [O.pairs()], PAIR_BODY, prefix=1000)
+on("q_bruteforce_pairs", "part", lambda s, p: shown(B.bruteforce_pairs(s, p.rule)), [O.pairs()], PAIR_BODY)
 on("q_element_join_pairs", "userday", lambda s, p: shown(B.element_join_pairs(s, p.rule)), [O.pairs()], PAIR_BODY)
 on("q_prefix_pairs", "userday", lambda s, p: shown(B.prefix_pairs(s, p)), [O.pairs()], PAIR_BODY)
 on("q_join_salted", "userday", lambda s, p: shown(B.salted_pairs(s, p)), [O.pairs()], PAIR_BODY)

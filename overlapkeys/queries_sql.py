@@ -80,8 +80,8 @@ def register(add, sigs_of, plan_of) -> None:
     for name, (t, spark_sql, duck) in TABLE.items():
         add(name, lambda s, d, t=t, q=spark_sql: s.sql(q, t=load(s, d, t)), duck)
 
-    def on(name, w, f, ctes, body, prefix=None):
-        add(name, lambda s, d: f(sigs_of(s, d, w, prefix), plan_of(w)), None if body is None else O.query(w, ctes, body, prefix))
+    def on(name, w, f, ctes, body):
+        add(name, lambda s, d: f(sigs_of(s, d, w), plan_of(w)), None if body is None else O.query(w, ctes, body))
 
     lead = [O.pairs(), O.LEADER]
     on("q_filter_theta", "userday", lambda s, p: R.verify(R.simple_candidates(s, p).select("earlier", "later"), s, p.rule).select("earlier", "later"), [O.pairs()], "SELECT earlier, later FROM pairs")
@@ -101,7 +101,7 @@ def register(add, sigs_of, plan_of) -> None:
     on("q_join_lateral", "supplier", lambda s, p: s.sparkSession.sql("SELECT a.ordinal, t.e FROM {sig} a, LATERAL (SELECT explode(a.sig) AS e) t", sig=s), [], "SELECT ordinal, unnest(sig) AS e FROM sig")
     on("q_sort_assignments", "part", lambda s, p: L.leader(s, p).select("cluster_id", "ordinal").orderBy("cluster_id", "ordinal"), lead, "SELECT cluster_id, ordinal FROM clusters")
     on("q_agg_approx", "userday", lambda s, p: s.select(F.explode("sig").alias("e")).agg(F.approx_count_distinct("e").alias("n")), [], None)
-    on("q_sql_functions", "part", lambda s, p: sql_functions.similar_by_sql(s), [O.pairs()], "SELECT earlier, later, round(overlap::DOUBLE / (x + y - overlap), 6) AS score FROM pairs", 400)
+    on("q_sql_functions", "part", lambda s, p: sql_functions.similar_by_sql(s), [O.pairs()], "SELECT earlier, later, round(overlap::DOUBLE / (x + y - overlap), 6) AS score FROM pairs")
     on("q_udtf_keys", "supplier", lambda s, p: sql_functions.keys_by_udtf(s, p), [], None)
     on("q_udaf_cluster_signature", "part", lambda s, p: sql_functions.cluster_signatures(L.leader(s, p)), [*lead, "e AS (SELECT cluster_id, unnest(sig) AS e FROM clusters JOIN sig USING (ordinal))", "c AS (SELECT cluster_id, e, row_number() OVER (PARTITION BY cluster_id ORDER BY count(*) DESC, e) AS r FROM e GROUP BY 1, 2)"], "SELECT cluster_id, array_to_string(list_sort(list(e)), '-') AS sig FROM c WHERE r <= 5 GROUP BY 1")
     on("q_keys_arrow", "userday", lambda s, p: sql_functions.keys_by_arrow(s, p).groupBy("ordinal").agg(F.count("*").alias("keys")), [], None)

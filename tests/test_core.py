@@ -153,3 +153,12 @@ def test_streamed_pairs(spark, tmp_path):
     finally:
         spark.conf.set("spark.sql.streaming.stateStore.providerClass", before)
     assert {(r.earlier, r.later) for r in spark.table("met").distinct().collect()} == pairs(similar_pairs(s, p))
+
+
+@pytest.mark.parametrize("name, column, over", [("q_pairs_dice", "later", 1200), ("q_simple_candidates", "later", 800), ("q_bruteforce_pairs", "later", 1000), ("q_components", "ordinal", 1000)])
+def test_queries_read_whole_workloads(spark, name, column, over):
+    import __spark_entry__
+
+    got = __spark_entry__.queries()[name](spark, "/root/testdata/sf0.01")
+    assert got.agg({column: "max"}).first()[0] > over
+    assert not [n for n, sql in __spark_entry__.oracle_sql().items() if "sig0" in sql or "ordinal <= 4000" in sql]
