@@ -30,8 +30,8 @@ _LOCAL = re.compile(r"[A-Za-z0-9._%+-]+\Z")
 _SPLIT_IP = re.compile(r"\.")
 
 TOKEN = re.compile(r"[^\W\d_]+|[0-9]+|[^\S\n]+|\n|[^\w\s]|_|\w")
-TRIGGER = re.compile(r"[0-9@]")
-REACH = 60  # characters on either side of a digit or @ that a run of tokens takes in
+TRIGGER = re.compile(r"[0-9@]|(?<![^\W\d_])(?:at|dot)(?![^\W\d_])")  # every sound span holds one
+REACH = 60  # characters on either side of a trigger that a run of tokens takes in
 LABELS = ("o", *KINDS)
 
 
@@ -225,7 +225,7 @@ def trained_field() -> Field:
 
 
 def _windows(text: str) -> list[tuple[int, int]]:
-    """Stretches around digits and @; elsewhere no feature speaks for a kind."""
+    """Stretches around digits, @ and the words at and dot; _sound rejects every span without a digit, @ or at."""
     out: list[list[int]] = []
     for m in TRIGGER.finditer(text):
         lo, hi = max(0, m.start() - REACH), min(len(text), m.end() + REACH)

@@ -224,6 +224,13 @@ def test_personal_data(spark):
     assert np.mean(right) > 0.98
 
 
+def test_spelled_out_address_without_digits():
+    around = "plain words that hold no number stand on both sides of it and go on for quite a while so that no window is near, "
+    for address in ("someone [at] example [dot] com", "someone (at) example (dot) org"):
+        (base, added), (_, none) = pii_crf.find_spans([f"{around}{address} {around}", f"{around}we met at noon and {around}"], pii_crf.trained_field())
+        assert base == [] and added == [("email", len(around), len(around) + len(address))] and none == []
+
+
 def test_main_text(spark):
     trees = html_trees.trained_trees()
     right = wrong = missed = 0
