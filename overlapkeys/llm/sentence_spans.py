@@ -1,14 +1,17 @@
 """Operator 1: repeated runs of sentences.
 
-Texts are cut into sentences at marks and line ends; commas and colons count as marks, so a passage that
-was set into another sentence still has whole sentences. From each sentence on, the
-shortest run of at least SENTENCES sentences and WORDS words is hashed. A run whose hash occurs
+Texts are cut into sentences at marks (full-width ones, too) and line ends; commas and colons count as marks, so a
+passage that was set into another sentence still has whole sentences. Sentences of over LONG words are parted after
+words chosen by their hash, so a passage inside them is parted alike wherever it stands; the parts count as sentences.
+From each sentence on, the shortest run of at least SENTENCES sentences and WORDS words is hashed, a sentence
+of WORDS words also alone, and the shortest such run that ends with the text. A run whose hash occurs
 earlier, in the order of (doc_id, place), has its sentences removed.
 """
 
 from __future__ import annotations
 
 import re
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -19,30 +22,55 @@ from pyspark.sql import functions as F
 
 from .common import arrow_rows, documents, join_by_share, settle
 
-SENTENCE = re.compile(r"[^.!?;:,\n]*(?:[.!?;:,]+(?!\S)|[.!?;:,]+|\n|\Z)\s*")
+MARKS = ".!?;:,\u3002\uff01\uff1f\uff1b\uff1a\uff0c\u3001\uff0e\uff61\uff64"
+SENTENCE = re.compile(rf"[^{MARKS}\n]*(?:[{MARKS}]+|\n|\Z)\s*")
 SENTENCES, WORDS = 2, 12
+LONG, PART = 24, 8  # words of a sentence that stays whole, and of a part on average
+_BARE = "\u0e00-\u0eff\u1000-\u109f\u1780-\u17ff\u3040-\u30ff\u3400-\u4dbf\u4e00-\u9fff\uf900-\ufaff\U00020000-\U0003ffff"
+BARE = re.compile(f"[{_BARE}]")  # of scripts without white space between words: each character counts as a word
+WORD = re.compile(rf"\s*(?:[{_BARE}]|[^\s{_BARE}]+)\s*")
+
+
+def _words(sentence: str) -> int:
+    return len(sentence.split()) if sentence.isascii() or not BARE.search(sentence) else len(WORD.findall(sentence))
+
+
+def _parts(sentence: str) -> Iterator[str]:
+    """Ends after a word by its hash alone, else after LONG words."""
+    held: list[str] = []
+    for word in WORD.findall(sentence):
+        held.append(word)
+        if len(held) == LONG or zlib.crc32(word.strip().encode("utf-8", "surrogatepass")) % PART == 0:
+            yield "".join(held)
+            held = []
+    if held:
+        yield "".join(held)
 
 
 def cut(text: str) -> list[str]:
     """Sentences with the marks and white space that follow them; joined they are the text."""
-    return [s for s in SENTENCE.findall(text) if s]
+    out = []
+    for s in SENTENCE.findall(text):
+        if len(s) > LONG and _words(s) > LONG:
+            out += _parts(s)
+        elif s:
+            out.append(s)
+    return out
 
 
 def run_hashes(sentences: list[str]) -> list[tuple[int, int, int]]:
-    """(first sentence, number of sentences, hash) of the run from each sentence on."""
-    parts = [s.split() for s in sentences]
-    upto = np.cumsum([len(p) for p in parts])
-    before = upto - [len(p) for p in parts]
-    ends = np.maximum(np.searchsorted(upto, before + WORDS), np.arange(len(parts)) + SENTENCES - 1)
-    flat = [" ".join(p) for p in parts]
+    """(first sentence, number of sentences, hash) of the runs from each sentence on."""
+    flat = [" ".join(s.split()) for s in sentences]
+    count = np.array([_words(s) for s in sentences], np.int64)
+    upto = np.cumsum(count)
+    before = upto - count
+    ends = np.maximum(np.searchsorted(upto, before + WORDS), np.arange(len(flat)) + SENTENCES - 1)
+    runs = [(i, j) for i, j in enumerate(ends.tolist()) if j < len(flat)]
+    if runs and runs[-1][1] < len(flat) - 1:  # the last sentences are too short for a run of their own
+        runs.append((min(int(np.searchsorted(before, upto[-1] - WORDS, "right")) - 1, len(flat) - SENTENCES), len(flat) - 1))
+    runs += [(i, i) for i in np.flatnonzero(count >= WORDS).tolist()]
     digest = xxhash.xxh3_64_intdigest
-    out = []
-    for i, j in enumerate(ends.tolist()):
-        if j >= len(parts):
-            break
-        if flat[i]:
-            out.append((i, j - i + 1, digest(" ".join([f for f in flat[i : j + 1] if f]).encode()) - (1 << 63)))
-    return out
+    return [(i, j - i + 1, digest(" ".join([f for f in flat[i : j + 1] if f]).encode()) - (1 << 63)) for i, j in runs if flat[i]]
 
 
 def remove_repeats(docs: DataFrame) -> DataFrame:

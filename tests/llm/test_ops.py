@@ -185,6 +185,20 @@ def test_sentence_spans(spark):
     assert sentence_spans.remove_repeats(table(spark, [])).count() == 0
 
 
+def test_repeats_without_marks(spark):
+    bare = [" ".join(x.replace(",", "").replace(".", "") for x in t.split()) for t in prose(9, 31, 80)]
+    line = " ".join(bare[0].split()[:15])
+    han = ["".join(chr(0x4E00 + random.Random(k * 100 + j).randrange(3000)) for j in range(40)) for k in range(4)]
+    tail = "one two three four five six. one two three four five six seven. the end."
+    texts = [bare[1], bare[1], f"{bare[2]} {bare[3]} {bare[4]}", f"{bare[5]} {bare[3]} {bare[6]}", f"x\n{line}\ny", f"a\n{line}\nb", han[0], han[0]]
+    texts += [f"{han[1][:9]}。{han[2][:9]}。{han[3][:9]}！", f"{han[1][:9]}。{han[2][:9]}。{han[3][:9]}！", tail, tail]
+    got = rows(sentence_spans.remove_repeats(table(spark, texts)))
+    assert all(g["n_removed"] == 0 for g in got[::2])
+    assert [got[k]["kept"] for k in (1, 5, 7, 9, 11)] == ["", "a\nb", "", "", ""]
+    assert len(got[3]["kept"].split()) < 160 + 2 * sentence_spans.LONG
+    assert all("".join(sentence_spans.cut(t or "")) == (t or "") for t in [*texts, *ODD])
+
+
 def test_language_of_held_out(spark):
     path = public_tokenizers.path("piece_bpe_32k.model")
     docs = spark.read.parquet(f"{SF}/documents.parquet")
