@@ -19,7 +19,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(script|style|noscript|template|svg|textarea|title)\b[^>]*>.*?(?:</\1\s*>|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?/][^>]*>|<[a-zA-Z!?/][^>]*\Z", re.S | re.I)
+TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(script|style)\b[^>]*>.*?(?:</\1\s*>|\Z)|<(noscript|template|svg|textarea|title)(?=[\s/>])[^>]*(?<!/)>.*?</\2\s*>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?/][^>]*>|<[a-zA-Z!?/][^>]*\Z", re.S | re.I)
 SPACE = re.compile(r"\s+")
 ATTRIBUTE = re.compile(r"(?:class|id|role|aria-label)\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+)", re.I)
 PART = re.compile(r"[a-z]+")
@@ -73,10 +73,10 @@ def parse(page: str) -> tuple[Node, list[tuple[Node, str]]]:
         if m.start() > at:
             buffer.append((page[at : m.start()], in_link > 0))
         at = m.end()
-        name = m[3]
+        name = m[4]
         if name is None:
             continue
-        name, closing = name.lower(), m[2] == "/"
+        name, closing = name.lower(), m[3] == "/"
         if name == "a":
             in_link = max(0, in_link - 1) if closing else 1
             node.links += not closing
@@ -102,8 +102,8 @@ def parse(page: str) -> tuple[Node, list[tuple[Node, str]]]:
                     if stack[k].tag == name:
                         del stack[k:]
                         break
-            if len(stack) < 400 and name not in VOID and not m[4].endswith("/"):
-                new = Node(name, stack[-1], m[4])
+            if len(stack) < 400 and name not in VOID and not m[5].endswith("/"):
+                new = Node(name, stack[-1], m[5])
                 stack[-1].kids.append(new)
                 stack.append(new)
         node = stack[-1]

@@ -257,6 +257,13 @@ def test_main_text(spark):
     assert got[1] == got[2] == got[4] == ("", 0) and got[3] == ("A & b\nc d", 9)
 
 
+def test_unclosed_tags_keep_the_text_after_them():
+    text = lambda page: [b for _, b in html_trees.parse(page)[1]]
+    assert text('<article><svg class="i"/><p>text one</p><p>text two</p></article>') == ["text one", "text two"]
+    assert text("<article><svg><p>text one</p><template/><p>text two</p></article>") == ["text one", "text two"]
+    assert text("<svg><title>x</title></svg><p>one</p><textarea>y</textarea><script>z") == ["one"]
+
+
 def test_leaks(spark):
     items = prose(6, 21, 30)
     hidden = items[2].split()
