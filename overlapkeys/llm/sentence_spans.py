@@ -3,9 +3,9 @@
 Texts are cut into sentences at marks (full-width ones, too) and line ends; commas and colons count as marks, so a
 passage that was set into another sentence still has whole sentences. Sentences of over LONG words are parted after
 words chosen by their hash, so a passage inside them is parted alike wherever it stands; the parts count as sentences.
-From each sentence on, the shortest run of at least SENTENCES sentences and WORDS words is hashed, a sentence
-of WORDS words also alone, and the shortest such run that ends with the text. A run whose hash occurs
-earlier, in the order of (doc_id, place), has its sentences removed.
+From each sentence on, the shortest run of at least SENTENCES sentences and WORDS words is hashed, and the shortest
+such run that ends with the text; a text too short for one is a run by itself from LEAST_WORDS words on. A run whose
+hash occurs earlier, in the order of (doc_id, place), has its sentences removed.
 """
 
 from __future__ import annotations
@@ -24,7 +24,8 @@ from .common import arrow_rows, documents, join_by_share, settle
 
 MARKS = ".!?;:,\u3002\uff01\uff1f\uff1b\uff1a\uff0c\u3001\uff0e\uff61\uff64"
 SENTENCE = re.compile(rf"[^{MARKS}\n]*(?:[{MARKS}]+|\n|\Z)\s*")
-SENTENCES, WORDS = 2, 12
+SENTENCES, WORDS = 3, 25
+LEAST_WORDS = 12  # of a text that is a run by itself
 LONG, PART = 24, 8  # words of a sentence that stays whole, and of a part on average
 _BARE = "\u0e00-\u0eff\u1000-\u109f\u1780-\u17ff\u3040-\u30ff\u3400-\u4dbf\u4e00-\u9fff\uf900-\ufaff\U00020000-\U0003ffff"
 BARE = re.compile(f"[{_BARE}]")  # of scripts without white space between words: each character counts as a word
@@ -64,13 +65,15 @@ def run_hashes(sentences: list[str]) -> list[tuple[int, int, int]]:
     count = np.array([_words(s) for s in sentences], np.int64)
     upto = np.cumsum(count)
     before = upto - count
+    last = len(flat) - 1
     ends = np.maximum(np.searchsorted(upto, before + WORDS), np.arange(len(flat)) + SENTENCES - 1)
-    runs = [(i, j) for i, j in enumerate(ends.tolist()) if j < len(flat)]
-    if runs and runs[-1][1] < len(flat) - 1:  # the last sentences are too short for a run of their own
-        runs.append((min(int(np.searchsorted(before, upto[-1] - WORDS, "right")) - 1, len(flat) - SENTENCES), len(flat) - 1))
-    runs += [(i, i) for i in np.flatnonzero(count >= WORDS).tolist()]
+    runs = [(i, j) for i, j in enumerate(ends.tolist()) if j <= last]
+    if not runs and len(flat) and upto[-1] >= LEAST_WORDS:
+        runs.append((0, last))
+    elif runs and runs[-1][1] < last:  # the last sentences are too short for a run of their own
+        runs.append((min(int(np.searchsorted(before, upto[-1] - WORDS, "right")) - 1, last + 1 - SENTENCES), last))
     digest = xxhash.xxh3_64_intdigest
-    return [(i, j - i + 1, digest(" ".join([f for f in flat[i : j + 1] if f]).encode()) - (1 << 63)) for i, j in runs if flat[i]]
+    return [(i, j - i + 1, digest(" ".join([f for f in flat[i : j + 1] if f]).encode("utf-8", "surrogatepass")) - (1 << 63)) for i, j in runs if upto[j] > before[i]]
 
 
 def remove_repeats(docs: DataFrame) -> DataFrame:

@@ -187,7 +187,7 @@ def test_sentence_spans(spark):
 
 def test_repeats_without_marks(spark):
     bare = [" ".join(x.replace(",", "").replace(".", "") for x in t.split()) for t in prose(9, 31, 80)]
-    line = " ".join(bare[0].split()[:15])
+    line = " ".join(bare[0].split()[:60])
     han = ["".join(chr(0x4E00 + random.Random(k * 100 + j).randrange(3000)) for j in range(40)) for k in range(4)]
     tail = "one two three four five six. one two three four five six seven. the end."
     texts = [bare[1], bare[1], f"{bare[2]} {bare[3]} {bare[4]}", f"{bare[5]} {bare[3]} {bare[6]}", f"x\n{line}\ny", f"a\n{line}\nb", han[0], han[0]]
@@ -196,6 +196,8 @@ def test_repeats_without_marks(spark):
     assert all(g["n_removed"] == 0 for g in got[::2])
     assert [got[k]["kept"] for k in (1, 5, 7, 9, 11)] == ["", "a\nb", "", "", ""]
     assert len(got[3]["kept"].split()) < 160 + 2 * sentence_spans.LONG
+    short = " ".join(line.split()[:15])  # a lone short line is no run of several sentences
+    assert [r["n_removed"] for r in rows(sentence_spans.remove_repeats(table(spark, [f"x\n{short}\ny", f"a\n{short}\nb"])))] == [0, 0]
     assert all("".join(sentence_spans.cut(t or "")) == (t or "") for t in [*texts, *ODD])
 
 
