@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_rows, documents, join_by_share, settle
+from .common import arrow_rows, documents, in_told, join_by_share, settle
 
 MARKS = ".!?;:,\u3002\uff01\uff1f\uff1b\uff1a\uff0c\u3001\uff0e\uff61\uff64"
 SENTENCE = re.compile(rf"[^{MARKS}\n]*(?:[{MARKS}]+|\n|\Z)\s*")
@@ -76,6 +76,24 @@ def run_hashes(sentences: list[str]) -> list[tuple[int, int, int]]:
     return [(i, j - i + 1, digest(" ".join([f for f in flat[i : j + 1] if f]).encode("utf-8", "surrogatepass")) - (1 << 63)) for i, j in runs if upto[j] > before[i]]
 
 
+def _runs(numbered: DataFrame, places: bool) -> DataFrame:
+    """The hashes of all runs, with their places if asked for."""
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for f in frames:
+            ids, ths, texts = f["doc_id"].to_numpy(), f["th"].to_numpy(), f["text"].tolist()
+            for at in range(0, len(f), 500):
+                got = [run_hashes(cut(t)) for t in texts[at : at + 500]]
+                flat = np.array([x for g in got for x in g], np.int64).reshape(-1, 3)
+                out = {"h": flat[:, 2]}
+                if places:
+                    size = [len(g) for g in got]
+                    out |= {"doc_id": np.repeat(ids[at : at + 500], size), "th": np.repeat(ths[at : at + 500], size), "i": flat[:, 0].astype(np.int32), "n": flat[:, 1].astype(np.int32)}
+                yield pd.DataFrame(out)
+
+    return numbered.mapInPandas(run, "h long, doc_id long, th long, i int, n int" if places else "h long")
+
+
 def remove_repeats(docs: DataFrame) -> DataFrame:
     """doc_id, n_sentences, n_removed, kept (the text without repeated sentences); a row for each row.
 
@@ -85,23 +103,16 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     """
     slim = docs.select(F.col("doc_id").cast("long"), "text")
     key = F.xxhash64(F.coalesce("text", F.lit("")))
-
-    def hashed(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for f in frames:
-            ids, ths, texts = f["doc_id"].to_numpy(), f["th"].to_numpy(), f["text"].tolist()
-            for at in range(0, len(f), 500):
-                got = [run_hashes(cut(t)) for t in texts[at : at + 500]]
-                size = [len(g) for g in got]
-                flat = np.array([x for g in got for x in g], np.int64).reshape(-1, 3)
-                yield pd.DataFrame({"doc_id": np.repeat(ids[at : at + 500], size), "th": np.repeat(ths[at : at + 500], size), "i": flat[:, 0].astype(np.int32), "n": flat[:, 1].astype(np.int32), "h": flat[:, 2]})
-
     # a null doc_id comes after all others
     numbered = slim.select(F.coalesce("doc_id", F.lit((1 << 63) - 1)).alias("doc_id"), key.alias("th"), F.coalesce("text", F.lit("")).alias("text"))
-    runs = settle(numbered.mapInPandas(hashed, "doc_id long, th long, i int, n int, h long"), "runs")
+    # bare hashes first, which the map side counts; only runs whose hash repeats are kept with their places
+    repeated = settle(_runs(numbered, False).groupBy("h").agg(F.count("*").alias("n")).filter("n > 1"), "repeated")
+    total = repeated.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    runs = settle(in_told(_runs(numbered, True), repeated, "h", ["doc_id", "th", "i"], total), "runs")
     place = F.struct("doc_id", "th", "i")
     first = runs.groupBy("h").agg(F.min(place).alias("first"), F.max(place).alias("last"), F.count("*").alias("n")).filter("first <> last")
     first = settle(first.select("h", "first", "n"), "firsts")
-    hits = join_by_share(runs.withColumnRenamed("n", "size"), first, ["h"], runs.count())
+    hits = join_by_share(runs.withColumnRenamed("n", "size"), first, ["h"], total)
     repeats = hits.filter(place != F.col("first")).select("doc_id", "th", "i", F.col("size").alias("n"))
     marks = repeats.groupBy("doc_id", "th").agg(F.collect_set(F.struct("i", "n")).alias("marks"))
 
