@@ -2,7 +2,9 @@
 
 import collections
 import hashlib
+import itertools
 import random
+import re
 import zlib
 
 import numpy as np
@@ -234,10 +236,59 @@ def test_personal_data(spark):
     got = table(spark, texts).select("doc_id", pii_crf.personal_data(pii_crf.trained_field())("text").alias("r")).select("doc_id", "r.*").orderBy("doc_id").collect()
     assert got[0].redacted is None and got[n + 1].redacted == "[phone] now"
     assert got[n].base_sha256 == hashlib.sha256(pii_crf.joined(found[n][0]).encode()).hexdigest()
-    field, test = pii_crf.trained_field(), pii_crf.labelled_table(60, seed=99)
-    labels = field.decode([[pii_crf._shape(t) for t, _ in r] for r in test])
-    right = [pii_crf.LABELS[a] == y for r, own in zip(test, labels) for (_, y), a in zip(r, own)]
+    field = pii_crf.trained_field()
+    right = []
+    for shape, gold in zip(*pii_crf.labelled_tokens(pii_crf.labelled_table(60, seed=99))):
+        right += (field.decode(shape, np.arange(2, len(shape) - 2)) == gold).tolist()
     assert np.mean(right) > 0.98
+    assert table(spark, []).select(pii_crf.personal_data(field)("text").alias("r")).count() == 0
+
+
+def test_base_patterns_are_those_of_the_contract():
+    r = random.Random(8)
+    ip, card, phone = re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)"), re.compile(r"[0-9]([\x20-]?[0-9])+"), re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
+
+    def luhn(d):
+        return sum(int(c) if k % 2 == 0 else int(c) * 2 - 9 * (int(c) > 4) for k, c in enumerate(d[::-1])) % 10 == 0
+
+    bits = ["1", "22", "255", "256", "007", ".", ".", "-", " ", "+", "+1", "(", ")", "a", "4111111111111111", "@", "x.y", "é"]
+    texts = ["".join(r.choices(bits, k=r.randint(1, 25))) for _ in range(4000)] + ["1.2.3." + "0" * 5000, "1.2.3.4.5.6.7.8", "+1 (555) 123-4567" * 3]
+    for t in texts:
+        want = [("email", *m.span()) for m in pii_crf.EMAIL.finditer(t)]
+        want += [("ip", *m.span()) for m in ip.finditer(t) if all(len(p.lstrip("0")) < 4 and int(p.lstrip("0") or "0") <= 255 for p in m[0].split("."))]
+        want += [("card", *m.span()) for m in card.finditer(t) if 14 <= len(d := re.sub("[^0-9]", "", m[0])) <= 19 and luhn(d)]
+        want += [("phone", *m.span()) for m in phone.finditer(t) if 10 <= len(re.sub("[^0-9]", "", m[0])) <= 15]
+        assert sorted(pii_crf.base_spans(t)) == sorted(want)
+
+
+def test_field_is_decoded_as_whole_texts():
+    field, r = pii_crf.trained_field(), random.Random(4)
+    pieces = ["".join(t for t, _ in row) for row in pii_crf.labelled_table(150, seed=3)]
+    texts = [r.choice(pieces) + " " + p + " " + r.choice(pieces) for p in prose(150, 5, 40)] + ["", "at", "1", "word", "(" * 500, "12 " * 400]
+    shape = pii_crf.tokens(pii_crf._points(texts)[0])[1]
+    inside = np.flatnonzero((shape != pii_crf.NUMBER["^"]) & (shape != pii_crf.NUMBER["$"]))
+    at = field.open_tokens(shape)
+    some, whole = np.zeros(len(shape), np.int8), np.zeros(len(shape), np.int8)
+    some[at], whole[inside] = field.decode(shape, at), field.decode(shape, inside)
+    assert 0 < len(at) < len(inside) and (some == whole).all() and (whole > 0).sum() > 100
+
+
+def test_viterbi_finds_the_best_path():
+    field, r = pii_crf.trained_field(), np.random.default_rng(2)
+    for n in range(1, 7):
+        shape = np.r_[[pii_crf.NUMBER["^"]] * 2, r.integers(0, len(pii_crf.SHAPES) - 16, n), [pii_crf.NUMBER["$"]] * 2].astype(np.int16)
+        at = np.arange(2, n + 2)
+        score = field.scores(shape, at)
+        value = lambda y: sum(score[k, c] for k, c in enumerate(y)) + sum(field.move[a, b] for a, b in zip(y, y[1:]))  # noqa: B023, E731
+        best = max(itertools.product(range(pii_crf.K), repeat=n), key=value)
+        assert abs(value(best) - value(field.decode(shape, at).tolist())) < 1e-9
+
+
+def test_personal_data_in_long_texts():
+    field = pii_crf.trained_field()
+    for t, n in (("0123456789" * 100_000, 0), ("7 " * 50_000 + "x@y.zz", 1), ("4111 1111 1111 1111, " * 5_000, 5_000)):
+        (base, added), (other, _) = pii_crf.find_spans([t, "mail a@b.cc"], field)
+        assert len(base) + len(added) == n and len(other) == 1
 
 
 def test_spelled_out_address_without_digits():
