@@ -128,16 +128,21 @@ def word_starts(raw: np.ndarray) -> np.ndarray:
 
 
 class WordIds:
-    """Per worker: a pre-token's ids, from the tokenizers library; whole texts where the split isn't plain."""
+    """Per worker: a pre-token's ids, from the tokenizers library; whole texts where the split isn't plain.
 
-    _of_path: dict[str, WordIds] = {}
+    The string of one of the vocabulary's special tokens in a text is that token, as in a plain call of the
+    library, unless ``special_as_text`` asks for it as ordinary text.
+    """
+
+    _of_path: dict[tuple[str, bool], WordIds] = {}
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, special_as_text: bool = False):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer, pre_tokenizers
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
+        self.tokenizer.encode_special_tokens = special_as_text
+        self.special = [] if special_as_text else [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.of_words = Tokenizer.from_file(path)  # for words that are split already: parts at blanks only
         self.of_words.encode_special_tokens = True
         parts = [pre_tokenizers.Split(" ", "merged_with_next"), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)]
@@ -153,10 +158,14 @@ class WordIds:
         self.flat, self.start, self.length = np.zeros(1, np.uint64), np.zeros(1, np.int64), np.ones(1, np.int64)
 
     @classmethod
-    def at(cls, path: str) -> WordIds:
-        if path not in cls._of_path:
-            cls._of_path[path] = cls(path)
-        return cls._of_path[path]
+    def at(cls, path: str, special_as_text: bool = False) -> WordIds:
+        if (path, special_as_text) not in cls._of_path:
+            cls._of_path[path, special_as_text] = cls(path, special_as_text)
+        return cls._of_path[path, special_as_text]
+
+    def _whole(self, text: str) -> bool:
+        """Is the text for the library as it stands?"""
+        return not is_plain(text) or any(t in text for t in self.special)
 
     def _learn(self, words: list[str]) -> None:
         """Words that begin with a space and go on with letters stay apart when joined: one call for many of them."""
@@ -183,7 +192,7 @@ class WordIds:
         """
         if not texts:
             return np.zeros(0, np.uint64), []
-        odd = {k: np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, np.uint64) for k, t in enumerate(texts) if not is_plain(t)}
+        odd = {k: np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, np.uint64) for k, t in enumerate(texts) if self._whole(t)}
         raw = np.frombuffer("\0".join(["" if k in odd else t for k, t in enumerate(texts)] + [""]).encode(), np.uint8)
         starts = word_starts(raw)
         bounds = pa.py_buffer(np.append(starts, len(raw)).astype(np.int64))
@@ -216,7 +225,7 @@ BLOCK = "shard int, block int, doc_ids array<long>, n_tokens array<long>, every
 EVERY = 1024  # words between two kept offsets
 
 
-def write_token_file(docs: DataFrame, path: str, vocabulary: str, end_id: int = 0) -> None:
+def write_token_file(docs: DataFrame, path: str, vocabulary: str, end_id: int = 0, special_as_text: bool = False) -> None:
     """Encode ``docs`` and write the file: Parquet rows, each one block, in ascending doc_id order.
 
     Rows are dealt by ranges of doc_id and sorted inside a range; the shard number is the range's.
@@ -226,7 +235,7 @@ def write_token_file(docs: DataFrame, path: str, vocabulary: str, end_id: int =
     """
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        coder, shard, block = WordIds.at(vocabulary), TaskContext.get().partitionId(), 0
+        coder, shard, block = WordIds.at(vocabulary, special_as_text), TaskContext.get().partitionId(), 0
         doc_ids: list = []
         counts: list[int] = []
         parts: list[np.ndarray] = []

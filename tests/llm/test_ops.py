@@ -53,8 +53,7 @@ def test_simple8b_round_trip(spark, tmp_path):
 
     path = public_tokenizers.path("byte_bpe_50k.json")
     t = Tokenizer.from_file(path)
-    t.encode_special_tokens = True
-    texts = ODD + prose(20, 3)
+    texts = ODD + prose(20, 3) + ["hello <|endoftext|> world", "<|endoftext|>", "a<|endoftext|>b日<|endoftext"]
     simple8b.write_token_file(table(spark, texts), f"{tmp_path}/f", path)
     got, start = rows(simple8b.decode_documents(simple8b.read_token_file(spark, f"{tmp_path}/f"))), 0
     for g, text in zip(got, texts):
@@ -366,12 +365,15 @@ def test_bulk_encoding_is_the_librarys():
 
     path = public_tokenizers.path("byte_bpe_50k.json")
     library = Tokenizer.from_file(path)
-    library.encode_special_tokens = True
     texts = ["日本語 odd first", "a plain one's text", "", "×", "x\0y", "<|endoftext|>", "the last  one \n"]
     ids, counts = simple8b.WordIds.at(path).encode_all(texts, 7)
     want = [[*library.encode(t, add_special_tokens=False).ids, 7] for t in texts]
     assert counts == [len(w) for w in want] and ids.tolist() == [i for w in want for i in w]
     assert simple8b.WordIds.at(path).encode_all([], 7)[1] == []
+    assert library.encode("hello <|endoftext|> world", add_special_tokens=False).ids == simple8b.WordIds.at(path).encode_all(["hello <|endoftext|> world"], 7)[0].tolist()[:-1]
+    library.encode_special_tokens = True
+    want = library.encode("a <|endoftext|>", add_special_tokens=False).ids + [7]
+    assert simple8b.WordIds.at(path, True).encode_all(["a <|endoftext|>"], 7)[0].tolist() == want and len(want) > 4
 
 
 @pytest.mark.parametrize("share", [1, 10, 10_000])
