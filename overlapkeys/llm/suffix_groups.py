@@ -1,8 +1,9 @@
 """Operator 4: removal of bytes covered by repeated 400-byte strings, with suffix arrays by linear grouping.
 
-Candidates. Of every 400-byte string some 256-byte gram is the least by hash (its anchor), and equal
+Candidates. Of every 400-byte string some 192-byte gram is the least by hash (its anchor), and equal
 strings have the same one at the same place. Only anchors whose hash repeats matter. An anchor and what
-may lie around it inside such strings is its segment. Equal segments are counted, never paired.
+may lie around it inside such strings is its segment. Equal segments are counted, never paired. The least grams
+of 320-byte strings are looked up alike, but only counted: they tell of repeats too short to be removed.
 
 Decision. Different segments of one anchor go to suffix arrays: the bytes around the anchor are named by
 blocks of sixteen, aligned to it, and the arrays of the names bring together all segments that share
@@ -22,7 +23,8 @@ from pyspark.sql import functions as F
 
 from .common import arrow_rows, documents, in_told, join_by_share, settle
 
-LENGTH, GRAM = 400, 256
+LENGTH, GRAM = 400, 192
+SHORT = 320  # bytes of a string that has a counted gram
 SIDE = LENGTH - GRAM  # bytes that a string can have on either side of its anchor
 BLOCK = 16
 BLOCKS = SIDE // BLOCK
@@ -110,11 +112,15 @@ def suffix_array(text: list[int]) -> list[int]:
 
 # ---- anchors ----
 def _gram_hashes(b: np.ndarray) -> np.ndarray:
+    """A hash of the GRAM bytes from each place on, joined from those of 64 and 128 bytes."""
     h, base, span = b.astype(np.uint64) + np.uint64(1), np.uint64(0x9E3779B97F4A7C15), 1
     with np.errstate(over="ignore"):
-        while span < GRAM:
+        while span < 64:
             h = h[:-span] * base + h[span:]
             base, span = base * base, span * 2
+        half = h
+        h = h[:-span] * base + h[span:]
+        h = h[:-span] * base + half[2 * span :]
         h = (h ^ (h >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
     return h ^ (h >> np.uint64(32))
 
@@ -127,17 +133,23 @@ def _over_windows(x: np.ndarray, width: int, pick: np.ufunc) -> np.ndarray:
     return x
 
 
-def anchors(b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Positions and hashes of the grams that are least (ties included) in some 400-byte string of ``b``."""
-    if len(b) < LENGTH:
-        return np.zeros(0, np.int64), np.zeros(0, np.uint64)
-    h = _gram_hashes(b)
-    width = SIDE + 1
+def _least(h: np.ndarray, width: int) -> np.ndarray:
+    """Which of ``h`` are least (ties included) in some window of ``width``."""
+    if len(h) < width:
+        return np.zeros(len(h), bool)
     least = _over_windows(h, width, np.minimum)
     reach = np.zeros(len(h) + width - 1, np.uint64)
     reach[width - 1 : width - 1 + len(least)] = least
-    at = np.flatnonzero(_over_windows(reach, width, np.maximum)[: len(h)] == h)
-    return at, h[at]
+    return _over_windows(reach, width, np.maximum)[: len(h)] == h
+
+
+def anchors(b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Positions and hashes of the grams that are least in some SHORT-byte string; which are in one of LENGTH bytes, too."""
+    if len(b) < SHORT:
+        return np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, bool)
+    h = _gram_hashes(b)
+    at = np.flatnonzero(_least(h, SHORT - GRAM + 1))
+    return at, h[at], _least(h, SIDE + 1)[at]
 
 
 def segment(raw: bytes, at: int) -> tuple[bytes, int]:
@@ -209,6 +221,8 @@ def _numbered(docs: DataFrame) -> DataFrame:
 
 
 def _occurrences(docs: DataFrame, places: bool) -> DataFrame:
+    """The hashes of all anchors, with their places if asked for; ``at`` is ~place for grams that are only counted."""
+
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             ids, ths, texts = f["doc_id"].to_numpy(), f["th"].to_numpy(), f["text"].tolist()
@@ -216,10 +230,10 @@ def _occurrences(docs: DataFrame, places: bool) -> DataFrame:
                 got, digests = [], []
                 for text in texts[lo : lo + 500]:
                     raw = text.encode("utf-8", "surrogatepass")
-                    at, h = anchors(np.frombuffer(raw, np.uint8))
-                    got.append((at, h))
+                    at, h, long = anchors(np.frombuffer(raw, np.uint8))
+                    got.append((np.where(long, at, ~at), h))
                     if places:
-                        digests += [xxhash.xxh3_64_intdigest(raw[max(0, p - SIDE) : p + LENGTH], min(p, SIDE)) for p in at.tolist()]
+                        digests += [xxhash.xxh3_64_intdigest(raw[max(0, p - SIDE) : p + LENGTH], min(p, SIDE)) if far else 0 for p, far in zip(at.tolist(), long.tolist())]
                 size = [len(a) for a, _ in got]
                 out = {"h": np.concatenate([h for _, h in got]).view(np.int64)}
                 if places:
@@ -284,17 +298,22 @@ def _segments(docs: DataFrame, wanted: DataFrame) -> DataFrame:
 
 
 def remove_repeated_bytes(docs: DataFrame) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept (binary): one row for each row of ``docs``.
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, n_shared, kept (binary): one row for each row of ``docs``.
 
     A byte goes if a 400-byte string that covers it starts anywhere else too, judged on the input. A null
     text counts as empty, texts of under 400 bytes stay, repeated rows repeat each other's strings. An
     empty table gives an empty one. No pairs are made: equal segments are counted, different ones
     of an anchor meet in bounded groups, those of a hot anchor by what they share.
+
+    n_shared tells of shorter repeats, too: of the 192-byte strings that are least by hash in some 320 bytes of
+    the text, those that also start elsewhere. A text that shares 320 bytes or more has one at least.
     """
     slim = _numbered(docs)
     repeated = settle(_occurrences(slim, False).groupBy("h").agg(F.count("*").alias("n")).filter("n > 1"), "repeated")
     total = repeated.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-    places = settle(in_told(_occurrences(slim, True), repeated, "h", ["doc_id", "th", "at"], total), "anchors")
+    shared = settle(in_told(_occurrences(slim, True), repeated, "h", ["doc_id", "th", "at"], total), "anchors")
+    counts = shared.groupBy("doc_id", "th").agg(F.size(F.collect_set("at")).cast("long").alias("n_shared"))
+    places = shared.filter("at >= 0")
     kinds = places.groupBy("h", "sh").agg(F.count("*").alias("n"), F.min(F.struct("doc_id", "th", "at")).alias("first"))
     kinds = settle(kinds, "segments")
     per_anchor = kinds.groupBy("h").agg(F.count("*").alias("kinds"), F.min("n").alias("fewest")).filter("kinds > 1 and fewest = 1")
@@ -306,6 +325,7 @@ def remove_repeated_bytes(docs: DataFrame) -> DataFrame:
     decisions = whole.union(partial.join(single, ["h", "sh"], "left_semi").withColumn("n", F.lit(1).cast("long")))
     decisions = settle(decisions, "decisions")
     marks = join_by_share(places, decisions, ["h", "sh"], total).groupBy("doc_id", "th").agg(F.collect_list(F.struct("at", "least", "most")).alias("marks"))
+    marks = counts.join(marks, ["doc_id", "th"], "left")
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
@@ -326,10 +346,11 @@ def remove_repeated_bytes(docs: DataFrame) -> DataFrame:
                 rows.append((n, int(gone.sum()), spans, hashlib.sha256(kept).hexdigest(), kept))
             made = pd.DataFrame(rows, columns=["n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
             made.insert(0, "doc_id", f["doc_id"].to_numpy())
+            made["n_shared"] = f["n_shared"].to_numpy()
             yield made
 
-    joined = slim.join(marks, ["doc_id", "th"], "left").select("doc_id", "text", "marks")
-    result = joined.mapInPandas(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
+    joined = slim.join(marks, ["doc_id", "th"], "left").select("doc_id", "text", "marks", F.coalesce("n_shared", F.lit(0).cast("long")).alias("n_shared"))
+    result = joined.mapInPandas(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, n_shared long, kept binary")
     return result.withColumn("doc_id", F.when(F.col("doc_id") != -(1 << 63), F.col("doc_id")))
 
 

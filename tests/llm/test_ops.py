@@ -98,6 +98,11 @@ def test_repeated_bytes(spark, hot, monkeypatch):
         assert (g["n_bytes"], g["n_removed"], g["kept_sha256"]) == (len(b), sum(gone), hashlib.sha256(kept).hexdigest())
         assert g["n_spans"] == sum(1 for i in range(len(b)) if gone[i] and (i == 0 or not gone[i - 1]))
     assert sum(g["n_removed"] > 0 for g in got) > 10
+    short = collections.Counter(b[i : i + 320] for b in raws for i in range(len(b) - 319))
+    grams = collections.Counter(b[i : i + 192] for b in raws for i in range(len(b) - 191))
+    for g, b in zip(got, raws):
+        assert g["n_shared"] > 0 or not any(short[b[i : i + 320]] > 1 for i in range(len(b) - 319))
+        assert g["n_shared"] == 0 or any(grams[b[i : i + 192]] > 1 for i in range(len(b) - 191))
     assert suffix_groups.remove_repeated_bytes(table(spark, [])).count() == 0
 
 
