@@ -11,6 +11,7 @@ from __future__ import annotations
 import html as entities
 import random
 import re
+from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -56,6 +57,11 @@ def parse(page: str) -> tuple[Node, list[tuple[Node, str]]]:
     """
     root = Node("#", None, "")
     node, blocks, buffer, in_link, stack = root, [], [], 0, [root]
+    open_tags: Counter[str] = Counter()  # on the stack, so that a tag without a partner costs no search
+
+    def close_from(k: int) -> None:
+        open_tags.subtract(n.tag for n in stack[k:])
+        del stack[k:]
 
     def flush() -> None:
         if buffer:
@@ -88,24 +94,20 @@ def parse(page: str) -> tuple[Node, list[tuple[Node, str]]]:
             continue
         flush()
         if closing:
-            for k in range(len(stack) - 1, 0, -1):
-                if stack[k].tag == name:
-                    del stack[k:]
-                    break
+            if open_tags[name]:
+                close_from(next(k for k in range(len(stack) - 1, 0, -1) if stack[k].tag == name))
         else:
             if name in ENDS_P and stack[-1].tag == "p":
-                stack.pop()
-            if name in NESTED:
-                for k in range(len(stack) - 1, 0, -1):
-                    if stack[k].tag in NESTED[name]:
-                        break
-                    if stack[k].tag == name:
-                        del stack[k:]
-                        break
-            if len(stack) < 400 and name not in VOID and not m[5].endswith("/"):
+                close_from(len(stack) - 1)
+            if name in NESTED and open_tags[name]:
+                k = next(k for k in range(len(stack) - 1, 0, -1) if stack[k].tag == name or stack[k].tag in NESTED[name])
+                if stack[k].tag == name:
+                    close_from(k)
+            if name not in VOID and not m[5].endswith("/"):
                 new = Node(name, stack[-1], m[5])
                 stack[-1].kids.append(new)
                 stack.append(new)
+                open_tags[name] += 1
         node = stack[-1]
         in_link = 0
     if at < len(page):
@@ -323,7 +325,11 @@ def extract(pages: list[str], trees: BoostedTrees) -> list[str]:
 
 
 def main_text(pages: DataFrame) -> DataFrame:
-    """page_id, url, text, n_chars for each row; a null or empty page gives an empty text. No shuffle."""
+    """page_id, url, text, n_chars for each row; a null or empty page gives an empty text. No shuffle.
+
+    Rows are independent: repeated rows give repeated results, an empty table none, other columns may have
+    any names. Nesting has no bound; a page's tree is held in a worker's memory while it is decided.
+    """
     trees = trained_trees()
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:

@@ -314,6 +314,19 @@ def test_main_text(spark):
     assert got[1] == got[2] == got[4] == ("", 0) and got[3] == ("A & b\nc d", 9)
 
 
+def test_deep_pages_and_odd_tables(spark):
+    for deep in (399, 450, 20_000):
+        page = "<body>" + "<div>" * deep + "<article><h1>A title of the page</h1><p>Inner text, that goes on for a while, and ends.</p></article>" + "</div>" * deep + "<footer>x</footer></body>"
+        root, blocks = html_trees.parse(page)
+        depth = {text: node.depth for node, text in blocks}
+        assert [t for _, t in blocks] == ["A title of the page", "Inner text, that goes on for a while, and ends.", "x"]
+        assert depth["A title of the page"] == deep + 3 and depth["x"] == 2
+    assert len(html_trees.parse("<div>" * 50_000 + "</p></li>" * 50_000 + "z")[1]) == 1
+    pages = spark.createDataFrame([(1, "u", "<p>a b", "x", 1)] * 2, "page_id long, url string, html string, text string, n_chars int")
+    got = html_trees.main_text(pages).collect()
+    assert len(got) == 2 and got[0] == got[1] and html_trees.main_text(pages.limit(0)).count() == 0
+
+
 def test_unclosed_tags_keep_the_text_after_them():
     text = lambda page: [b for _, b in html_trees.parse(page)[1]]
     assert text('<article><svg class="i"/><p>text one</p><p>text two</p></article>') == ["text one", "text two"]
