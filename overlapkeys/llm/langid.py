@@ -8,8 +8,10 @@ words. The probabilities come from expectation-maximisation on words of labelled
 from __future__ import annotations
 
 import re
+import sys
 from collections import Counter
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pandas as pd
@@ -18,12 +20,22 @@ from pyspark.sql import functions as F
 
 from .common import documents
 
-WORD = re.compile(r"[^\W\d_]+")
-LONGEST = 10  # letters of a piece
-UNKNOWN = np.log(1e-6)  # of a letter that no piece has, alike for every language
-CHUNK = 24  # longer words are scored in parts of so many letters
+UNKNOWN = 1e-6  # probability of a letter that no piece has, alike for every language
 TRAIN_DOCS = 600  # labelled documents for each language, about; a bounded sample fits the classifier
 KEPT_WORDS = 400_000  # bound of a task's memory of words, unless the caller sets its own
+CELLS = 60_000  # letters of words that are scored at once
+RESCALE = 8  # letters after which the forward sums are scaled anew
+
+
+@lru_cache(1)
+def _word() -> re.Pattern:
+    """Runs of letters, Unicode's category L; Python's own class of word characters has other numerals, too."""
+    numerals = "".join(c for c in map(chr, range(128, sys.maxunicode + 1)) if c.isalnum() and not c.isalpha() and not c.isdecimal())
+    return re.compile(rf"[^\W\d_{numerals}]+")
+
+
+def words_of(text: str) -> list[str]:
+    return _word().findall(text.lower())
 
 
 def load_pieces(path: str) -> dict[str, int]:
@@ -32,52 +44,109 @@ def load_pieces(path: str) -> dict[str, int]:
 
     model = sentencepiece.SentencePieceProcessor(model_file=path)
     names = {model.id_to_piece(i).replace("▁", "_").lower() for i in range(model.get_piece_size())}
-    fit = sorted(p for p in names if len(p) <= LONGEST and (p == "_" or p.lstrip("_").isalpha()))
+    fit = sorted(p for p in names if p == "_" or p.lstrip("_").isalpha())
     return {p: k for k, p in enumerate(fit)}
 
 
-def _parts(word: str) -> list[str]:
-    word = "_" + word
-    return [word[i : i + CHUNK] for i in range(0, len(word), CHUNK)]
+class _Table:
+    """Numbers of pieces by a hash that grows letter by letter to the left; a hit is checked by the whole hash."""
 
+    BASE, BITS = 0x9E3779B97F4A7C15, 21
 
-def _lattice(words: list[str], pieces: dict[str, int], none: int) -> np.ndarray:
-    """(words, end, length) ids of the pieces that end there, for words of one length."""
-    n = len(words[0])
-    get = pieces.get
-    ids = [get(w[max(0, e - m) : e], none) if m <= e else none for w in words for e in range(1, n + 1) for m in range(1, LONGEST + 1)]
-    return np.array(ids, np.int32).reshape(len(words), n, LONGEST)
+    def __init__(self, pieces: dict[str, int]):
+        self.none, self.longest = len(pieces), max(map(len, pieces), default=1)
+        self.power = np.array([pow(self.BASE, k, 1 << 64) for k in range(self.longest)], np.uint64)
+        self.hash = np.zeros(len(pieces) + 1, np.uint64)
+        for p, k in pieces.items():
+            codes = np.array([[ord(c) for c in reversed(p)]], np.uint64) + np.uint64(1)
+            self.hash[k] = self._mixed((codes * self.power[: len(p)]).sum(1), len(p))[0]
+        slot = (self.hash[:-1] >> np.uint64(64 - self.BITS)).astype(np.int64)
+        self.slots = np.full(1 << self.BITS, self.none, np.int32)
+        self.slots[slot] = np.arange(len(pieces))
+        # pieces that lost their slot to another, a few, in a list sorted by hash
+        lost = np.flatnonzero(self.slots[slot] != np.arange(len(pieces)))
+        self.rest = lost[np.argsort(self.hash[lost])]
+
+    @staticmethod
+    def _mixed(h: np.ndarray, size: int) -> np.ndarray:
+        h = (h ^ np.uint64(size * 0x632BE59BD9B4E019 % (1 << 64))) * np.uint64(0xBF58476D1CE4E5B9)
+        h ^= h >> np.uint64(31)
+        return h * np.uint64(0x94D049BB133111EB)
+
+    def lattice(self, words: list[str]) -> list[np.ndarray]:
+        """For words of one length: a (words, starts) array of piece numbers for each size of piece, ``none`` where there is none."""
+        codes = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), "<u4").reshape(len(words), -1).astype(np.uint64) + np.uint64(1)
+        n, out = codes.shape[1], []
+        h = np.zeros((len(words), n + 1), np.uint64)
+        for m in range(1, min(self.longest, n) + 1):
+            h = h[:, 1:] + self.power[m - 1] * codes[:, : n - m + 1]
+            x = self._mixed(h, m)
+            ids = self.slots[(x >> np.uint64(64 - self.BITS)).astype(np.int64)]
+            miss = (ids != self.none) & (self.hash[ids] != x)
+            if miss.any():
+                ids[miss] = self.none
+            if len(self.rest):
+                at = np.minimum(np.searchsorted(self.hash[self.rest], x), len(self.rest) - 1)
+                ids = np.where(self.hash[self.rest[at]] == x, self.rest[at], ids)
+            out.append(ids)
+        return out
 
 
 class Unigrams:
     def __init__(self, langs: list[str], pieces: dict[str, int], logp: np.ndarray):
         """logp: (pieces + 1, languages); the last row, of no piece, is -inf."""
-        self.langs, self.pieces, self.logp = langs, pieces, logp
-
-    def _forward(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        w, n, _ = ids.shape
-        none = len(self.pieces)
-        p = np.exp(self.logp)[ids]  # (w, n, LONGEST, languages)
-        p[:, :, 0] = np.where((ids[:, :, 0] == none)[:, :, None], np.exp(UNKNOWN), p[:, :, 0])
-        alpha = np.zeros((w, n + 1, p.shape[3]))
-        alpha[:, 0] = 1
-        for e in range(1, n + 1):
-            for m in range(1, min(e, LONGEST) + 1):
-                alpha[:, e] += alpha[:, e - m] * p[:, e - 1, m - 1]
-        return alpha, p
+        self.langs, self.table = langs, _Table(pieces)
+        self.set_logp(logp)
+
+    def set_logp(self, logp: np.ndarray) -> None:
+        self.logp, self.p = logp, np.exp(logp)
+
+    def _sums(self, lattice: list[np.ndarray], n: int, forward: bool = True, keep: bool = False) -> np.ndarray:
+        """Log of the sum over all segmentations of the first letters (forward) or the last ones.
+
+        (words, languages) for whole words, or (letters + 1, words, languages) if all are to be kept. The sums are
+        scaled every RESCALE letters, so no length of word is out of range.
+        """
+        none, width = self.table.none, len(lattice)
+        words = lattice[0].shape[0]
+        sums = [np.ones((words, len(self.langs)))]  # of the last ``width`` places
+        scale = np.zeros((words, len(self.langs)))
+        kept = [scale.copy()] if keep else None
+        for j in range(1, n + 1):
+            total = np.zeros_like(scale)
+            for m in range(1, min(j, width) + 1):
+                ids = lattice[m - 1][:, j - m if forward else n - j]
+                if m == 1:
+                    total += sums[-1] * np.where((ids == none)[:, None], UNKNOWN, self.p[ids])
+                    continue
+                hit = np.flatnonzero(ids != none)
+                if len(hit):
+                    total[hit] += sums[-m][hit] * self.p[ids[hit]]
+            sums.append(total)
+            if len(sums) > width:
+                del sums[0]
+            if j % RESCALE == 0:
+                scale += np.log(total)
+                sums = [x / total for x in sums]
+            if keep:
+                kept.append(scale + np.log(sums[-1]))
+        return np.array(kept) if keep else scale + np.log(sums[-1])
+
+    @staticmethod
+    def _groups(words: list[str]) -> Iterator[list[int]]:
+        """Numbers of words of one length, as many as have about CELLS letters."""
+        of_length: dict[int, list[int]] = {}
+        for k, w in enumerate(words):
+            of_length.setdefault(len(w), []).append(k)
+        for n, own in of_length.items():
+            step = max(1, CELLS // (n + 1))
+            yield from (own[at : at + step] for at in range(0, len(own), step))
 
     def score_words(self, words: list[str]) -> np.ndarray:
-        """(words, languages) log-likelihood."""
+        """(words, languages) log-likelihood: the sum over all segmentations of "_" and the word."""
         out = np.zeros((len(words), len(self.langs)))
-        of_length: dict[int, list[tuple[int, str]]] = {}
-        for k, w in enumerate(words):
-            for part in _parts(w):
-                of_length.setdefault(len(part), []).append((k, part))
-        for group in of_length.values():
-            for at in range(0, len(group), 2000):
-                run = group[at : at + 2000]
-                alpha, _ = self._forward(_lattice([g[1] for g in run], self.pieces, len(self.pieces)))
-                np.add.at(out, [g[0] for g in run], np.log(np.maximum(alpha[:, -1], 1e-300)))
+        for own in self._groups(words):
+            out[own] = self._sums(self.table.lattice(["_" + words[k] for k in own]), len(words[own[0]]) + 1)
         return out
 
     @classmethod
@@ -91,29 +160,24 @@ class Unigrams:
             return model
         vocabulary = sorted(set().union(*counts.values()))
         weight = np.array([[counts[g][w] for g in langs] for w in vocabulary], float).reshape(-1, len(langs))
-        of_length: dict[int, list[tuple[int, str]]] = {}
-        for k, w in enumerate(vocabulary):
-            for part in _parts(w):
-                of_length.setdefault(len(part), []).append((k, part))
         for _ in range(rounds):
             seen = np.full((none + 1, len(langs)), 0.05)
-            for n, group in of_length.items():
-                for at in range(0, len(group), 2000):
-                    run = group[at : at + 2000]
-                    ids = _lattice([g[1] for g in run], pieces, none)
-                    alpha, p = model._forward(ids)
-                    beta = np.zeros_like(alpha)
-                    beta[:, n] = 1
-                    for s in range(n - 1, -1, -1):
-                        for m in range(1, min(LONGEST, n - s) + 1):
-                            beta[:, s] += beta[:, s + m] * p[:, s + m - 1, m - 1]
-                    scale = weight[[g[0] for g in run]] / np.maximum(alpha[:, n], 1e-300)
-                    for e in range(1, n + 1):
-                        for m in range(1, min(e, LONGEST) + 1):
-                            np.add.at(seen, ids[:, e - 1, m - 1], alpha[:, e - m] * p[:, e - 1, m - 1] * beta[:, e] * scale)
+            for own in model._groups(vocabulary):
+                n = len(vocabulary[own[0]]) + 1
+                lattice = model.table.lattice(["_" + vocabulary[k] for k in own])
+                before, after = model._sums(lattice, n, True, True), model._sums(lattice, n, False, True)
+                for m, ids in enumerate(lattice, 1):
+                    row, start = np.nonzero(ids != none)
+                    if not len(row):
+                        continue
+                    found = ids[row, start]
+                    share = np.exp(before[start, row] + model.logp[found] + after[n - start - m, row] - before[n, row])
+                    share *= weight[own][row]
+                    for k in range(len(langs)):
+                        seen[:, k] += np.bincount(found, share[:, k], none + 1)
             seen[none] = 0
             with np.errstate(divide="ignore"):
-                model.logp = np.log(seen / seen.sum(0))
+                model.set_logp(np.log(seen / seen.sum(0)))
         return model
 
 
@@ -134,7 +198,7 @@ def train(docs: DataFrame, vocabulary: str, per_language: int = TRAIN_DOCS) -> U
         for f in frames:
             got: Counter = Counter()
             for lang, text in zip(f["lang"], f["text"]):
-                got.update((lang, w) for w in WORD.findall(text.lower()))
+                got.update((lang, w) for w in words_of(text))
             yield pd.DataFrame([(g, w, n) for (g, w), n in got.items()], columns=["lang", "word", "n"])
 
     counted = labelled.filter(coin < share).select("lang", "text").mapInPandas(words, "lang string, word string, n long")
@@ -150,7 +214,8 @@ def language_of(model: Unigrams, kept_words: int = KEPT_WORDS):
 
     ``und`` and 0 if the text is null or has no letter, or nothing was learnt. score is the posterior of
     the chosen language, tempered by the square root of the number of words. Ties go to the language
-    that comes first by name. It reads the text alone, so other columns may have any names.
+    that comes first by name. It reads the text alone, so other columns may have any names; repeated rows get
+    repeated results, an empty table none, and a word's length has no bound.
     """
     langs = model.langs
 
@@ -161,7 +226,7 @@ def language_of(model: Unigrams, kept_words: int = KEPT_WORDS):
         for column in columns:
             best, sure, texts = [], [], column.tolist()
             for at in range(0, len(texts), 500):  # a part of the batch at a time, for memory
-                split = [WORD.findall(t.lower()) if isinstance(t, str) else [] for t in texts[at : at + 500]]
+                split = [words_of(t) if isinstance(t, str) else [] for t in texts[at : at + 500]]
                 if len(number) > kept_words:
                     number, scores = {}, np.zeros((0, len(langs)))
                 fresh = list(set().union(*split).difference(number))

@@ -227,6 +227,37 @@ def test_segmentations_sum():
     assert abs(np.exp(model.score_words(["ab"])[0, 0]) - want) < 1e-12
 
 
+def test_segmentations_of_long_words_are_summed_whole():
+    r = random.Random(6)
+    letters = "abcé日"
+    pieces = {p: k for k, p in enumerate(sorted({"_", "a", "b", "é", *("".join(r.choices(letters, k=r.randint(2, 16))) for _ in range(300)), *("_" + x for x in letters)}))}
+    p = np.random.default_rng(1).random((len(pieces) + 1, 2)) / 50
+    p[-1] = 0
+    with np.errstate(divide="ignore"):
+        model = langid.Unigrams(["x", "y"], pieces, np.log(p))
+    inner = [p.lstrip("_") for p in pieces]
+    words = ["".join(r.choices(inner, k=r.randint(1, 9)))[: r.randint(1, 60)] or "a" for _ in range(300)] + ["日" * 40, "c" * 25]
+    for got, w in zip(model.score_words(words), words):
+        for lang in range(2):
+            line, sums = "_" + w, [1.0]
+            for e in range(1, len(line) + 1):
+                own = [sums[s] * (p[pieces[line[s:e]], lang] if line[s:e] in pieces else langid.UNKNOWN if e - s == 1 else 0.0) for s in range(max(0, e - 16), e)]
+                sums.append(sum(own))
+            assert abs(got[lang] - np.log(sums[-1])) < 1e-9 * abs(got[lang]) + 1e-9
+    long = model.score_words(["ab" * 20_000, "a"])
+    assert np.isfinite(long).all() and (long[0] < -10_000).all()
+
+
+def test_letters_are_those_of_unicode(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    of = langid.language_of(langid.train(docs, public_tokenizers.path("piece_bpe_32k.model")))
+    texts = ["² ½ ① Ⅳ", "1234 _ ²", "x²", "一", "the house of the man" * 20_000]
+    got = {r.doc_id: r.r for r in table(spark, texts).select("doc_id", of("text").alias("r")).collect()}
+    assert [got[k].lang_pred == "und" for k in range(5)] == [True, True, False, False, False]
+    assert langid.words_of("a²b ½ Éa_c日本") == ["a", "b", "éa", "c日本"]
+    assert table(spark, []).select(of("text")).count() == 0
+
+
 def test_personal_data(spark):
     texts = [*ODD, "mail a.b@c.de, ip 10.0.0.255 not 10.0.0.256", "+1 (555) 123-4567 now", "4111 1111 1111 1111 ok", "call +1 (269) 555-3296 45241322646528", "a@b@c.d x@@y.z"]
     for t in texts:
