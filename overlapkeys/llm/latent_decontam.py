@@ -2,9 +2,9 @@
 
 Documents are cut into overlapping passages of words. Passages are weighted by TF-IDF over the terms of
 the benchmark, whose document frequencies are counted over the whole corpus, and projected to the
-leading right singular vectors of the passage matrix, found by a randomised range finder whose
-products run distributed. Passages whose cosine with a benchmark item is high are candidates; the
-longest common subsequence with the item, and its rarest terms (its answer), decide.
+leading right singular vectors of the matrix of all passages, found by a randomised range finder whose
+products run distributed. Items are cut alike. Passages whose cosine with a part of a benchmark item is high
+are candidates; the longest common subsequence with the item, and its rarest terms (its answer), decide.
 """
 
 from __future__ import annotations
@@ -15,16 +15,19 @@ from itertools import repeat
 
 import numpy as np
 import pandas as pd
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import documents, settle
 
 WINDOW, STRIDE = 40, 20  # words of a passage, words between two starts
-ITEMS_AT_ONCE = 5_000  # items searched in one pass over the corpus; more go in blocks
+ITEMS_AT_ONCE = 1_000  # items searched in one pass over the corpus; more go in blocks
 COMMON = 0.05  # terms in a larger share of passages have no weight
-FIT_DOCS = 3_000  # documents, about, whose passages fit the projection: a bounded sample by hash of doc_id
+KEPT = 0.5  # share of its length, squared, that a part of an item keeps in the projection at least
+FAN = 64  # dense partial products that one task adds
 RANK, OVER, POWER = 128, 16, 2  # singular vectors, extra columns, power steps of the range finder
+RARE = 1e-4  # terms in no larger share of passages are equally rare
 LEAST_HITS = 3  # weighted terms that a candidate passage has at least
 COSINE, LCS, ANSWER = 0.35, 0.6, 0.5
 ANSWER_TERMS = 6
@@ -66,10 +69,11 @@ class Block:
             k = self.numbers(w)
             if len(k) and np.count_nonzero(self.idf[np.unique(k)]) < LEAST_HITS:
                 self.idf[k] = idf[k]
-        self.answers = []
+        # rare terms count alike: one that a leak has replaced must not be taken because it is rarer for that
+        rarity, self.answers = np.maximum(df, max(5, RARE * passages)), []
         for w in self.words:
             k = np.unique(self.numbers(w)) if w else np.zeros(0, np.int64)
-            self.answers.append(set(k[np.argsort(-idf[k], kind="stable")][:ANSWER_TERMS].tolist()))
+            self.answers.append(set(k[np.argsort(rarity[k], kind="stable")][:ANSWER_TERMS].tolist()))
 
         # which items each term answers for, as runs of one list
         told = sorted((t, k) for k, a in enumerate(self.answers) for t in a)
@@ -105,13 +109,33 @@ class Block:
         latent = np.add.reduceat(self.axes[term] * weight[:, None].astype(np.float32), starts)
         return where[starts], latent / np.maximum(np.linalg.norm(latent, axis=1, keepdims=True), 1e-9)
 
+    def item_parts(self) -> list[tuple[int, int, np.ndarray, np.ndarray]]:
+        """(item, first word, terms, weights) of the passages of each item, cut as documents are."""
+        out = []
+        for k, w in enumerate(self.words):
+            where, term, count, _ = _passages(self.numbers(w))
+            for part in np.split(np.arange(len(where)), np.flatnonzero(np.diff(where)) + 1):
+                if len(part):
+                    out.append((k, int(where[part[0]]) * STRIDE, term[part], (1 + np.log(count[part])) * self.idf[term[part]]))
+        return out
+
+    def hold_items(self) -> None:
+        """Add axes for the parts of items that the leading ones hold badly, so that none is lost in the projection."""
+        parts = self.item_parts()
+        rows = np.zeros((len(parts), len(self.number)), np.float32)
+        for row, (_, _, term, weight) in zip(rows, parts):
+            row[term] = weight / max(np.linalg.norm(weight), 1e-9)
+        kept = rows @ self.axes
+        poor = np.flatnonzero((kept**2).sum(1) < KEPT)
+        if len(poor):
+            _, size, more = np.linalg.svd(rows[poor] - kept[poor] @ self.axes.T, full_matrices=False)
+            self.axes = np.ascontiguousarray(np.concatenate([self.axes, more[size > 1e-3].T], axis=1))
+
     def fold_items(self) -> None:
-        latent = []
-        for w in self.words:
-            term, count = np.unique(self.numbers(w), return_counts=True)
-            v = ((1 + np.log(count)) * self.idf[term]) @ self.axes[term] if len(term) else np.zeros(self.axes.shape[1])
-            latent.append(v / max(np.linalg.norm(v), 1e-9))
-        self.latent = np.array(latent, np.float32)
+        parts = self.item_parts()
+        self.part_item, self.part_start = np.array([p[0] for p in parts], np.int64), np.array([p[1] for p in parts], np.int64)
+        latent = np.array([weight @ self.axes[term] for _, _, term, weight in parts], np.float32).reshape(len(parts), self.axes.shape[1])
+        self.latent = latent / np.maximum(np.linalg.norm(latent, axis=1, keepdims=True), 1e-9)
 
 
 def count_terms(docs: DataFrame, block: Block) -> tuple[np.ndarray, int]:
@@ -134,59 +158,71 @@ def count_terms(docs: DataFrame, block: Block) -> tuple[np.ndarray, int]:
     return df, int(got.loc[got["term"] < 0, "df"].sum())
 
 
-def fit_axes(docs: DataFrame, n_docs: int, block: Block) -> np.ndarray:
-    """Right singular vectors of the passage matrix of a bounded sample, with the items' own rows.
+def _product(term: list, weight: list, q: np.ndarray) -> np.ndarray:
+    """Rows times ``q``, and back: the rows' part of the Gram matrix times ``q``."""
+    out = np.zeros_like(q)
+    for at in range(0, len(term), 2000):
+        t, w = term[at : at + 2000], weight[at : at + 2000]
+        size = np.array([len(x) for x in t])
+        if not size.sum():
+            continue
+        flat, value = np.concatenate(t), np.concatenate(w)[:, None].astype(q.dtype)
+        starts = (np.cumsum(size) - size)[size > 0]
+        y = np.repeat(np.add.reduceat(q[flat] * value, starts), size[size > 0], axis=0) * value
+        order = np.argsort(flat, kind="stable")  # rows of one term together
+        first = np.flatnonzero(np.r_[True, np.diff(flat[order]) > 0])
+        out[flat[order][first]] += np.add.reduceat(y[order], first)
+    return out
+
 
-    Each power step is one job: a task multiplies its rows by the wide matrix and back, and the driver
-    adds a bounded number of dense partial products.
+def fit_axes(docs: DataFrame, block: Block) -> np.ndarray:
+    """Right singular vectors of the matrix of all passages with enough weighted terms, and of the items' own.
+
+    The rows are written once. Each power step is one job: a task multiplies its rows by the wide matrix and
+    back, tasks add FAN dense partial products each, and the driver adds their few sums one after the other.
     """
-    coin = F.pmod(F.xxhash64(F.lit("axes"), "doc_id"), F.lit(1 << 30)) / float(1 << 30)
+    spark = docs.sparkSession
 
     def rows(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             out = []
             for text in f["text"].tolist():
                 where, term, weight = block.rows(block.numbers(words_of(text)))
-                for part in np.split(np.arange(len(where)), np.flatnonzero(np.diff(where)) + 1):
-                    if len(part):
-                        out.append((term[part], weight[part]))
+                term, weight = term.astype(np.int32), weight.astype(np.float32)
+                cuts = [0, *(np.flatnonzero(np.diff(where)) + 1).tolist(), len(where)]
+                out += [(term[i:j], weight[i:j]) for i, j in zip(cuts, cuts[1:]) if i < j]
             yield pd.DataFrame(out, columns=["term", "weight"])
 
-    sample = docs.filter(coin < min(1.0, FIT_DOCS / max(1, n_docs))).select("text")
-    sample = settle(sample.mapInPandas(rows, "term array<long>, weight array<double>").repartition(6), "passages")
+    matrix = settle(docs.select("text").mapInPandas(rows, "term array<int>, weight array<float>"), "passages")
+    matrix = matrix.coalesce(max(1, spark.sparkContext.defaultParallelism))  # as many dense partial products
     terms, wide = len(block.number), min(RANK + OVER, len(block.number))
-    own = [np.unique(block.numbers(w), return_counts=True) for w in block.words]
-
-    def product(term: list, weight: list, q: np.ndarray) -> np.ndarray:
-        out = np.zeros_like(q)
-        for at in range(0, len(term), 2000):
-            t, w = term[at : at + 2000], weight[at : at + 2000]
-            size = np.array([len(x) for x in t])
-            if not size.sum():
-                continue
-            flat, value = np.concatenate(t), np.concatenate(w)[:, None]
-            starts = (np.cumsum(size) - size)[size > 0]
-            y = np.add.reduceat(q[flat] * value, starts)
-            np.add.at(out, flat, np.repeat(y, size[size > 0], axis=0) * value)
-        return out
-
-    q = np.linalg.qr(np.random.default_rng(0).standard_normal((terms, wide)))[0]
+    own = block.item_parts()
+    shape = (terms, wide)
+    q = np.linalg.qr(np.random.default_rng(0).standard_normal(shape))[0]
     for _ in range(POWER + 1):
+        sent = q.astype(np.float32)
 
-        def run(frames: Iterator[pd.DataFrame], q: np.ndarray = q) -> Iterator[pd.DataFrame]:
+        def multiply(frames: Iterator[pd.DataFrame], q: np.ndarray = sent) -> Iterator[pd.DataFrame]:
             out = np.zeros_like(q)
             for f in frames:
-                out += product(f["term"].tolist(), f["weight"].tolist(), q)
-            yield pd.DataFrame({"part": [out.tobytes()]})
-
-        z = product([t for t, _ in own], [(1 + np.log(c)) * block.idf[t] for t, c in own], q)
-        for r in sample.mapInPandas(run, "part binary").toLocalIterator():
-            z = z + np.frombuffer(r["part"]).reshape(q.shape)
+                out += _product(f["term"].tolist(), f["weight"].tolist(), q)
+            yield pd.DataFrame({"slot": [TaskContext.get().partitionId() // FAN], "part": [out.tobytes()]})
+
+        def add(f: pd.DataFrame) -> pd.DataFrame:
+            total = np.zeros(shape, np.float32)
+            for part in f["part"]:
+                total += np.frombuffer(part, np.float32).reshape(shape)
+            return pd.DataFrame({"part": [total.tobytes()]})
+
+        z = _product([p[2] for p in own], [p[3] for p in own], q)
+        sums = matrix.mapInPandas(multiply, "slot int, part binary").groupBy("slot").applyInPandas(add, "part binary")
+        for r in sums.toLocalIterator():
+            z = z + np.frombuffer(r["part"], np.float32).reshape(shape)
         small = q.T @ z  # the Gram matrix in the found range
-        q, _ = np.linalg.qr(z)
+        last, q = q, np.linalg.qr(z)[0]
     values, vectors = np.linalg.eigh((small + small.T) / 2)
     del values
-    return np.ascontiguousarray((q @ vectors[:, ::-1][:, :RANK]).astype(np.float32))
+    return np.ascontiguousarray((last @ vectors[:, ::-1][:, :RANK]).astype(np.float32))
 
 
 def lcs_length(item: list[bytes], words: list[bytes]) -> int:
@@ -216,14 +252,16 @@ def search(docs: DataFrame, block: Block) -> DataFrame:
                 if not len(items):
                     continue
                 where, latent = block.project(*block.rows(numbers))
-                cosine = latent @ block.latent[items].T
+                parts = np.flatnonzero(np.isin(block.part_item, items))
+                cosine = latent @ block.latent[parts].T
                 best: dict[int, tuple[float, float, float]] = {}
                 for row, col in zip(*np.nonzero(cosine >= COSINE)):
-                    item = int(items[col])
+                    item = int(block.part_item[parts[col]])
                     wanted = block.words[item]
                     reach = len(wanted) // 2 + 2
+                    begin = int(block.part_start[parts[col]])  # of the part in the item
                     start = int(where[row]) * STRIDE
-                    near = slice(max(0, start - reach), start + WINDOW + reach)
+                    near = slice(max(0, start - begin - reach), start + max(WINDOW, len(wanted) - begin) + reach)
                     answer = block.answers[item]
                     there = len(answer.intersection(numbers[near].tolist())) / max(1, len(answer))
                     if there < ANSWER:
@@ -248,7 +286,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     spark = docs.sparkSession
     n_items = benchmark.count()
     blocks = max(1, -(-n_items // ITEMS_AT_ONCE))
-    found, n_docs = None, docs.count()
+    found = None
     for b in range(blocks):
         own = benchmark.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == b)
         items = [(r["item_id"], r["text"]) for r in own.select("item_id", "text").collect()]  # one block
@@ -256,7 +294,8 @@ def leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
         if not block.ids:
             continue
         block.weigh(*count_terms(docs, block))
-        block.axes = fit_axes(docs, n_docs, block)
+        block.axes = fit_axes(docs, block)
+        block.hold_items()
         block.fold_items()
         got = search(docs, block)
         found = got if found is None else found.union(got)

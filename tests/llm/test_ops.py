@@ -379,6 +379,59 @@ def test_leaks(spark):
     assert latent_decontam.lcs_length([b"a", b"b", b"c", b"a"], [b"b", b"x", b"a", b"a"]) == 2
 
 
+def test_axes_are_those_of_all_passages(spark):
+    r = random.Random(41)
+    made = [f"w{k}" for k in range(600)]
+    texts, items = ([" ".join(r.choices(made, k=n)) for _ in range(m)] for n, m in ((300, 150), (70, 25)))
+    block = latent_decontam.Block(list(enumerate(items)))
+    df, n = latent_decontam.count_terms(table(spark, texts), block)
+    block.weigh(df, n)
+    got = latent_decontam.fit_axes(table(spark, texts), block)
+    matrix = []
+    for t in texts:
+        where, term, weight = block.rows(block.numbers(latent_decontam.words_of(t)))
+        for p in np.unique(where):
+            matrix.append(np.bincount(term[where == p], weight[where == p], len(block.number)))
+    assert len(matrix) > 1000
+    matrix += [np.bincount(term, weight, len(block.number)) for _, _, term, weight in block.item_parts()]
+    matrix = np.array(matrix)
+    exact = np.linalg.svd(matrix, full_matrices=False)[2][: got.shape[1]].T
+    assert len(block.number) > latent_decontam.RANK and np.abs(got.T @ got - np.eye(got.shape[1])).max() < 1e-4
+    assert ((matrix @ got) ** 2).sum() > 0.98 * ((matrix @ exact) ** 2).sum()
+
+
+def test_leaks_against_all_pairs(spark):
+    r = random.Random(12)
+    items = [t for n in (12, 30, 45, 59, 130, 400) for t in prose(4, 50 + n, n)]
+    texts = prose(40, 60, 250)
+    for k, item in enumerate(items):
+        words = item.split()
+        for _ in range(len(words) // 8):
+            words[r.randrange(len(words))] = "other"
+        host = texts[k].split()
+        at = r.randrange(len(host))
+        texts[k] = " ".join([*host[:at], *words, *host[at:]])
+    texts += [*ODD, "x " * 30_000 + items[0] + " y" * 30_000]
+
+    def lcs(a, b):
+        line = [0] * (len(b) + 1)
+        for x in a:
+            last = 0
+            for j, y in enumerate(b):
+                last, line[j + 1] = line[j + 1], last + 1 if x == y else max(line[j + 1], line[j])
+        return line[-1]
+
+    w = [latent_decontam.words_of(t) for t in texts]
+    assert all(latent_decontam.lcs_length(a[:40], b[:70]) == lcs(a[:40], b[:70]) for a, b in zip(w[:20], w[20:40]))
+    bench = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    got = {(x.doc_id, x.item_id) for x in latent_decontam.leaks(table(spark, texts), bench).collect()}
+    want = {(k, k) for k in range(len(items))} | {(len(texts) - 1, 0)}
+    assert want <= got
+    for d, i in got - want:  # other finds hold the item by the measure, too
+        item = latent_decontam.words_of(items[i])
+        assert max(latent_decontam.lcs_length(item, w[d][s : s + 4 * len(item) + 80]) for s in range(0, max(1, len(w[d])), 20)) >= latent_decontam.LCS * len(item)
+
+
 def test_pipeline(spark):
     import corpus_pipeline as p
 
