@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import atexit
 import gc
 import os
+import re
 import tempfile
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -12,29 +15,60 @@ from pyspark.sql import DataFrame, SparkSession
 ROOT = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
 
 
+SWEEP_S = 3.0  # seconds between two collections of garbage at least
+_swept = 0.0
+_settled: dict[str, SparkSession] = {}
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir``.
 
-    Only where that is unset (tests, local mode) a temporary folder of this machine stands in.
+    Only in local mode, where that is unset, a temporary folder of this machine stands in.
     """
     there = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not there:
+        master = spark.sparkContext.master
+        if not re.fullmatch(r"local(\[.*\])?", master):
+            raise RuntimeError(f"spark.checkpoint.dir is unset; executors of {master} share no folder")
         there = f"file://{tempfile.mkdtemp(prefix='overlapkeys-')}"
         spark.conf.set("spark.checkpoint.dir", there)
     return there.rstrip("/")
 
 
+def discard(spark: SparkSession, path: str) -> None:
+    """Delete a table written to the shared folder."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+    _settled.pop(path, None)
+
+
+@atexit.register
+def _discard_all() -> None:
+    """What settle wrote for results that are read by now; a session that has ended can't delete any more."""
+    for path, spark in list(_settled.items()):
+        try:
+            if spark.sparkContext._jsc is not None:
+                discard(spark, path)
+        except Exception:  # noqa: BLE001  the JVM may have gone first
+            return
+
+
 def settle(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: cuts lineage, survives lost executors.
 
-    What was shuffled to make it is garbage then; a collection lets Spark's cleaner delete those files.
+    What was shuffled to make it is garbage then; a collection, every SWEEP_S seconds at most, lets Spark's
+    cleaner delete those files. The written table goes when the driver ends.
     """
+    global _swept
     spark, schema = df.sparkSession, df.schema
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _settled[path] = spark
     del df
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    if time.monotonic() - _swept > SWEEP_S:
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        _swept = time.monotonic()
     return spark.read.schema(schema).parquet(path)
 
 
