@@ -158,18 +158,46 @@ def segment(raw: bytes, at: int) -> tuple[bytes, int]:
 
 
 # ---- classes of segments ----
+def _hopeful(group: np.ndarray, sides: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """Rows that share half of what a class shares, on one side of the anchor, with another row of their group.
+
+    Strings of a class have BLOCKS - 1 whole blocks around the anchor in common, so at least half of them on one side.
+    """
+    span = BLOCK * (BLOCKS // 2)
+    odd = np.random.default_rng(0).integers(0, 1 << 62, span // 8).astype(np.uint64) * np.uint64(2) + np.uint64(1)
+    keep = np.zeros(len(group), bool)
+    for own, near in ((left, sides[:, SIDE - span : SIDE]), (right, sides[:, SIDE : SIDE + span])):
+        at = np.flatnonzero(own >= span)
+        h = (np.ascontiguousarray(near[at]).view("<u8") * odd).sum(1, dtype=np.uint64)
+        h = (h ^ (h >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9) ^ group[at].view(np.uint64)
+        order = np.argsort(h)
+        same = h[order][1:] == h[order][:-1]
+        keep[at[order[np.r_[False, same] | np.r_[same, False]]]] = True
+    return keep
+
+
 def repeated_places(rows: list[tuple[int, bytes, int, int]]) -> tuple[np.ndarray, np.ndarray]:
     """For each (group, segment, left, window): least and greatest number of bytes before the anchor of
     the 400-byte strings that another row of the group has too; (1, 0) if there is none.
 
     window: -1 for all, else only strings with that many whole blocks before the anchor.
     """
+    n = len(rows)
+    least, most = np.ones(n, np.int64), np.zeros(n, np.int64)
+    left = np.array([r[2] for r in rows], np.int64)
+    right = np.array([len(r[1]) - r[2] - GRAM for r in rows], np.int64)
+    sides = np.frombuffer(b"".join(r[1][: r[2]].rjust(SIDE, b"\0") + r[1][r[2] + GRAM :].ljust(SIDE, b"\0") for r in rows), np.uint8).reshape(n, 2 * SIDE)
+    own = np.flatnonzero(_hopeful(np.array([r[0] for r in rows], np.int64), sides, left, right))
+    if len(own):
+        least[own], most[own] = _by_suffixes([rows[k] for k in own.tolist()], sides[own], left[own], right[own])
+    return least, most
+
+
+def _by_suffixes(rows: list[tuple[int, bytes, int, int]], sides: np.ndarray, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     n = len(rows)
     least, most = np.full(n, SIDE + 1), np.full(n, -1)
-    left = np.array([r[2] for r in rows])
-    right = np.array([len(r[1]) - r[2] - GRAM for r in rows])
     # fixed places: SIDE bytes before the anchor, SIDE after, nearest first in blocks
-    sides = np.frombuffer(b"".join(r[1][: r[2]].rjust(SIDE, b"\0") + r[1][r[2] + GRAM :].ljust(SIDE, b"\0") for r in rows), np.uint8).reshape(n, 2 * BLOCKS, BLOCK)
+    sides = sides.reshape(n, 2 * BLOCKS, BLOCK)
     before, after = sides[:, :BLOCKS][:, ::-1], sides[:, BLOCKS:]
     named = np.ascontiguousarray(sides).view(f"V{BLOCK}").reshape(n, 2 * BLOCKS)
     name = np.unique(named, return_inverse=True)[1].reshape(n, 2 * BLOCKS).astype(np.int64)
