@@ -2,15 +2,15 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from overlapkeys.plans.overlap_plan import OverlapPlan
 from overlapkeys.plans.rules import SimilarityRule
+from overlapkeys.session import settle
 
 from .keys import element_codes, mark_keys, probe_keys
-from .retrieve import verify
+from .retrieve import classes_of, expand, links_by, side, similar_pairs, verify
 
 
 def bruteforce_pairs(sigs: DataFrame, rule: SimilarityRule) -> DataFrame:
@@ -22,23 +22,37 @@ def bruteforce_pairs(sigs: DataFrame, rule: SimilarityRule) -> DataFrame:
 
 
 def element_join_pairs(sigs: DataFrame, rule: SimilarityRule) -> DataFrame:
-    flat = sigs.select("ordinal", "size", F.explode("sig").alias("e"))
-    a = flat.select("e", F.col("ordinal").alias("earlier"), F.col("size").alias("x"))
-    b = flat.select("e", F.col("ordinal").alias("later"), F.col("size").alias("y"))
-    n = a.join(b, "e").filter("earlier < later").groupBy("earlier", "later", "x", "y").agg(F.count("*").alias("overlap"))
-    return n.filter(rule.holds_col(F.col("overlap"), F.col("y"), F.col("x"))).select("earlier", "later", "overlap", rule.score_col(F.col("overlap"), F.col("y"), F.col("x")).alias("score"))
+    """Join on every element; a pair counts at its first common one."""
+    classes, members = classes_of(sigs)
+    flat = classes.select("*", F.explode("sig").alias("e"))
+    links = links_by(side(flat, "p", "e"), side(flat, "m", "e"), ["e"], rule, F.element_at("both", 1) == F.col("e"))
+    return expand(links, classes, members, rule)
+
+
+def coded_classes(sigs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Distinct signatures with their elements' codes, rarest first, and the membership of the items."""
+    classes, members = classes_of(sigs)
+    flat = classes.select("ordinal", F.explode("sig").alias("text")).join(element_codes(sigs).select("text", "code"), "text")
+    codes = flat.groupBy("ordinal").agg(F.sort_array(F.collect_list("code"), asc=False).alias("codes"))
+    return settle(classes.join(codes, "ordinal"), "coded"), members
 
 
 def prefix_pairs(sigs: DataFrame, plan: OverlapPlan) -> DataFrame:
-    """Join on each item's rarest elements only, as many as any partner must share one of; then verify."""
-    flat = sigs.select("ordinal", "size", F.explode("sig").alias("text")).join(element_codes(sigs).select("text", "code"), "text")
+    """Join on each item's rarest elements only, as many as any partner must share one of.
+
+    The codes travel with the key: sizes that can't be similar and places with too few elements left are
+    passed over, and a pair counts at its rarest common element.
+    """
+    classes, members = coded_classes(sigs)
     least = {x: min(plan.need(x, y) for y in plan.partner_sizes(x)) for x in plan.sizes}
     prefix = F.create_map(*[F.lit(v) for x, m in least.items() for v in (x, x - m + 1)])
-    rank = F.row_number().over(W.partitionBy("ordinal").orderBy(F.desc("code")))
-    keys = flat.withColumn("r", rank).filter(F.col("r") <= prefix[F.col("size")]).select("ordinal", "size", "code")
-    a = keys.select("code", F.col("ordinal").alias("earlier"))
-    b = keys.select("code", F.col("ordinal").alias("later"))
-    return verify(a.join(b, "code").filter("earlier < later").select("earlier", "later").distinct(), sigs, plan.rule)
+    keys = classes.select("*", F.posexplode(F.slice("codes", F.lit(1), prefix[F.col("size")])).alias("at", "code"))
+    probes = side(keys, "p", "code", F.col("size").alias("p_size"), F.col("at").alias("p_at"), els="codes")
+    marks = side(keys, "m", "code", F.col("size").alias("m_size"), F.col("at").alias("m_at"), els="codes")
+    needs = F.create_map(*[F.lit(v) for x in plan.sizes for y in plan.partner_sizes(x) for v in (x * 1000 + y, plan.need(x, y))])
+    need, left = needs[F.col("p_size") * 1000 + F.col("m_size")], F.least(F.col("p_size") - F.col("p_at"), F.col("m_size") - F.col("m_at"))
+    once = (need <= left) & (F.element_at("both", 1) == F.col("code"))
+    return expand(links_by(probes, marks, ["code"], plan.rule, once), classes, members, plan.rule)
 
 
 MODULUS = 2_147_483_647
@@ -49,22 +63,40 @@ def minhash_params(n: int) -> list[tuple[int, int, int]]:
 
 
 def minhash_pairs(sigs: DataFrame, rule: SimilarityRule, bands: int, rows: int) -> DataFrame:
-    """Banded MinHash with modular hashes of element codes, verified: exact precision, recall below one."""
-    spark = sigs.sparkSession
-    params = F.broadcast(spark.createDataFrame(minhash_params(bands * rows), "k int, a bigint, b bigint"))  # bands * rows rows
-    flat = sigs.select("ordinal", F.explode("sig").alias("text")).join(element_codes(sigs).select("text", "code"), "text")
-    low = flat.crossJoin(params).groupBy("ordinal", "k").agg(F.min((F.col("a") * F.col("code") + F.col("b")) % MODULUS).alias("h"))
-    keys = low.withColumn("band", F.expr(f"(k - 1) div {rows}")).groupBy("ordinal", "band").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("k", "h"))), lambda x: x["h"].cast("string")), ".").alias("key"))
-    a = keys.select("band", "key", F.col("ordinal").alias("earlier"))
-    b = keys.select("band", "key", F.col("ordinal").alias("later"))
-    return verify(a.join(b, ["band", "key"]).filter("earlier < later").select("earlier", "later").distinct(), sigs, rule)
+    """Banded MinHash with modular hashes of element codes, verified: exact precision, recall below one.
+
+    A signature's hashes are made in its own row, with no shuffle before the bands; a pair counts at the
+    first band that it shares.
+    """
+    classes, members = coded_classes(sigs)
+    params = minhash_params(bands * rows)
+
+    def least(a: int, b: int) -> Column:
+        return F.array_min(F.transform("codes", lambda c: (c * F.lit(a) + F.lit(b)) % F.lit(MODULUS)))
+
+    low = [least(a, b) for _, a, b in params]
+    keyed = classes.withColumn("bands", F.array(*[F.xxhash64(F.lit(k), *low[k * rows : (k + 1) * rows]) for k in range(bands)]))
+    rows_of = keyed.select("*", F.posexplode("bands").alias("band", "key"))
+    probes = side(rows_of, "p", "band", "key", F.col("bands").alias("p_bands"), els="codes")
+    marks = side(rows_of, "m", "band", "key", F.col("bands").alias("m_bands"), els="codes")
+    same = F.zip_with("p_bands", "m_bands", lambda a, b: a == b)
+    links = links_by(probes, marks, ["band", "key"], rule, F.array_position(same, True) == F.col("band") + 1)
+    return expand(links, classes, members, rule)
+
+
+def _vectors(sigs: DataFrame, name: str) -> DataFrame:
+    """A binary vector of each signature over all elements that there are: none is cut from the vocabulary."""
+    from pyspark.ml.feature import CountVectorizer
+
+    elements = sigs.select(F.explode("sig").alias("e")).agg(F.count_distinct("e")).first()[0]
+    return CountVectorizer(inputCol="sig", outputCol=name, binary=True, vocabSize=max(1, elements)).fit(sigs).transform(sigs)
 
 
 def minhash_mllib(sigs: DataFrame, theta: float, tables: int = 20, seed: int = 1) -> DataFrame:
     """The library's MinHash join. It keeps distances strictly below the bound, so the bound is nudged up."""
-    from pyspark.ml.feature import CountVectorizer, MinHashLSH
+    from pyspark.ml.feature import MinHashLSH
 
-    vectors = CountVectorizer(inputCol="sig", outputCol="v", binary=True, vocabSize=1 << 18).fit(sigs).transform(sigs).select("ordinal", "v")
+    vectors = _vectors(sigs, "v").select("ordinal", "v")
     model = MinHashLSH(inputCol="v", outputCol="h", numHashTables=tables, seed=seed).fit(vectors)
     joined = model.approxSimilarityJoin(vectors, vectors, 1 - theta + 1e-7, "distance")
     return joined.select(F.col("datasetA.ordinal").alias("earlier"), F.col("datasetB.ordinal").alias("later"), (1 - F.col("distance")).alias("score")).filter("earlier < later")
@@ -72,9 +104,8 @@ def minhash_mllib(sigs: DataFrame, theta: float, tables: int = 20, seed: int = 1
 
 def kmeans_clusters(sigs: DataFrame, k: int, seed: int = 1) -> DataFrame:
     from pyspark.ml.clustering import KMeans
-    from pyspark.ml.feature import CountVectorizer
 
-    vectors = CountVectorizer(inputCol="sig", outputCol="features", binary=True, vocabSize=1 << 16).fit(sigs).transform(sigs)
+    vectors = _vectors(sigs, "features")
     return KMeans(k=k, seed=seed, maxIter=10).fit(vectors).transform(vectors).select("ordinal", F.col("prediction").cast("bigint").alias("cluster_id"))
 
 
@@ -92,6 +123,7 @@ def salted_pairs(sigs: DataFrame, plan: OverlapPlan, salts: int = 4) -> DataFram
     return verify(probes.join(marks, ["key", "salt"]).filter("earlier < later").select("earlier", "later").distinct(), sigs, plan.rule)
 
 
-def choose_generator(plan: OverlapPlan, most_keys: int = 600) -> str:
-    """Sub-signature keys while they stay manageable, else the prefix filter."""
-    return "keys" if max(plan.probe_count(x) for x in plan.sizes) <= most_keys else "prefix"
+def generated_pairs(sigs: DataFrame, plan: OverlapPlan, most_keys: int = 600) -> DataFrame:
+    """Sub-signature keys while an item's stay manageable, else the prefix filter: the same pairs."""
+    few = max(plan.probe_count(x) for x in plan.sizes) <= most_keys
+    return similar_pairs(sigs, plan) if few else prefix_pairs(sigs, plan)

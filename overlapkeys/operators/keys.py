@@ -11,7 +11,7 @@ from overlapkeys.plans.overlap_plan import OverlapPlan
 SEPARATOR = "\u001f"
 
 
-def _encode(tag: Column, sub: Column, encode: str) -> Column:
+def encoded(tag: Column, sub: Column, encode: str) -> Column:
     if encode == "text":
         return F.concat_ws(SEPARATOR, tag.cast("string"), F.array_join(sub, SEPARATOR))
     if encode == "hash":
@@ -21,21 +21,21 @@ def _encode(tag: Column, sub: Column, encode: str) -> Column:
     raise ValueError(encode)
 
 
-def _expand(sigs: DataFrame, plan: OverlapPlan, role: str) -> DataFrame:
-    """(ordinal, size, tag, sub) for each combination that ``role`` asks for; sig comes along."""
+def expanded(sigs: DataFrame, plan: OverlapPlan, role: str) -> DataFrame:
+    """Each row with tag and sub for each combination that ``role`` asks for."""
     table = F.broadcast(plan.to_df(sigs.sparkSession, role).select("size", "plan"))  # bounded by PLAN_LIMIT
-    rows = sigs.join(table, "size").select("ordinal", "size", "sig", F.explode("plan").alias("p"))
-    return rows.select("ordinal", "size", "sig", F.col("p.tag").alias("tag"), F.transform("p.pos", lambda i: F.element_at(F.col("sig"), i)).alias("sub"))
+    rows = sigs.join(table, "size").select(*sigs.columns, F.explode("plan").alias("__p"))
+    return rows.select(*sigs.columns, F.col("__p.tag").alias("tag"), F.transform("__p.pos", lambda i: F.element_at(F.col("sig"), i)).alias("sub"))
 
 
 def sub_signatures(sigs: DataFrame, plan: OverlapPlan) -> DataFrame:
-    return _expand(sigs, plan, "simple").select("ordinal", F.array_join("sub", SEPARATOR).alias("sub"))
+    return expanded(sigs.select("ordinal", "size", "sig"), plan, "simple").select("ordinal", F.array_join("sub", SEPARATOR).alias("sub"))
 
 
 def role_keys(sigs: DataFrame, plan: OverlapPlan, role: str, encode: str = "text", with_sig: bool = False) -> DataFrame:
     """(ordinal, tag, key): what an item writes (mark), looks up (probe), either without sizes (simple), or both (pair)."""
-    got = _expand(sigs, plan, role)
-    return got.select("ordinal", *(["size", "sig"] if with_sig else []), "tag", _encode(F.col("tag"), F.col("sub"), encode).alias("key"))
+    got = expanded(sigs.select("ordinal", "size", "sig"), plan, role)
+    return got.select("ordinal", *(["size", "sig"] if with_sig else []), "tag", encoded(F.col("tag"), F.col("sub"), encode).alias("key"))
 
 
 def simple_keys(sigs: DataFrame, plan: OverlapPlan, encode: str = "text") -> DataFrame:

@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from overlapkeys.plans.overlap_plan import OverlapPlan
 from overlapkeys.plans.rules import SimilarityRule
+from overlapkeys.session import settle
 
-from .keys import mark_keys, pair_tag_keys, probe_keys, role_keys, simple_keys
+from .keys import encoded, expanded, mark_keys, pair_tag_keys, probe_keys, role_keys, simple_keys
 
 
 def verify(pairs: DataFrame, sigs: DataFrame, rule: SimilarityRule | None, other: DataFrame | None = None) -> DataFrame:
@@ -25,14 +26,69 @@ def verify(pairs: DataFrame, sigs: DataFrame, rule: SimilarityRule | None, other
     return met.select("earlier", "later", "overlap", shown.score_col(F.col("overlap"), x, y).alias("score"))
 
 
-def similar_pairs(sigs: DataFrame, plan: OverlapPlan, encode: str = "text", hint: str | None = None) -> DataFrame:
-    """Pairs of an earlier and a later similar item; hashed keys are verified, text keys need no check."""
-    marks = mark_keys(sigs, plan, encode).select("key", F.col("ordinal").alias("earlier"))
-    probes = probe_keys(sigs, plan, encode).select("key", F.col("ordinal").alias("later"))
+def classes_of(sigs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(one row a distinct signature: ordinal of its first item, lo, hi, size, sig; membership: cls, ordinal).
+
+    Written once: all that follows joins distinct signatures, so copies never meet in pairs of rows.
+    """
+    classes = sigs.groupBy("sig", "size").agg(F.min("ordinal").alias("ordinal"), F.max("ordinal").alias("hi"))
+    classes = settle(classes.select("ordinal", F.col("ordinal").alias("lo"), "hi", "size", "sig"), "classes")
+    members = sigs.select("ordinal", "sig").join(classes.select(F.col("ordinal").alias("cls"), "sig"), "sig").select("cls", "ordinal")
+    return classes, members
+
+
+def links_by(probes: DataFrame, marks: DataFrame, on: list[str], rule: SimilarityRule, once: Column) -> DataFrame:
+    """(marker, prober, overlap, score) of classes that meet by ``on``: p_* and m_* rows with ordinal, lo or hi, and els.
+
+    ``once`` holds at one of the keys that two classes share (it may use ``both``, their common elements, in order),
+    so links need no distinct; the elements travel with the keys, so the rule needs no further join.
+    """
+    met = probes.join(marks, on).filter("p_ordinal <> m_ordinal and m_lo < p_hi")
+    met = met.withColumn("both", F.array_intersect("p_els", "m_els")).filter(once)
+    overlap, x, y = F.size("both"), F.size("p_els"), F.size("m_els")
+    met = met.filter(rule.holds_col(overlap, x, y))
+    return met.select(F.col("m_ordinal").alias("marker"), F.col("p_ordinal").alias("prober"), overlap.alias("overlap"), rule.score_col(overlap, x, y).alias("score"))
+
+
+def side(classes: DataFrame, role: str, *more: str, els: str = "sig") -> DataFrame:
+    """The columns of a class for one side of ``links_by``."""
+    bound = "lo" if role == "m" else "hi"
+    return classes.select(F.col("ordinal").alias(f"{role}_ordinal"), F.col(bound).alias(f"{role}_{bound}"), F.col(els).alias(f"{role}_els"), *more)
+
+
+def expand(links: DataFrame, classes: DataFrame, members: DataFrame, rule: SimilarityRule) -> DataFrame:
+    """(earlier, later, overlap, score) of items from links of classes, and of the copies inside a class."""
+    a = members.select(F.col("cls").alias("marker"), F.col("ordinal").alias("earlier"))
+    b = members.select(F.col("cls").alias("prober"), F.col("ordinal").alias("later"))
+    across = links.join(a, "marker").join(b, "prober").filter("earlier < later").select("earlier", "later", "overlap", "score")
+    size = F.col("size")
+    copied = classes.filter("lo < hi and size > 0").filter(rule.holds_col(size, size, size)).select("ordinal", size.alias("overlap"), rule.score_col(size, size, size).alias("score"))
+    inside = copied.join(a, F.col("ordinal") == F.col("marker")).join(b, F.col("ordinal") == F.col("prober")).filter("earlier < later")
+    return across.union(inside.select("earlier", "later", "overlap", "score"))
+
+
+def similar_classes(sigs: DataFrame, plan: OverlapPlan, encode: str = "text", hint: str | None = None) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(links of distinct signatures, their classes, membership): the whole join without listing copies."""
+    classes, members = classes_of(sigs)
+    probes = side(_with_keys(classes, plan, "probe", encode), "p", "key", "sub")
+    marks = side(_with_keys(classes, plan, "mark", encode), "m", "key")
     if hint:
         marks = marks.hint(hint)
-    pairs = probes.join(marks, "key").filter("earlier < later").select("earlier", "later").distinct()
-    return verify(pairs, sigs, plan.rule)
+    # of the keys that two classes share, the one of their first common elements counts
+    first = F.col("sub") == F.slice("both", 1, F.size("sub"))
+    links = links_by(probes, marks, ["key"], plan.rule, first)
+    return (links.distinct() if encode == "hash" else links), classes, members  # hashes may meet once more by chance
+
+
+def _with_keys(classes: DataFrame, plan: OverlapPlan, role: str, encode: str) -> DataFrame:
+    got = expanded(classes, plan, role)
+    return got.withColumn("key", encoded(F.col("tag"), F.col("sub"), encode))
+
+
+def similar_pairs(sigs: DataFrame, plan: OverlapPlan, encode: str = "text", hint: str | None = None) -> DataFrame:
+    """Pairs of an earlier and a later similar item; the rule is checked on what travels with the keys."""
+    links, classes, members = similar_classes(sigs, plan, encode, hint)
+    return expand(links, classes, members, plan.rule)
 
 
 def pairs_by_size_pair(sigs: DataFrame, plan: OverlapPlan) -> DataFrame:
