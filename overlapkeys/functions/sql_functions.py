@@ -23,9 +23,16 @@ def register(spark: SparkSession) -> None:
 
 
 def similar_by_sql(sigs: DataFrame) -> DataFrame:
+    """Similar pairs by SQL alone: an equi-join on elements, a pair counts at its first common one."""
     spark = sigs.sparkSession
     register(spark)
-    return spark.sql("SELECT a.ordinal AS earlier, b.ordinal AS later, round(sig_jaccard(a.sig, b.sig), 6) AS score FROM {s} a JOIN {s} b ON a.ordinal < b.ordinal AND sig_similar(sig_canonical(a.sig), sig_canonical(b.sig), 3, 5)", s=sigs)
+    text = """
+        WITH flat AS (SELECT ordinal, sig_canonical(sig) AS sig, explode(sig) AS e FROM {s})
+        SELECT a.ordinal AS earlier, b.ordinal AS later, round(sig_jaccard(a.sig, b.sig), 6) AS score
+        FROM flat a JOIN flat b ON a.e = b.e AND a.ordinal < b.ordinal
+        WHERE element_at(array_intersect(a.sig, b.sig), 1) = a.e AND sig_similar(a.sig, b.sig, 3, 5)
+    """
+    return spark.sql(text, s=sigs)
 
 
 class SubSignatureKeys:

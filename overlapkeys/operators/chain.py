@@ -7,7 +7,7 @@ with label-of-label jumps ends at the sequential result.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -18,9 +18,20 @@ from .components import component_labels
 from .keys import role_keys
 
 
+BLOCK = 4096  # ordinals whose writers of one key pass one window; across blocks go only their aggregates
 
-def _earlier():
-    return W.partitionBy("key").orderBy("ordinal").rangeBetween(W.unboundedPreceding, -1)
+
+def _before(rows: DataFrame, value: Column, agg, pick, to: str) -> DataFrame:
+    """Each (key, ordinal) row with the least or greatest ``value`` of the rows of its key that come earlier.
+
+    A hot key's rows are spread over blocks of ordinals; a block carries one value to the later ones.
+    """
+    dealt = rows.withColumn("__v", value).withColumn("__b", F.floor(F.col("ordinal") / BLOCK))
+    inside = W.partitionBy("key", "__b").orderBy("ordinal").rowsBetween(W.unboundedPreceding, -1)
+    blocks = dealt.groupBy("key", "__b").agg(agg("__v").alias("__v"))
+    carry = blocks.select("key", "__b", agg("__v").over(W.partitionBy("key").orderBy("__b").rowsBetween(W.unboundedPreceding, -1)).alias("__c"))
+    met = dealt.withColumn("__i", agg("__v").over(inside)).join(carry.filter("__c is not null"), ["key", "__b"], "left")
+    return met.withColumn(to, pick("__i", "__c")).drop("__v", "__b", "__i", "__c")
 
 
 def key_roles(sigs: DataFrame, plan: OverlapPlan) -> DataFrame:
@@ -32,8 +43,8 @@ def key_roles(sigs: DataFrame, plan: OverlapPlan) -> DataFrame:
 
 def parent_edges(sigs: DataFrame, plan: OverlapPlan, marker: str) -> DataFrame:
     """(ordinal, parent): the writer whose label each read key holds when the item arrives; at most one a key."""
-    pick = F.first if marker == "first" else F.last
-    read = key_roles(sigs, plan).withColumn("parent", pick(F.when(F.col("m"), F.col("ordinal")), ignorenulls=True).over(_earlier()))
+    agg, pick = (F.min, F.least) if marker == "first" else (F.max, F.greatest)
+    read = _before(key_roles(sigs, plan), F.when(F.col("m"), F.col("ordinal")), agg, pick, "parent")
     return read.filter("p and parent is not null").select("ordinal", "parent").distinct()
 
 
@@ -61,7 +72,7 @@ def chain(sigs: DataFrame, plan: OverlapPlan, marker: str = "all", choice: str =
         roles = settle(key_roles(sigs, plan), "roles")
 
         def step(labels: DataFrame) -> DataFrame:
-            read = roles.join(labels, "ordinal").withColumn("read", F.min(F.when(F.col("m"), F.col("label"))).over(_earlier()))
+            read = _before(roles.join(labels, "ordinal"), F.when(F.col("m"), F.col("label")), F.min, F.least, "read")
             return read.groupBy("ordinal").agg(F.least(F.min("label"), F.min(F.when(F.col("p"), F.col("read")))).alias("label"))
 
     else:

@@ -8,17 +8,22 @@ aggregations of key rows, with map-side combining, and never lists pairs.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
+from typing import TYPE_CHECKING
 
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from overlapkeys.plans.overlap_plan import OverlapPlan
-from overlapkeys.session import settle
+from overlapkeys.session import settle, shared_dir
 
 from .keys import collapse_identical, role_keys
 
+if TYPE_CHECKING:
+    from overlapkeys.sources.io import KeyStore
+
 CHOICES = ("earliest", "latest", "overlap", "score", "votes")
 
 
@@ -93,20 +98,32 @@ def leader_multi(sigs: DataFrame, plan: OverlapPlan) -> DataFrame:
     return scored(candidates(sigs, led, plan), sigs, led, plan).select("ordinal", F.col("leader").alias("cluster_id"), "score")
 
 
-def leader_batched(sigs: DataFrame, plan: OverlapPlan, batch_rows: int, store: DataFrame | None = None) -> DataFrame:
-    """The same clusters, arrivals in batches: a batch first meets the stored leaders, the rest goes through rounds."""
+def leader_step(batch: DataFrame, plan: OverlapPlan, store: KeyStore, batch_id: int) -> DataFrame:
+    """Assignments of one batch of arrivals, written: stored leaders come first, the rest goes through rounds.
+
+    The keys of the new leaders are appended to the store, so a step costs what its batch does.
+    """
+    distinct = settle(collapse_identical(batch).select("ordinal", "size", "sig"), "distinct")
+    known = store.probe(role_keys(distinct, plan, "probe"), batch_id)
+    known = settle(distinct.join(known, "ordinal", "left"), "known")
+    rest = known.filter("leader is null").select("ordinal", "size", "sig")
+    new = settle(leaders(rest, plan).select("ordinal", "size", "sig"), "leaders")
+    store.append(new, batch_id)
+    own = leader(rest, plan, led=new).select(F.col("elements").alias("sig"), "cluster_id")
+    home = known.filter("leader is not null").select("sig", F.col("leader").alias("cluster_id")).union(own)
+    return settle(batch.join(home, "sig").select("cluster_id", "ordinal", F.col("sig").alias("elements")), "assigned")
+
+
+def leader_batched(sigs: DataFrame, plan: OverlapPlan, batch_rows: int, store: KeyStore | None = None) -> DataFrame:
+    """The same clusters, arrivals in batches of ``batch_rows`` ordinals, over a key store that may hold earlier leaders."""
+    from overlapkeys.sources.io import KeyStore
+
     spark, out = sigs.sparkSession, None
-    top = sigs.agg(F.max("ordinal")).first()[0] or 0
-    led = store if store is not None else spark.createDataFrame([], "ordinal bigint, size int, sig array<string>")
-    for start in range(0, top, batch_rows):
+    store = store or KeyStore(spark, f"{shared_dir(spark)}/keys-{uuid.uuid4().hex}", plan)
+    first, top = sigs.agg(F.min("ordinal"), F.max("ordinal")).first()
+    for start in range((first or 1) - 1, top or 0, batch_rows):
         batch = sigs.filter((F.col("ordinal") > start) & (F.col("ordinal") <= start + batch_rows))
-        marks = role_keys(led, plan, "mark").groupBy("key").agg(F.min("ordinal").alias("leader"))
-        known = role_keys(batch, plan, "probe").join(marks, "key").groupBy("ordinal").agg(F.min("leader").alias("cluster_id"))
-        known = settle(batch.join(known, "ordinal").select("cluster_id", "ordinal", F.col("sig").alias("elements")), "known")
-        rest = settle(batch.join(known.select("ordinal"), "ordinal", "left_anti"), "rest")
-        new = settle(leaders(rest, plan), "leaders")
-        part = known.union(leader(rest, plan, led=new))
-        led = settle(led.union(new.select("ordinal", "size", "sig")), "store")
+        part = leader_step(batch, plan, store, store.next_batch())
         out = part if out is None else out.union(part)
     return out if out is not None else leader(sigs, plan)
 

@@ -61,6 +61,17 @@ REACH = """both_ways AS (SELECT earlier AS a, later AS b FROM pairs UNION ALL SE
         clusters AS (SELECT a AS ordinal, min(b) AS cluster_id FROM reach GROUP BY 1)"""
 
 
+def renamed(ctes: str, suffix: str, **other: str) -> str:
+    """The pieces above under names of their own, over other tables where ``other`` names them."""
+    import re
+
+    for name in ("flat", "shared", "pairs", "adj", "walk", "clusters", "sig"):
+        new = other.get(name, name if name == "sig" else f"{name}_{suffix}")
+        pattern = rf"(?<=FROM ){name}\b" if name == "sig" else rf"\b{name}\b"
+        ctes = re.sub(pattern, new, ctes)
+    return ctes
+
+
 def query(sig: str | None, ctes: list[str], body: str) -> str:
     parts = [] if sig is None else [SIG[sig]]
     return "WITH RECURSIVE " + ",\n".join([*parts, *ctes]) + "\n" + body

@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-import tempfile
+import re
+import uuid
 from collections.abc import Callable
 from math import comb
 
@@ -22,6 +23,7 @@ from overlapkeys.plans.overlap_plan import OverlapPlan, advise
 from overlapkeys.plans.rules import KINDS, SimilarityRule
 from overlapkeys.session import settle, shared_dir
 from overlapkeys.sources import signatures as S
+from overlapkeys.sources.io import KeyStore
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -169,7 +171,14 @@ on("q_leader_reference", "userday", lambda s, p: listed(L.leader_reference(s, p)
 on("q_partition_invariance", "part", lambda s, p: listed(L.leader(s.repartition(13, "ordinal"), p)), LEAD, CLUSTER_BODY)
 on("q_chain_all", "part", lambda s, p: listed(C.chain(s, p)), [O.pairs(), O.CHAIN], CLUSTER_BODY)
 on("q_chain_last", "part", lambda s, p: listed(C.chain(s, p, "last")), [O.pairs(), O.CHAIN], CLUSTER_BODY)
-on("q_chain_first", "part", lambda s, p: listed(C.chain(s, p, "first")))
+FIRST_READ = [
+    *MARKED,
+    "probes AS (SELECT ordinal, y || '-' || array_to_string(k, '-') AS key FROM keyed JOIN need ON need.x = size AND need = j)",
+    "writer AS (SELECT key, min(ordinal) AS earlier FROM marks GROUP BY 1)",
+    "pairs AS MATERIALIZED (SELECT DISTINCT earlier, ordinal AS later FROM probes JOIN writer USING (key) WHERE earlier < ordinal)",
+    O.CHAIN,
+]
+on("q_chain_first", "part", lambda s, p: listed(C.chain(s, p, "first")), FIRST_READ, CLUSTER_BODY)
 on("q_chain_userday", "userday", lambda s, p: listed(C.chain(s, p)), [O.pairs(), O.CHAIN], CLUSTER_BODY)
 on("q_chain_latest", "part", lambda s, p: listed(C.chain(s, p, choice="latest")), [O.pairs(), O.CHAIN.replace("list_min", "list_max")], CLUSTER_BODY)
 on("q_components", "part", lambda s, p: listed(C.components(s, p)), [O.pairs(), O.REACH], CLUSTER_BODY)
@@ -184,36 +193,82 @@ on("q_new_clusters", "userday", lambda s, p: P.founders(s, p), [O.pairs()], "SEL
 on("q_renumber", "part", lambda s, p: P.renumber_clusters(L.leader(s, p)).select("ordinal", F.col("number").alias("cluster")), LEAD, "SELECT ordinal, dense_rank() OVER (ORDER BY cluster_id) AS cluster FROM clusters")
 on("q_cluster_count", "userday", lambda s, p: L.leader(s, p).agg(F.count_distinct("cluster_id").alias("clusters"), F.count("*").alias("items")), LEAD, "SELECT count(DISTINCT cluster_id) AS clusters, count(*) AS items FROM clusters")
 on("q_capped_leader", "part", lambda s, p: P.capped_leader(s, p, 100), LEAD, "SELECT ordinal, CASE WHEN dense_rank() OVER (ORDER BY cluster_id) <= 100 THEN cluster_id END AS cluster_id FROM clusters")
-on("q_split_oversize", "userday", lambda s, p: listed(P.split_oversize(settle(L.leader(s, p), "assigned"), s, plan_of("userday", "4/5"), 10)).select("cluster_id", "ordinal"))
-on("q_refresh_centroid", "userday", lambda s, p: listed(P.leader_refreshed(s, p, 1500)))
+on(
+    "q_split_oversize", "userday", lambda s, p: P.split_oversize(settle(L.leader(s, p), "assigned"), s, plan_of("userday", "4/5"), 10).select("cluster_id", "ordinal"),
+    [
+        *LEAD,
+        "big AS (SELECT cluster_id FROM clusters GROUP BY 1 HAVING count(*) > 10)",
+        "stay AS (SELECT * FROM clusters WHERE cluster_id NOT IN (FROM big))",
+        "again AS MATERIALIZED (SELECT row_number() OVER (ORDER BY ordinal) AS ordinal, ordinal AS item, size, sig, cluster_id AS home FROM clusters JOIN sig USING (ordinal) WHERE cluster_id IN (FROM big))",
+        O.renamed(O.pairs(4, 5, source="again"), "again"),
+        "near AS MATERIALIZED (SELECT p.* FROM pairs_again p JOIN again a ON a.ordinal = earlier JOIN again b ON b.ordinal = later WHERE a.home = b.home)",
+        O.renamed(O.LEADER, "again", pairs="near", sig="again"),
+    ],
+    "SELECT * FROM stay UNION ALL SELECT f.item AS cluster_id, i.item AS ordinal FROM clusters_again c JOIN again f ON f.ordinal = c.cluster_id JOIN again i ON i.ordinal = c.ordinal",
+)
+on(
+    "q_refresh_centroid", "userday", lambda s, p: listed(P.leader_refreshed(s, p, 1500)),
+    [
+        "early AS MATERIALIZED (SELECT * FROM sig WHERE ordinal <= 1500)",
+        O.renamed(O.pairs(source="early"), "early"),
+        O.renamed(O.LEADER, "early", sig="early"),
+        "heavy AS (SELECT cluster_id, e, row_number() OVER (PARTITION BY cluster_id ORDER BY count(*) DESC, e) AS r FROM (SELECT cluster_id, unnest(sig) AS e FROM clusters_early JOIN early USING (ordinal)) GROUP BY 1, 2)",
+        "centre AS MATERIALIZED (SELECT cluster_id, count(*) AS size FROM heavy WHERE r <= 10 GROUP BY 1)",
+        "rest AS MATERIALIZED (SELECT * FROM sig WHERE ordinal > 1500)",
+        "met AS (SELECT ordinal, cluster_id, count(*) AS o FROM (SELECT ordinal, unnest(sig) AS e FROM rest) JOIN (FROM heavy WHERE r <= 10) USING (e) GROUP BY 1, 2)",
+        "joined AS MATERIALIZED (SELECT ordinal, min(cluster_id) AS cluster_id FROM met JOIN rest USING (ordinal) JOIN centre c USING (cluster_id) WHERE o * 8 >= 3 * (rest.size + c.size) GROUP BY 1)",
+        "late AS MATERIALIZED (SELECT row_number() OVER (ORDER BY ordinal) AS ordinal, ordinal AS item, size, sig FROM rest WHERE ordinal NOT IN (SELECT ordinal FROM joined))",
+        O.renamed(O.pairs(source="late"), "late"),
+        O.renamed(O.LEADER, "late", sig="late"),
+        "clusters AS (SELECT * FROM clusters_early UNION ALL SELECT cluster_id, ordinal FROM joined UNION ALL SELECT f.item, i.item FROM clusters_late c JOIN late f ON f.ordinal = c.cluster_id JOIN late i ON i.ordinal = c.ordinal)",
+    ],
+    CLUSTER_BODY,
+)
+
+
+LEVELS = ((4, 5), (3, 5), (1, 2), (2, 5))
 
 
 def _levels(mode: str) -> Query:
-    return lambda s, d: P.hierarchy(sigs_of(s, d, "userday"), ["4/5", "3/5", "1/2", "2/5"], range(2, 11), mode)
+    return lambda s, d: P.hierarchy(sigs_of(s, d, "userday"), [f"{n}/{d_}" for n, d_ in LEVELS], range(2, 11), mode)
 
 
 def _independent_sql() -> str:
     ctes, parts = [], []
-    for level, (n, d_) in enumerate(((4, 5), (3, 5), (1, 2), (2, 5))):
-        text = O.pairs(n, d_) + ",\n" + O.LEADER
-        for word in ("flat", "shared", "pairs", "adj", "walk", "clusters"):
-            text = __import__("re").sub(rf"\b{word}\b", f"{word}{level}", text)
-        ctes.append(text)
-        parts.append(f"SELECT {level} AS level, '{n}/{d_}' AS theta, ordinal, cluster_id FROM clusters{level}")
+    for level, (n, d_) in enumerate(LEVELS):
+        ctes += [O.renamed(O.pairs(n, d_), str(level)), O.renamed(O.LEADER, str(level))]
+        parts.append(f"SELECT {level} AS level, '{n}/{d_}' AS theta, ordinal, cluster_id FROM clusters_{level}")
+    return O.query("userday", ctes, " UNION ALL ".join(parts))
+
+
+def _nested_sql() -> str:
+    """A level numbers the leaders of the one before anew, clusters them, and hands its clusters down to all items."""
+    ctes, parts = ["base_0 AS MATERIALIZED (SELECT ordinal, ordinal AS item, size, sig FROM sig)", "home_0 AS (SELECT ordinal, ordinal AS cluster_id FROM sig)"], []
+    for level, (n, d_) in enumerate(LEVELS):
+        base, up = f"base_{level}", level + 1
+        ctes += [
+            O.renamed(O.pairs(n, d_, source=base), str(level)),
+            O.renamed(O.LEADER, str(level), sig=base),
+            f"step_{level} AS (SELECT i.item AS cluster_id, f.item AS higher FROM clusters_{level} c JOIN {base} f ON f.ordinal = c.cluster_id JOIN {base} i ON i.ordinal = c.ordinal)",
+            f"home_{up} AS MATERIALIZED (SELECT h.ordinal, higher AS cluster_id FROM home_{level} h JOIN step_{level} USING (cluster_id))",
+            f"base_{up} AS MATERIALIZED (SELECT row_number() OVER (ORDER BY ordinal) AS ordinal, ordinal AS item, size, sig FROM sig WHERE ordinal IN (SELECT cluster_id FROM home_{up}))",
+        ]
+        parts.append(f"SELECT {level} AS level, '{n}/{d_}' AS theta, ordinal, cluster_id FROM home_{up}")
     return O.query("userday", ctes, " UNION ALL ".join(parts))
 
 
 add("q_hierarchy_independent", _levels("independent"), _independent_sql())
-add("q_hierarchy_nested", _levels("nested"))
+add("q_hierarchy_nested", _levels("nested"), _nested_sql())
 add("q_hierarchy_nesting", lambda s, d: P.nesting_violations(settle(_levels("nested")(s, d), "levels")), "SELECT unnest([0, 1, 2])::INT AS level, 0::BIGINT AS violations")
 
 
 def _resume(s: SparkSession, d: str) -> DataFrame:
     sigs, plan = sigs_of(s, d, "userday"), plan_of("userday")
     first = sigs.filter("ordinal <= 1500")
-    led = settle(L.leaders(first, plan).select("ordinal", "size", "sig"), "store")
-    rest = sigs.filter("ordinal > 1500")
-    return listed(L.leader(first, plan, led=led).union(L.leader_batched(rest, plan, 100_000, led)))
+    store = KeyStore(s, f"{shared_dir(s)}/store-{uuid.uuid4().hex}", plan)
+    before = L.leader_step(first, plan, store, 0)
+    again = KeyStore(s, store.path, plan)  # another run opens what the first has written
+    return listed(before.union(L.leader_batched(sigs.filter("ordinal > 1500"), plan, 100_000, again)))
 
 
 add("q_resume", _resume, O.query("userday", LEAD, CLUSTER_BODY))
@@ -287,7 +342,13 @@ def _purity(spark: SparkSession, d: str) -> DataFrame:
 
 
 add("q_purity", _purity, O.query("docs", LEAD, "SELECT round(sum(m) / sum(t), 6) AS purity FROM (SELECT cluster_id, max(n) AS m, sum(n) AS t FROM (SELECT cluster_id, lang, count(*) AS n FROM clusters JOIN sig USING (ordinal) JOIN documents ON doc_id = item_id GROUP BY 1, 2) GROUP BY 1)"))
-on("q_ari", "part", lambda s, p: M.adjusted_rand(settle(L.leader(s, p), "l"), settle(C.chain(s, p), "c")))
+PAIRS_OF = "(SELECT sum(n * (n - 1) / 2) FROM (SELECT count(*) AS n FROM cell GROUP BY {}))"
+on(
+    "q_ari", "part", lambda s, p: M.adjusted_rand(settle(L.leader(s, p), "l"), settle(C.chain(s, p), "c")),
+    [*LEAD, O.renamed(O.CHAIN, "chain", pairs="pairs"), "cell AS MATERIALIZED (SELECT ordinal, a.cluster_id AS x, b.cluster_id AS y FROM clusters a JOIN clusters_chain b USING (ordinal))",
+     f"t AS (SELECT {PAIRS_OF.format('x, y')} AS c, {PAIRS_OF.format('x')} AS r, {PAIRS_OF.format('y')} AS l, (SELECT count(*) FROM cell) AS n)"],
+    "SELECT round((c - r * l / (n * (n - 1) / 2)) / ((r + l) / 2 - r * l / (n * (n - 1) / 2)), 6)::DOUBLE AS ari FROM t",
+)
 
 # ---- traces: the published figures ----
 TRACE = [("engine", 250_000, 88.0), ("engine", 10_000_000, 2982.0), ("control", 250_000, 103_589.0)]
@@ -324,7 +385,7 @@ def _round_trip(fmt: str) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
         from overlapkeys.sources import io
 
-        path = f"{shared_dir(s)}/{fmt}-{__import__('uuid').uuid4().hex}"
+        path = f"{shared_dir(s)}/{fmt}-{uuid.uuid4().hex}"
         io.save_signatures(S.sig_part(s, d), path, fmt)
         return io.load_signatures(s, path, fmt).select("ordinal", "item_id", F.array_join("sig", "-").alias("sig"))
 
@@ -338,7 +399,7 @@ for fmt in ("json", "csv", "orc", "parquet"):
 def _lines(s: SparkSession, d: str) -> DataFrame:
     from overlapkeys.sources import io
 
-    path = f"{shared_dir(s)}/lines-{__import__('uuid').uuid4().hex}"
+    path = f"{shared_dir(s)}/lines-{uuid.uuid4().hex}"
     io.write_signature_lines(S.sig_userday(s, d), path)
     return io.read_signature_lines(s, path).select("ordinal", F.array_join("sig", "+").alias("sig"))
 
@@ -346,7 +407,7 @@ def _lines(s: SparkSession, d: str) -> DataFrame:
 def _assigned_text(s: SparkSession, d: str) -> DataFrame:
     from overlapkeys.sources import io
 
-    path = f"{shared_dir(s)}/assigned-{__import__('uuid').uuid4().hex}"
+    path = f"{shared_dir(s)}/assigned-{uuid.uuid4().hex}"
     sigs = sigs_of(s, d, "part")
     io.write_assignments(L.leader(sigs, plan_of("part")), path)
     return io.read_assignments(s, path).select("cluster_id", "ordinal", F.array_join("elements", "-").alias("elements"))

@@ -102,13 +102,21 @@ def register(add, sigs_of, plan_of) -> None:
     on("q_sort_assignments", "part", lambda s, p: L.leader(s, p).select("cluster_id", "ordinal").orderBy("cluster_id", "ordinal"), lead, "SELECT cluster_id, ordinal FROM clusters")
     on("q_agg_approx", "userday", lambda s, p: s.select(F.explode("sig").alias("e")).agg(F.approx_count_distinct("e").alias("n")), [], None)
     on("q_sql_functions", "part", lambda s, p: sql_functions.similar_by_sql(s), [O.pairs()], "SELECT earlier, later, round(overlap::DOUBLE / (x + y - overlap), 6) AS score FROM pairs")
-    on("q_udtf_keys", "supplier", lambda s, p: sql_functions.keys_by_udtf(s, p), [], None)
+    from overlapkeys.queries import ALL_SUBS
+
+    on(
+        "q_udtf_keys", "supplier", lambda s, p: sql_functions.keys_by_udtf(s, p).select("ordinal", F.col("tag").cast("bigint").alias("tag"), F.regexp_replace("key", "\u001f", "-").alias("key")),
+        ALL_SUBS, "SELECT ordinal, size::BIGINT AS tag, size || '-' || array_to_string(k, '-') AS key FROM keyed WHERE j = 3",
+    )
     on("q_udaf_cluster_signature", "part", lambda s, p: sql_functions.cluster_signatures(L.leader(s, p)), [*lead, "e AS (SELECT cluster_id, unnest(sig) AS e FROM clusters JOIN sig USING (ordinal))", "c AS (SELECT cluster_id, e, row_number() OVER (PARTITION BY cluster_id ORDER BY count(*) DESC, e) AS r FROM e GROUP BY 1, 2)"], "SELECT cluster_id, array_to_string(list_sort(list(e)), '-') AS sig FROM c WHERE r <= 5 GROUP BY 1")
-    on("q_keys_arrow", "userday", lambda s, p: sql_functions.keys_by_arrow(s, p).groupBy("ordinal").agg(F.count("*").alias("keys")), [], None)
+    on(
+        "q_keys_arrow", "userday", lambda s, p: sql_functions.keys_by_arrow(s, p).groupBy("ordinal").agg(F.count("*").alias("keys")),
+        ALL_SUBS, "SELECT ordinal, count(*) AS keys FROM keyed JOIN need ON need.x = size AND need = j GROUP BY 1",
+    )
 
     def streamed(s, d):
         from overlapkeys.streaming import streams
 
         return streams.q_stream_leader(s, d)
 
-    add("q_stream_leader", streamed)
+    add("q_stream_leader", streamed, O.query("userday", lead, "SELECT cluster_id, ordinal, array_to_string(sig, '-') AS elements FROM clusters JOIN sig USING (ordinal)"))

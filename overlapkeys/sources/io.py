@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from overlapkeys.operators.keys import role_keys
+from overlapkeys.plans.overlap_plan import OverlapPlan
+
 SCHEMA = "ordinal bigint, item_id bigint, size int, sig array<string>"
 
 
@@ -47,29 +50,56 @@ def read_assignments(spark: SparkSession, path: str) -> DataFrame:
 
 
 class KeyStore:
-    """Leaders and their mark keys on disk, partitioned by size so that a batch reads only sizes it probes."""
+    """Leaders and their mark keys on disk. Keys are dealt to buckets by their hash and appended batch by batch:
+    nothing written is made again, and a batch reads only the buckets that it probes.
+
+    ``keep`` bounds how many batches back a marker counts; older ones have expired. None: markers stay.
+    """
+
+    KEYS = "key string, leader bigint, batch bigint, bucket int"
+    LEADERS = "ordinal bigint, size int, sig array<string>, batch bigint"
+
+    def __init__(self, spark: SparkSession, path: str, plan: OverlapPlan, buckets: int = 16, keep: int | None = None):
+        self.spark, self.path, self.plan, self.buckets, self.keep = spark, path, plan, buckets, keep
 
-    def __init__(self, spark: SparkSession, path: str):
-        self.spark, self.path = spark, path
+    def _bucket(self) -> Column:
+        return F.pmod(F.xxhash64("key"), F.lit(self.buckets)).cast("int")
 
-    def _fs(self):
+    def _batches(self, part: str) -> list[int]:
+        """Numbers of the batches written; a listing of one folder."""
         jvm = self.spark.sparkContext._jvm
-        p = jvm.org.apache.hadoop.fs.Path(self.path)
-        return p, p.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
+        where = jvm.org.apache.hadoop.fs.Path(f"{self.path}/{part}")
+        fs = where.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
+        if not fs.exists(where):
+            return []
+        return sorted(int(f.getPath().getName().split("=")[1]) for f in fs.listStatus(where) if "=" in f.getPath().getName())
 
-    def exists(self) -> bool:
-        p, fs = self._fs()
-        return fs.exists(p)
+    def _live(self, part: str, before: int | None) -> list[str]:
+        least = None if self.keep is None or before is None else before - self.keep
+        return [f"{self.path}/{part}/batch={b}" for b in self._batches(part) if (before is None or b < before) and (least is None or b >= least)]
 
     def append(self, leaders: DataFrame, batch_id: int) -> None:
         """Idempotent by batch: writing a batch again replaces it."""
-        leaders.select("ordinal", "sig", "size").write.mode("overwrite").partitionBy("size").parquet(f"{self.path}/batch={batch_id}")
-
-    def read(self, before: int | None = None) -> DataFrame:
-        empty = self.spark.createDataFrame([], "ordinal bigint, size int, sig array<string>")
-        if not self.exists():
-            return empty
-        df = self.spark.read.option("basePath", self.path).schema("ordinal bigint, sig array<string>, batch bigint, size int").parquet(self.path)
-        if before is not None:
-            df = df.filter(F.col("batch") < before)
-        return df.select("ordinal", "size", "sig")
+        keys = role_keys(leaders, self.plan, "mark").groupBy("key").agg(F.min("ordinal").alias("leader"))
+        keys.withColumn("bucket", self._bucket()).repartition(self.buckets, "bucket").sortWithinPartitions("bucket", "key").write.mode("overwrite").partitionBy("bucket").parquet(f"{self.path}/keys/batch={batch_id}")
+        leaders.select("ordinal", "size", "sig").write.mode("overwrite").parquet(f"{self.path}/leaders/batch={batch_id}")
+
+    def next_batch(self) -> int:
+        return max(self._batches("keys"), default=-1) + 1
+
+    def probe(self, probes: DataFrame, before: int | None = None) -> DataFrame:
+        """(ordinal, leader): the earliest stored leader of (key, ordinal) rows that has one."""
+        paths = self._live("keys", before)
+        none = self.spark.createDataFrame([], "ordinal bigint, leader bigint")
+        if not paths:
+            return none
+        dealt = probes.select("key", "ordinal").withColumn("bucket", self._bucket())
+        asked = [r["bucket"] for r in dealt.select("bucket").distinct().collect()]  # at most as many as buckets
+        stored = self.spark.read.option("basePath", f"{self.path}/keys").schema(self.KEYS).parquet(*paths).filter(F.col("bucket").isin(asked))
+        return dealt.join(stored.select("bucket", "key", "leader"), ["bucket", "key"]).groupBy("ordinal").agg(F.min("leader").alias("leader"))
+
+    def leaders(self, before: int | None = None) -> DataFrame:
+        paths = self._live("leaders", before)
+        if not paths:
+            return self.spark.createDataFrame([], "ordinal bigint, size int, sig array<string>")
+        return self.spark.read.option("basePath", f"{self.path}/leaders").schema(self.LEADERS).parquet(*paths).select("ordinal", "size", "sig")

@@ -14,12 +14,12 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
 from overlapkeys.operators.keys import mark_keys, probe_keys
-from overlapkeys.operators.leader import leader_batched
+from overlapkeys.operators.leader import leader_step
 from overlapkeys.plans.overlap_plan import OverlapPlan
 from overlapkeys.plans.rules import SimilarityRule
 from overlapkeys.session import settle, shared_dir
 from overlapkeys.sources.io import KeyStore
-from overlapkeys.sources.signatures import sig_userday
+from overlapkeys.sources.signatures import sig_userday, with_ordinal
 
 SIGNATURE = "ordinal bigint, item_id bigint, size int, sig array<string>"
 
@@ -28,25 +28,45 @@ def stream_signatures(spark: SparkSession, path: str, files: int = 1) -> DataFra
     return spark.readStream.schema(SIGNATURE).option("maxFilesPerTrigger", files).parquet(path)
 
 
-def leader_stream(stream: DataFrame, plan: OverlapPlan, store_path: str, out_path: str, checkpoint: str):
-    """Each micro-batch meets the stored leaders, then its own rounds; a batch run again replaces its own rows."""
+def _numbered(batch: DataFrame, path: str, batch_id: int, order: list[str]) -> DataFrame:
+    """Rows with their arrival numbers: the rows of earlier batches, as written beside the result, plus the rank in this one.
+
+    The rank is built from ranges of rows, so no window holds the whole batch; one row a range passes the last one.
+    """
+    spark = batch.sparkSession
+    base = 0
+    if batch_id:
+        counts = spark.read.schema("n bigint, batch bigint").option("basePath", path).parquet(f"{path}/batch=*")
+        base = counts.filter(F.col("batch") < batch_id).agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    ranged = settle(batch.repartitionByRange(*order).withColumn("__b", F.spark_partition_id()), "ranged")
+    rows = with_ordinal(ranged, F.col("__b"), *order)
+    spark.createDataFrame([(ranged.count(),)], "n bigint").write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
+    return rows.withColumn("ordinal", F.col("ordinal") + F.lit(base))
+
+
+def leader_stream(stream: DataFrame, plan: OverlapPlan, store_path: str, out_path: str, checkpoint: str, number_by: list[str] | None = None, keep: int | None = None):
+    """Each micro-batch meets the stored keys, then its own rounds; a batch run again replaces its own rows.
+
+    number_by: columns by which arrivals are numbered inside a batch, for streams without ordinals of their own.
+    keep: how many batches back a stored leader still counts.
+    """
     spark = stream.sparkSession
 
     def each(batch: DataFrame, batch_id: int) -> None:
-        store = KeyStore(spark, store_path)
-        known = settle(store.read(before=batch_id), "store")
-        rows = settle(batch.select("ordinal", "item_id", "size", "sig"), "batch")
-        top = rows.agg(F.max("ordinal")).first()[0]
-        if top is None:
-            return
-        assigned = settle(leader_batched(rows, plan, top, known), "assigned")
-        new = rows.join(assigned.filter("cluster_id = ordinal").select("ordinal"), "ordinal", "left_semi")
-        store.append(new, batch_id)
-        assigned.write.mode("overwrite").parquet(f"{out_path}/batch={batch_id}")
+        store = KeyStore(spark, store_path, plan, keep=keep)
+        rows = batch if number_by is None else _numbered(batch, f"{store_path}/offsets", batch_id, number_by)
+        rows = settle(rows.select("ordinal", "item_id", "size", "sig"), "batch")
+        if not rows.isEmpty():
+            leader_step(rows, plan, store, batch_id).write.mode("overwrite").parquet(f"{out_path}/batch={batch_id}")
 
     return stream.writeStream.foreachBatch(each).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+def late_rows(query) -> int:
+    """Rows that a finished or running query has dropped as later than its watermark, over all its progress reports."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+
+
 def q_stream_leader(spark: SparkSession, sf_dir: str) -> DataFrame:
     """User-days as a stream of files in arrival order; the result equals the batch run's."""
     base = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
@@ -61,10 +81,13 @@ def q_stream_leader(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 class _Writers(StatefulProcessor):
-    """Per key: ordinals that have written it; readers learn all earlier ones."""
+    """Per key: ordinals that have written it; readers learn all earlier ones that haven't expired."""
+
+    def __init__(self, live_ms: int | None = None):
+        self.live_ms = live_ms
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.seen = handle.getListState("seen", "ordinal bigint")
+        self.seen = handle.getListState("seen", "ordinal bigint", ttlDurationMs=self.live_ms)
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer_values) -> Iterator[pd.DataFrame]:
         got = pd.concat(list(rows)).sort_values(["ordinal", "marks"])
@@ -84,11 +107,14 @@ class _Writers(StatefulProcessor):
         pass
 
 
-def pairs_stream(stream: DataFrame, plan: OverlapPlan) -> DataFrame:
-    """Similar pairs as items arrive; a pair may come from several keys, so dedupe downstream."""
+def pairs_stream(stream: DataFrame, plan: OverlapPlan, live_ms: int | None = None) -> DataFrame:
+    """Similar pairs as items arrive; a pair may come from several keys, so dedupe downstream.
+
+    live_ms: how long a marker counts after it was written, by the processing clock; the state store drops it then.
+    """
     marks = mark_keys(stream, plan).select("key", "ordinal", F.lit(True).alias("marks"))
     probes = probe_keys(stream, plan).select("key", "ordinal", F.lit(False).alias("marks"))
-    return marks.union(probes).groupBy("key").transformWithStateInPandas(_Writers(), "earlier bigint, later bigint", "append", "none")
+    return marks.union(probes).groupBy("key").transformWithStateInPandas(_Writers(live_ms), "earlier bigint, later bigint", "append", "none" if live_ms is None else "processingTime")
 
 
 def stream_events(spark: SparkSession, path: str) -> DataFrame:
@@ -124,4 +150,4 @@ def pairs_stream_join(left: DataFrame, right: DataFrame, plan: OverlapPlan, with
     return x.join(y, F.expr(f"earlier_key = later_key AND earlier_ts <= later_ts AND earlier_ts >= later_ts - INTERVAL {within}")).select("earlier", "later")
 
 
-__all__ = ["leader_stream", "pairs_stream", "pairs_stream_join", "behaviour_stream", "dedupe_stream", "stream_events", "stream_signatures", "q_stream_leader"]
+__all__ = ["leader_stream", "late_rows", "pairs_stream", "pairs_stream_join", "behaviour_stream", "dedupe_stream", "stream_events", "stream_signatures", "q_stream_leader"]
