@@ -27,15 +27,19 @@ CELLS = 60_000  # letters of words that are scored at once
 RESCALE = 8  # letters after which the forward sums are scaled anew
 
 
+_RUN = re.compile(r"[^\W\d_]+")  # letters, and numerals of other kinds than digits
+
+
 @lru_cache(1)
-def _word() -> re.Pattern:
-    """Runs of letters, Unicode's category L; Python's own class of word characters has other numerals, too."""
+def _letters() -> re.Pattern:
     numerals = "".join(c for c in map(chr, range(128, sys.maxunicode + 1)) if c.isalnum() and not c.isalpha() and not c.isdecimal())
     return re.compile(rf"[^\W\d_{numerals}]+")
 
 
 def words_of(text: str) -> list[str]:
-    return _word().findall(text.lower())
+    """Runs of letters, Unicode's category L; the slower pattern is asked only where a text has numerals among them."""
+    words = _RUN.findall(text.lower())
+    return words if not words or "".join(words).isalpha() else _letters().findall(text.lower())
 
 
 def load_pieces(path: str) -> dict[str, int]:
@@ -66,6 +70,8 @@ class _Table:
         # pieces that lost their slot to another, a few, in a list sorted by hash
         lost = np.flatnonzero(self.slots[slot] != np.arange(len(pieces)))
         self.rest = lost[np.argsort(self.hash[lost])]
+        self.shared = np.zeros(1 << self.BITS, bool)
+        self.shared[slot[lost]] = True
 
     @staticmethod
     def _mixed(h: np.ndarray, size: int) -> np.ndarray:
@@ -81,13 +87,14 @@ class _Table:
         for m in range(1, min(self.longest, n) + 1):
             h = h[:, 1:] + self.power[m - 1] * codes[:, : n - m + 1]
             x = self._mixed(h, m)
-            ids = self.slots[(x >> np.uint64(64 - self.BITS)).astype(np.int64)]
-            miss = (ids != self.none) & (self.hash[ids] != x)
-            if miss.any():
-                ids[miss] = self.none
-            if len(self.rest):
-                at = np.minimum(np.searchsorted(self.hash[self.rest], x), len(self.rest) - 1)
-                ids = np.where(self.hash[self.rest[at]] == x, self.rest[at], ids)
+            slot = (x >> np.uint64(64 - self.BITS)).astype(np.int64)
+            ids = self.slots[slot]
+            ids[self.hash[ids] != x] = self.none
+            more = np.nonzero(self.shared[slot])
+            if len(more[0]):
+                own = x[more]
+                at = np.minimum(np.searchsorted(self.hash[self.rest], own), len(self.rest) - 1)
+                ids[more] = np.where(self.hash[self.rest[at]] == own, self.rest[at], ids[more])
             out.append(ids)
         return out
 
