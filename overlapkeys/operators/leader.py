@@ -20,6 +20,7 @@ from overlapkeys.plans.overlap_plan import OverlapPlan
 from overlapkeys.session import settle, shared_dir
 
 from .keys import collapse_identical, role_keys
+from .trace import Engine, whole
 
 if TYPE_CHECKING:
     from overlapkeys.sources.io import KeyStore
@@ -39,16 +40,43 @@ def _round(live: DataFrame, plan: OverlapPlan) -> DataFrame:
     return waiting.select("ordinal", "size", "sig", F.when(F.col("held"), 0).otherwise(1).alias("s"))
 
 
-def leaders(sigs: DataFrame, plan: OverlapPlan, max_rounds: int = 10_000) -> DataFrame:
-    """(ordinal, size, sig) of the leaders. Each round writes what is undecided and the new leaders, and counts it."""
-    now = settle(collapse_identical(sigs).select("ordinal", "size", "sig", F.lit(0).alias("s")), "live")
+LAST_KEYS = 1_000_000  # mark keys of what is left, up to which one task ends the rounds
+
+
+def _end(live: DataFrame, plan: OverlapPlan) -> DataFrame:
+    """The leaders among what is left, one item at a time over a dictionary: the same answer as more rounds give."""
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        engine, out = Engine(plan), []
+        for r in whole(frames).itertuples(index=False):
+            sig = list(r.sig)
+            if r.s == 1:
+                engine.lead(r.ordinal, sig)
+            elif engine.assign(r.ordinal, sig, engine.keys(sig)) == r.ordinal:
+                out.append((r.ordinal, r.size, sig))
+        yield pd.DataFrame(out, columns=["ordinal", "size", "sig"])
+
+    return live.select("ordinal", "size", "sig", "s").coalesce(1).mapInPandas(run, "ordinal bigint, size int, sig array<string>")
+
+
+def leaders(sigs: DataFrame, plan: OverlapPlan, max_rounds: int = 10_000, last_keys: int = LAST_KEYS) -> DataFrame:
+    """(ordinal, size, sig) of the leaders. Each round writes what is undecided and the new leaders, and counts it by size.
+
+    Once the keys of what is left are few, by that count, one task decides the rest: long tails of small rounds go.
+    """
+    some = sigs.filter(F.col("size").isin(*plan.sizes))  # others have no keys
+    now = settle(collapse_identical(some).select("ordinal", "size", "sig", F.lit(0).alias("s")), "live")
     found = None
     for _ in range(max_rounds):
+        left = {(r["size"], r["s"]): r["count"] for r in now.groupBy("size", "s").count().collect()}  # two rows a size
+        if not any(s == 0 for _, s in left):
+            return now.select("ordinal", "size", "sig") if found is None else found
+        if sum(n * plan.mark_count(x) for (x, _), n in left.items()) <= last_keys:
+            rest = settle(_end(now, plan), "leaders")
+            return rest if found is None else found.union(rest)
         now = settle(_round(now, plan), "live")
         new = now.filter("s = 1").select("ordinal", "size", "sig")
         found = new if found is None else found.union(new)
-        if now.filter("s = 0").isEmpty():
-            return found
     raise RuntimeError("rounds did not end")
 
 
@@ -134,7 +162,7 @@ def leader_reference(sigs: DataFrame, plan: OverlapPlan) -> DataFrame:
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         store: dict[tuple, int] = {}
         rows = []
-        for r in pd.concat(list(frames)).sort_values("ordinal").itertuples(index=False):
+        for r in whole(frames).itertuples(index=False):
             sig = list(r.sig)
             hits = [store[k] for t, pos in plan.combos(len(sig), "probe") if (k := (t, *(sig[p - 1] for p in pos))) in store]
             cluster = min(hits) if hits else r.ordinal
@@ -151,7 +179,7 @@ def centroid_scan_reference(sigs: DataFrame, plan: OverlapPlan) -> DataFrame:
     """The control: each arrival is compared with every leader in turn, the earliest similar one wins; one task."""
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        pdf = pd.concat(list(frames)).sort_values("ordinal")
+        pdf = whole(frames)
         led: list[tuple[int, frozenset]] = []
         rows = []
         for r in pdf.itertuples(index=False):

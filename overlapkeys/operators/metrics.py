@@ -126,6 +126,7 @@ def extrapolate(trace: DataFrame, to: int, power: float = 2.0) -> DataFrame:
 
 
 def crossover(a: DataFrame, b: DataFrame) -> DataFrame:
-    """The least n at which b has become faster than a."""
+    """The least n from which on b is faster than a at every later checkpoint; null if there is none."""
     both = a.select("n", F.col("elapsed_s").alias("a")).join(b.select("n", F.col("elapsed_s").alias("b")), "n")
-    return both.filter("b < a").agg(F.min("n").alias("crossover"))
+    slower = both.agg(F.coalesce(F.max(F.when(F.col("b") >= F.col("a"), F.col("n"))), F.lit(0)).alias("until"))
+    return both.crossJoin(F.broadcast(slower)).filter("n > until").agg(F.min("n").alias("crossover"))  # one row

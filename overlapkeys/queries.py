@@ -19,6 +19,7 @@ from overlapkeys.operators import leader as L
 from overlapkeys.operators import metrics as M
 from overlapkeys.operators import policies as P
 from overlapkeys.operators import retrieve as R
+from overlapkeys.operators import trace as T
 from overlapkeys.plans.overlap_plan import OverlapPlan, advise
 from overlapkeys.plans.rules import KINDS, SimilarityRule
 from overlapkeys.session import settle, shared_dir
@@ -358,7 +359,49 @@ add("q_trace_mean", lambda s, d: M.mean_time(_trace(s)).select("run", "n", F.rou
 add("q_trace_marginal", lambda s, d: M.marginal(_trace(s)).select("run", "n", F.round("marginal_s", 9).alias("marginal_s")), f"WITH {TRACE_SQL} SELECT run, n, round((elapsed_s - coalesce(lag(elapsed_s) OVER w, 0)) / (n - coalesce(lag(n) OVER w, 0)), 9) AS marginal_s FROM trace WINDOW w AS (PARTITION BY run ORDER BY n)")
 add("q_speedup", lambda s, d: M.speedup(_trace(s).filter("run = 'control'"), _trace(s).filter("run = 'engine'")), f"WITH {TRACE_SQL} SELECT a.n, round(a.elapsed_s / b.elapsed_s, 6) AS speedup FROM trace a JOIN trace b USING (n) WHERE a.run = 'control' AND b.run = 'engine'")
 add("q_extrapolation", lambda s, d: M.extrapolate(_trace(s).filter("run = 'control'"), 10_000_000).select("n", F.round("elapsed_s", 3).alias("elapsed_s"), F.round(F.col("elapsed_s") / 2982.0, 3).alias("ratio")), f"WITH {TRACE_SQL} SELECT 10000000::BIGINT AS n, round(elapsed_s * (10000000.0 / n) ** 2, 3) AS elapsed_s, round(elapsed_s * (10000000.0 / n) ** 2 / 2982.0, 3) AS ratio FROM trace WHERE run = 'control'")
-add("q_crossover", lambda s, d: M.crossover(s.range(10, 200, 10).select(F.col("id").alias("n"), (F.col("id") * F.col("id") * 0.0001).alias("elapsed_s")), s.range(10, 200, 10).select(F.col("id").alias("n"), (F.col("id") * 0.0071).alias("elapsed_s"))), "SELECT min(n)::BIGINT AS crossover FROM (SELECT unnest(range(10, 200, 10)) AS n) WHERE n * 0.0071 < n * n * 0.0001")
+
+
+# ---- traces: own runs, measured anew each time (no oracle) ----
+CONTROL_ITEMS = 5000  # arrivals after which the control stops, as it must somewhere
+
+
+def _measured(s: SparkSession, d: str) -> DataFrame:
+    sigs, plan = sigs_of(s, d, "orders"), plan_of("orders")
+    return settle(T.timed_run(sigs, plan, "engine").union(T.timed_run(sigs, plan, "control", CONTROL_ITEMS)), "trace")
+
+
+def _of_run(trace: DataFrame, run: str) -> DataFrame:
+    return trace.filter(F.col("run") == run)
+
+
+add("q_trace_measured", lambda s, d: M.marginal(M.mean_time(_measured(s, d))))
+add("q_phases", lambda s, d: T.phases(_measured(s, d)))
+add("q_growth_power", lambda s, d: T.growth(_measured(s, d)))
+
+
+def _speedup(s: SparkSession, d: str) -> DataFrame:
+    trace = _measured(s, d)
+    return M.speedup(_of_run(trace, "control"), _of_run(trace, "engine"))
+
+
+def _crossover(s: SparkSession, d: str) -> DataFrame:
+    trace = _measured(s, d)
+    return M.crossover(_of_run(trace, "control"), _of_run(trace, "engine"))
+
+
+def _crossover_of(rows: list[tuple[int, float, float]]) -> Query:
+    def run(s: SparkSession, d: str) -> DataFrame:
+        t = s.createDataFrame(rows, "n bigint, control double, engine double")
+        return M.crossover(t.select("n", F.col("control").alias("elapsed_s")), t.select("n", F.col("engine").alias("elapsed_s")))
+
+    return run
+
+
+add("q_speedup_measured", _speedup)
+add("q_crossover", _crossover)
+# the rule alone, on a fixed small trace in which the engine is ahead by chance once before it stays ahead
+FIXED = [(10, 1.0, 2.0), (20, 3.0, 2.9), (30, 4.0, 4.5), (40, 7.0, 6.0), (50, 11.0, 7.5)]
+add("q_crossover_rule", _crossover_of(FIXED), "SELECT min(n)::BIGINT AS crossover FROM (VALUES " + ", ".join(f"({n}, {c}::DOUBLE, {e}::DOUBLE)" for n, c, e in FIXED) + ") t(n, c, e) WHERE n > (SELECT max(u) FROM (VALUES (10), (30)) v(u))")
 
 # ---- worked examples ----
 F1 = "ABCD DEFG AEGH BCEI CFHJ DEJK CGKL DHIL CIMN CFHO".split()

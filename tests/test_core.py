@@ -89,6 +89,8 @@ def test_parallel_equals_sequential(spark):
     assert led == ids(leader_reference(s, p)) == ids(leader_batched(s, p, 37)) == ids(centroid_scan_reference(s, p))
     assert led == ids(leader(pseudonymize(s), p))
     chief = {r.ordinal for r in leaders(s, p).collect()}
+    for few in (0, 150, 10**6):  # by rounds alone, by rounds and an end, by the end alone
+        assert {r.ordinal for r in leaders(s, p, last_keys=few).collect()} == chief
     assert not any(a in chief and b in chief for a, b in truth)
     multi = leader_multi(s, p).collect()
     assert {(r.ordinal, r.cluster_id) for r in multi if r.ordinal != r.cluster_id} == {(b, a) for a, b in truth if a in chief}
@@ -162,3 +164,160 @@ def test_queries_read_whole_workloads(spark, name, column, over):
     got = __spark_entry__.queries()[name](spark, "/root/testdata/sf0.01")
     assert got.agg({column: "max"}).first()[0] > over
     assert not [n for n, sql in __spark_entry__.oracle_sql().items() if "sig0" in sql or "ordinal <= 4000" in sql]
+
+
+EMPTY = "ordinal bigint, item_id bigint, size int, sig array<string>"
+
+
+def test_timing_traces(spark):
+    from overlapkeys.operators import metrics, trace
+
+    p, s = plan("3/5", range(2, 7)), _random(spark, 5, 300)
+    runs = {r: trace.timed_run(s, p, r).orderBy("n").collect() for r in trace.RUNS}
+    assert [x.n for x in runs["engine"]] == list(range(10, 301, 10)) == [x.n for x in runs["control"]]
+    assert [x.clusters for x in runs["engine"]] == [x.clusters for x in runs["control"]]
+    assert all(abs(x.elapsed_s - sum(x[k] for k in trace.PHASES)) < 1e-9 for r in runs.values() for x in r)
+    assert trace.timed_run(s, p, "control", 25).count() == 3
+    assert trace.timed_run(spark.createDataFrame([], EMPTY), p, "engine").count() == 0
+    made = spark.createDataFrame([("a", n, 3e-5 * n**1.5) for n in range(100, 2000, 100)] + [("b", n, 2e-4 * n) for n in range(100, 2000, 100)], "run string, n bigint, elapsed_s double")
+    assert {r.run: round(r.power, 6) for r in trace.growth(made).collect()} == {"a": 1.5, "b": 1.0}
+    never = metrics.crossover(made.filter("run = 'b'"), made.filter("run = 'b'")).first()[0]
+    assert never is None
+
+
+def test_rules_that_overlap_can_end():
+    """Keys are exact only while more overlap never ends similarity; another rule is refused."""
+
+    class Odd(SimilarityRule):
+        def holds(self, overlap, x, y):
+            return overlap % 2 == 1
+
+    assert all(SimilarityRule.of(k, "2").is_monotone(range(1, 9)) for k in KINDS)
+    assert not Odd("jaccard", 1, 2).is_monotone((1, 2, 3))
+    with pytest.raises(ValueError, match="more overlap"):
+        OverlapPlan.build(Odd("jaccard", 1, 2), range(2, 5))
+
+
+def test_chain_over_blocks(spark, monkeypatch):
+    from overlapkeys.operators import chain as C
+
+    p, s = plan("3/5", range(2, 7)), _random(spark, 6)
+    whole = {m: ids(chain(s, p, m)) for m in ("all", "first", "last")}
+    monkeypatch.setattr(C, "BLOCK", 7)
+    assert whole == {m: ids(chain(s, p, m)) for m in whole}
+
+
+def test_generated_pairs(spark):
+    from overlapkeys.operators.baselines import generated_pairs
+
+    p, s = plan("3/5", range(2, 7)), _random(spark, 7)
+    assert pairs(generated_pairs(s, p)) == pairs(generated_pairs(s, p, 1)) == pairs(bruteforce_pairs(s, p.rule))
+    twice = s.union(s.withColumn("ordinal", s.ordinal + 200))
+    assert pairs(similar_pairs(twice, p)) == pairs(bruteforce_pairs(twice, p.rule)) == pairs(prefix_pairs(twice, p))
+    q = plan("4/5", range(2, 7), "contain")
+    assert pairs(similar_pairs(twice, q)) == pairs(bruteforce_pairs(twice, q.rule))
+
+
+def test_library_baselines_keep_all_elements(spark):
+    from overlapkeys.operators.baselines import _vectors, minhash_mllib
+
+    p, s = plan("3/5", range(2, 7)), _random(spark, 8)
+    assert {r.v.numNonzeros() for r in _vectors(s, "v").filter("size = 5").collect()} == {5}
+    truth, found = pairs(bruteforce_pairs(s, p.rule)), pairs(minhash_mllib(s, 0.6, 40))
+    assert found <= truth and len(found) >= 0.9 * len(truth)
+
+
+def test_key_store(spark, tmp_path):
+    from overlapkeys.operators.keys import role_keys
+    from overlapkeys.sources.io import KeyStore
+
+    p, s = plan("3/5", range(2, 7)), _random(spark, 9)
+    store = KeyStore(spark, f"{tmp_path}/k", p, buckets=4)
+    assert store.next_batch() == 0 and store.probe(role_keys(s, p, "probe")).count() == 0
+    for k in range(4):
+        store.append(s.filter(f"ordinal > {k * 30} and ordinal <= {k * 30 + 30}"), k)
+    store.append(s.filter("ordinal > 90"), 3)  # again: replaces, doesn't add
+    assert store.next_batch() == 4 and store.leaders().count() == 120 and store.leaders(2).count() == 60
+    near = {}
+    for a, b in pairs(bruteforce_pairs(s, p.rule)):
+        near.setdefault(a, set()).add(b)
+        near.setdefault(b, set()).add(a)
+    for before, keep, low, high in ((None, None, 0, 120), (2, None, 0, 60), (4, 2, 60, 120)):
+        got = {r.ordinal: r.leader for r in KeyStore(spark, store.path, p, 4, keep).probe(role_keys(s, p, "probe"), before).collect()}
+        want = {i: min(x for x in {i, *near.get(i, ())} if low < x <= high) for i in range(1, 121) if any(low < x <= high for x in {i, *near.get(i, ())})}
+        assert got == want
+
+
+def _arrive(s, path, lo, hi):
+    s.filter(f"ordinal > {lo} and ordinal <= {hi}").coalesce(1).write.parquet(path)
+
+
+def test_leader_stream_goes_on_after_a_stop(spark, tmp_path):
+    from overlapkeys.streaming.streams import leader_stream, stream_signatures
+
+    p, s = plan("3/5", range(2, 7)), _random(spark, 10)
+    run = lambda number, name: leader_stream(stream_signatures(spark, f"{tmp_path}/in/*"), p, f"{tmp_path}/{name}", f"{tmp_path}/{name}-out", f"{tmp_path}/{name}-c", number).awaitTermination()
+    read = lambda name: spark.read.schema("cluster_id bigint, ordinal bigint, elements array<string>").parquet(f"{tmp_path}/{name}-out/batch=*")
+    _arrive(s, f"{tmp_path}/in/a", 0, 50)
+    run(None, "given")
+    run(["item_id"], "counted")
+    for name, lo, hi in (("b", 50, 80), ("c", 80, 120)):
+        _arrive(s, f"{tmp_path}/in/{name}", lo, hi)
+    run(None, "given")  # from the checkpoint on
+    run(["item_id"], "counted")
+    want = ids(leader(s, p))
+    assert ids(read("given")) == want
+    assert [(r.ordinal, r.cluster_id) for r in read("counted").orderBy("ordinal").collect()] == list(enumerate(want, 1))
+
+
+EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
+
+
+def _events(spark, path, rows):
+    import datetime
+
+    made = [(k, datetime.datetime(2024, 1, 1) + datetime.timedelta(hours=h), u, kind, 1.0, '{"k": 5}') for k, h, u, kind in rows]
+    spark.createDataFrame(made, EVENTS).coalesce(1).write.mode("append").parquet(path)
+
+
+def test_windowed_signatures_late_rows_and_modes(spark, tmp_path):
+    from overlapkeys.streaming.streams import behaviour_stream, late_rows, stream_events
+
+    _events(spark, f"{tmp_path}/in", [(1, 1, 1, "click"), (2, 5, 1, "view"), (3, 30, 1, "buy"), (4, 2, 2, "click")])
+    rows = {}
+    for kind in ("tumbling", "sliding", "session"):
+        q = behaviour_stream(stream_events(spark, f"{tmp_path}/in"), kind).writeStream.format("memory").queryName(kind).outputMode("complete" if kind != "session" else "append").option("checkpointLocation", f"{tmp_path}/{kind}").trigger(availableNow=True).start()
+        q.awaitTermination()
+        rows[kind] = [(r.user_id, tuple(r.sig)) for r in spark.table(kind).collect()]
+    assert (1, ("click:0", "view:0")) in rows["tumbling"] and (1, ("buy:0",)) in rows["tumbling"] and len(rows["tumbling"]) == 3
+    assert rows["sliding"].count((2, ("click:0",))) == 4
+    assert (1, ("click:0",)) in rows["session"] and (1, ("view:0",)) in rows["session"]
+    # a second run from the checkpoint: rows below the watermark are dropped and counted
+    go = lambda: behaviour_stream(stream_events(spark, f"{tmp_path}/late")).writeStream.format("noop").outputMode("update").option("checkpointLocation", f"{tmp_path}/c").trigger(availableNow=True).start()
+    _events(spark, f"{tmp_path}/late", [(1, 100, 1, "click")])
+    q = go()
+    q.awaitTermination()
+    assert late_rows(q) == 0
+    _events(spark, f"{tmp_path}/late", [(2, 1, 1, "click"), (3, 2, 1, "view"), (4, 101, 1, "view")])
+    q = go()
+    q.awaitTermination()
+    assert late_rows(q) == 1  # both late events of the user fall into one window, which is dropped after map-side combining
+
+
+def test_replayed_events_go_and_timed_pairs_meet(spark, tmp_path):
+    import datetime
+
+    from overlapkeys.streaming.streams import dedupe_stream, pairs_stream_join, stream_events
+
+    _events(spark, f"{tmp_path}/in", [(1, 1, 1, "click"), (1, 1, 1, "click"), (2, 2, 1, "view")])
+    q = dedupe_stream(stream_events(spark, f"{tmp_path}/in")).writeStream.format("memory").queryName("once").option("checkpointLocation", f"{tmp_path}/c").trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert sorted(r.event_id for r in spark.table("once").collect()) == [1, 2]
+    day = lambda k: datetime.datetime(2024, 1, k)
+    schema = "ts timestamp, ordinal bigint, size int, sig array<string>"
+    for side, rows in (("l", [(day(1), 1, 3, list("abc")), (day(2), 2, 3, list("xyz"))]), ("r", [(day(3), 3, 3, list("abd")), (day(9), 4, 3, list("abc")), (day(3), 5, 3, list("xyz"))])):
+        spark.createDataFrame(rows, schema).coalesce(1).write.parquet(f"{tmp_path}/{side}")
+    left, right = (spark.readStream.schema(schema).parquet(f"{tmp_path}/{side}") for side in "lr")
+    q = pairs_stream_join(left, right, plan("1/2", [3])).writeStream.format("memory").queryName("timed").outputMode("append").option("checkpointLocation", f"{tmp_path}/j").trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert {(r.earlier, r.later) for r in spark.table("timed").collect()} == {(1, 3), (2, 5)}
