@@ -12,7 +12,7 @@ from overlapkeys.plans.overlap_plan import OverlapPlan
 from overlapkeys.plans.rules import SimilarityRule
 from overlapkeys.session import settle
 
-from .keys import mark_keys, probe_keys
+from .keys import encoded, expanded, mark_keys, probe_keys
 from .leader import leader
 from .retrieve import similar_pairs
 
@@ -117,16 +117,37 @@ def leader_refreshed(sigs: DataFrame, plan: OverlapPlan, batch_rows: int) -> Dat
 
 # ---- named extensions: weights, degrees, probabilities ----
 def weighted_pairs(weighted: DataFrame, theta: str) -> DataFrame:
-    """Pairs with sum(min)/sum(max) >= theta over element weights; candidates by a shared element and a bound on totals."""
-    t = float(Fraction(theta))
+    """Pairs with sum(min)/sum(max) >= theta over element weights (ordinal, weights map).
+
+    The sum of the lesser weights is at most overlap * most, that of the greater ones at least union * least, so
+    overlap / union >= theta * least / most: sub-signature keys at that lower threshold miss no pair. Totals and
+    weights travel with the keys; the direct check decides.
+    """
+    t = Fraction(theta)
     total = F.aggregate(F.map_values("weights"), F.lit(0.0), lambda a, x: a + x)
-    base = weighted.withColumn("total", total)
-    flat = base.select("ordinal", "total", F.explode("weights").alias("e", "w"))
-    a = flat.select("e", F.col("ordinal").alias("earlier"), F.col("total").alias("ta"), F.col("w").alias("wa"))
-    b = flat.select("e", F.col("ordinal").alias("later"), F.col("total").alias("tb"), F.col("w").alias("wb"))
-    met = a.join(b, "e").filter((F.col("earlier") < F.col("later")) & (F.least("ta", "tb") >= F.greatest("ta", "tb") * t))
-    low = met.groupBy("earlier", "later", "ta", "tb").agg(F.sum(F.least("wa", "wb")).alias("low"))
-    return low.withColumn("score", F.col("low") / (F.col("ta") + F.col("tb") - F.col("low"))).filter(F.col("score") >= t).select("earlier", "later", "score")
+    base = weighted.select("ordinal", "weights", total.alias("total"), F.array_sort(F.map_keys("weights")).alias("sig")).withColumn("size", F.size("sig"))
+    base = settle(base.filter("size > 0"), "weighted")
+    w = base.select("size", F.explode(F.map_values("weights")).alias("w"))
+    low, high, sizes = w.agg(F.min("w"), F.max("w"), F.collect_set("size")).first()  # bounded by the cap on sizes
+    if low is None or low <= 0:
+        if low is None:
+            return base.select(F.col("ordinal").alias("earlier"), F.col("ordinal").alias("later"), F.col("total").alias("score"))
+        raise ValueError("weights must be above zero")
+    safe = t * (Fraction(low) / Fraction(high)).limit_denominator(10_000) * Fraction(9999, 10_000)  # rounded down
+    plan = OverlapPlan.build(SimilarityRule.jaccard(safe), sizes)
+
+    def keyed(role: str, name: str) -> DataFrame:
+        rows = expanded(base, plan, role)
+        key = encoded(F.col("tag"), F.col("sub"), "text").alias("key")
+        own = [F.col(c).alias(f"{name}_{c}") for c in ("ordinal", "sig", "weights", "total")]
+        return rows.select(key, *own, *([F.col("sub")] if role == "probe" else []))
+
+    met = keyed("probe", "b").join(keyed("mark", "a"), "key")
+    met = met.filter((F.col("a_ordinal") < F.col("b_ordinal")) & (F.least("a_total", "b_total") >= F.greatest("a_total", "b_total") * float(t)))
+    met = met.withColumn("both", F.array_intersect("a_sig", "b_sig")).filter(F.col("sub") == F.slice("both", 1, F.size("sub")))
+    shared = F.aggregate("both", F.lit(0.0), lambda s, e: s + F.least(F.element_at("a_weights", e), F.element_at("b_weights", e)))
+    scored = met.withColumn("low", shared).withColumn("score", F.col("low") / (F.col("a_total") + F.col("b_total") - F.col("low")))
+    return scored.filter(F.col("score") >= float(t)).select(F.col("a_ordinal").alias("earlier"), F.col("b_ordinal").alias("later"), "score")
 
 
 def fuzzy_membership(sigs: DataFrame, lo: str, hi: str, sizes) -> DataFrame:

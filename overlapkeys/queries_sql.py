@@ -89,7 +89,11 @@ def register(add, sigs_of, plan_of) -> None:
     on("q_join_size_band", "userday", lambda s, p: s.select("ordinal", F.explode(F.sequence(F.ceil(F.col("size") * 0.6 - 1e-9).cast("int"), F.floor(F.col("size") / 0.6 + 1e-9).cast("int"))).alias("y")).groupBy("y").agg(F.count("*").alias("n")).join(s.groupBy(F.col("size").alias("y")).agg(F.count("*").alias("m")), "y").select(F.col("y").cast("bigint").alias("size"), (F.col("n") * F.col("m")).alias("pairs")), [], "SELECT b.size::BIGINT AS size, count(*) AS pairs FROM sig a JOIN sig b ON a.size BETWEEN ceil(b.size * 0.6 - 1e-9) AND floor(b.size / 0.6 + 1e-9) GROUP BY 1")
     on("q_join_full", "part", lambda s, p: settle(L.leader(s, p), "a").select("ordinal", "cluster_id").filter("ordinal <= 1500").join(s.select("ordinal", F.col("item_id").alias("item")).filter("ordinal > 500"), "ordinal", "full"), lead, "SELECT ordinal, cluster_id, item FROM (SELECT * FROM clusters WHERE ordinal <= 1500) FULL JOIN (SELECT ordinal, item_id AS item FROM sig WHERE ordinal > 500) USING (ordinal)")
     on("q_asof_marker", "userday", lambda s, p: s.withColumn("marker", F.last(F.when(F.col("size") >= 4, F.col("ordinal")), ignorenulls=True).over(W.partitionBy("item_id").orderBy("ordinal").rowsBetween(W.unboundedPreceding, -1))).select("ordinal", "marker"), [], "SELECT a.ordinal, max(b.ordinal) AS marker FROM sig a LEFT JOIN sig b ON a.item_id = b.item_id AND b.ordinal < a.ordinal AND b.size >= 4 GROUP BY 1")
-    on("q_join_interval", "userday", lambda s, p: R.similar_pairs(s, p).filter("later - earlier <= 300").select("earlier", "later"), [O.pairs()], "SELECT earlier, later FROM pairs WHERE later - earlier <= 300")
+    add(
+        "q_join_interval",
+        lambda s, d: s.sql("SELECT b.event_id AS bought, c.event_id AS clicked FROM {t} b JOIN {t} c ON b.user_id = c.user_id AND c.ts < b.ts AND c.ts >= b.ts - INTERVAL 3 DAYS WHERE b.event_type = 'purchase' AND c.event_type = 'click'", t=load(s, d, "events")),
+        "SELECT b.event_id AS bought, c.event_id AS clicked FROM events b JOIN events c ON b.user_id = c.user_id AND c.ts < b.ts AND c.ts >= b.ts - INTERVAL 3 DAY WHERE b.event_type = 'purchase' AND c.event_type = 'click'",
+    )
     topk = "SELECT a.ordinal, p.earlier FROM sig a, LATERAL (SELECT earlier FROM pairs WHERE later = a.ordinal ORDER BY overlap DESC, earlier LIMIT 2) p"
 
     def lateral(s: DataFrame, p) -> DataFrame:
@@ -98,7 +102,11 @@ def register(add, sigs_of, plan_of) -> None:
         return best.filter("r <= 2").select(F.col("later").alias("ordinal"), "earlier")
 
     on("q_topk_neighbours", "part", lateral, [O.pairs()], topk)
-    on("q_join_lateral", "supplier", lambda s, p: s.sparkSession.sql("SELECT a.ordinal, t.e FROM {sig} a, LATERAL (SELECT explode(a.sig) AS e) t", sig=s), [], "SELECT ordinal, unnest(sig) AS e FROM sig")
+    on(
+        "q_join_lateral", "part",
+        lambda s, p: s.sparkSession.sql("SELECT a.ordinal, t.earlier FROM {s} a, LATERAL (SELECT p.earlier FROM {p} p WHERE p.later = a.ordinal ORDER BY p.overlap DESC, p.earlier LIMIT 2) t", s=s, p=settle(R.similar_pairs(s, p), "pairs")),
+        [O.pairs()], topk,
+    )
     on("q_sort_assignments", "part", lambda s, p: L.leader(s, p).select("cluster_id", "ordinal").orderBy("cluster_id", "ordinal"), lead, "SELECT cluster_id, ordinal FROM clusters")
     on("q_agg_approx", "userday", lambda s, p: s.select(F.explode("sig").alias("e")).agg(F.approx_count_distinct("e").alias("n")), [], None)
     on("q_sql_functions", "part", lambda s, p: sql_functions.similar_by_sql(s), [O.pairs()], "SELECT earlier, later, round(overlap::DOUBLE / (x + y - overlap), 6) AS score FROM pairs")
