@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from bisect import bisect_right
+
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -53,37 +56,31 @@ def in_told(rows: DataFrame, told: DataFrame, key: str, by: list[str], total: in
     return dealt.join(told.select(key, F.explode(spread).alias("__salt")), [key, "__salt"], "left_semi").drop("__salt")
 
 
-def with_next(df: DataFrame, order: str, value: str, to: str, span: int = 512) -> DataFrame:
+def with_next(df: DataFrame, order: str, value: str, to: str) -> DataFrame:
     """Each row with ``value`` of the row that has the next lower ``order``; the last row gets the first's.
 
-    No global sort: rows are dealt by blocks of ``span`` neighbouring ids, ``lead`` runs inside a
-    block and only one boundary value per block meets the following block. A null ``order`` comes last;
-    ``value`` has no nulls.
+    Rows of one ``order`` follow each other by a hash of ``value``, a null ``order`` (a long) comes last, ``value``
+    has no nulls. The order is found on the ids alone: their ranges, a few for each shuffle partition, are blocks of
+    about equal numbers of rows however ids are spread. ``lead`` runs inside a block, and a block's last row meets
+    the first one of the block that follows.
     """
-    block = F.coalesce(F.floor(F.col(order) / span), F.lit(-(1 << 62)))
-    falling = [F.col(order).desc_nulls_last(), F.col(value).asc_nulls_first()]
-    dealt = df.withColumn("__b", block)
+    spark, names = df.sparkSession, df.columns
+    keyed = df.withColumn("__o", F.coalesce(order, F.lit(-(1 << 63)))).withColumn("__t", F.xxhash64(value))
+    falling = [F.col("__o").desc(), F.col("__t")]
+    ranges = 4 * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    ids = keyed.select("__o", "__t").repartitionByRange(ranges, *falling)
+    ids = settle(ids.groupBy(F.spark_partition_id().alias("p")).agg(F.min(F.struct(F.bitwise_not("__o").alias("o"), F.col("__t").alias("t"))).alias("m")), "ranges")
+    bounds = sorted((r["m"]["o"], r["m"]["t"]) for r in ids.collect())  # one row a range
+    n = max(1, len(bounds))
+
+    @F.pandas_udf("struct<b: int, head: boolean>")
+    def dealt_to(o: pd.Series, t: pd.Series) -> pd.DataFrame:
+        keys = list(zip((~o.to_numpy()).tolist(), t.tolist()))
+        b = [bisect_right(bounds, k) - 1 for k in keys]
+        return pd.DataFrame({"b": b, "head": [k == bounds[i] for k, i in zip(keys, b)]})
+
+    dealt = keyed.withColumn("__r", dealt_to("__o", "__t")).withColumn("__b", F.col("__r.b")).withColumn("__head", F.col("__r.head")).drop("__r")
     inner = dealt.withColumn("__n", F.lead(value).over(W.partitionBy("__b").orderBy(*falling)))
-    keys = dealt.select("__b").distinct()
-    pieces = keys.withColumn("__c", F.floor(F.col("__b") / 4096))
-    # the block that follows: inside a run of 4,096 blocks by window, across runs by their greatest blocks
-    runs = pieces.groupBy("__c").agg(F.max("__b").alias("__top"))
-    runs = runs.withColumn("__after", F.lead("__top").over(W.orderBy(F.col("__c").desc())))
-    first_block = runs.agg(F.max("__top").alias("__first"))
-    follow = (
-        pieces.withColumn("__f", F.lead("__b").over(W.partitionBy("__c").orderBy(F.col("__b").desc())))
-        .join(runs.select("__c", "__after"), "__c")
-        .crossJoin(F.broadcast(first_block))  # one row
-        .select("__b", F.coalesce("__f", "__after", "__first").alias("__g"))
-    )
-    # a block's first value; ids before values, so that the long column is kept for one row a block
-    heads = (
-        dealt.withColumn("__r", F.row_number().over(W.partitionBy("__b").orderBy(*falling)))
-        .filter("__r = 1")
-        .select(F.col("__b").alias("__g"), F.col(value).alias("__h"))
-    )
-    return (
-        inner.join(follow.join(heads, "__g"), "__b", "left")
-        .withColumn(to, F.coalesce("__n", "__h"))
-        .drop("__b", "__n", "__g", "__h")
-    )
+    heads = dealt.filter("__head").groupBy("__b").agg(F.first(value).alias("__h"))  # rows of one key have one value
+    heads = heads.select(F.pmod(F.col("__b") - 1, F.lit(n)).alias("__b"), "__h")
+    return inner.join(heads, "__b", "left").withColumn(to, F.coalesce("__n", "__h")).select(*names, to)

@@ -1,7 +1,8 @@
 """Operator 2: SpotSigs fingerprints.
 
-A spot is an anchor, a very common word, with the chain of content words that follow it. A document's
-fingerprint is its set of spots. Likeness is the Jaccard similarity of two sets, cut short where
+A spot is an anchor, a very common word, with the chain of content words that follow it. The beginning of a text
+and that of each sentence are anchors, too, and its end stands in where words run out, so one rule holds for
+texts of any length. A document's fingerprint is its set of spots. Likeness is the Jaccard similarity of two sets, cut short where
 the sizes alone keep it below the threshold; the join deals sets by length, so that sets whose lengths are
 too unlike never meet.
 """
@@ -21,17 +22,19 @@ from pyspark.sql import functions as F
 
 from .common import documents, with_next
 
-WORD = re.compile(r"[^\W_]+")
+TOKEN = re.compile(r"[^\W_]+|[.!?\u3002\uff01\uff1f](?!\S)")  # words, and marks that end a sentence
 # Anchors, and further common words that no chain counts as content.
 ANCHORS = frozenset("the a an is was of to and le la les un une des der die das ein eine ist el los las una es".split())
 STOPS = ANCHORS | frozenset("in that it for on with as by this be are from at or et de du que qui en au pour dans par sur und von mit zu den dem auf für y del por con para se lo al su".split())
 CHAIN = 2  # content words in a spot
 KEPT_WORDS = 1_000_000  # bound of a worker's memory of words
-EVERY_WORD = 4  # with fewer spots than this every word is an anchor
+
+
+BEGIN, END = np.uint64(0x5851F42D4C957F2D), np.uint64(0x14057B7EF767814F)  # hashes of a text's beginning and end
 
 
 class _Words:
-    """Per worker: each word's number, hash and kind (0 content, 1 common, 2 anchor)."""
+    """Per worker: each word's number, hash and kind (0 content, 1 common, 2 anchor, 3 the end of a sentence)."""
 
     def __init__(self) -> None:
         self.number: dict[str, int] = {}
@@ -49,7 +52,7 @@ class _Words:
                     if k == len(self.hashes):
                         self.hashes, self.kinds = np.r_[self.hashes, np.zeros_like(self.hashes)], np.r_[self.kinds, np.zeros_like(self.kinds)]
                     self.hashes[k] = xxhash.xxh3_64_intdigest(w.encode())
-                    self.kinds[k] = 2 if w in ANCHORS else 1 if w in STOPS else 0
+                    self.kinds[k] = 2 if w in ANCHORS else 1 if w in STOPS else 0 if w[0].isalnum() else 3
             return np.fromiter(map(self.number.__getitem__, words), np.int64, len(words))
 
 
@@ -62,18 +65,17 @@ def spots(text: str | None) -> np.ndarray:
     Equal texts have equal spots. A null text counts as empty, and the empty text has one spot.
     """
     text = text or ""
-    words = WORD.findall(text.lower())
-    if not words:
-        return np.frombuffer(hashlib.blake2b(text.encode("utf-8", "surrogatepass"), digest_size=4).digest(), "<u4").copy()
+    words = TOKEN.findall(text.lower())
     ids = _words.ids(words)
     kind, h = _words.kinds[ids], _words.hashes[ids]
+    if not (kind < 3).any():
+        return np.frombuffer(hashlib.blake2b(text.encode("utf-8", "surrogatepass"), digest_size=4).digest(), "<u4").copy()
+    # the text's beginning is an anchor before all words; ends of the text are content behind all of them
+    kind, h = np.r_[np.int8(2), kind, np.zeros(CHAIN, np.int8)], np.r_[BEGIN, h, np.full(CHAIN, END, np.uint64)]
     content = np.flatnonzero(kind == 0)
     rank = np.cumsum(kind == 0)
-    anchors = np.flatnonzero(kind == 2)
+    anchors = np.flatnonzero(kind >= 2)
     anchors = anchors[rank[anchors] + CHAIN <= len(content)]
-    if len(anchors) < EVERY_WORD:
-        anchors, content, rank = np.arange(len(h)), np.arange(len(h)), np.arange(1, len(h) + 1)
-        h, content = np.r_[h, np.zeros(CHAIN, np.uint64)], np.r_[content, np.arange(len(h), len(h) + CHAIN)]
     made = h[anchors] * np.uint64(0x9E3779B97F4A7C15)
     for k in range(CHAIN):
         made = (made ^ h[content[rank[anchors] + k]]) * np.uint64(0xBF58476D1CE4E5B9)
@@ -93,7 +95,7 @@ def likeness(a: np.ndarray, b: np.ndarray, least: float = 0.0) -> float:
 def compare_edited(docs: DataFrame) -> DataFrame:
     """Each document with the fingerprints of its own and its edited text, and their likeness.
 
-    The next document is the one with the next lower doc_id, by text among equal ids; after the last
+    The next document is the one with the next lower doc_id, by a hash of the text among equal ids; after the last
     comes the first. Null texts are empty. A table of one document is its own next one.
     """
 

@@ -149,6 +149,28 @@ def test_simhash_long_runs():
     assert len({find(i) for i in range(len(fp))}) == 1
 
 
+def test_one_more_word_moves_little():
+    made = prose(3, 77, 40)
+    for t in made + ["plain words that hold no anchor at this place", "a b c d e f g h i j k l m n o p"]:
+        words = t.split()
+        likes = [spotsigs.likeness(spotsigs.spots(" ".join(words[:n])), spotsigs.spots(" ".join(words[: n + 1]))) for n in range(3, len(words))]
+        assert all(x > 0 for x in likes) and all(len(spotsigs.spots(" ".join(words[:n]))) <= 1 + n for n in range(1, len(words)))
+    many = "the end of it. a big dog ran over the green hill to an old house and the man in the small car saw it there. it is late."
+    assert spotsigs.likeness(spotsigs.spots(many), spotsigs.spots(many + " indeed")) >= 0.5
+
+
+@pytest.mark.parametrize("ids", [[None] * 4 + [5], [7] * 9, [2**62, -(2**62), 3, None, 3, 3, 1 - 2**63], list(range(40))])
+def test_next_rows(spark, ids):
+    values = [f"t{k % 6}" for k in range(len(ids))]
+    df = spark.createDataFrame([(i, v, k) for k, (i, v) in enumerate(zip(ids, values))], "o long, v string, __b int").repartition(3)
+    got = common.with_next(df, "o", "v", "w").collect()
+    h = {r.v: r.h for r in df.select("v", F.xxhash64("v").alias("h")).collect()}
+    line = sorted(((i if i is not None else -(1 << 63), v) for i, v in zip(ids, values)), key=lambda x: (-x[0], h[x[1]]))
+    want = [(i, v, line[(k + 1) % len(line)][1]) for k, (i, v) in enumerate(line)]
+    assert sorted((r.o if r.o is not None else -(1 << 63), r.v, r.w) for r in got) == sorted(want)
+    assert common.with_next(df.limit(0), "o", "v", "w").count() == 0
+
+
 def test_spotsigs(spark):
     texts = [t or "" for t in ODD] + [f"the {a} of a {b} is {c}" for a, b, c in zip(prose(8, 1), prose(8, 2), prose(8, 3))]
     got = rows(spotsigs.compare_edited(table(spark, texts)))
@@ -384,12 +406,13 @@ def test_axes_are_those_of_all_passages(spark):
     made = [f"w{k}" for k in range(600)]
     texts, items = ([" ".join(r.choices(made, k=n)) for _ in range(m)] for n, m in ((300, 150), (70, 25)))
     block = latent_decontam.Block(list(enumerate(items)))
-    df, n = latent_decontam.count_terms(table(spark, texts), block)
-    block.weigh(df, n)
-    got = latent_decontam.fit_axes(table(spark, texts), block)
+    found = latent_decontam.find_terms(table(spark, texts), block)
+    block.weigh(*latent_decontam.count_terms(found, block))
+    got = latent_decontam.fit_axes(found, block)
     matrix = []
     for t in texts:
-        where, term, weight = block.rows(block.numbers(latent_decontam.words_of(t)))
+        words = latent_decontam.words_of(t)
+        where, term, weight = block.rows(*block.hits(words), len(words))
         for p in np.unique(where):
             matrix.append(np.bincount(term[where == p], weight[where == p], len(block.number)))
     assert len(matrix) > 1000
