@@ -2,8 +2,8 @@
 
 Documents are cut into overlapping passages of words. Passages are weighted by TF-IDF over the terms of
 the benchmark, whose document frequencies are counted over the whole corpus, and projected to the
-leading right singular vectors of the matrix of all passages, found by a randomised range finder whose
-products run distributed. Items are cut alike. Passages whose cosine with a part of a benchmark item is high
+leading right singular vectors of the matrix of all passages, found by a randomised decomposition whose
+row sketch is made distributed, in one pass. Items are cut alike. Passages whose cosine with a part of a benchmark item is high
 are candidates; the longest common subsequence with the item, and its rarest terms (its answer), decide.
 """
 
@@ -25,8 +25,8 @@ WINDOW, STRIDE = 40, 20  # words of a passage, words between two starts
 ITEMS_AT_ONCE = 1_000  # items searched in one pass over the corpus; more go in blocks
 COMMON = 0.05  # terms in a larger share of passages have no weight
 KEPT = 0.5  # share of its length, squared, that a part of an item keeps in the projection at least
-FAN = 64  # dense partial products that one task adds
-RANK, OVER, POWER = 128, 16, 2  # singular vectors, extra columns, power steps of the range finder
+FAN = 16  # partial sketches that one task adds
+RANK, SKETCH = 128, 1024  # singular vectors; rows of the sketch that all passages are added up in
 RARE = 1e-4  # terms in no larger share of passages are equally rare
 LEAST_HITS = 3  # weighted terms that a candidate passage has at least
 COSINE, LCS, ANSWER = 0.35, 0.6, 0.5
@@ -39,14 +39,14 @@ def words_of(text: str | None) -> list[bytes]:
     return (text or "").lower().encode("utf-8", "surrogatepass").translate(_TABLE).split()
 
 
-def _passages(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
-    """(passage, term, count) of the known terms (ids >= 0), sorted by passage; number of passages."""
-    n = max(1, -(-max(0, len(ids) - (WINDOW - STRIDE)) // STRIDE))
-    at = np.flatnonzero(ids >= 0)
-    first = np.minimum(at // STRIDE, n - 1)
-    where = np.r_[first, first[(first > 0) & (at // STRIDE == first)] - 1]
-    term = np.r_[ids[at], ids[at[(first > 0) & (at // STRIDE == first)]]]
-    both, count = np.unique(where.astype(np.int64) << 32 | term, return_counts=True)
+def _passages(pos: np.ndarray, term: np.ndarray, n_words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
+    """(passage, term, count) of the terms at word places ``pos``, sorted by passage; number of passages."""
+    n = max(1, -(-max(0, n_words - (WINDOW - STRIDE)) // STRIDE))
+    own = pos // STRIDE
+    first = np.minimum(own, n - 1)
+    twice = (first > 0) & (own == first)
+    where = np.concatenate([first, first[twice] - 1])
+    both, count = np.unique(where.astype(np.int64) << 32 | np.concatenate([term, term[twice]]), return_counts=True)
     return both >> 32, both & 0xFFFFFFFF, count, n
 
 
@@ -58,8 +58,14 @@ class Block:
         self.words = [words_of(t) for _, t in items]
         self.number = {w: k for k, w in enumerate(sorted(set().union(*self.words)))}
 
+    def hits(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Places of the words that are terms, and their numbers."""
+        number = np.fromiter(map(self.number.get, words, repeat(-1)), np.int32, len(words))
+        pos = np.flatnonzero(number >= 0)
+        return pos, number[pos]
+
     def numbers(self, words: list[bytes]) -> np.ndarray:
-        return np.fromiter(map(self.number.get, words, repeat(-1)), np.int64, len(words))
+        return self.hits(words)[1]
 
     def weigh(self, df: np.ndarray, passages: int) -> None:
         idf = np.log((1 + passages) / (1 + df))
@@ -84,7 +90,7 @@ class Block:
 
     def answered(self, ids: np.ndarray) -> np.ndarray:
         """Items of whose answers the document has enough terms; no other item can be decided for it."""
-        terms = np.unique(ids[ids >= 0])
+        terms = np.unique(ids)
         terms = terms[self.told_count[terms] > 0]
         size = self.told_count[terms]
         if not len(terms):
@@ -94,9 +100,10 @@ class Block:
         items, n = np.unique(items, return_counts=True)
         return items[n >= self.enough[items]]
 
-    def rows(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    def rows(self, pos: np.ndarray, term: np.ndarray, n_words: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(passage, term, weight) of the passages with enough weighted terms."""
-        where, term, count, n = _passages(np.where((ids >= 0) & (self.idf[ids] > 0), ids, -1))
+        live = self.idf[term] > 0
+        where, term, count, n = _passages(pos[live], term[live], n_words)
         weight = (1 + np.log(count)) * self.idf[term]
         enough = np.bincount(where, minlength=n)[where] >= LEAST_HITS
         return where[enough], term[enough], weight[enough]
@@ -113,7 +120,7 @@ class Block:
         """(item, first word, terms, weights) of the passages of each item, cut as documents are."""
         out = []
         for k, w in enumerate(self.words):
-            where, term, count, _ = _passages(self.numbers(w))
+            where, term, count, _ = _passages(*self.hits(w), len(w))
             for part in np.split(np.arange(len(where)), np.flatnonzero(np.diff(where)) + 1):
                 if len(part):
                     out.append((k, int(where[part[0]]) * STRIDE, term[part], (1 + np.log(count[part])) * self.idf[term[part]]))
@@ -138,96 +145,111 @@ class Block:
         self.latent = latent / np.maximum(np.linalg.norm(latent, axis=1, keepdims=True), 1e-9)
 
 
-def count_terms(docs: DataFrame, block: Block) -> tuple[np.ndarray, int]:
+def find_terms(docs: DataFrame, block: Block) -> DataFrame:
+    """(doc_id, th, n_words, pos, term): where the block's terms stand in each text, written once; texts are read no more."""
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for f in frames:
+            words = [words_of(t) for t in f["text"].tolist()]
+            found = [block.hits(w) for w in words]
+            made = pd.DataFrame({"n_words": [len(w) for w in words], "pos": [p.astype(np.int32) for p, _ in found], "term": [t for _, t in found]})
+            yield pd.concat([f[["doc_id", "th"]].reset_index(drop=True), made], axis=1)
+
+    slim = docs.select(F.col("doc_id").cast("long"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), "text")
+    return settle(slim.mapInPandas(run, "doc_id long, th long, n_words int, pos array<int>, term array<int>"), "terms")
+
+
+def count_terms(found: DataFrame, block: Block) -> tuple[np.ndarray, int]:
     """Passages with each term, and all passages, over the whole corpus; as many rows as terms come back."""
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         df, passages = np.zeros(len(block.number), np.int64), 0
         for f in frames:
-            for text in f["text"].tolist():
-                _, term, _, n = _passages(block.numbers(words_of(text)))
+            for pos, term, words in zip(f["pos"].tolist(), f["term"].tolist(), f["n_words"].tolist()):
+                _, term, _, n = _passages(pos, term, words)
                 df += np.bincount(term, minlength=len(df))
                 passages += n
         at = np.flatnonzero(df)
         yield pd.DataFrame({"term": np.r_[at, -1], "df": np.r_[df[at], passages]})
 
-    got = docs.select("text").mapInPandas(run, "term long, df long").groupBy("term").agg(F.sum("df").alias("df")).toPandas()
+    got = found.select("pos", "term", "n_words").mapInPandas(run, "term long, df long").groupBy("term").agg(F.sum("df").alias("df")).toPandas()
     df = np.zeros(len(block.number))
     own = got[got["term"] >= 0]
     df[own["term"].to_numpy()] = own["df"].to_numpy()
     return df, int(got.loc[got["term"] < 0, "df"].sum())
 
 
-def _product(term: list, weight: list, q: np.ndarray) -> np.ndarray:
-    """Rows times ``q``, and back: the rows' part of the Gram matrix times ``q``."""
-    out = np.zeros_like(q)
-    for at in range(0, len(term), 2000):
-        t, w = term[at : at + 2000], weight[at : at + 2000]
-        size = np.array([len(x) for x in t])
-        if not size.sum():
-            continue
-        flat, value = np.concatenate(t), np.concatenate(w)[:, None].astype(q.dtype)
-        starts = (np.cumsum(size) - size)[size > 0]
-        y = np.repeat(np.add.reduceat(q[flat] * value, starts), size[size > 0], axis=0) * value
-        order = np.argsort(flat, kind="stable")  # rows of one term together
-        first = np.flatnonzero(np.r_[True, np.diff(flat[order]) > 0])
-        out[flat[order][first]] += np.add.reduceat(y[order], first)
-    return out
+def _mixed(h: np.ndarray) -> np.ndarray:
+    h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return h ^ (h >> np.uint64(31))
 
 
-def fit_axes(docs: DataFrame, block: Block) -> np.ndarray:
-    """Right singular vectors of the matrix of all passages with enough weighted terms, and of the items' own.
+def sketch_rows(seed: np.ndarray, pos: list[np.ndarray], term: list[np.ndarray], n_words: np.ndarray, idf: np.ndarray, out: np.ndarray) -> None:
+    """Add the passages of some texts to ``out``, each with a random sign to a random row of it.
 
-    The rows are written once. Each power step is one job: a task multiplies its rows by the wide matrix and
-    back, tasks add FAN dense partial products each, and the driver adds their few sums one after the other.
+    Sign and row come from the text's ``seed`` and the passage's number. A term weighs its idf each time it stands there.
     """
-    spark = docs.sparkSession
+    size = np.array([len(p) for p in pos])
+    if not size.sum():
+        return
+    place, number, doc = np.concatenate(pos), np.concatenate(term), np.repeat(np.arange(len(size)), size)
+    live = idf[number] > 0
+    place, number, doc = place[live], number[live], doc[live]
+    n = np.maximum(1, -(-np.maximum(0, n_words - (WINDOW - STRIDE)) // STRIDE))
+    own = place // STRIDE
+    first = np.minimum(own, n[doc] - 1)
+    twice = (first > 0) & (own == first)
+    base = np.cumsum(n) - n
+    where = np.concatenate([base[doc] + first, (base[doc] + first)[twice] - 1])
+    number, doc = np.concatenate([number, number[twice]]), np.concatenate([doc, doc[twice]])
+    enough = np.bincount(where, minlength=int(n.sum()))[where] >= LEAST_HITS
+    where, number, doc = where[enough], number[enough], doc[enough]
+    h = _mixed(seed[doc] + (where - base[doc]).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+    key = (h % np.uint64(len(out))).astype(np.int64) * out.shape[1] + number
+    sign = np.where(h >> np.uint64(63), -1.0, 1.0)
+    out += np.bincount(key, sign * idf[number], out.size).reshape(out.shape).astype(out.dtype)
+
+
+def fit_axes(found: DataFrame, block: Block) -> np.ndarray:
+    """Right singular vectors of a random sketch of all passages with enough weighted terms, and of the items' own rows.
+
+    One pass: a task adds its passages up in a sketch of SKETCH rows, tasks add FAN sketches each, and the driver adds
+    their few sums one after the other. The sketch's leading singular vectors are close to those of the passages.
+    """
+    spark, idf = found.sparkSession, block.idf
+    shape = (SKETCH, len(block.number))
 
-    def rows(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def sketch(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        out = np.zeros(shape, np.float32)
         for f in frames:
-            out = []
-            for text in f["text"].tolist():
-                where, term, weight = block.rows(block.numbers(words_of(text)))
-                term, weight = term.astype(np.int32), weight.astype(np.float32)
-                cuts = [0, *(np.flatnonzero(np.diff(where)) + 1).tolist(), len(where)]
-                out += [(term[i:j], weight[i:j]) for i, j in zip(cuts, cuts[1:]) if i < j]
-            yield pd.DataFrame(out, columns=["term", "weight"])
-
-    matrix = settle(docs.select("text").mapInPandas(rows, "term array<int>, weight array<float>"), "passages")
-    matrix = matrix.coalesce(max(1, spark.sparkContext.defaultParallelism))  # as many dense partial products
-    terms, wide = len(block.number), min(RANK + OVER, len(block.number))
-    own = block.item_parts()
-    shape = (terms, wide)
-    q = np.linalg.qr(np.random.default_rng(0).standard_normal(shape))[0]
-    for _ in range(POWER + 1):
-        sent = q.astype(np.float32)
-
-        def multiply(frames: Iterator[pd.DataFrame], q: np.ndarray = sent) -> Iterator[pd.DataFrame]:
-            out = np.zeros_like(q)
-            for f in frames:
-                out += _product(f["term"].tolist(), f["weight"].tolist(), q)
-            yield pd.DataFrame({"slot": [TaskContext.get().partitionId() // FAN], "part": [out.tobytes()]})
-
-        def add(f: pd.DataFrame) -> pd.DataFrame:
-            total = np.zeros(shape, np.float32)
-            for part in f["part"]:
-                total += np.frombuffer(part, np.float32).reshape(shape)
-            return pd.DataFrame({"part": [total.tobytes()]})
-
-        z = _product([p[2] for p in own], [p[3] for p in own], q)
-        sums = matrix.mapInPandas(multiply, "slot int, part binary").groupBy("slot").applyInPandas(add, "part binary")
-        for r in sums.toLocalIterator():
-            z = z + np.frombuffer(r["part"], np.float32).reshape(shape)
-        small = q.T @ z  # the Gram matrix in the found range
-        last, q = q, np.linalg.qr(z)[0]
-    values, vectors = np.linalg.eigh((small + small.T) / 2)
-    del values
-    return np.ascontiguousarray((last @ vectors[:, ::-1][:, :RANK]).astype(np.float32))
-
-
-def lcs_length(item: list[bytes], words: list[bytes]) -> int:
+            sketch_rows(f["th"].to_numpy().astype(np.int64).view(np.uint64), f["pos"].tolist(), f["term"].tolist(), f["n_words"].to_numpy(), idf, out)
+        yield pd.DataFrame({"slot": [TaskContext.get().partitionId() // FAN], "part": [out.tobytes()]})
+
+    def add(f: pd.DataFrame) -> pd.DataFrame:
+        total = np.zeros(shape, np.float32)
+        for part in f["part"]:
+            total += np.frombuffer(part, np.float32).reshape(shape)
+        return pd.DataFrame({"part": [total.tobytes()]})
+
+    items = np.zeros((len(block.words), shape[1]), np.float32)
+    for k, _, term, weight in block.item_parts():
+        items[k, term] += weight
+    total = np.zeros(shape, np.float32)
+    few = found.select("th", "pos", "term", "n_words").coalesce(max(1, spark.sparkContext.defaultParallelism))  # as many sketches
+    for r in few.mapInPandas(sketch, "slot int, part binary").groupBy("slot").applyInPandas(add, "part binary").toLocalIterator():
+        total += np.frombuffer(r["part"], np.float32).reshape(shape)
+    rows = np.concatenate([total, items])
+    values, vectors = np.linalg.eigh(rows @ rows.T if len(rows) < shape[1] else rows.T @ rows)
+    lead = vectors[:, ::-1][:, :RANK]
+    if len(rows) < shape[1]:
+        lead = rows.T @ (lead[:, values[::-1][:RANK] > 1e-6 * max(values[-1], 1e-30)])
+    return np.ascontiguousarray(np.linalg.qr(lead)[0].astype(np.float32))
+
+
+def lcs_length(item: list, words: list) -> int:
     """Longest common subsequence, a machine word of the item's places at a time."""
-    places: dict[bytes, int] = {}
+    places: dict = {}
     for k, w in enumerate(item):
         places[w] = places.get(w, 0) | 1 << k
     full = (1 << len(item)) - 1
@@ -240,40 +262,39 @@ def lcs_length(item: list[bytes], words: list[bytes]) -> int:
     return len(item) - v.bit_count()
 
 
-def search(docs: DataFrame, block: Block) -> DataFrame:
+def search(found: DataFrame, block: Block) -> DataFrame:
+    wanted = [block.numbers(w).tolist() for w in block.words]
+
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            ids, ths, texts = f["doc_id"].tolist(), f["th"].tolist(), f["text"].tolist()
             out = []
-            for d, text in enumerate(texts):
-                words = words_of(text)
-                numbers = block.numbers(words)
-                items = block.answered(numbers)
+            for doc, th, n_words, pos, term in zip(f["doc_id"].tolist(), f["th"].tolist(), f["n_words"].tolist(), f["pos"].tolist(), f["term"].tolist()):
+                items = block.answered(term)
                 if not len(items):
                     continue
-                where, latent = block.project(*block.rows(numbers))
+                where, latent = block.project(*block.rows(pos, term, n_words))
                 parts = np.flatnonzero(np.isin(block.part_item, items))
                 cosine = latent @ block.latent[parts].T
                 best: dict[int, tuple[float, float, float]] = {}
                 for row, col in zip(*np.nonzero(cosine >= COSINE)):
                     item = int(block.part_item[parts[col]])
-                    wanted = block.words[item]
-                    reach = len(wanted) // 2 + 2
+                    size = len(wanted[item])
+                    reach = size // 2 + 2
                     begin = int(block.part_start[parts[col]])  # of the part in the item
                     start = int(where[row]) * STRIDE
-                    near = slice(max(0, start - begin - reach), start + max(WINDOW, len(wanted) - begin) + reach)
+                    lo, hi = np.searchsorted(pos, (start - begin - reach, start + max(WINDOW, size - begin) + reach))
+                    near = term[lo:hi].tolist()  # words that are no terms match nothing
                     answer = block.answers[item]
-                    there = len(answer.intersection(numbers[near].tolist())) / max(1, len(answer))
+                    there = len(answer.intersection(near)) / max(1, len(answer))
                     if there < ANSWER:
                         continue
-                    lcs = lcs_length(wanted, words[near]) / len(wanted)
+                    lcs = lcs_length(wanted[item], near) / size
                     if lcs >= LCS:
                         best[item] = max(best.get(item, (0.0, 0.0, 0.0)), (lcs, float(cosine[row, col]), there))
-                out += [(ids[d], ths[d], block.ids[i], c, lcs, a) for i, (lcs, c, a) in best.items()]
+                out += [(doc, th, block.ids[i], c, lcs, a) for i, (lcs, c, a) in best.items()]
             yield pd.DataFrame(out, columns=["doc_id", "th", "item_id", "cosine", "lcs_share", "answer_share"])
 
-    slim = docs.select(F.col("doc_id").cast("long"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), "text")
-    return slim.mapInPandas(run, "doc_id long, th long, item_id long, cosine double, lcs_share double, answer_share double")
+    return found.mapInPandas(run, "doc_id long, th long, item_id long, cosine double, lcs_share double, answer_share double")
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
@@ -293,11 +314,12 @@ def leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
         block = Block([(i, t) for i, t in items if words_of(t)])
         if not block.ids:
             continue
-        block.weigh(*count_terms(docs, block))
-        block.axes = fit_axes(docs, block)
+        terms = find_terms(docs, block)
+        block.weigh(*count_terms(terms, block))
+        block.axes = fit_axes(terms, block)
         block.hold_items()
         block.fold_items()
-        got = search(docs, block)
+        got = search(terms, block)
         found = got if found is None else found.union(got)
     if found is None:
         return spark.createDataFrame([], "doc_id long, th long, item_id long, cosine double, lcs_share double, answer_share double")
