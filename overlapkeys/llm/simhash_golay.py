@@ -29,22 +29,30 @@ NULL_ID = -(1 << 63)
 RUN = 48  # runs of a key up to here are compared at once, longer ones by intact blocks
 
 
-def fingerprint(text: str | None) -> int:
-    words = (text or "").encode("utf-8", "surrogatepass").lower().split()
-    if not words:
+def shingle_hashes(text: str | None, words: int = 4) -> np.ndarray:
+    """XXH64 of each run of so many words, repeats included; of the whole sequence if it is shorter, of none if empty."""
+    own = (text or "").encode("utf-8", "surrogatepass").lower().split()
+    digest = xxhash.xxh64_intdigest
+    if len(own) < words:
+        return np.array([digest(b" ".join(own), 42)] if own else [], np.uint64)
+    size = np.fromiter(map(len, own), np.int64, len(own)) + 1
+    ends = np.cumsum(size)
+    line = b" ".join(own)
+    return np.array([digest(line[i:j], 42) for i, j in zip((ends - size)[: len(own) - words + 1].tolist(), (ends - 1)[words - 1 :].tolist())], np.uint64)
+
+
+def _print_of(hashes: np.ndarray) -> int:
+    if not len(hashes):
         return 0
-    if len(words) < 4:
-        hashes = [xxhash.xxh64_intdigest(b" ".join(words), 42)]
-    else:
-        size = np.fromiter(map(len, words), np.int64, len(words)) + 1
-        ends = np.cumsum(size)
-        line, digest = b" ".join(words), xxhash.xxh64_intdigest
-        hashes = [digest(line[i:j], 42) for i, j in zip((ends - size)[: len(words) - 3].tolist(), (ends - 1)[3:].tolist())]
-    bits = np.unpackbits(np.array(hashes, "<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+    bits = np.unpackbits(hashes.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
     over = bits.sum(0, dtype=np.int64) * 2 > len(hashes)
     return int(np.packbits(over, bitorder="little").view("<u8")[0])
 
 
+def fingerprint(text: str | None) -> int:
+    return _print_of(shingle_hashes(text))
+
+
 @lru_cache(1)
 def _golay() -> tuple[np.ndarray, np.ndarray]:
     """Syndrome of each 23-bit word's bits; error patterns of weight four or less of each syndrome."""
@@ -154,47 +162,57 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), "text").mapInPandas(run, "doc_id long, fp long")
 
 
-def link_edges(classes: DataFrame, most: int = 4) -> DataFrame:
-    """(a, b) edges between the reps of ``classes`` (fp, rep; one row a fingerprint) that link them as all pairs would."""
+def _by_key(keys: DataFrame, links, schema: str) -> DataFrame:
+    """``links`` over whole runs of rows of one key (key, fp, rep), a bounded number of rows at a time."""
+
+    def meet(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held = None
+        for f in frames:
+            held = f if held is None else pd.concat([held, f])
+            if len(held) < 50_000:
+                continue
+            cut = int(np.searchsorted(held["key"].to_numpy(), held["key"].iloc[-1]))  # the last key may go on
+            yield from links(held.iloc[:cut], False)
+            held = held.iloc[cut:]
+        yield from links(held, True)
+
+    return keys.repartition("key").sortWithinPartitions("key").mapInPandas(meet, schema)
+
+
+def _spread(classes: DataFrame, prints: list[str]) -> DataFrame:
+    """(key, fp, rep): the Golay keys of each fingerprint column; keys of different columns never meet."""
 
     def spread(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             for at in range(0, len(f), 4000):
                 part = f.iloc[at : at + 4000]
-                rows, keys = golay_keys(part["fp"].to_numpy().view(np.uint64))
-                yield pd.DataFrame({"key": keys.astype(np.int32), "fp": part["fp"].to_numpy()[rows], "rep": part["rep"].to_numpy()[rows]})
+                for k, name in enumerate(prints):
+                    fp = part[name].to_numpy()
+                    rows, keys = golay_keys(fp.view(np.uint64))
+                    yield pd.DataFrame({"key": (keys + k * (3 << 24)).astype(np.int32), "fp": fp[rows], "rep": part["rep"].to_numpy()[rows]})
 
-    def meet(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        held = None
-        found: list = [[], []]
+    return classes.select(*prints, "rep").mapInPandas(spread, "key int, fp long, rep long")
 
-        def links(part: pd.DataFrame) -> None:
+
+def link_edges(classes: DataFrame, most: int = 4) -> DataFrame:
+    """(a, b) edges between the reps of ``classes`` (fp, rep; one row a fingerprint) that link them as all pairs would."""
+    found: list = [[], []]
+
+    def links(part: pd.DataFrame | None, end: bool) -> Iterator[pd.DataFrame]:
+        if part is not None:
             a, b = links_of_run(part["key"].to_numpy(), part["fp"].to_numpy().view(np.uint64), part["rep"].to_numpy(), most)
             found[0].append(a)
             found[1].append(b)
-
-        for f in frames:
-            held = f if held is None else pd.concat([held, f])
-            if len(held) < 50_000:
-                continue
-            cut = int(np.searchsorted(held["key"].to_numpy(), held["key"].iloc[-1]))  # the last key may go on
-            links(held.iloc[:cut])
-            held = held.iloc[cut:]
-            if sum(map(len, found[0])) > 200_000:
-                a, b = _forest(np.concatenate(found[0]), np.concatenate(found[1]))
-                found = [[a], [b]]
-                if len(a) > 100_000:
-                    yield pd.DataFrame({"a": a, "b": b})
-                    found = [[], []]
-        if held is not None:
-            links(held)
+        if found[0] and (end or sum(map(len, found[0])) > 200_000):
             a, b = np.concatenate(found[0]), np.concatenate(found[1])
             if len(a):
                 a, b = _forest(a, b)
+            found[:] = [[a], [b]]
+            if len(a) > 100_000 or end and len(a):
                 yield pd.DataFrame({"a": a, "b": b})
+                found[:] = [[], []]
 
-    keys = classes.select("fp", "rep").mapInPandas(spread, "key int, fp long, rep long")
-    return keys.repartition("key").sortWithinPartitions("key").mapInPandas(meet, "a long, b long")
+    return _by_key(_spread(classes, ["fp"]), links, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, most: int = 4) -> DataFrame:
@@ -212,6 +230,83 @@ def near_duplicates(docs: DataFrame, most: int = 4) -> DataFrame:
     return prints.join(whole, "fp").withColumn("component", F.when(F.col("component") != NULL_ID, F.col("component")))
 
 
+NEAR_WORDS, NEAR_LEAST, NEAR_BITS, NEAR_PRINTS = 5, 0.8, 14, 3  # of near_copies
+
+
+def _close_rows(key: np.ndarray, fp: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """Of rows sorted by (key, fp), for each the nearest and the first of up to RUN rows of its key before it that are close."""
+    n = len(key)
+    near, dist, first = np.full(n, -1), np.full(n, 65), np.full(n, -1)
+    live, lag = np.arange(n), 1
+    while len(live) and lag <= RUN:
+        live = live[live >= lag]
+        live = live[key[live] == key[live - lag]]
+        d = np.bitwise_count(fp[live] ^ fp[live - lag])
+        ok = d <= most
+        first[live[ok]] = live[ok] - lag
+        better = ok & (d < dist[live])
+        near[live[better]], dist[live[better]] = live[better] - lag, d[better]
+        lag += 1
+    j = np.flatnonzero(near >= 0)
+    other = j[first[j] != near[j]]
+    return np.r_[near[j], first[other]], np.r_[j, other]
+
+
+def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LEAST, most: int = NEAR_BITS, prints: int = NEAR_PRINTS) -> DataFrame:
+    """doc_id, u, component, keep: near copies by shingles; u is a hash of doc_id and text, one row a row of ``docs``.
+
+    Several independent fingerprints of the shingles give Golay keys; rows of a key within ``most`` bits are candidates, and
+    those with a Jaccard similarity of at least ``least`` over the sets of shingles are linked. Equal texts are one class and
+    always linked. The keys promise all pairs within four bits of any fingerprint and find others by chance: the more alike, the
+    surer (recall is measured in the tests). ``keep`` is true for one row of a component, of the least doc_id (nulls last).
+    """
+
+    def printed(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for f in frames:
+            rows = []
+            for text in f["text"].tolist():
+                h = shingle_hashes(text, words)
+                rows.append([_print_of(h if k == 0 else (h ^ (h >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15 + 2 * k * 0x632BE59BD9B4E019 & (1 << 64) - 1)) for k in range(prints)])
+            made = pd.DataFrame(np.array(rows, np.uint64).reshape(-1, prints).view(np.int64), columns=names)
+            made.insert(0, "u", f["u"].to_numpy())
+            made.insert(0, "doc_id", f["doc_id"].to_numpy())
+            yield made
+
+    names = [f"f{k}" for k in range(prints)]
+    u = F.xxhash64(F.col("doc_id").cast("long"), F.coalesce("text", F.lit("")))
+    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit((1 << 63) - 1)).alias("doc_id"), u.alias("u"), "text")
+    told = settle(rows.mapInPandas(printed, "doc_id long, u long, " + ", ".join(f"{n} long" for n in names)), "prints")
+    classes = settle(told.groupBy(*names).agg(F.min("u").alias("rep")), "classes")
+
+    def links(part: pd.DataFrame | None, end: bool) -> Iterator[pd.DataFrame]:
+        if part is not None and len(part):
+            key, fp = part["key"].to_numpy(), part["fp"].to_numpy().view(np.uint64)
+            order = np.lexsort((fp, key))
+            i, j = _close_rows(key[order], fp[order], most)
+            rep = part["rep"].to_numpy()[order]
+            a, b = np.minimum(rep[i], rep[j]), np.maximum(rep[i], rep[j])
+            yield pd.DataFrame({"a": a, "b": b}).drop_duplicates()
+
+    pairs = settle(_by_key(_spread(classes, names), links, "a long, b long").distinct(), "candidates")
+
+    def shingled(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for f in frames:
+            sets = [np.unique(shingle_hashes(t, words) >> np.uint64(16)).astype(np.int64) for t in f["text"].tolist()]
+            yield pd.DataFrame({"u": f["u"].to_numpy(), "s": sets})
+
+    asked = pairs.select(F.col("a").alias("u")).union(pairs.select("b")).distinct()
+    sets = settle(rows.join(asked, "u", "left_semi").select("u", "text").mapInPandas(shingled, "u long, s array<long>").dropDuplicates(["u"]), "shingles")
+    met = pairs.join(sets.select(F.col("u").alias("a"), F.col("s").alias("x")), "a").join(sets.select(F.col("u").alias("b"), F.col("s").alias("y")), "b")
+    shared = F.size(F.array_intersect("x", "y"))
+    edges = met.filter(shared >= F.lit(least) * (F.size("x") + F.size("y") - shared) - 1e-9).select("a", "b")
+    labels = component_labels(edges).withColumnRenamed("node", "rep")
+    whole = classes.join(labels, "rep", "left").select(*names, F.coalesce("label", "rep").alias("component"))
+    placed = settle(told.join(whole, names).select("doc_id", "u", "component"), "placed")
+    best = placed.groupBy("component").agg(F.min(F.struct("doc_id", "u")).alias("best"))
+    kept = placed.join(best, "component").withColumn("keep", F.struct("doc_id", "u") == F.col("best"))
+    return kept.select(F.when(F.col("doc_id") != (1 << 63) - 1, F.col("doc_id")).alias("doc_id"), "u", "component", "keep")
+
+
 def op6_simhash_golay(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = near_duplicates(documents(spark, sf_dir))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.col("component").alias("component_id"))
