@@ -321,3 +321,24 @@ def test_replayed_events_go_and_timed_pairs_meet(spark, tmp_path):
     q = pairs_stream_join(left, right, plan("1/2", [3])).writeStream.format("memory").queryName("timed").outputMode("append").option("checkpointLocation", f"{tmp_path}/j").trigger(availableNow=True).start()
     q.awaitTermination()
     assert {(r.earlier, r.later) for r in spark.table("timed").collect()} == {(1, 3), (2, 5)}
+
+
+def test_components_with_hubs(spark, monkeypatch):
+    from overlapkeys.operators import components as C
+
+    r = random.Random(14)
+    edges = [(k, 1000) for k in range(400)] + [(2000 + k, 2001 + k) for k in range(40)] + [(3000, 3000 + k) for k in range(1, 300)] + [(r.randrange(5000, 5400), r.randrange(5000, 5400)) for _ in range(150)]
+    parent = {x: x for e in edges for x in e}
+
+    def find(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for a, b in edges:
+        parent[max(find(a), find(b))] = min(find(a), find(b))
+    want = {x: find(x) for x in parent if any(x in e and e[0] != e[1] for e in edges)}
+    df = spark.createDataFrame(edges, "a bigint, b bigint")
+    for small in (10**6, 100):
+        monkeypatch.setattr(C, "SMALL", small)
+        assert {x.node: x.label for x in C.component_labels(df).collect()} == want
