@@ -97,22 +97,37 @@ def nesting_violations(levels: DataFrame) -> DataFrame:
     return per.groupBy("level").agg(F.count_if(F.col("n") > 1).alias("violations"))
 
 
-def cluster_elements(assigned: DataFrame, most: int = 10) -> DataFrame:
+def element_counts(assigned: DataFrame) -> DataFrame:
+    return assigned.select("cluster_id", F.explode("elements").alias("e")).groupBy("cluster_id", "e").agg(F.count("*").alias("n"))
+
+
+def frequent_elements(counts: DataFrame, most: int = 10) -> DataFrame:
     """(cluster_id, sig): the most frequent elements of each cluster, ties by text."""
-    n = assigned.select("cluster_id", F.explode("elements").alias("e")).groupBy("cluster_id", "e").agg(F.count("*").alias("n"))
-    top = n.withColumn("r", F.row_number().over(W.partitionBy("cluster_id").orderBy(F.desc("n"), "e"))).filter(F.col("r") <= most)
+    top = counts.withColumn("r", F.row_number().over(W.partitionBy("cluster_id").orderBy(F.desc("n"), "e"))).filter(F.col("r") <= most)
     return top.groupBy("cluster_id").agg(F.array_sort(F.collect_list("e")).alias("sig"))
 
 
 def leader_refreshed(sigs: DataFrame, plan: OverlapPlan, batch_rows: int) -> DataFrame:
-    """One refresh: clusters of the first batch get their frequent elements as centroids, which the rest joins or leaves to found new ones."""
-    first = settle(leader(sigs.filter(F.col("ordinal") <= batch_rows), plan), "first")
-    centres = cluster_elements(first, max(plan.sizes)).select(F.col("cluster_id").alias("ordinal"), F.size("sig").alias("size"), "sig")
-    rest = sigs.filter(F.col("ordinal") > batch_rows)
-    marks = mark_keys(centres, plan).groupBy("key").agg(F.min("ordinal").alias("cluster_id"))
-    known = probe_keys(rest, plan).join(marks, "key").groupBy("ordinal").agg(F.min("cluster_id").alias("cluster_id"))
-    known = settle(rest.join(known, "ordinal").select("cluster_id", "ordinal", F.col("sig").alias("elements")), "known")
-    return first.union(known).union(leader(settle(rest.join(known, "ordinal", "left_anti"), "rest"), plan))
+    """After each batch a cluster's centroid becomes its most frequent elements; the next batch joins centroids or founds clusters.
+
+    Only the counts of elements are carried on, so a batch costs what it brings and the clusters there are.
+    """
+    out, counts = None, None
+    for start in range(0, sigs.agg(F.max("ordinal")).first()[0] or 0, batch_rows):
+        batch = sigs.filter((F.col("ordinal") > start) & (F.col("ordinal") <= start + batch_rows))
+        if counts is None:
+            part = settle(leader(batch, plan), "part")
+        else:
+            centres = frequent_elements(counts, max(plan.sizes)).select(F.col("cluster_id").alias("ordinal"), F.size("sig").alias("size"), "sig")
+            marks = mark_keys(centres, plan).groupBy("key").agg(F.min("ordinal").alias("cluster_id"))
+            known = probe_keys(batch, plan).join(marks, "key").groupBy("ordinal").agg(F.min("cluster_id").alias("cluster_id"))
+            known = settle(batch.join(known, "ordinal").select("cluster_id", "ordinal", F.col("sig").alias("elements")), "known")
+            part = settle(known.union(leader(settle(batch.join(known, "ordinal", "left_anti"), "rest"), plan)), "part")
+        fresh = element_counts(part)
+        fresh = fresh if counts is None else counts.union(fresh).groupBy("cluster_id", "e").agg(F.sum("n").alias("n"))
+        counts = settle(fresh, "counts")
+        out = part if out is None else out.union(part)
+    return out if out is not None else leader(sigs, plan)
 
 
 # ---- named extensions: weights, degrees, probabilities ----

@@ -293,6 +293,7 @@ on("q_centroid_reference", "part", lambda s, p: L.centroid_scan_reference(s, p).
 on("q_blocked_pairs", "userday", lambda s, p: shown(B.blocked_pairs(s, s.select("ordinal", (F.col("ordinal") % 7).alias("block")), p)), [O.pairs()], PAIR_BODY + " WHERE earlier % 7 = later % 7")
 on("q_kmeans", "supplier", lambda s, p: B.kmeans_clusters(s, 12))
 on("q_minhash_mllib", "userday", lambda s, p: B.minhash_mllib(s, 0.6))
+on("q_pair_accuracy_mllib", "userday", lambda s, p: M.pair_accuracy(B.minhash_mllib(s, 0.6), R.similar_pairs(s, p)))
 
 
 def _minhash_sql(bands: int, rows: int, body: str, extra: list[str] | None = None) -> str:

@@ -342,3 +342,26 @@ def test_components_with_hubs(spark, monkeypatch):
     for small in (10**6, 100):
         monkeypatch.setattr(C, "SMALL", small)
         assert {x.node: x.label for x in C.component_labels(df).collect()} == want
+
+
+def test_centroids_refreshed_again_and_again(spark):
+    from collections import Counter
+
+    from overlapkeys.operators.policies import leader_refreshed
+
+    p, s = plan("3/5", range(2, 7)), _random(spark, 15)
+    items = {r.ordinal: r.sig for r in s.collect()}
+    similar = lambda a, b: p.rule.holds(len(set(a) & set(b)), len(a), len(b)) and len(b) in p.sizes
+    home, centres, counts = {}, {}, {}
+    for start in range(0, 120, 40):
+        found = {}
+        for k in range(start + 1, start + 41):
+            near = [c for c, e in centres.items() if similar(items[k], e)]
+            if near:
+                home[k] = min(near)
+            else:
+                home[k] = min([c for c in found if similar(items[k], items[c])], default=k)
+                found.setdefault(home[k], True)
+            counts.setdefault(home[k], Counter()).update(items[k])
+        centres = {c: sorted(sorted(n, key=lambda e: (-n[e], e))[:6]) for c, n in counts.items()}  # noqa: B023
+    assert {r.ordinal: r.cluster_id for r in leader_refreshed(s, p, 40).collect()} == home
