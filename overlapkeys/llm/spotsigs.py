@@ -27,6 +27,7 @@ TOKEN = re.compile(r"[^\W_]+|[.!?\u3002\uff01\uff1f](?!\S)")  # words, and marks
 ANCHORS = frozenset("the a an is was of to and le la les un une des der die das ein eine ist el los las una es".split())
 STOPS = ANCHORS | frozenset("in that it for on with as by this be are from at or et de du que qui en au pour dans par sur und von mit zu den dem auf für y del por con para se lo al su".split())
 CHAIN = 2  # content words in a spot
+LEAST = 0.05  # a likeness below counts as none
 KEPT_WORDS = 1_000_000  # bound of a worker's memory of words
 
 
@@ -83,13 +84,30 @@ def spots(text: str | None) -> np.ndarray:
     return np.unique((made >> np.uint64(32)).astype(np.uint32))
 
 
-def likeness(a: np.ndarray, b: np.ndarray, least: float = 0.0) -> float:
-    """Jaccard similarity of two sorted sets; 0 at once where the sizes keep it below ``least``."""
-    small, large = sorted((len(a), len(b)))
-    if not large or small < least * large:
+def likeness(a: np.ndarray, b: np.ndarray, least: float = LEAST) -> float:
+    """Jaccard similarity of two sorted sets, 0 where it is below ``least``.
+
+    Sets whose lengths lie more than one band apart, or whose sizes alone keep them below, are never compared.
+    """
+    small, large = (a, b) if len(a) <= len(b) else (b, a)
+    if not len(small) or len(small) < least * len(large):
+        return 0.0
+    if least and band(len(large), least) - band(len(small), least) > 1:
+        return 0.0
+    wanted = math.ceil(least * (len(a) + len(b)) / (1 + least) - 1e-9)  # common spots
+    # one of the first len - wanted + 1 spots of either set is common, or too few are
+    head = small[: len(small) - max(1, wanted) + 1]
+    at = np.searchsorted(large, head)
+    if not (large[np.minimum(at, len(large) - 1)] == head).any():
         return 0.0
     shared = len(np.intersect1d(a, b, assume_unique=True))
-    return shared / (len(a) + len(b) - shared)
+    found = shared / (len(a) + len(b) - shared)
+    return found if found >= least else 0.0
+
+
+def band(n: int, least: float) -> int:
+    """Sets of one band, or of two neighbouring ones, may reach ``least``; sets farther apart can't."""
+    return int(math.log(n) / -math.log(least) + 1e-9)
 
 
 def compare_edited(docs: DataFrame) -> DataFrame:

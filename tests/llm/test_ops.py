@@ -195,6 +195,15 @@ def test_one_more_word_moves_little():
     assert spotsigs.likeness(spotsigs.spots(many), spotsigs.spots(many + " indeed")) >= 0.5
 
 
+def test_likeness_is_pruned_jaccard():
+    r = np.random.default_rng(3)
+    for _ in range(3000):
+        a, b = (np.unique(r.integers(0, r.integers(2, 60), r.integers(1, 80)).astype(np.uint32)) for _ in range(2))
+        exact = len(np.intersect1d(a, b)) / len(np.union1d(a, b))
+        for least in (0.0, 0.05, 0.3, 0.8):
+            assert spotsigs.likeness(a, b, least) == (exact if exact >= least else 0.0)
+
+
 @pytest.mark.parametrize("ids", [[None] * 4 + [5], [7] * 9, [2**62, -(2**62), 3, None, 3, 3, 1 - 2**63], list(range(40))])
 def test_next_rows(spark, ids):
     values = [f"t{k % 6}" for k in range(len(ids))]
