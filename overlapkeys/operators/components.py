@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from overlapkeys.session import settle
+from overlapkeys.session import drop, settle
 
 
 HUBS = 10_000  # a node with over one in so many of the rows is a hub; there are fewer than so many of them
@@ -47,7 +47,8 @@ def component_labels(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: i
             large = settle(large, "edges")
         small = _toward_least(large.filter("u > v"), 2 * rows)
         down = small.select(F.col("v").alias("u"), F.col("m").alias("v"))
-        now = settle(down.union(small.select("u", F.col("m").alias("v"))).filter("u <> v").distinct(), "edges")
+        last, now = now, settle(down.union(small.select("u", F.col("m").alias("v"))).filter("u <> v").distinct(), "edges")
+        drop(last, large)
         sums = F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))
         state = tuple(now.agg(F.count("*"), sums).first())
         if state == seen:

@@ -69,7 +69,16 @@ def settle(df: DataFrame, name: str) -> DataFrame:
         gc.collect()
         spark.sparkContext._jvm.System.gc()
         _swept = time.monotonic()
-    return spark.read.schema(schema).parquet(path)
+    out = spark.read.schema(schema).parquet(path)
+    out.settled_at = path
+    return out
+
+
+def drop(*frames: DataFrame) -> None:
+    """Delete what settle wrote for these frames, which no plan that is still to run may read."""
+    for df in frames:
+        if path := getattr(df, "settled_at", None):
+            discard(df.sparkSession, path)
 
 
 def ship(spark: SparkSession) -> None:
