@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from overlapkeys.operators.components import component_labels
 
-from .common import documents, settle
+from .common import documents, drop, settle
 
 GENERATOR = 0b110001110101  # fixed value: generator polynomial of the (23, 12) code
 SEGMENTS = ((0, 23), (23, 23), (46, 18))  # first bit, bits
@@ -299,9 +299,12 @@ def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LE
     met = pairs.join(sets.select(F.col("u").alias("a"), F.col("s").alias("x")), "a").join(sets.select(F.col("u").alias("b"), F.col("s").alias("y")), "b")
     shared = F.size(F.array_intersect("x", "y"))
     edges = met.filter(shared >= F.lit(least) * (F.size("x") + F.size("y") - shared) - 1e-9).select("a", "b")
+    edges = settle(edges, "near")
+    drop(pairs, sets)
     labels = component_labels(edges).withColumnRenamed("node", "rep")
     whole = classes.join(labels, "rep", "left").select(*names, F.coalesce("label", "rep").alias("component"))
     placed = settle(told.join(whole, names).select("doc_id", "u", "component"), "placed")
+    drop(told, classes, edges)
     best = placed.groupBy("component").agg(F.min(F.struct("doc_id", "u")).alias("best"))
     kept = placed.join(best, "component").withColumn("keep", F.struct("doc_id", "u") == F.col("best"))
     return kept.select(F.when(F.col("doc_id") != (1 << 63) - 1, F.col("doc_id")).alias("doc_id"), "u", "component", "keep")
