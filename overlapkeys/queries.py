@@ -95,7 +95,7 @@ for kind, theta, (n, d_) in (("jaccard", "3/5", (3, 5)), ("dice", "3/4", (3, 4))
     if kind != "jaccard":
         on(f"q_pairs_{kind}", "userday", lambda s, p: shown(R.similar_pairs(s, p)).drop("score"), [O.pairs(n, d_, kind)], "SELECT earlier, later, overlap::BIGINT AS overlap FROM pairs", theta=theta, kind=kind)
 assert set(KINDS) == set(O.HOLDS)
-on("q_jaccard_score", "userday", lambda s, p: shown(R.simple_candidates(s, p)), [O.pairs(), "cand AS (SELECT * FROM shared WHERE o >= (SELECT min(need) FROM need n WHERE n.x = shared.x))", NEED], "SELECT earlier, later, o::BIGINT AS overlap, round(o::DOUBLE / (x + y - o), 6) AS score FROM shared s WHERE o >= greatest((SELECT min(need) FROM need n WHERE n.x = s.x), (SELECT min(need) FROM need n WHERE n.x = s.y)) AND (EXISTS (SELECT 1 FROM need a JOIN need b ON a.need = b.need WHERE a.y = s.x AND b.y = s.y AND a.need <= s.o))")
+on("q_simple_candidates", "userday", lambda s, p: shown(R.simple_candidates(s, p)), [O.pairs(), "cand AS (SELECT * FROM shared WHERE o >= (SELECT min(need) FROM need n WHERE n.x = shared.x))", NEED], "SELECT earlier, later, o::BIGINT AS overlap, round(o::DOUBLE / (x + y - o), 6) AS score FROM shared s WHERE o >= greatest((SELECT min(need) FROM need n WHERE n.x = s.x), (SELECT min(need) FROM need n WHERE n.x = s.y)) AND (EXISTS (SELECT 1 FROM need a JOIN need b ON a.need = b.need WHERE a.y = s.x AND b.y = s.y AND a.need <= s.o))")
 on("q_theta_one", "userday", lambda s, p: listed(L.leader(s, p)), [], "SELECT min(ordinal) OVER (PARTITION BY sig) AS cluster_id, ordinal, array_to_string(sig, '-') AS elements FROM sig", theta="1")
 on("q_theta_tiny", "supplier", lambda s, p: shown(R.similar_pairs(s, p)), [O.pairs(1, 100)], PAIR_BODY, theta="1/100")
 
@@ -147,8 +147,6 @@ on("q_join_left", "userday", lambda s, p: R.similarity_join(*_halves(s), p, "lef
 on("q_sim_semi", "userday", lambda s, p: R.similarity_join(*_halves(s), p, "semi").select("ordinal"), ACROSS, "SELECT DISTINCT r_ordinal AS ordinal FROM hits")
 on("q_sim_anti", "userday", lambda s, p: R.similarity_join(*_halves(s), p, "anti").select("ordinal"), ACROSS, f"SELECT ordinal FROM sig WHERE ordinal > {HALF} AND ordinal NOT IN (SELECT r_ordinal FROM hits)")
 on("q_is_known", "userday", lambda s, p: R.is_known(_halves(s)[0], R.build_store(_halves(s)[1], p), p), ACROSS, f"SELECT ordinal, ordinal IN (SELECT r_ordinal FROM hits) AS known FROM sig WHERE ordinal > {HALF}")
-QUERIES["q_simple_candidates"] = QUERIES.pop("q_jaccard_score")
-ORACLES["q_simple_candidates"] = ORACLES.pop("q_jaccard_score")
 on("q_jaccard_score", "part", lambda s, p: shown(R.verify(R.simple_candidates(s, p).select("earlier", "later"), s, None)), [O.pairs()], PAIR_BODY)
 on("q_simple_verified", "userday", lambda s, p: shown(R.simple_verified(s, p)), [O.pairs()], PAIR_BODY)
 SHARE_SIZE = "EXISTS (SELECT 1 FROM need a JOIN need b ON a.need = b.need WHERE a.y = s.x AND b.y = s.y AND a.need <= s.o)"
