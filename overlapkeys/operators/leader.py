@@ -8,7 +8,6 @@ aggregations of key rows, with map-side combining, and never lists pairs.
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 from typing import TYPE_CHECKING
 
@@ -17,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from overlapkeys.plans.overlap_plan import OverlapPlan
-from overlapkeys.session import settle, shared_dir
+from overlapkeys.session import scratch, settle
 
 from .keys import collapse_identical, role_keys
 from .trace import Engine, whole
@@ -147,7 +146,7 @@ def leader_batched(sigs: DataFrame, plan: OverlapPlan, batch_rows: int, store: K
     from overlapkeys.sources.io import KeyStore
 
     spark, out = sigs.sparkSession, None
-    store = store or KeyStore(spark, f"{shared_dir(spark)}/keys-{uuid.uuid4().hex}", plan)
+    store = store or KeyStore(spark, scratch(spark, "keys"), plan)
     first, top = sigs.agg(F.min("ordinal"), F.max("ordinal")).first()
     for start in range((first or 1) - 1, top or 0, batch_rows):
         batch = sigs.filter((F.col("ordinal") > start) & (F.col("ordinal") <= start + batch_rows))

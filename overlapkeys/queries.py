@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import re
-import uuid
 from collections.abc import Callable
 from math import comb
 
@@ -22,7 +21,7 @@ from overlapkeys.operators import retrieve as R
 from overlapkeys.operators import trace as T
 from overlapkeys.plans.overlap_plan import OverlapPlan, advise
 from overlapkeys.plans.rules import KINDS, SimilarityRule
-from overlapkeys.session import settle, shared_dir
+from overlapkeys.session import scratch, settle
 from overlapkeys.sources import signatures as S
 from overlapkeys.sources.io import KeyStore
 
@@ -264,7 +263,7 @@ add("q_hierarchy_nesting", lambda s, d: P.nesting_violations(settle(_levels("nes
 def _resume(s: SparkSession, d: str) -> DataFrame:
     sigs, plan = sigs_of(s, d, "userday"), plan_of("userday")
     first = sigs.filter("ordinal <= 1500")
-    store = KeyStore(s, f"{shared_dir(s)}/store-{uuid.uuid4().hex}", plan)
+    store = KeyStore(s, scratch(s, "store"), plan)
     before = L.leader_step(first, plan, store, 0)
     again = KeyStore(s, store.path, plan)  # another run opens what the first has written
     return listed(before.union(L.leader_batched(sigs.filter("ordinal > 1500"), plan, 100_000, again)))
@@ -427,7 +426,7 @@ def _round_trip(fmt: str) -> Query:
     def run(s: SparkSession, d: str) -> DataFrame:
         from overlapkeys.sources import io
 
-        path = f"{shared_dir(s)}/{fmt}-{uuid.uuid4().hex}"
+        path = scratch(s, fmt)
         io.save_signatures(S.sig_part(s, d), path, fmt)
         return io.load_signatures(s, path, fmt).select("ordinal", "item_id", F.array_join("sig", "-").alias("sig"))
 
@@ -441,7 +440,7 @@ for fmt in ("json", "csv", "orc", "parquet"):
 def _lines(s: SparkSession, d: str) -> DataFrame:
     from overlapkeys.sources import io
 
-    path = f"{shared_dir(s)}/lines-{uuid.uuid4().hex}"
+    path = scratch(s, "lines")
     io.write_signature_lines(S.sig_userday(s, d), path)
     return io.read_signature_lines(s, path).select("ordinal", F.array_join("sig", "+").alias("sig"))
 
@@ -449,7 +448,7 @@ def _lines(s: SparkSession, d: str) -> DataFrame:
 def _assigned_text(s: SparkSession, d: str) -> DataFrame:
     from overlapkeys.sources import io
 
-    path = f"{shared_dir(s)}/assigned-{uuid.uuid4().hex}"
+    path = scratch(s, "assigned")
     sigs = sigs_of(s, d, "part")
     io.write_assignments(L.leader(sigs, plan_of("part")), path)
     return io.read_assignments(s, path).select("cluster_id", "ordinal", F.array_join("elements", "-").alias("elements"))

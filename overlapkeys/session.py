@@ -53,6 +53,13 @@ def _discard_all() -> None:
             return
 
 
+def scratch(spark: SparkSession, name: str) -> str:
+    """A path of its own in the shared folder; what is written there goes when the driver ends."""
+    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    _settled[path] = spark
+    return path
+
+
 def settle(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: cuts lineage, survives lost executors.
 
@@ -61,9 +68,8 @@ def settle(df: DataFrame, name: str) -> DataFrame:
     """
     global _swept
     spark, schema = df.sparkSession, df.schema
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    path = scratch(spark, name)
     df.write.parquet(path)
-    _settled[path] = spark
     del df
     if time.monotonic() - _swept > SWEEP_S:
         gc.collect()

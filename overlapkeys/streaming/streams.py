@@ -5,7 +5,6 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -17,7 +16,7 @@ from overlapkeys.operators.keys import mark_keys, probe_keys
 from overlapkeys.operators.leader import leader_step
 from overlapkeys.plans.overlap_plan import OverlapPlan
 from overlapkeys.plans.rules import SimilarityRule
-from overlapkeys.session import settle, shared_dir
+from overlapkeys.session import scratch, settle
 from overlapkeys.sources.io import KeyStore
 from overlapkeys.sources.signatures import sig_userday, with_ordinal
 
@@ -69,7 +68,7 @@ def late_rows(query) -> int:
 
 def q_stream_leader(spark: SparkSession, sf_dir: str) -> DataFrame:
     """User-days as a stream of files in arrival order; the result equals the batch run's."""
-    base = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    base = scratch(spark, "stream")
     sigs = settle(sig_userday(spark, sf_dir), "sig")
     third = (sigs.count() + 2) // 3
     for k in range(3):
