@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import documents, settle, shared_dir
+from .common import documents, scratch, settle
 from .word_split import is_plain
 
 # Fixed values of the format: ids in a word, bits of each; selector = place in the list.
@@ -315,10 +315,8 @@ def decode_documents(blocks: DataFrame, with_ids: bool = False) -> DataFrame:
 
 
 def op3_simple8b(spark: SparkSession, sf_dir: str) -> DataFrame:
-    import uuid
-
     import public_tokenizers
 
-    path = f"{shared_dir(spark)}/simple8b-{uuid.uuid4().hex}"
+    path = scratch(spark, "simple8b")
     write_token_file(documents(spark, sf_dir), path, public_tokenizers.path("byte_bpe_50k.json"))
     return decode_documents(read_token_file(spark, path))
