@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, with_next
+from .common import arrow_rows, documents, with_next
 
 TOKEN = re.compile(r"[^\W_]+|[.!?\u3002\uff01\uff1f](?!\S)")  # words, and marks that end a sentence
 # Anchors, and further common words that no chain counts as content.
@@ -177,4 +177,5 @@ def near_pairs(docs: DataFrame, least: float = 0.8) -> tuple[DataFrame, DataFram
 
 
 def op2_spotsigs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    arrow_rows(spark, 1_000)
     return compare_edited(documents(spark, sf_dir))
