@@ -17,9 +17,8 @@ from itertools import islice
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
-from .common import documents
+from .common import documents, filled_id, unfilled
 from .word_split import pretokens
 
 KEPT_WORDS = 450_000  # bound of a worker's memory of words
@@ -207,7 +206,7 @@ def encode_documents(docs: DataFrame, path: str, with_ids: bool = False) -> Data
         memory.trim()  # a worker goes on to other stages
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInPandas(run, schema)
+    return unfilled(docs.select(filled_id(), "text").mapInPandas(run, schema))
 
 
 def op5_bpe_merge_replay(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -16,6 +16,17 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+NO_ID = -(1 << 63)  # stands for a null id in Python, where nulls would make numbers of a column floats
+
+
+def filled_id(name: str = "doc_id") -> F.Column:
+    return F.coalesce(F.col(name).cast("long"), F.lit(NO_ID)).alias(name)
+
+
+def unfilled(df: DataFrame, name: str = "doc_id") -> DataFrame:
+    return df.withColumn(name, F.when(F.col(name) != NO_ID, F.col(name)))
+
+
 def arrow_rows(spark: SparkSession, rows: int) -> None:
     """Rows of an Arrow batch in plans made from now on: few where whole texts go to Python and back, for memory."""
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", rows)

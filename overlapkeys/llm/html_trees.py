@@ -18,7 +18,8 @@ from functools import lru_cache
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
+
+from .common import filled_id, unfilled
 
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(script|style)\b[^>]*>.*?(?:</\1\s*>|\Z)|<(noscript|template|svg|textarea|title)(?=[\s/>])[^>]*(?<!/)>.*?</\2\s*>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?/][^>]*>|<[a-zA-Z!?/][^>]*\Z", re.S | re.I)
 SPACE = re.compile(r"\s+")
@@ -339,7 +340,7 @@ def main_text(pages: DataFrame) -> DataFrame:
                 text += extract(html[at : at + 200], trees)
             yield pd.DataFrame({"page_id": f["page_id"], "url": f["url"], "text": text, "n_chars": [len(t) for t in text]})
 
-    return pages.select(F.col("page_id").cast("long"), "url", "html").mapInPandas(run, "page_id long, url string, text string, n_chars long")
+    return unfilled(pages.select(filled_id("page_id"), "url", "html").mapInPandas(run, "page_id long, url string, text string, n_chars long"), "page_id")
 
 
 def op7_html_trees(spark: SparkSession, sf_dir: str) -> DataFrame:

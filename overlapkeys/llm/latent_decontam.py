@@ -19,7 +19,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, settle
+from .common import documents, filled_id, settle, unfilled
 
 WINDOW, STRIDE = 40, 20  # words of a passage, words between two starts
 ITEMS_AT_ONCE = 1_000  # items searched in one pass over the corpus; more go in blocks
@@ -68,7 +68,7 @@ class Block:
         return self.hits(words)[1]
 
     def weigh(self, df: np.ndarray, passages: int) -> None:
-        idf = np.log((1 + passages) / (1 + df))
+        idf = np.log(1 + passages / (1 + df))  # above zero even where every passage has the term
         self.idf = np.where(df > max(COMMON * passages, 5), 0.0, idf)
         # an item of common words only keeps them all
         for w in self.words:
@@ -155,7 +155,7 @@ def find_terms(docs: DataFrame, block: Block) -> DataFrame:
             made = pd.DataFrame({"n_words": [len(w) for w in words], "pos": [p.astype(np.int32) for p, _ in found], "term": [t for _, t in found]})
             yield pd.concat([f[["doc_id", "th"]].reset_index(drop=True), made], axis=1)
 
-    slim = docs.select(F.col("doc_id").cast("long"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), "text")
+    slim = docs.select(filled_id(), F.xxhash64(F.coalesce("text", F.lit(""))).alias("th"), "text")
     return settle(slim.mapInPandas(run, "doc_id long, th long, n_words int, pos array<int>, term array<int>"), "terms")
 
 
@@ -294,7 +294,7 @@ def search(found: DataFrame, block: Block) -> DataFrame:
                 out += [(doc, th, block.ids[i], c, lcs, a) for i, (lcs, c, a) in best.items()]
             yield pd.DataFrame(out, columns=["doc_id", "th", "item_id", "cosine", "lcs_share", "answer_share"])
 
-    return found.mapInPandas(run, "doc_id long, th long, item_id long, cosine double, lcs_share double, answer_share double")
+    return unfilled(found.mapInPandas(run, "doc_id long, th long, item_id long, cosine double, lcs_share double, answer_share double"))
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import documents, scratch, settle
+from .common import documents, filled_id, scratch, settle, unfilled
 from .word_split import is_plain
 
 # Fixed values of the format: ids in a word, bits of each; selector = place in the list.
@@ -253,7 +253,7 @@ def write_token_file(docs: DataFrame, path: str, vocabulary: str, end_id: int =
 
         for frame in frames:
             texts = frame["text"].fillna("").tolist()
-            ids_of = [None if i != i else int(i) for i in frame["doc_id"].tolist()]
+            ids_of = frame["doc_id"].tolist()
             at = 0
             while at < len(texts):
                 upto, chars = at, 0
@@ -270,7 +270,7 @@ def write_token_file(docs: DataFrame, path: str, vocabulary: str, end_id: int =
             yield close()
 
     (
-        docs.select(F.col("doc_id").cast("long"), "text")
+        docs.select(filled_id(), "text")  # the file, too, has the least long for none
         .repartitionByRange(F.col("doc_id"))
         .sortWithinPartitions("doc_id", "text")
         .mapInPandas(run, BLOCK)
@@ -301,7 +301,7 @@ def decode_documents(blocks: DataFrame, with_ids: bool = False) -> DataFrame:
                 ends = np.cumsum(b.n_tokens)
                 starts = ends - np.asarray(b.n_tokens)
                 made = {
-                    "doc_id": pd.array(b.doc_ids, "Int64"),
+                    "doc_id": b.doc_ids,
                     "start": b.start + starts,
                     "n_tokens": np.asarray(b.n_tokens),
                     "ids_crc32": [zlib.crc32(ids[i:j]) for i, j in zip(starts, ends)],
@@ -311,7 +311,7 @@ def decode_documents(blocks: DataFrame, with_ids: bool = False) -> DataFrame:
                 yield pd.DataFrame(made)
 
     schema = "doc_id long, start long, n_tokens long, ids_crc32 long" + ", ids array<long>" * with_ids
-    return blocks.drop("every").mapInPandas(run, schema)
+    return unfilled(blocks.drop("every").mapInPandas(run, schema))
 
 
 def op3_simple8b(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_rows, documents, with_next
+from .common import arrow_rows, documents, filled_id, unfilled, with_next
 
 TOKEN = re.compile(r"[^\W_]+|[.!?\u3002\uff01\uff1f](?!\S)")  # words, and marks that end a sentence
 # Anchors, and further common words that no chain counts as content.
@@ -131,9 +131,9 @@ def compare_edited(docs: DataFrame) -> DataFrame:
             made.insert(0, "doc_id", f["doc_id"].to_numpy())
             yield made
 
-    slim = docs.select(F.col("doc_id").cast("long"), F.coalesce("text", F.lit("")).alias("text"))
+    slim = docs.select(filled_id(), F.coalesce("text", F.lit("")).alias("text"))
     paired = with_next(slim, "doc_id", "text", "next_text").select("doc_id", "text", "next_text")
-    return paired.mapInPandas(run, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+    return unfilled(paired.mapInPandas(run, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"))
 
 
 def fingerprint_sets(docs: DataFrame) -> DataFrame:
@@ -143,7 +143,7 @@ def fingerprint_sets(docs: DataFrame) -> DataFrame:
         for f in frames:
             yield pd.DataFrame({"doc_id": f["doc_id"], "spots": [spots(t).astype(np.int64) for t in f["text"].tolist()]})
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInPandas(run, "doc_id long, spots array<long>")
+    return unfilled(docs.select(filled_id(), "text").mapInPandas(run, "doc_id long, spots array<long>"))
 
 
 def near_pairs(docs: DataFrame, least: float = 0.8) -> tuple[DataFrame, DataFrame]:
