@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from overlapkeys.operators.components import component_labels
 
-from .common import documents, drop, settle
+from .common import documents, drop, filled_id, settle, unfilled
 
 GENERATOR = 0b110001110101  # fixed value: generator polynomial of the (23, 12) code
 SEGMENTS = ((0, 23), (23, 23), (46, 18))  # first bit, bits
@@ -159,7 +159,7 @@ def fingerprints(docs: DataFrame) -> DataFrame:
             fp = np.array([fingerprint(t) for t in f["text"].tolist()], np.uint64)
             yield pd.DataFrame({"doc_id": f["doc_id"], "fp": fp.view(np.int64)})
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInPandas(run, "doc_id long, fp long")
+    return unfilled(docs.select(filled_id(), "text").mapInPandas(run, "doc_id long, fp long"))
 
 
 def _by_key(keys: DataFrame, links, schema: str) -> DataFrame:
@@ -230,35 +230,35 @@ def near_duplicates(docs: DataFrame, most: int = 4) -> DataFrame:
     return prints.join(whole, "fp").withColumn("component", F.when(F.col("component") != NULL_ID, F.col("component")))
 
 
-NEAR_WORDS, NEAR_LEAST, NEAR_BITS, NEAR_PRINTS = 5, 0.8, 14, 3  # of near_copies
+# of near_copies: words of a shingle, least similarity, differing bits of one fingerprint and of all, fingerprints
+NEAR_WORDS, NEAR_LEAST, NEAR_BITS, NEAR_TOTAL, NEAR_PRINTS = 5, 0.8, 10, 40, 3
 
 
 def _close_rows(key: np.ndarray, fp: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
-    """Of rows sorted by (key, fp), for each the nearest and the first of up to RUN rows of its key before it that are close."""
+    """Of rows sorted by (key, fp), each with the nearest of up to RUN rows of its key before it, if that is close."""
     n = len(key)
-    near, dist, first = np.full(n, -1), np.full(n, 65), np.full(n, -1)
+    near, dist = np.full(n, -1), np.full(n, most + 1)
     live, lag = np.arange(n), 1
     while len(live) and lag <= RUN:
         live = live[live >= lag]
         live = live[key[live] == key[live - lag]]
         d = np.bitwise_count(fp[live] ^ fp[live - lag])
-        ok = d <= most
-        first[live[ok]] = live[ok] - lag
-        better = ok & (d < dist[live])
+        better = d < dist[live]
         near[live[better]], dist[live[better]] = live[better] - lag, d[better]
         lag += 1
     j = np.flatnonzero(near >= 0)
-    other = j[first[j] != near[j]]
-    return np.r_[near[j], first[other]], np.r_[j, other]
+    return near[j], j
 
 
 def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LEAST, most: int = NEAR_BITS, prints: int = NEAR_PRINTS) -> DataFrame:
     """doc_id, u, component, keep: near copies by shingles; u is a hash of doc_id and text, one row a row of ``docs``.
 
-    Several independent fingerprints of the shingles give Golay keys; rows of a key within ``most`` bits are candidates, and
-    those with a Jaccard similarity of at least ``least`` over the sets of shingles are linked. Equal texts are one class and
-    always linked. The keys promise all pairs within four bits of any fingerprint and find others by chance: the more alike, the
-    surer (recall is measured in the tests). ``keep`` is true for one row of a component, of the least doc_id (nulls last).
+    Several independent fingerprints of the shingles give Golay keys. At each of its keys a row meets the nearest other one
+    within ``most`` bits; such pairs within NEAR_TOTAL bits over all fingerprints are candidates, and those with a Jaccard
+    similarity of at least ``least`` over the sets of shingles are linked. A large group of copies is so linked through
+    neighbours at many keys, not pair by pair. Equal texts are one class and always linked. Pairs are found by chance, the
+    surer the more alike (recall is measured in the tests). ``keep`` is true for one row of a component, of the least
+    doc_id (nulls last). What is joined to the texts grows with them, so it is shuffled at every size and never broadcast.
     """
 
     def printed(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -287,24 +287,30 @@ def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LE
             a, b = np.minimum(rep[i], rep[j]), np.maximum(rep[i], rep[j])
             yield pd.DataFrame({"a": a, "b": b}).drop_duplicates()
 
-    pairs = settle(_by_key(_spread(classes, names), links, "a long, b long").distinct(), "candidates")
+    found = _by_key(_spread(classes, names), links, "a long, b long").distinct()
+    x, y = (classes.select(F.col("rep").alias(side), F.struct(*names).alias(f"p{side}")) for side in ("a", "b"))
+    apart = sum((F.bit_count(F.col(f"pa.{n}").bitwiseXOR(F.col(f"pb.{n}"))) for n in names), F.lit(0))
+    near = found.join(x, "a").join(y, "b").select("a", "b", apart.alias("d")).filter(F.col("d") <= NEAR_TOTAL)
+    pairs = settle(near, "candidates")
 
     def shingled(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            sets = [np.unique(shingle_hashes(t, words) >> np.uint64(16)).astype(np.int64) for t in f["text"].tolist()]
+            sets = [np.unique((shingle_hashes(t, words) >> np.uint64(32)).astype(np.uint32)).view(np.int32) for t in f["text"].tolist()]
             yield pd.DataFrame({"u": f["u"].to_numpy(), "s": sets})
 
     asked = pairs.select(F.col("a").alias("u")).union(pairs.select("b")).distinct()
-    sets = settle(rows.join(asked, "u", "left_semi").select("u", "text").mapInPandas(shingled, "u long, s array<long>").dropDuplicates(["u"]), "shingles")
-    met = pairs.join(sets.select(F.col("u").alias("a"), F.col("s").alias("x")), "a").join(sets.select(F.col("u").alias("b"), F.col("s").alias("y")), "b")
-    shared = F.size(F.array_intersect("x", "y"))
-    edges = met.filter(shared >= F.lit(least) * (F.size("x") + F.size("y") - shared) - 1e-9).select("a", "b")
-    edges = settle(edges, "near")
-    drop(pairs, sets)
+    sets = settle(rows.join(asked.hint("merge"), "u", "left_semi").select("u", "text").mapInPandas(shingled, "u long, s array<int>").dropDuplicates(["u"]), "shingles")
+
+    def verified(some: DataFrame) -> DataFrame:
+        met = some.select("a", "b").join(sets.select(F.col("u").alias("a"), F.col("s").alias("x")), "a").join(sets.select(F.col("u").alias("b"), F.col("s").alias("y")), "b")
+        shared = F.size(F.array_intersect("x", "y"))
+        return met.filter(shared >= F.lit(least) * (F.size("x") + F.size("y") - shared) - 1e-9).select("a", "b")
+
+    edges = settle(verified(pairs), "near")
     labels = component_labels(edges).withColumnRenamed("node", "rep")
     whole = classes.join(labels, "rep", "left").select(*names, F.coalesce("label", "rep").alias("component"))
     placed = settle(told.join(whole, names).select("doc_id", "u", "component"), "placed")
-    drop(told, classes, edges)
+    drop(told, classes, pairs, sets, edges)
     best = placed.groupBy("component").agg(F.min(F.struct("doc_id", "u")).alias("best"))
     kept = placed.join(best, "component").withColumn("keep", F.struct("doc_id", "u") == F.col("best"))
     return kept.select(F.when(F.col("doc_id") != (1 << 63) - 1, F.col("doc_id")).alias("doc_id"), "u", "component", "keep")

@@ -560,3 +560,21 @@ def test_joins_by_share(spark, monkeypatch, share):
     kept = common.in_told(rows, told.drop("v"), "k", ["i"], len(keys), salts=4).collect()
     assert sorted((r["k"], r["i"]) for r in kept) == want
     assert not common.join_by_share(rows.limit(0), told.limit(0), ["k"], 0).collect()
+
+
+def test_null_ids_leave_large_ones_whole(spark, tmp_path):
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    big = 2**62 + 1
+    docs = spark.createDataFrame([(big, "the house of a man"), (None, "the house of a man"), (big + 1, "mail a@b.cc")], "doc_id long, text string").coalesce(1)
+    want = {big, big + 1, None}
+    ids = lambda df, name="doc_id": {r[name] for r in df.select(name).collect()}
+    assert ids(bpe_replay.encode_documents(docs, public_tokenizers.path("byte_bpe_multi_50k.tiktoken"))) == want
+    assert ids(spotsigs.compare_edited(docs)) == ids(spotsigs.fingerprint_sets(docs)) == want
+    assert ids(simhash_golay.near_duplicates(docs)) == ids(simhash_golay.near_copies(docs)) == want
+    assert ids(html_trees.main_text(docs.select(F.col("doc_id").alias("page_id"), F.lit("u").alias("url"), F.col("text").alias("html"))), "page_id") == want
+    simple8b.write_token_file(docs, f"{tmp_path}/f", path)
+    assert ids(simple8b.decode_documents(simple8b.read_token_file(spark, f"{tmp_path}/f"))) == want
+    assert ids(suffix_groups.remove_repeated_bytes(docs)) == ids(sentence_spans.remove_repeats(docs)) == want
+    bench = spark.createDataFrame([(1, "the house of a man that stood over the green hill")], "item_id long, text string")
+    held = docs.withColumn("text", F.lit("so the house of a man that stood over the green hill fell"))
+    assert ids(latent_decontam.leaks(held, bench)) == want
