@@ -60,21 +60,26 @@ def scratch(spark: SparkSession, name: str) -> str:
     return path
 
 
+def sweep(spark: SparkSession) -> None:
+    """Collect garbage here and in the JVM, so that Spark's cleaner deletes shuffle files that no plan holds."""
+    global _swept
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+    _swept = time.monotonic()
+
+
 def settle(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: cuts lineage, survives lost executors.
 
     What was shuffled to make it is garbage then; a collection, every SWEEP_S seconds at most, lets Spark's
     cleaner delete those files. The written table goes when the driver ends.
     """
-    global _swept
     spark, schema = df.sparkSession, df.schema
     path = scratch(spark, name)
     df.write.parquet(path)
     del df
     if time.monotonic() - _swept > SWEEP_S:
-        gc.collect()
-        spark.sparkContext._jvm.System.gc()
-        _swept = time.monotonic()
+        sweep(spark)
     out = spark.read.schema(schema).parquet(path)
     out.settled_at = path
     return out
