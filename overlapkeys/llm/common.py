@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from overlapkeys.session import drop, scratch, settle  # noqa: F401
+from overlapkeys.session import drop, scratch, settle, sweep  # noqa: F401
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from overlapkeys.operators.components import component_labels
 
-from .common import documents, drop, filled_id, settle, unfilled
+from .common import documents, drop, filled_id, settle, sweep, unfilled
 
 GENERATOR = 0b110001110101  # fixed value: generator polynomial of the (23, 12) code
 SEGMENTS = ((0, 23), (23, 23), (46, 18))  # first bit, bits
@@ -292,6 +292,7 @@ def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LE
     apart = sum((F.bit_count(F.col(f"pa.{n}").bitwiseXOR(F.col(f"pb.{n}"))) for n in names), F.lit(0))
     near = found.join(x, "a").join(y, "b").select("a", "b", apart.alias("d")).filter(F.col("d") <= NEAR_TOTAL)
     pairs = settle(near, "candidates")
+    sweep(docs.sparkSession)  # the keys' shuffle goes before texts are shuffled
 
     def shingled(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
@@ -301,6 +302,8 @@ def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LE
     asked = pairs.select(F.col("a").alias("u")).union(pairs.select("b")).distinct()
     sets = settle(rows.join(asked.hint("merge"), "u", "left_semi").select("u", "text").mapInPandas(shingled, "u long, s array<int>").dropDuplicates(["u"]), "shingles")
 
+    sweep(docs.sparkSession)
+
     def verified(some: DataFrame) -> DataFrame:
         met = some.select("a", "b").join(sets.select(F.col("u").alias("a"), F.col("s").alias("x")), "a").join(sets.select(F.col("u").alias("b"), F.col("s").alias("y")), "b")
         shared = F.size(F.array_intersect("x", "y"))
@@ -311,6 +314,7 @@ def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LE
     whole = classes.join(labels, "rep", "left").select(*names, F.coalesce("label", "rep").alias("component"))
     placed = settle(told.join(whole, names).select("doc_id", "u", "component"), "placed")
     drop(told, classes, pairs, sets, edges)
+    sweep(docs.sparkSession)
     best = placed.groupBy("component").agg(F.min(F.struct("doc_id", "u")).alias("best"))
     kept = placed.join(best, "component").withColumn("keep", F.struct("doc_id", "u") == F.col("best"))
     return kept.select(F.when(F.col("doc_id") != (1 << 63) - 1, F.col("doc_id")).alias("doc_id"), "u", "component", "keep")
