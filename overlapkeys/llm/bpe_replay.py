@@ -149,13 +149,13 @@ class WordMemory:
             cls._of_path[path] = cls(path)
         return cls._of_path[path]
 
-    def trim(self) -> None:
-        if len(self.known) > FIRST_WORDS:
-            self.known = dict(islice(self.known.items(), FIRST_WORDS))
+    def trim(self, first_words: int = FIRST_WORDS) -> None:
+        if len(self.known) > first_words:
+            self.known = dict(islice(self.known.items(), first_words))
 
-    def learn(self, split: list[list[str]]) -> None:
-        if len(self.known) > KEPT_WORDS:
-            self.trim()
+    def learn(self, split: list[list[str]], kept_words: int = KEPT_WORDS) -> None:
+        if len(self.known) > kept_words:
+            self.trim(min(FIRST_WORDS, kept_words // 3))
         fresh = list(set().union(*split).difference(self.known)) if split else []
         decode = self.replay.decode
         for w, ids in zip(fresh, self.replay.encode_words([w.encode() for w in fresh])):
@@ -175,7 +175,7 @@ def _batches(texts: list[str], chars: int = 4_000_000) -> Iterator[list[str]]:
         yield run
 
 
-def encode_documents(docs: DataFrame, path: str, with_ids: bool = False) -> DataFrame:
+def encode_documents(docs: DataFrame, path: str, with_ids: bool = False, kept_words: int = KEPT_WORDS) -> DataFrame:
     """One row per row of ``docs``: doc_id, n_tokens, ids_sha256, decoded_sha256 (and ids if asked for).
 
     A null text counts as empty: no ids, the digest of nothing. Repeated rows give repeated rows, an
@@ -188,7 +188,7 @@ def encode_documents(docs: DataFrame, path: str, with_ids: bool = False) -> Data
             rows = []
             for texts in _batches(frame["text"].fillna("").tolist()):
                 split = [pretokens(t) for t in texts]
-                memory.learn(split)
+                memory.learn(split, kept_words)
                 get = memory.known.__getitem__
                 for words in split:
                     got = list(map(get, words))
@@ -203,7 +203,7 @@ def encode_documents(docs: DataFrame, path: str, with_ids: bool = False) -> Data
             made = pd.DataFrame(rows, columns=names)
             made.insert(0, "doc_id", frame["doc_id"].to_numpy())
             yield made
-        memory.trim()  # a worker goes on to other stages
+        memory.trim(min(FIRST_WORDS, kept_words // 3))  # a worker goes on to other stages
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
     return unfilled(docs.select(filled_id(), "text").mapInPandas(run, schema))
