@@ -19,7 +19,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, filled_id, settle, unfilled
+from .common import arrow_rows, documents, filled_id, settle, unfilled
 
 WINDOW, STRIDE = 40, 20  # words of a passage, words between two starts
 ITEMS_AT_ONCE = 1_000  # items searched in one pass over the corpus; more go in blocks
@@ -327,4 +327,5 @@ def leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 
 
 def op10_latent_decontam(spark: SparkSession, sf_dir: str) -> DataFrame:
+    arrow_rows(spark, 1_000)
     return leaks(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet")).drop("th")
