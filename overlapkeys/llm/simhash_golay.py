@@ -9,7 +9,7 @@ fingerprints that share a key are compared exactly.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 from itertools import combinations
 
@@ -21,11 +21,12 @@ from pyspark.sql import functions as F
 
 from overlapkeys.operators.components import component_labels
 
-from .common import documents, drop, filled_id, settle, sweep, unfilled
+from .common import arrow_rows, documents, drop, filled_id, settle, sweep, unfilled
 
 GENERATOR = 0b110001110101  # fixed value: generator polynomial of the (23, 12) code
 SEGMENTS = ((0, 23), (23, 23), (46, 18))  # first bit, bits
 NULL_ID = -(1 << 63)
+TEXTS = 500  # rows of an Arrow batch of whole texts
 RUN = 48  # runs of a key up to here are compared at once, longer ones by intact blocks
 
 
@@ -179,8 +180,8 @@ def _by_key(keys: DataFrame, links, schema: str) -> DataFrame:
     return keys.repartition("key").sortWithinPartitions("key").mapInPandas(meet, schema)
 
 
-def _spread(classes: DataFrame, prints: list[str]) -> DataFrame:
-    """(key, fp, rep): the Golay keys of each fingerprint column; keys of different columns never meet."""
+def _spread(classes: DataFrame, prints: list[str], *more: str) -> DataFrame:
+    """(key, fp, rep, more longs): the Golay keys of each fingerprint column; keys of different columns never meet."""
 
     def spread(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
@@ -189,9 +190,9 @@ def _spread(classes: DataFrame, prints: list[str]) -> DataFrame:
                 for k, name in enumerate(prints):
                     fp = part[name].to_numpy()
                     rows, keys = golay_keys(fp.view(np.uint64))
-                    yield pd.DataFrame({"key": (keys + k * (3 << 24)).astype(np.int32), "fp": fp[rows], "rep": part["rep"].to_numpy()[rows]})
+                    yield pd.DataFrame({"key": (keys + k * (3 << 24)).astype(np.int32), "fp": fp[rows], **{c: part[c].to_numpy()[rows] for c in ("rep", *more)}})
 
-    return classes.select(*prints, "rep").mapInPandas(spread, "key int, fp long, rep long")
+    return classes.select(*prints, "rep", *more).mapInPandas(spread, ", ".join(["key int, fp long, rep long", *(f"{c} long" for c in more)]))
 
 
 def link_edges(classes: DataFrame, most: int = 4) -> DataFrame:
@@ -250,16 +251,67 @@ def _close_rows(key: np.ndarray, fp: np.ndarray, most: int) -> tuple[np.ndarray,
     return near[j], j
 
 
+PAIRS = 1_000_000  # compared at a time
+
+
+def _apart_rows(key: np.ndarray, home: np.ndarray, fp: np.ndarray, most: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Of rows sorted by (key, home), all positions (i, j) of one key, different homes and within ``most`` bits."""
+    n = len(key)
+    turns = np.flatnonzero(np.r_[True, key[1:] != key[:-1], True])
+    end = np.repeat(turns[1:], np.diff(turns))
+    turns = np.flatnonzero(np.r_[True, (key[1:] != key[:-1]) | (home[1:] != home[:-1]), True])
+    other = np.repeat(turns[1:], np.diff(turns))  # the first row of the key's next home
+    total = np.r_[0, np.cumsum(end - other)]
+    at = 0
+    while at < n:
+        to = max(at + 1, int(np.searchsorted(total, total[at] + PAIRS, "right")) - 1)
+        size = (end - other)[at:to]
+        i = np.repeat(np.arange(at, to), size)
+        j = other[i] + np.arange(len(i)) - (total[i] - total[at])
+        close = np.bitwise_count(fp[i] ^ fp[j]) <= most
+        yield i[close], j[close]
+        at = to
+
+
+def _kept(hashes: np.ndarray) -> np.ndarray:
+    """The set of shingles that is compared: 32 bits of each hash, in order."""
+    return np.unique((hashes >> np.uint64(32)).astype(np.uint32))
+
+
+BLOCK = 4_000  # pairs that are tested together, about
+
+
+def _tested(pairs: DataFrame, told: DataFrame, test: Callable) -> DataFrame:
+    """Those of the settled ``pairs`` (a, b) that pass ``test`` on the two rows of ``told`` (one row a u).
+
+    Pairs are dealt to blocks by both ends, and a row goes once to each block that asks for it, not to each pair.
+    """
+    side = max(1, round((pairs.count() / BLOCK) ** 0.5))
+    dealt = pairs.withColumn("block", F.pmod(F.xxhash64("a"), F.lit(side)) * side + F.pmod(F.xxhash64("b"), F.lit(side)))
+    asked = dealt.select(F.col("block").alias("of"), F.col("a").alias("u")).union(dealt.select("block", "b")).distinct()
+
+    def run(some: pd.DataFrame, rows: pd.DataFrame) -> pd.DataFrame:
+        at = pd.Index(rows["u"])
+        i, j = at.get_indexer(some["a"]), at.get_indexer(some["b"])
+        return some.loc[test(rows, i, j), ["a", "b"]]
+
+    return dealt.groupBy("block").cogroup(told.join(asked.hint("merge"), "u").groupBy("of")).applyInPandas(run, "a long, b long")
+
+
 def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LEAST, most: int = NEAR_BITS, prints: int = NEAR_PRINTS) -> DataFrame:
     """doc_id, u, component, keep: near copies by shingles; u is a hash of doc_id and text, one row a row of ``docs``.
 
-    Several independent fingerprints of the shingles give Golay keys. At each of its keys a row meets the nearest other one
-    within ``most`` bits; such pairs within NEAR_TOTAL bits over all fingerprints are candidates, and those with a Jaccard
-    similarity of at least ``least`` over the sets of shingles are linked. A large group of copies is so linked through
-    neighbours at many keys, not pair by pair. Equal texts are one class and always linked. Pairs are found by chance, the
-    surer the more alike (recall is measured in the tests). ``keep`` is true for one row of a component, of the least
-    doc_id (nulls last). What is joined to the texts grows with them, so it is shuffled at every size and never broadcast.
+    Several independent fingerprints of the shingles give Golay keys. Rows that share a key and differ in ``most`` bits at
+    most there and in NEAR_TOTAL over all fingerprints are candidates, and those with a Jaccard similarity of at least
+    ``least`` over the sets of shingles are linked. At first each row meets the nearest few of its keys only, which links most
+    of a large group of copies through neighbours; then all candidates that these links leave in different components are
+    compared, however many rows a key has, so no link is lost and no large group is listed pair by pair. Equal texts are
+    one class and always linked. That two rows share a key is a matter of chance, the surer the more alike (recall is
+    measured in the tests). ``keep`` is true for one row of a component, of the least doc_id (nulls last). What is joined
+    to the texts grows with them, so it is shuffled at every size and never broadcast.
     """
+    spark = docs.sparkSession
+    batch = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
 
     def printed(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
@@ -275,7 +327,9 @@ def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LE
     names = [f"f{k}" for k in range(prints)]
     u = F.xxhash64(F.col("doc_id").cast("long"), F.coalesce("text", F.lit("")))
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit((1 << 63) - 1)).alias("doc_id"), u.alias("u"), "text")
+    arrow_rows(spark, TEXTS)
     told = settle(rows.mapInPandas(printed, "doc_id long, u long, " + ", ".join(f"{n} long" for n in names)), "prints")
+    arrow_rows(spark, int(batch))
     classes = settle(told.groupBy(*names).agg(F.min("u").alias("rep")), "classes")
 
     def links(part: pd.DataFrame | None, end: bool) -> Iterator[pd.DataFrame]:
@@ -287,34 +341,56 @@ def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LE
             a, b = np.minimum(rep[i], rep[j]), np.maximum(rep[i], rep[j])
             yield pd.DataFrame({"a": a, "b": b}).drop_duplicates()
 
-    found = _by_key(_spread(classes, names), links, "a long, b long").distinct()
-    x, y = (classes.select(F.col("rep").alias(side), F.struct(*names).alias(f"p{side}")) for side in ("a", "b"))
-    apart = sum((F.bit_count(F.col(f"pa.{n}").bitwiseXOR(F.col(f"pb.{n}"))) for n in names), F.lit(0))
-    near = found.join(x, "a").join(y, "b").select("a", "b", apart.alias("d")).filter(F.col("d") <= NEAR_TOTAL)
-    pairs = settle(near, "candidates")
-    sweep(docs.sparkSession)  # the keys' shuffle goes before texts are shuffled
+    def links_apart(part: pd.DataFrame | None, end: bool) -> Iterator[pd.DataFrame]:
+        if part is not None and len(part):
+            key, home = part["key"].to_numpy(), part["home"].to_numpy()
+            order = np.lexsort((home, key))
+            rep = part["rep"].to_numpy()[order]
+            for i, j in _apart_rows(key[order], home[order], part["fp"].to_numpy().view(np.uint64)[order], most):
+                yield pd.DataFrame({"a": np.minimum(rep[i], rep[j]), "b": np.maximum(rep[i], rep[j])}).drop_duplicates()
 
     def shingled(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            sets = [np.unique((shingle_hashes(t, words) >> np.uint64(32)).astype(np.uint32)).view(np.int32) for t in f["text"].tolist()]
+            sets = [_kept(shingle_hashes(t, words)).view(np.int32) for t in f["text"].tolist()]
             yield pd.DataFrame({"u": f["u"].to_numpy(), "s": sets})
 
-    asked = pairs.select(F.col("a").alias("u")).union(pairs.select("b")).distinct()
-    sets = settle(rows.join(asked.hint("merge"), "u", "left_semi").select("u", "text").mapInPandas(shingled, "u long, s array<int>").dropDuplicates(["u"]), "shingles")
-
-    sweep(docs.sparkSession)
-
-    def verified(some: DataFrame) -> DataFrame:
-        met = some.select("a", "b").join(sets.select(F.col("u").alias("a"), F.col("s").alias("x")), "a").join(sets.select(F.col("u").alias("b"), F.col("s").alias("y")), "b")
-        shared = F.size(F.array_intersect("x", "y"))
-        return met.filter(shared >= F.lit(least) * (F.size("x") + F.size("y") - shared) - 1e-9).select("a", "b")
-
-    edges = settle(verified(pairs), "near")
-    labels = component_labels(edges).withColumnRenamed("node", "rep")
-    whole = classes.join(labels, "rep", "left").select(*names, F.coalesce("label", "rep").alias("component"))
+    def near_prints(told: pd.DataFrame, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+        fp = told[names].to_numpy().view(np.uint64)
+        return np.bitwise_count(fp[i] ^ fp[j]).sum(1, dtype=np.int64) <= NEAR_TOTAL
+
+    def similar(told: pd.DataFrame, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+        sets = told["s"].tolist()
+        both = np.array([len(np.intersect1d(sets[a], sets[b], assume_unique=True)) for a, b in zip(i, j)], np.int64)
+        size = np.array([len(x) for x in sets], np.int64)
+        return both >= least * (size[i] + size[j] - both) - 1e-9
+
+    def verified(found: DataFrame) -> DataFrame:
+        """The pairs (a, b) of ``found`` that are candidates and similar."""
+        met = settle(found.distinct(), "met")
+        pairs = settle(_tested(met, classes.select(F.col("rep").alias("u"), *names), near_prints), "candidates")
+        drop(met)
+        sweep(spark)  # the keys' shuffle goes before texts are shuffled
+        asked = pairs.select(F.col("a").alias("u")).union(pairs.select("b")).distinct()
+        arrow_rows(spark, TEXTS)
+        sets = settle(rows.join(asked.hint("merge"), "u", "left_semi").select("u", "text").mapInPandas(shingled, "u long, s array<int>").dropDuplicates(["u"]), "shingles")
+        sweep(spark)
+        edges = settle(_tested(pairs, sets, similar), "near")
+        arrow_rows(spark, int(batch))
+        drop(pairs, sets)
+        sweep(spark)
+        return edges
+
+    def labelled(edges: DataFrame) -> DataFrame:
+        labels = component_labels(edges).withColumnRenamed("node", "rep")
+        return classes.join(labels, "rep", "left").select(*names, "rep", F.coalesce("label", "rep").alias("home"))
+
+    first = verified(_by_key(_spread(classes, names), links, "a long, b long"))
+    homes = settle(labelled(first), "homes")
+    rest = verified(_by_key(_spread(homes, names, "home"), links_apart, "a long, b long"))
+    whole = labelled(first.union(rest)).select(*names, F.col("home").alias("component"))
     placed = settle(told.join(whole, names).select("doc_id", "u", "component"), "placed")
-    drop(told, classes, pairs, sets, edges)
-    sweep(docs.sparkSession)
+    drop(told, classes, homes, first, rest)
+    sweep(spark)
     best = placed.groupBy("component").agg(F.min(F.struct("doc_id", "u")).alias("best"))
     kept = placed.join(best, "component").withColumn("keep", F.struct("doc_id", "u") == F.col("best"))
     return kept.select(F.when(F.col("doc_id") != (1 << 63) - 1, F.col("doc_id")).alias("doc_id"), "u", "component", "keep")

@@ -149,6 +149,14 @@ def test_near_copies_by_shingles(spark):
     assert simhash_golay.near_copies(table(spark, [])).count() == 0
 
 
+def test_near_copies_lose_no_candidate(spark, monkeypatch):
+    """Without the nearest rows of a key, which only save comparisons, all links are found."""
+    base = prose(1, 77, 60)[0].split()
+    texts = [" ".join([*base[:k], f"other{k}", *base[k + 1 :]]) for k in range(5, 55)] + [" ".join(base)]
+    monkeypatch.setattr(simhash_golay, "_close_rows", lambda key, fp, most: (np.zeros(0, np.int64), np.zeros(0, np.int64)))
+    assert simhash_golay.near_copies(table(spark, texts)).select("component").distinct().count() == 1
+
+
 def test_one_of_each_group_stays(spark):
     import corpus_pipeline as p
 
