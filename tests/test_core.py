@@ -365,3 +365,19 @@ def test_centroids_refreshed_again_and_again(spark):
             counts.setdefault(home[k], Counter()).update(items[k])
         centres = {c: sorted(sorted(n, key=lambda e: (-n[e], e))[:6]) for c, n in counts.items()}  # noqa: B023
     assert {r.ordinal: r.cluster_id for r in leader_refreshed(s, p, 40).collect()} == home
+
+
+def test_accuracy_over_copies_lists_no_pair(spark):
+    """200,000 copies of each of two signatures: 8 * 10^10 pairs are counted from their classes."""
+    from pyspark.sql import functions as F
+
+    from overlapkeys.operators import baselines, metrics, retrieve
+
+    plan, n = OverlapPlan.build(SimilarityRule.jaccard("3/5"), range(2, 11)), 200_000
+    sig = F.when(F.col("id") < n, F.array(*map(F.lit, "abcd"))).otherwise(F.array(*map(F.lit, "abce")))
+    sigs = spark.range(2 * n).select((F.col("id") + 1).alias("ordinal"), F.col("id").alias("item_id"), F.lit(4).alias("size"), sig.alias("sig"))
+    truth, _, members = retrieve.similar_classes(sigs, plan)
+    every = n * (2 * n - 1)
+    assert tuple(metrics.class_accuracy(retrieve.simple_classes(sigs, plan)[0], truth, members).first()) == (every, 0, 0, 1.0, 1.0)
+    assert tuple(metrics.class_accuracy(truth.limit(0), truth, members).first()) == (every - n * n, 0, n * n, 1.0, round((every - n * n) / every, 6))
+    assert metrics.class_accuracy(baselines.minhash_classes(sigs, plan.rule, 20, 2)[0], truth, members).first()["fp"] == 0
