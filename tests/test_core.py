@@ -381,3 +381,71 @@ def test_accuracy_over_copies_lists_no_pair(spark):
     assert tuple(metrics.class_accuracy(retrieve.simple_classes(sigs, plan)[0], truth, members).first()) == (every, 0, 0, 1.0, 1.0)
     assert tuple(metrics.class_accuracy(truth.limit(0), truth, members).first()) == (every - n * n, 0, n * n, 1.0, round((every - n * n) / every, 6))
     assert metrics.class_accuracy(baselines.minhash_classes(sigs, plan.rule, 20, 2)[0], truth, members).first()["fp"] == 0
+
+
+def _oracle_rows(spark, name, sf=SF):
+    """What a query and its oracle return, as sorted rows with doubles to six digits."""
+    import __spark_entry__ as entry
+
+    c = duckdb.connect()
+    for t in "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split():
+        c.sql(f"create view {t} as select * from '{sf}/{t}.parquet'")
+    df, rel = entry.queries()[name](spark, sf), c.sql(entry.oracle_sql()[name])
+    assert sorted(df.columns) == sorted(rel.columns)
+    plain = lambda rows: sorted((tuple(round(v, 6) if isinstance(v, float) else v for v in r) for r in rows), key=repr)
+    return plain(df.select(*rel.columns).collect()), plain(rel.fetchall())
+
+
+PAIR_QUERIES = {"q_pairs_overlap": "userday", "q_similar_pairs_orders": "orders", "q_similar_pairs_docs": "docs", "q_bruteforce_pairs": "part", "q_element_join_pairs": "userday", "q_prefix_pairs": "userday", "q_blocked_pairs": "userday"}
+
+
+@pytest.mark.parametrize("name", PAIR_QUERIES)
+def test_copies_do_not_multiply(spark, name):
+    from overlapkeys.queries import sigs_of
+
+    got, want = _oracle_rows(spark, name)
+    assert got == want
+    first, copies = {}, set()
+    for r in sigs_of(spark, SF, PAIR_QUERIES[name]).orderBy("ordinal").collect():
+        own = (tuple(r.sig), r.ordinal % 7 if name == "q_blocked_pairs" else 0)
+        if first.setdefault(own, r.ordinal) != r.ordinal:
+            copies.add(r.ordinal)
+    assert sorted(r[1] for r in got if r[1] in copies) == sorted(copies) and not copies & {r[0] for r in got}
+
+
+def _by_first(found, sigs):
+    """The pairs that class_pairs shows, of all pairs."""
+    first = {}
+    for r in sigs.orderBy("ordinal").collect():
+        first[r.ordinal] = first.get(tuple(r.sig)) or first.setdefault(tuple(r.sig), r.ordinal)
+    return {(a, b) for a, b in found if first[a] == a and first[b] in (a, b)}
+
+
+def test_class_forms_hold_every_link(spark, monkeypatch):
+    from overlapkeys.operators import baselines as B
+    from overlapkeys.operators.retrieve import class_pairs, similar_classes
+
+    p, s = plan("3/5", range(2, 7)), _random(spark, 13)
+    twice = s.union(s.withColumn("ordinal", s.ordinal + 200))
+    want = _by_first(pairs(bruteforce_pairs(twice, p.rule)), twice)
+    monkeypatch.setattr(B, "BLOCK", 16)  # several blocks
+    for found in (similar_classes(twice, p), B.bruteforce_classes(twice, p.rule), B.element_join_classes(twice, p.rule), B.prefix_classes(twice, p)):
+        got = class_pairs(*found, p.rule)
+        assert pairs(got) == want and got.count() == len(want)
+    assert {tuple(r) for r in got.collect()} <= {tuple(r) for r in bruteforce_pairs(twice, p.rule).collect()}
+    got = class_pairs(*B.minhash_mllib_classes(twice, p.rule, 40), p.rule)
+    assert pairs(got) <= want and got.count() == len(pairs(got)) >= 0.9 * len(want)
+
+
+def test_control_walks_distinct_signatures(spark):
+    p, s = plan("3/5", range(2, 7)), _random(spark, 14)
+    twice = s.union(s.withColumn("ordinal", s.ordinal + 200))
+    led, want = [], {}
+    for r in twice.orderBy("ordinal").collect():
+        near = [k for k, (_, sig) in enumerate(led) if p.rule.holds(len(set(r.sig) & sig), r.size, len(sig))]
+        want[r.ordinal] = (led[near[0]][0], near[0] + 1) if near else (r.ordinal, len(led))
+        if not near:
+            led.append((r.ordinal, set(r.sig)))
+    got = centroid_scan_reference(twice, p)
+    assert {r.ordinal: (r.cluster_id, r.comparisons) for r in got.collect()} == want
+    assert "distinct-" in got._jdf.queryExecution().toString()
