@@ -449,3 +449,25 @@ def test_control_walks_distinct_signatures(spark):
     got = centroid_scan_reference(twice, p)
     assert {r.ordinal: (r.cluster_id, r.comparisons) for r in got.collect()} == want
     assert "distinct-" in got._jdf.queryExecution().toString()
+
+
+ON_TABLES = ["q_required_overlap", "q_overlap_sizes", "q_partner_sizes", "q_key_counts", "q_key_bound", "q_key_plan", "q_rule_contain", "q_fig1_leader", "q_fig2", "q_fig2_simple", "q_crossover_rule", "q_extrapolation"]
+
+
+@pytest.mark.parametrize("name", ON_TABLES)
+def test_queries_read_given_tables(spark, tmp_path, name):
+    import __spark_entry__ as entry
+    from pyspark.errors import AnalysisException
+
+    with pytest.raises(AnalysisException, match="PATH_NOT_FOUND"):
+        entry.queries()[name](spark, str(tmp_path)).collect()
+    got, want = _oracle_rows(spark, name)
+    assert got == want and got
+
+
+def test_crossover_after_a_chance_lead(spark):
+    """The engine is ahead by chance once before it stays ahead."""
+    from overlapkeys.operators.metrics import crossover
+
+    t = spark.createDataFrame([(10, 1.0, 2.0), (20, 3.0, 2.9), (30, 4.0, 4.5), (40, 7.0, 6.0), (50, 11.0, 7.5)], "n bigint, control double, engine double")
+    assert crossover(t.selectExpr("n", "control as elapsed_s"), t.selectExpr("n", "engine as elapsed_s")).first()[0] == 40
