@@ -471,3 +471,19 @@ def test_crossover_after_a_chance_lead(spark):
 
     t = spark.createDataFrame([(10, 1.0, 2.0), (20, 3.0, 2.9), (30, 4.0, 4.5), (40, 7.0, 6.0), (50, 11.0, 7.5)], "n bigint, control double, engine double")
     assert crossover(t.selectExpr("n", "control as elapsed_s"), t.selectExpr("n", "engine as elapsed_s")).first()[0] == 40
+
+
+@pytest.mark.parametrize("theta, kind", [("3/5", "jaccard"), ("2/5", "jaccard"), ("3/4", "dice"), ("3", "hamming")])
+def test_rare_keys_hold_every_link(spark, theta, kind):
+    from overlapkeys.operators.baselines import rare_classes
+    from overlapkeys.operators.leader import leader_by_links
+    from overlapkeys.operators.retrieve import class_pairs
+
+    p, s = plan(theta, range(2, 7), kind), _random(spark, 15)
+    twice = s.union(s.withColumn("ordinal", s.ordinal + 200))
+    want = _by_first(pairs(bruteforce_pairs(twice, p.rule)), twice)
+    for depth in (1, 2, 3):
+        got = class_pairs(*rare_classes(twice, p, depth), p.rule)
+        assert pairs(got) == want and got.count() == len(want)
+    assert ids(leader_by_links(twice, p)) == ids(leader_by_links(twice, p, 0)) == ids(leader_reference(twice, p))
+
