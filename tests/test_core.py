@@ -487,3 +487,23 @@ def test_rare_keys_hold_every_link(spark, theta, kind):
         assert pairs(got) == want and got.count() == len(want)
     assert ids(leader_by_links(twice, p)) == ids(leader_by_links(twice, p, 0)) == ids(leader_reference(twice, p))
 
+
+@pytest.mark.parametrize("theta, kind", [("3/5", "jaccard"), ("7/10", "cosine"), ("4/5", "contain"), ("3", "hamming")])
+def test_scan_by_batches(spark, monkeypatch, theta, kind):
+    """The scan equals the control one item at a time, and copies make no batch."""
+    from overlapkeys.operators import leader as L
+
+    p, s = plan(theta, range(2, 7), kind), _random(spark, 16)
+    many = s
+    for k in range(1, 4):
+        many = many.union(s.withColumn("ordinal", s.ordinal + 200 * k))
+    written = []
+    settle = L.settle
+    monkeypatch.setattr(L, "settle", lambda df, name: written.append(name) or settle(df, name))
+    got, once = ids(L.centroid_scan(many, p, 50)), len(written)
+    assert got == ids(centroid_scan_reference(many, p))
+    written.clear()
+    assert ids(L.centroid_scan(s, p, 50)) == got[:120] and len(written) == once
+    monkeypatch.setattr(L, "BLOCK", 16)  # several blocks of leaders and of arrivals
+    assert ids(L.centroid_scan(many, p, 50)) == got
+    assert ids(L.centroid_scan(s.filter("false"), p, 50)) == []
