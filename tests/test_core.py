@@ -507,3 +507,24 @@ def test_scan_by_batches(spark, monkeypatch, theta, kind):
     monkeypatch.setattr(L, "BLOCK", 16)  # several blocks of leaders and of arrivals
     assert ids(L.centroid_scan(many, p, 50)) == got
     assert ids(L.centroid_scan(s.filter("false"), p, 50)) == []
+
+
+def test_copies_make_no_batch(spark, monkeypatch, tmp_path):
+    from overlapkeys.operators import leader as L
+    from overlapkeys.sources.io import KeyStore
+
+    p, s = plan("3/5", range(2, 7)), _random(spark, 17)
+    many = s
+    for k in range(1, 4):
+        many = many.union(s.withColumn("ordinal", s.ordinal + 200 * k))
+    written = []
+    settle = L.settle
+    monkeypatch.setattr(L, "settle", lambda df, name: written.append(name) or settle(df, name))
+    want, got = ids(leader_reference(many, p)), ids(leader_batched(many, p, 50))
+    once = len(written)
+    assert got == want
+    assert ids(leader_batched(s, p, 50)) == want[:120] and len(written) == 2 * once
+    store = KeyStore(spark, f"{tmp_path}/store", p)  # a second run goes on from what the first has stored
+    assert ids(leader_batched(many.filter("ordinal <= 60"), p, 50, store)) + ids(leader_batched(many.filter("ordinal > 60"), p, 50, store)) == want
+    short = KeyStore(spark, f"{tmp_path}/short", p, keep=1)  # the third run of copies outlives its leaders
+    assert ids(leader_batched(many, p, 200, short)) == 2 * want[:120] + 2 * [c + 400 for c in want[:120]]
