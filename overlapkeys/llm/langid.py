@@ -18,7 +18,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents
+from .common import documents, lean
 
 UNKNOWN = 1e-6  # probability of a letter that no piece has, alike for every language
 TRAIN_DOCS = 600  # labelled documents for each language, about; a bounded sample fits the classifier
@@ -201,6 +201,7 @@ def train(docs: DataFrame, vocabulary: str, per_language: int = TRAIN_DOCS) -> U
     for lang, n in sizes.items():
         share = F.when(F.col("lang") == lang, F.lit(min(1.0, per_language / n))).otherwise(share)
 
+    @lean
     def words(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             got: Counter = Counter()
@@ -227,6 +228,7 @@ def language_of(model: Unigrams, kept_words: int = KEPT_WORDS):
     langs = model.langs
 
     @F.pandas_udf("struct<lang_pred: string, score: double>")
+    @lean
     def of(columns: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         number: dict[str, int] = {}
         scores = np.zeros((0, len(langs)))

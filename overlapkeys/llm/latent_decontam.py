@@ -19,7 +19,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import arrow_rows, documents, filled_id, settle, unfilled
+from .common import arrow_rows, documents, filled_id, lean, settle, unfilled
 
 WINDOW, STRIDE = 40, 20  # words of a passage, words between two starts
 ITEMS_AT_ONCE = 1_000  # items searched in one pass over the corpus; more go in blocks
@@ -148,6 +148,7 @@ class Block:
 def find_terms(docs: DataFrame, block: Block) -> DataFrame:
     """(doc_id, th, n_words, pos, term): where the block's terms stand in each text, written once; texts are read no more."""
 
+    @lean
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             words = [words_of(t) for t in f["text"].tolist()]
@@ -162,6 +163,7 @@ def find_terms(docs: DataFrame, block: Block) -> DataFrame:
 def count_terms(found: DataFrame, block: Block) -> tuple[np.ndarray, int]:
     """Passages with each term, and all passages, over the whole corpus; as many rows as terms come back."""
 
+    @lean
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         df, passages = np.zeros(len(block.number), np.int64), 0
         for f in frames:
@@ -220,6 +222,7 @@ def fit_axes(found: DataFrame, block: Block) -> np.ndarray:
     spark, idf = found.sparkSession, block.idf
     shape = (SKETCH, len(block.number))
 
+    @lean
     def sketch(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         out = np.zeros(shape, np.float32)
         for f in frames:
@@ -265,6 +268,7 @@ def lcs_length(item: list, words: list) -> int:
 def search(found: DataFrame, block: Block) -> DataFrame:
     wanted = [block.numbers(w).tolist() for w in block.words]
 
+    @lean
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             out = []

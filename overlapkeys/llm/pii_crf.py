@@ -24,7 +24,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents
+from .common import documents, lean
 
 # The base patterns.
 KINDS = ("email", "ip", "card", "phone")
@@ -436,8 +436,7 @@ def personal_data(field: Field):
     have any names, repeated rows get repeated results and an empty table none. Time and memory are linear in a text's length.
     """
 
-    @F.pandas_udf("struct<n_email: bigint, n_ip: bigint, n_card: bigint, n_phone: bigint, base_sha256: string, spans: string, n_spans: bigint, redacted: string>")
-    def of(column: pd.Series) -> pd.DataFrame:
+    def told(column: pd.Series) -> pd.DataFrame:
         raw = column.tolist()
         texts = [t if isinstance(t, str) else "" for t in raw]
         rows = []
@@ -449,6 +448,11 @@ def personal_data(field: Field):
         made["redacted"] = made["redacted"].where([isinstance(t, str) for t in raw], None)
         return made
 
+    @F.pandas_udf("struct<n_email: bigint, n_ip: bigint, n_card: bigint, n_phone: bigint, base_sha256: string, spans: string, n_spans: bigint, redacted: string>")
+    @lean
+    def of(columns: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+        yield from map(told, columns)
+
     return of
 
 

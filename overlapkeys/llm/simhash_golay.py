@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from overlapkeys.operators.components import component_labels
 
-from .common import arrow_rows, documents, drop, filled_id, settle, sweep, unfilled
+from .common import arrow_rows, documents, drop, filled_id, lean, settle, sweep, unfilled
 
 GENERATOR = 0b110001110101  # fixed value: generator polynomial of the (23, 12) code
 SEGMENTS = ((0, 23), (23, 23), (46, 18))  # first bit, bits
@@ -155,6 +155,7 @@ def links_of_run(key: np.ndarray, fp: np.ndarray, rep: np.ndarray, most: int) ->
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
+    @lean
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             fp = np.array([fingerprint(t) for t in f["text"].tolist()], np.uint64)
@@ -166,6 +167,7 @@ def fingerprints(docs: DataFrame) -> DataFrame:
 def _by_key(keys: DataFrame, links, schema: str) -> DataFrame:
     """``links`` over whole runs of rows of one key (key, fp, rep), a bounded number of rows at a time."""
 
+    @lean
     def meet(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held = None
         for f in frames:
@@ -183,6 +185,7 @@ def _by_key(keys: DataFrame, links, schema: str) -> DataFrame:
 def _spread(classes: DataFrame, prints: list[str], *more: str) -> DataFrame:
     """(key, fp, rep, more longs): the Golay keys of each fingerprint column; keys of different columns never meet."""
 
+    @lean
     def spread(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             for at in range(0, len(f), 4000):
@@ -313,6 +316,7 @@ def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LE
     spark = docs.sparkSession
     batch = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
 
+    @lean
     def printed(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             rows = []
@@ -349,6 +353,7 @@ def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LE
             for i, j in _apart_rows(key[order], home[order], part["fp"].to_numpy().view(np.uint64)[order], most):
                 yield pd.DataFrame({"a": np.minimum(rep[i], rep[j]), "b": np.maximum(rep[i], rep[j])}).drop_duplicates()
 
+    @lean
     def shingled(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             sets = [_kept(shingle_hashes(t, words)).view(np.int32) for t in f["text"].tolist()]

@@ -586,3 +586,23 @@ def test_null_ids_leave_large_ones_whole(spark, tmp_path):
     bench = spark.createDataFrame([(1, "the house of a man that stood over the green hill")], "item_id long, text string")
     held = docs.withColumn("text", F.lit("so the house of a man that stood over the green hill fell"))
     assert ids(latent_decontam.leaks(held, bench)) == want
+
+
+def test_workers_give_back_what_they_freed(spark, monkeypatch):
+    """Once after all batches of a task, however it ends; the pipeline's column functions and tasks go through it."""
+    from overlapkeys.llm import common
+
+    done = []
+    monkeypatch.setattr(common, "give_back", lambda: done.append(1))
+    run = common.lean(lambda batches: (b + 1 for b in batches))
+    assert list(run(iter([1, 2]))) == [2, 3] and len(done) == 1
+    left = common.lean(lambda batches: (1 // b for b in batches))(iter([0]))
+    with pytest.raises(ZeroDivisionError):
+        next(left)
+    assert len(done) == 2
+    monkeypatch.undo()
+    common.give_back()
+    from overlapkeys.llm import langid, pii_crf
+
+    for made in (langid.language_of(langid.Unigrams.fit({}, {"a": 0})), pii_crf.personal_data(pii_crf.trained_field())):
+        assert made.func.__wrapped__
