@@ -164,15 +164,15 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     return unfilled(docs.select(filled_id(), "text").mapInPandas(run, "doc_id long, fp long"))
 
 
-def _by_key(keys: DataFrame, links, schema: str) -> DataFrame:
-    """``links`` over whole runs of rows of one key (key, fp, rep), a bounded number of rows at a time."""
+def _by_key(keys: DataFrame, links, schema: str, size: int = 50_000) -> DataFrame:
+    """``links`` over whole runs of rows of one key, about ``size`` rows at a time."""
 
     @lean
     def meet(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held = None
         for f in frames:
             held = f if held is None else pd.concat([held, f])
-            if len(held) < 50_000:
+            if len(held) < size:
                 continue
             cut = int(np.searchsorted(held["key"].to_numpy(), held["key"].iloc[-1]))  # the last key may go on
             yield from links(held.iloc[:cut], False)
@@ -182,8 +182,8 @@ def _by_key(keys: DataFrame, links, schema: str) -> DataFrame:
     return keys.repartition("key").sortWithinPartitions("key").mapInPandas(meet, schema)
 
 
-def _spread(classes: DataFrame, prints: list[str], *more: str) -> DataFrame:
-    """(key, fp, rep, more longs): the Golay keys of each fingerprint column; keys of different columns never meet."""
+def _spread(classes: DataFrame, prints: list[str]) -> DataFrame:
+    """(key, fp, rep): the Golay keys of each fingerprint column; keys of different columns never meet."""
 
     @lean
     def spread(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -193,18 +193,18 @@ def _spread(classes: DataFrame, prints: list[str], *more: str) -> DataFrame:
                 for k, name in enumerate(prints):
                     fp = part[name].to_numpy()
                     rows, keys = golay_keys(fp.view(np.uint64))
-                    yield pd.DataFrame({"key": (keys + k * (3 << 24)).astype(np.int32), "fp": fp[rows], **{c: part[c].to_numpy()[rows] for c in ("rep", *more)}})
+                    yield pd.DataFrame({"key": (keys + k * (3 << 24)).astype(np.int32), "fp": fp[rows], "rep": part["rep"].to_numpy()[rows]})
 
-    return classes.select(*prints, "rep", *more).mapInPandas(spread, ", ".join(["key int, fp long, rep long", *(f"{c} long" for c in more)]))
+    return classes.select(*prints, "rep").mapInPandas(spread, "key int, fp long, rep long")
 
 
-def link_edges(classes: DataFrame, most: int = 4) -> DataFrame:
-    """(a, b) edges between the reps of ``classes`` (fp, rep; one row a fingerprint) that link them as all pairs would."""
+def _forest_edges(keys: DataFrame, links: Callable) -> DataFrame:
+    """(a, b) edges that connect the reps of ``keys`` as ``links`` (key, fp, rep of whole runs) does; forests are merged on the way."""
     found: list = [[], []]
 
-    def links(part: pd.DataFrame | None, end: bool) -> Iterator[pd.DataFrame]:
+    def merged(part: pd.DataFrame | None, end: bool) -> Iterator[pd.DataFrame]:
         if part is not None:
-            a, b = links_of_run(part["key"].to_numpy(), part["fp"].to_numpy().view(np.uint64), part["rep"].to_numpy(), most)
+            a, b = links(part["key"].to_numpy(), part["fp"].to_numpy().view(np.uint64), part["rep"].to_numpy())
             found[0].append(a)
             found[1].append(b)
         if found[0] and (end or sum(map(len, found[0])) > 200_000):
@@ -216,7 +216,12 @@ def link_edges(classes: DataFrame, most: int = 4) -> DataFrame:
                 yield pd.DataFrame({"a": a, "b": b})
                 found[:] = [[], []]
 
-    return _by_key(_spread(classes, ["fp"]), links, "a long, b long")
+    return _by_key(keys, merged, "a long, b long")
+
+
+def link_edges(classes: DataFrame, most: int = 4) -> DataFrame:
+    """(a, b) edges between the reps of ``classes`` (fp, rep; one row a fingerprint) that link them as all pairs would."""
+    return _forest_edges(_spread(classes, ["fp"]), lambda key, fp, rep: links_of_run(key, fp, rep, most))
 
 
 def near_duplicates(docs: DataFrame, most: int = 4) -> DataFrame:
@@ -281,34 +286,87 @@ def _kept(hashes: np.ndarray) -> np.ndarray:
     return np.unique((hashes >> np.uint64(32)).astype(np.uint32))
 
 
-BLOCK = 4_000  # pairs that are tested together, about
+def candidates_of_run(key: np.ndarray, fp: np.ndarray, rep: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """A forest that connects all rows of equal key within ``most`` bits; those that the nearest few connect aren't compared."""
+    order = np.lexsort((fp, key))
+    key, fp, rep = key[order], fp[order], rep[order]
+    i, j = _close_rows(key, fp, most)
+    left, right = _forest(rep[i], rep[j]) if len(i) else (rep[:0], rep[:0])
+    home = rep.copy()
+    if len(right):
+        by = np.argsort(right)
+        at = np.minimum(np.searchsorted(right[by], rep), len(by) - 1)
+        home = np.where(right[by][at] == rep, left[by][at], rep)
+    order = np.lexsort((home, key))
+    key, fp, home = key[order], fp[order], home[order]
+    for i, j in _apart_rows(key, home, fp, most):
+        if len(i):
+            left, right = _forest(np.r_[left, home[i]], np.r_[right, home[j]])
+    return left, right
+
 
+CHUNK, CHUNKS = 2_000, 16  # rows of a group that are compared together, about, and its parts at most
 
-def _tested(pairs: DataFrame, told: DataFrame, test: Callable) -> DataFrame:
-    """Those of the settled ``pairs`` (a, b) that pass ``test`` on the two rows of ``told`` (one row a u).
 
-    Pairs are dealt to blocks by both ends, and a row goes once to each block that asks for it, not to each pair.
+def _in_chunks(members: DataFrame) -> DataFrame:
+    """Rows of ``members`` (u, home, n: rows of home, more) with ``p``, ``q`` and ``side`` of the parts that they meet in, and a ``key`` of these.
+
+    A group of up to CHUNK rows is one part. A greater one has more, each pair of which meets; but never over CHUNKS, so a
+    row goes to so many places at most, however large its group is.
     """
-    side = max(1, round((pairs.count() / BLOCK) ** 0.5))
-    dealt = pairs.withColumn("block", F.pmod(F.xxhash64("a"), F.lit(side)) * side + F.pmod(F.xxhash64("b"), F.lit(side)))
-    asked = dealt.select(F.col("block").alias("of"), F.col("a").alias("u")).union(dealt.select("block", "b")).distinct()
+    parts = F.least(F.ceil(F.col("n") / CHUNK), F.lit(CHUNKS)).cast("int")
+    own = members.withColumn("side", F.pmod(F.xxhash64("u"), parts).cast("int"))
+    each = own.withColumn("other", F.explode(F.sequence(F.lit(0), parts - 1)))
+    met = each.withColumn("p", F.least("side", "other")).withColumn("q", F.greatest("side", "other")).drop("other", "n")
+    return met.withColumn("key", F.xxhash64("home", "p", "q"))
+
 
-    def run(some: pd.DataFrame, rows: pd.DataFrame) -> pd.DataFrame:
-        at = pd.Index(rows["u"])
-        i, j = at.get_indexer(some["a"]), at.get_indexer(some["b"])
-        return some.loc[test(rows, i, j), ["a", "b"]]
+def similar_rows(fp: np.ndarray, sets: list[np.ndarray], right: np.ndarray | None, least: float, total: int) -> list[tuple[int, int]]:
+    """A forest of the links among rows: ``total`` differing bits of ``fp`` (n, prints) at most, a Jaccard similarity of ``least``.
 
-    return dealt.groupBy("block").cogroup(told.join(asked.hint("merge"), "u").groupBy("of")).applyInPandas(run, "a long, b long")
+    ``right``: which rows meet only the others, which meet only them; None if all meet. Rows that are connected aren't compared again.
+    """
+    n, edges = len(sets), []
+    size = np.array([len(x) for x in sets], np.int64)
+    start = np.cumsum(size) - size
+    words, of = np.unique(np.concatenate(sets), return_inverse=True)
+    mark, label = np.zeros(len(words), bool), np.arange(n)
+    turns = range(n - 1) if right is None else np.flatnonzero(~right).tolist()
+    opposite = None if right is None else np.flatnonzero(right)
+    for i in turns:
+        j = np.arange(i + 1, n) if opposite is None else opposite
+        j = j[label[j] != label[i]]
+        j = j[np.bitwise_count(fp[j] ^ fp[i]).sum(1, dtype=np.int64) <= total]
+        j = j[np.minimum(size[j], size[i]) >= least * np.maximum(size[j], size[i]) - 1e-9]
+        if not len(j):
+            continue
+        own = of[start[i] : start[i] + size[i]]
+        mark[own] = True
+        while len(j):
+            some = j[: max(1, int(np.searchsorted(np.cumsum(size[j]), PAIRS)))]
+            ends = np.cumsum(size[some])
+            at = np.repeat(start[some] - (ends - size[some]), size[some]) + np.arange(ends[-1])
+            hits = np.r_[0, np.cumsum(mark[of[at]])]
+            both = hits[ends] - hits[ends - size[some]]
+            like = some[both >= least * (size[i] + size[some] - both) - 1e-9]
+            if len(like):
+                homes, first = np.unique(label[like], return_index=True)
+                edges += [(i, int(k)) for k in like[first]]
+                label[np.isin(label, homes)] = label[i]
+            j = j[len(some) :]
+            j = j[label[j] != label[i]]
+        mark[own] = False
+    return edges
 
 
 def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LEAST, most: int = NEAR_BITS, prints: int = NEAR_PRINTS) -> DataFrame:
     """doc_id, u, component, keep: near copies by shingles; u is a hash of doc_id and text, one row a row of ``docs``.
 
     Several independent fingerprints of the shingles give Golay keys. Rows that share a key and differ in ``most`` bits at
-    most there and in NEAR_TOTAL over all fingerprints are candidates, and those with a Jaccard similarity of at least
-    ``least`` over the sets of shingles are linked. At first each row meets the nearest few of its keys only, which links most
-    of a large group of copies through neighbours; then all candidates that these links leave in different components are
-    compared, however many rows a key has, so no link is lost and no large group is listed pair by pair. Equal texts are
+    most there are candidates; chains of candidates make groups, by forests, so no pair is listed. Inside a group all rows that
+    differ in NEAR_TOTAL bits at most over all fingerprints are held against each other, and those with a Jaccard similarity
+    of at least ``least`` over the sets of shingles are linked, but for pairs that are connected by then: no link is lost, and
+    what is shuffled grows with the rows, as a row goes to a bounded number of places. Equal texts are
     one class and always linked. That two rows share a key is a matter of chance, the surer the more alike (recall is
     measured in the tests). ``keep`` is true for one row of a component, of the least doc_id (nulls last). What is joined
     to the texts grows with them, so it is shuffled at every size and never broadcast.
@@ -336,65 +394,38 @@ def near_copies(docs: DataFrame, words: int = NEAR_WORDS, least: float = NEAR_LE
     arrow_rows(spark, int(batch))
     classes = settle(told.groupBy(*names).agg(F.min("u").alias("rep")), "classes")
 
-    def links(part: pd.DataFrame | None, end: bool) -> Iterator[pd.DataFrame]:
-        if part is not None and len(part):
-            key, fp = part["key"].to_numpy(), part["fp"].to_numpy().view(np.uint64)
-            order = np.lexsort((fp, key))
-            i, j = _close_rows(key[order], fp[order], most)
-            rep = part["rep"].to_numpy()[order]
-            a, b = np.minimum(rep[i], rep[j]), np.maximum(rep[i], rep[j])
-            yield pd.DataFrame({"a": a, "b": b}).drop_duplicates()
-
-    def links_apart(part: pd.DataFrame | None, end: bool) -> Iterator[pd.DataFrame]:
-        if part is not None and len(part):
-            key, home = part["key"].to_numpy(), part["home"].to_numpy()
-            order = np.lexsort((home, key))
-            rep = part["rep"].to_numpy()[order]
-            for i, j in _apart_rows(key[order], home[order], part["fp"].to_numpy().view(np.uint64)[order], most):
-                yield pd.DataFrame({"a": np.minimum(rep[i], rep[j]), "b": np.maximum(rep[i], rep[j])}).drop_duplicates()
-
     @lean
     def shingled(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
-            sets = [_kept(shingle_hashes(t, words)).view(np.int32) for t in f["text"].tolist()]
-            yield pd.DataFrame({"u": f["u"].to_numpy(), "s": sets})
-
-    def near_prints(told: pd.DataFrame, i: np.ndarray, j: np.ndarray) -> np.ndarray:
-        fp = told[names].to_numpy().view(np.uint64)
-        return np.bitwise_count(fp[i] ^ fp[j]).sum(1, dtype=np.int64) <= NEAR_TOTAL
-
-    def similar(told: pd.DataFrame, i: np.ndarray, j: np.ndarray) -> np.ndarray:
-        sets = told["s"].tolist()
-        both = np.array([len(np.intersect1d(sets[a], sets[b], assume_unique=True)) for a, b in zip(i, j)], np.int64)
-        size = np.array([len(x) for x in sets], np.int64)
-        return both >= least * (size[i] + size[j] - both) - 1e-9
-
-    def verified(found: DataFrame) -> DataFrame:
-        """The pairs (a, b) of ``found`` that are candidates and similar."""
-        met = settle(found.distinct(), "met")
-        pairs = settle(_tested(met, classes.select(F.col("rep").alias("u"), *names), near_prints), "candidates")
-        drop(met)
-        sweep(spark)  # the keys' shuffle goes before texts are shuffled
-        asked = pairs.select(F.col("a").alias("u")).union(pairs.select("b")).distinct()
-        arrow_rows(spark, TEXTS)
-        sets = settle(rows.join(asked.hint("merge"), "u", "left_semi").select("u", "text").mapInPandas(shingled, "u long, s array<int>").dropDuplicates(["u"]), "shingles")
-        sweep(spark)
-        edges = settle(_tested(pairs, sets, similar), "near")
-        arrow_rows(spark, int(batch))
-        drop(pairs, sets)
-        sweep(spark)
-        return edges
-
-    def labelled(edges: DataFrame) -> DataFrame:
-        labels = component_labels(edges).withColumnRenamed("node", "rep")
-        return classes.join(labels, "rep", "left").select(*names, "rep", F.coalesce("label", "rep").alias("home"))
-
-    first = verified(_by_key(_spread(classes, names), links, "a long, b long"))
-    homes = settle(labelled(first), "homes")
-    rest = verified(_by_key(_spread(homes, names, "home"), links_apart, "a long, b long"))
-    whole = labelled(first.union(rest)).select(*names, F.col("home").alias("component"))
+            f["s"] = [_kept(shingle_hashes(t, words)).view(np.int32) for t in f["text"].tolist()]
+            yield f[["u", "home", "n", *names, "s"]]
+
+    def similar(part: pd.DataFrame | None, end: bool) -> Iterator[pd.DataFrame]:
+        if part is not None and len(part):
+            edges = []
+            for (_, p, q), f in part.groupby(["home", "p", "q"], sort=False):
+                u, right = f["u"].to_numpy(), None if p == q else f["side"].to_numpy() == q
+                edges += [(u[i], u[j]) for i, j in similar_rows(f[names].to_numpy().view(np.uint64), f["s"].tolist(), right, least, NEAR_TOTAL)]
+            yield pd.DataFrame(np.array(edges, np.int64).reshape(-1, 2), columns=["a", "b"])
+
+    met = settle(_forest_edges(_spread(classes, names), lambda key, fp, rep: candidates_of_run(key, fp, rep, most)), "met")
+    groups = settle(component_labels(met), "groups")
+    drop(met)
+    sweep(spark)  # the keys' shuffle goes before texts are shuffled
+    sized = groups.join(groups.groupBy("label").agg(F.count("*").alias("n")), "label")
+    asked = classes.join(sized, classes["rep"] == sized["node"]).select(F.col("rep").alias("u"), F.col("label").alias("home"), "n", *names)
+    arrow_rows(spark, TEXTS)
+    form = "u long, home long, n long, " + ", ".join(f"{n} long" for n in names) + ", s array<int>"
+    sets = settle(rows.select("u", "text").join(asked.hint("merge"), "u").mapInPandas(shingled, form).dropDuplicates(["u"]), "shingles")
+    sweep(spark)
+    near = settle(_by_key(_in_chunks(sets), similar, "a long, b long", 2 * CHUNK), "near")
+    arrow_rows(spark, int(batch))
+    drop(sets, groups)
+    sweep(spark)
+    labels = component_labels(near).withColumnRenamed("node", "rep")
+    whole = classes.join(labels, "rep", "left").select(*names, F.coalesce("label", "rep").alias("component"))
     placed = settle(told.join(whole, names).select("doc_id", "u", "component"), "placed")
-    drop(told, classes, homes, first, rest)
+    drop(told, classes, near)
     sweep(spark)
     best = placed.groupBy("component").agg(F.min(F.struct("doc_id", "u")).alias("best"))
     kept = placed.join(best, "component").withColumn("keep", F.struct("doc_id", "u") == F.col("best"))

@@ -157,6 +157,57 @@ def test_near_copies_lose_no_candidate(spark, monkeypatch):
     assert simhash_golay.near_copies(table(spark, texts)).select("component").distinct().count() == 1
 
 
+def join_rows(spark, last=-1):
+    """Most rows that a join of the executions after ``last`` made, and the last execution."""
+    store, most = spark._jsparkSession.sharedState().statusStore(), 0
+    runs = [store.executionsList().apply(k).executionId() for k in range(store.executionsList().size())]
+    for run in runs:
+        nodes, told = store.planGraph(run).allNodes(), store.executionMetrics(run)
+        for node in (nodes.apply(k) for k in range(nodes.size() if run > last else 0)):
+            for m in (node.metrics().apply(k) for k in range(node.metrics().size() if "Join" in node.name() else 0)):
+                if m.name() == "number of output rows" and told.contains(m.accumulatorId()):
+                    most = max(most, int(told.apply(m.accumulatorId()).replace(",", "")))
+    return most, max(runs, default=-1)
+
+
+def test_near_copies_of_a_large_group_stay_few_rows(spark):
+    """All are candidates of each other, none is similar to another: a join makes no row for each pair or block of pairs."""
+    r, base = random.Random(41), prose(1, 78, 1000)[0].split()
+    texts = []
+    for k in range(500):
+        w = base[:]
+        for at in r.sample(range(1000), 17):
+            w[at] = f"other{k}x{at}"
+        texts.append(" ".join(w))
+    last = join_rows(spark)[1]
+    assert simhash_golay.near_copies(table(spark, texts)).select("component").distinct().count() == 500
+    assert 0 < join_rows(spark, last)[0] <= 2 * 500
+
+
+@pytest.mark.parametrize("chunk", [3, 2_000])
+def test_near_copies_compare_whole_groups(chunk, monkeypatch):
+    monkeypatch.setattr(simhash_golay, "PAIRS", 40)
+    r = np.random.default_rng(6)
+    sets = [np.unique(r.integers(0, 16, r.integers(8, 24))) for _ in range(60)]
+    fp = r.integers(0, 8, (60, 3)).astype(np.uint64)
+    part = np.arange(60) % (60 // chunk + 1)
+    got = []
+    for p, q in itertools.combinations_with_replacement(range(part.max() + 1), 2):
+        at = np.flatnonzero((part == p) | (part == q))
+        got += [(at[i], at[j]) for i, j in simhash_golay.similar_rows(fp[at], [sets[k] for k in at], None if p == q else part[at] == q, 0.6, 4)]
+    like = lambda i, j: len(np.intersect1d(sets[i], sets[j])) >= 0.6 * len(np.union1d(sets[i], sets[j])) - 1e-9 and np.bitwise_count(fp[i] ^ fp[j]).sum() <= 4
+    want = [(i, j) for i, j in itertools.combinations(range(60), 2) if like(i, j)]
+    assert len(want) > 20 and all(like(i, j) for i, j in got)
+
+    def parts(edges):
+        label = list(range(60))
+        for i, j in edges:
+            label = [label[i] if x == label[j] else x for x in label]
+        return {frozenset(k for k in range(60) if label[k] == x) for x in label}
+
+    assert parts(got) == parts(want) and 1 < len(parts(want)) < 60
+
+
 def test_one_of_each_group_stays(spark):
     import corpus_pipeline as p
 
