@@ -12,8 +12,10 @@ eight blocks and the anchor. Within such a class the last sixteen bytes decide,
 
 from __future__ import annotations
 
+import gc
 import hashlib
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pandas as pd
@@ -158,6 +160,18 @@ def segment(raw: bytes, at: int) -> tuple[bytes, int]:
 
 
 # ---- classes of segments ----
+@contextmanager
+def _uncollected() -> Iterator[None]:
+    """No search for garbage cycles: the many lists of a suffix array make none, but each search walks them."""
+    on = gc.isenabled()
+    gc.disable()
+    try:
+        yield
+    finally:
+        if on:
+            gc.enable()
+
+
 def _hopeful(group: np.ndarray, sides: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndarray:
     """Rows that share half of what a class shares, on one side of the anchor, with another row of their group.
 
@@ -211,7 +225,8 @@ def _by_suffixes(rows: list[tuple[int, bytes, int, int]], sides: np.ndarray, lef
     end = (top + len(of_gram) + np.arange(n))[:, None]
     line = np.concatenate([name[:, :BLOCKS], middle, name[:, BLOCKS:], end], axis=1)
     width = line.shape[1]
-    order = np.array(suffix_array(line.ravel().tolist()))
+    with _uncollected():
+        order = np.array(suffix_array(line.ravel().tolist()))
     row, col = order // width, order % width
     blocks = BLOCKS - col  # whole blocks before the anchor of the string class that begins here
     window = np.array([r[3] for r in rows])

@@ -1,6 +1,7 @@
 """Operators against brute force, exact round trips or held-out accuracy, with the edge cases of their docstrings."""
 
 import collections
+import gc
 import hashlib
 import itertools
 import random
@@ -71,6 +72,16 @@ def test_suffix_array():
         assert suffix_groups.suffix_array(x) == sorted(range(len(x)), key=lambda i: x[i:])
 
 
+def test_suffix_arrays_search_no_garbage(monkeypatch):
+    r, seen, plain = random.Random(8), [], suffix_groups.suffix_array
+    base = bytes(r.randrange(97, 123) for _ in range(608))
+    segments = [(0, base[:k] + b"Z" + base[k + 1 :], 208, -1) for k in range(50)]
+    monkeypatch.setattr(suffix_groups, "suffix_array", lambda text: (seen.append(gc.isenabled()), plain(text))[1])
+    least, most = suffix_groups.repeated_places(segments)
+    assert gc.isenabled() and seen == [False]
+    assert (least <= most).all()
+
+
 @pytest.mark.parametrize("hot", [1, 1000])
 def test_repeated_bytes(spark, hot, monkeypatch):
     monkeypatch.setattr(suffix_groups, "SPLIT_OVER", hot)
