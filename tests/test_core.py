@@ -528,3 +528,26 @@ def test_copies_make_no_batch(spark, monkeypatch, tmp_path):
     assert ids(leader_batched(many.filter("ordinal <= 60"), p, 50, store)) + ids(leader_batched(many.filter("ordinal > 60"), p, 50, store)) == want
     short = KeyStore(spark, f"{tmp_path}/short", p, keep=1)  # the third run of copies outlives its leaders
     assert ids(leader_batched(many, p, 200, short)) == 2 * want[:120] + 2 * [c + 400 for c in want[:120]]
+
+
+def _few_elements(spark, n=150):
+    """Signatures of few elements, and each a second time: keys that many have."""
+    rng = random.Random(5)
+    sets = [sorted(rng.sample("abcdefghij", rng.randint(2, 6))) for _ in range(n)]
+    return spark.createDataFrame([(k, k, len(x), x) for k, x in enumerate(sets + sets, 1)], "ordinal bigint, item_id bigint, size int, sig array<string>")
+
+
+def _compared_in_blocks(df):
+    """No pair of rows that share a key is made by a join."""
+    return "array_intersect" not in df._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_prefix_keys_that_many_have(spark, monkeypatch):
+    from overlapkeys.operators import baselines as B
+
+    s, p = _few_elements(spark), plan("3/5", range(2, 7))
+    monkeypatch.setattr(B, "BLOCK", 4)
+    monkeypatch.setattr(B, "CELL", 16)  # most keys go to several parts
+    links = B.prefix_classes(s, p)[0]
+    assert _compared_in_blocks(links) and links.count() == links.select("marker", "prober").distinct().count() > 0
+    assert sorted(map(tuple, B.prefix_pairs(s, p).collect())) == sorted(map(tuple, bruteforce_pairs(s, p.rule).collect()))
