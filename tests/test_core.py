@@ -551,3 +551,13 @@ def test_prefix_keys_that_many_have(spark, monkeypatch):
     links = B.prefix_classes(s, p)[0]
     assert _compared_in_blocks(links) and links.count() == links.select("marker", "prober").distinct().count() > 0
     assert sorted(map(tuple, B.prefix_pairs(s, p).collect())) == sorted(map(tuple, bruteforce_pairs(s, p.rule).collect()))
+
+
+@pytest.mark.parametrize("theta, kind", [("3/5", "jaccard"), ("4/5", "contain"), ("3", "hamming")])
+def test_elements_that_many_have(spark, monkeypatch, theta, kind):
+    from overlapkeys.operators import baselines as B
+
+    s, rule = _few_elements(spark), SimilarityRule.of(kind, theta)
+    monkeypatch.setattr(B, "CELL", 16)
+    assert _compared_in_blocks(B.element_join_classes(s, rule)[0])
+    assert sorted(map(tuple, element_join_pairs(s, rule).collect())) == sorted(map(tuple, bruteforce_pairs(s, rule).collect()))
