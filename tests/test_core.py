@@ -561,3 +561,18 @@ def test_elements_that_many_have(spark, monkeypatch, theta, kind):
     monkeypatch.setattr(B, "CELL", 16)
     assert _compared_in_blocks(B.element_join_classes(s, rule)[0])
     assert sorted(map(tuple, element_join_pairs(s, rule).collect())) == sorted(map(tuple, bruteforce_pairs(s, rule).collect()))
+
+
+def test_bands_that_many_share(spark, monkeypatch):
+    """The pairs that share a band, by hashes made here, however the bands are dealt."""
+    from overlapkeys.operators import baselines as B
+    from overlapkeys.operators.keys import encode_elements
+
+    s, rule = _few_elements(spark), SimilarityRule.jaccard("3/5")
+    codes = {r.ordinal: r.codes for r in encode_elements(s).collect()}
+    low = {k: [min((a * c + b) % B.MODULUS for c in cs) for _, a, b in B.minhash_params(12)] for k, cs in codes.items()}
+    want = {(a, b) for a, b in pairs(bruteforce_pairs(s, rule)) if any(low[a][k : k + 4] == low[b][k : k + 4] for k in (0, 4, 8))}
+    for cell in (16, 4096):
+        monkeypatch.setattr(B, "CELL", cell)
+        got = minhash_pairs(s, rule, 3, 4)
+        assert _compared_in_blocks(B.minhash_classes(s, rule, 3, 4)[0]) and pairs(got) == want and got.count() == len(want)
