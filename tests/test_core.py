@@ -576,3 +576,20 @@ def test_bands_that_many_share(spark, monkeypatch):
         monkeypatch.setattr(B, "CELL", cell)
         got = minhash_pairs(s, rule, 3, 4)
         assert _compared_in_blocks(B.minhash_classes(s, rule, 3, 4)[0]) and pairs(got) == want and got.count() == len(want)
+
+
+def test_accuracy_meets_links_once(spark):
+    """The links of both sides meet in one shuffle, each pair of classes once."""
+    from overlapkeys.operators import metrics, retrieve
+
+    s, p = _few_elements(spark), plan("3/5", range(2, 7))
+    links, _, members = retrieve.similar_classes(s, p)
+    assert links.filter("marker > prober").count() > 0
+    found = links.filter("marker < prober and marker % 3 > 0")
+    n = {r.cls: r["count"] for r in members.groupBy("cls").count().collect()}
+    inside, rows = sum(x * (x - 1) // 2 for x in n.values()), links.filter("marker < prober").collect()
+    tp = inside + sum(n[r.marker] * n[r.prober] for r in rows if r.marker % 3)
+    fn = sum(n[r.marker] * n[r.prober] for r in rows if r.marker % 3 == 0)
+    got = metrics.class_accuracy(found, links.filter("marker < prober"), members)
+    assert tuple(got.first())[:3] == (tp, 0, fn)
+    assert "FullOuter" not in got._jdf.queryExecution().optimizedPlan().toString()
