@@ -593,3 +593,18 @@ def test_accuracy_meets_links_once(spark):
     got = metrics.class_accuracy(found, links.filter("marker < prober"), members)
     assert tuple(got.first())[:3] == (tp, 0, fn)
     assert "FullOuter" not in got._jdf.queryExecution().optimizedPlan().toString()
+
+
+def _lines(df):
+    return df._jdf.queryExecution().optimizedPlan().toString().splitlines()
+
+
+def test_false_matches_are_told_by_classes(spark):
+    s, p = _few_elements(spark), plan("3/5", range(2, 7))
+    found = false_matches(s, p)
+    got, true = pairs(found), pairs(bruteforce_pairs(s, p.rule))
+    from overlapkeys.operators.retrieve import simple_candidates
+
+    assert got == pairs(simple_candidates(s, p)) - true and got and found.count() == len(got)
+    kinds = [x for x in _lines(found) if "Generate" in x or "LeftAnti" in x]
+    assert "Generate" in kinds[0] and any("LeftAnti" in x for x in kinds)
