@@ -599,6 +599,19 @@ def _lines(df):
     return df._jdf.queryExecution().optimizedPlan().toString().splitlines()
 
 
+def test_verified_pairs_are_listed_last(spark, monkeypatch):
+    """Nothing is joined or shuffled after pairs of items are listed; rows hold parts of the copies."""
+    from overlapkeys.operators import retrieve as R
+
+    s, p = _few_elements(spark), plan("3/5", range(2, 7))
+    s = s.union(s.withColumn("ordinal", s.ordinal + 300))  # four copies of each
+    monkeypatch.setattr(R, "LISTED", 3)
+    found = R.simple_verified(s, p)
+    assert sorted(map(tuple, found.collect())) == sorted(map(tuple, bruteforce_pairs(s, p.rule).collect()))
+    kinds = [x for x in _lines(found) if "Generate" in x or "Join" in x]
+    assert "Generate" in kinds[0] and "Generate" in kinds[1]
+
+
 def test_false_matches_are_told_by_classes(spark):
     s, p = _few_elements(spark), plan("3/5", range(2, 7))
     found = false_matches(s, p)
